@@ -8,6 +8,7 @@ import importlib
 _MODULES = {
     "op1_ngram_jaccard_join": "setjoin",
     "op2_byte_bpe": "bpe",
+    "op3_suffix_dedup": "repeats",
 }
 
 

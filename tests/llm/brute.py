@@ -41,3 +41,20 @@ def jaccard_components(rows, num=75, den=100):
                 a, b = find(i), find(j)
                 parent[max(a, b)] = min(a, b)
     return {i: (len(s), find(i)) for i, s in sets.items()}
+
+
+def repeated_bytes(rows, length=100):
+    """rows: (doc_id, text) -> {doc_id: (n_bytes, n_removed, n_spans, kept bytes)}"""
+    seen, out = set(), {}
+    for i, t in sorted(rows):
+        b = (t or "").encode()
+        gone = bytearray(len(b))
+        for p in range(len(b) - length + 1):
+            w = b[p : p + length]
+            if w in seen:
+                gone[p : p + length] = b"\x01" * length
+            else:
+                seen.add(w)
+        spans = sum(1 for k in range(len(b)) if gone[k] and (k == 0 or not gone[k - 1]))
+        out[i] = (len(b), sum(gone), spans, bytes(x for x, g in zip(b, gone) if not g))
+    return out
