@@ -81,8 +81,8 @@ def word_hashes(text: bytes, known: WordHashes) -> np.ndarray:
     return np.fromiter(map(known.__getitem__, words), np.uint64, len(words))
 
 
-def shingles(words: np.ndarray, width: int) -> np.ndarray:
-    """Sorted distinct hashes of all runs of ``width`` words; of the whole sequence if it is shorter; none without words."""
+def shingle_runs(words: np.ndarray, width: int) -> np.ndarray:
+    """Hashes of all runs of ``width`` words in text order; of the whole sequence if it is shorter; none without words."""
     n = len(words)
     if n == 0:
         return np.zeros(0, np.uint64)
@@ -90,7 +90,12 @@ def shingles(words: np.ndarray, width: int) -> np.ndarray:
     acc = np.full(n - k + 1, k, np.uint64)
     for i in range(k):
         acc = mix(acc * _ODD[i % 5] + words[i : n - k + 1 + i])
-    return np.unique(acc)
+    return acc
+
+
+def shingles(words: np.ndarray, width: int) -> np.ndarray:
+    """The distinct ones of :func:`shingle_runs`, sorted."""
+    return np.unique(shingle_runs(words, width))
 
 
 def pairs_of(batch: pa.RecordBatch, text: str) -> list[bytes | None]:
@@ -136,5 +141,5 @@ def sliced(batches, schema: pa.Schema, rows):
 
 __all__ = [
     "ARROW_BYTES", "ARROW_ROWS", "MASK64", "WordHashes", "bucket_count", "byte_views", "components", "discard", "materialise", "mix",
-    "pairs_of", "plan_bytes", "prepare", "shingles", "sliced", "table", "word_hashes",
+    "pairs_of", "plan_bytes", "prepare", "shingle_runs", "shingles", "sliced", "table", "word_hashes",
 ]

@@ -9,6 +9,8 @@ _MODULES = {
     "op1_ngram_jaccard_join": "setjoin",
     "op2_byte_bpe": "bpe",
     "op3_suffix_dedup": "repeats",
+    "op7_language_id": "langid",
+    "op8_decontamination": "decontam",
 }
 
 
