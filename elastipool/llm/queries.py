@@ -9,8 +9,11 @@ _MODULES = {
     "op1_ngram_jaccard_join": "setjoin",
     "op2_byte_bpe": "bpe",
     "op3_suffix_dedup": "repeats",
+    "op4_toxicity": "toxicity",
+    "op5_exact_topk": "vafile",
     "op7_language_id": "langid",
     "op8_decontamination": "decontam",
+    "op10_html_extraction": "htmltext",
 }
 
 
