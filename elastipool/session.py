@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 import uuid
@@ -36,6 +37,12 @@ def scratch_root(spark: SparkSession) -> str:
     return (base or f"file://{tempfile.gettempdir()}/elastipool-scratch").rstrip("/")
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished jobs now: it does so when the driver has dropped their plans."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
@@ -43,6 +50,7 @@ def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
     df.write.option("compression", codec).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
+    release(spark)
     return out
 
 
