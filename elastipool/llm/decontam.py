@@ -79,18 +79,27 @@ def item_sets(items: DataFrame, id_col: str, text_col: str, width: int) -> DataF
     return items.select(items[id_col].cast("long").alias("item_id"), items[text_col].cast("string").alias("text")).mapInArrow(run, "item_id long, n long, items binary")
 
 
-def contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 75, den: int = 100, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
-    """All pairs (doc_id, item_id, n_item, shared) with den * shared >= num * n_item."""
-    prepare(docs.sparkSession)
+def indexes(items: DataFrame, width: int, num: int, den: int, item_col: str, item_text: str) -> list:
+    """Broadcast indexes of the items, each of BLOCK shingles or so."""
+    spark = items.sparkSession
+    prepare(spark)
     sets = item_sets(items, item_col, item_text, width).where("n > 0")
     total = sets.agg(F.sum("n")).first()[0] or 0
     blocks = max(1, -(-2 * total // BLOCK))
-    src = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
 
-    def one(k: int) -> DataFrame:
+    def one(k: int):
         t = (sets if blocks == 1 else sets.where(F.pmod(F.xxhash64("items"), F.lit(blocks)) == k)).toArrow()
-        index = docs.sparkSession.sparkContext.broadcast(Index([(i, np.frombuffer(x, np.uint64)) for i, x in zip(t.column(0).to_pylist(), t.column(2).to_pylist())], num, den))
+        return spark.sparkContext.broadcast(Index([(i, np.frombuffer(x, np.uint64)) for i, x in zip(t.column(0).to_pylist(), t.column(2).to_pylist())], num, den))
+
+    return [one(k) for k in range(blocks)]
+
+
+def contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 75, den: int = 100, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """All pairs (doc_id, item_id, n_item, shared) with den * shared >= num * n_item."""
+    prepare(docs.sparkSession)
+    src = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
 
+    def one(index) -> DataFrame:
         def run(batches):
             known = WordHashes()
             for b in batches:
@@ -103,8 +112,28 @@ def contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 7
 
         return src.mapInArrow(run, PAIRS)
 
-    return reduce(DataFrame.unionAll, [one(k) for k in range(blocks)])
+    return reduce(DataFrame.unionAll, [one(x) for x in indexes(items, width, num, den, item_col, item_text)])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def without_contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 75, den: int = 100, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
+    """``docs`` without rows that contain an item; map-only, all columns kept, one pass for each block of items."""
+    for index in indexes(items, width, num, den, item_col, item_text):
+        docs = _filtered(docs, index, width, text_col)
+    return docs
+
+
+def _filtered(docs: DataFrame, index, width: int, text_col: str) -> DataFrame:
+    at = docs.columns.index(text_col)
+
+    def run(batches):
+        known = WordHashes()
+        for b in batches:
+            texts = b.column(at).to_pylist()
+            keep = [not (t and index.value.matches(common.shingle_runs(common.word_hashes(t.encode(), known), width))) for t in texts]
+            yield b.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

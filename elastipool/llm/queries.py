@@ -11,8 +11,10 @@ _MODULES = {
     "op3_suffix_dedup": "repeats",
     "op4_toxicity": "toxicity",
     "op5_exact_topk": "vafile",
+    "op6_warc_derivatives": "warc",
     "op7_language_id": "langid",
     "op8_decontamination": "decontam",
+    "op9_pii_surrogates": "pii",
     "op10_html_extraction": "htmltext",
 }
 

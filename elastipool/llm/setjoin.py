@@ -85,7 +85,7 @@ def _signer(width, buckets):
             return pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*got), SIGN)], schema=SIGN)
 
         for i, s in batch_sets(batches, width):
-            rows.append((i, len(s), set_id(s) if len(s) else None, None, None))
+            rows.append((i, len(s), set_id(s) if len(s) else None, -1 - len(rows) % buckets, None))
             held.append(s[: np.searchsorted(s, LOW)])
             size += len(held[-1]) + 1
             if size >= FLUSH:
@@ -112,12 +112,29 @@ def _grouped(batches, key: str):
 
 
 def _count(batches):
-    out = pa.schema([("t", pa.int64()), ("c", pa.int64())])
-    for _, blobs in _grouped(batches, "bucket"):
+    """Counts of the packed shingles, as (t, c); the rows of documents (negative buckets) pass through."""
+    out = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("sid", pa.int64()), ("t", pa.int64()), ("c", pa.int64())])
+
+    def lists():
+        for b in batches:
+            own = np.asarray(b.column(3)) < 0
+            if own.any():
+                rows = b.filter(pa.array(own))
+                none = pa.nulls(rows.num_rows, pa.int64())
+                passed.append(pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), rows.column(2), none, none], schema=out))
+            if not own.all():
+                yield b.filter(pa.array(~own)).select(["bucket", "low"])
+
+    passed: list[pa.RecordBatch] = []
+    for _, blobs in _grouped(lists(), "bucket"):
+        yield from passed
+        passed.clear()
         t, c = np.unique(np.concatenate([np.frombuffer(x, np.uint64) for x in blobs]), return_counts=True)
         keep = c >= HOT_LEAST
         if keep.any():
-            yield pa.RecordBatch.from_arrays([pa.array(t[keep].view(np.int64)), pa.array(c[keep].astype(np.int64))], schema=out)
+            none = pa.nulls(int(keep.sum()), pa.int64())
+            yield pa.RecordBatch.from_arrays([none, none, none, pa.array(t[keep].view(np.int64)), pa.array(c[keep].astype(np.int64))], schema=out)
+    yield from passed
 
 
 def _packer(width, num, den, hot, buckets):
@@ -279,15 +296,14 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     prepare(spark)
     src = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
     buckets = common.bucket_count(src, least=256)
-    signed = materialise(src.mapInArrow(_signer(width, buckets), "doc_id long, n long, sid long, bucket int, low binary"), "signed")
-    sigs = materialise(signed.where("bucket is null").select("doc_id", "n", "sid"), "sigs")
-
-    counts = materialise(signed.where("bucket is not null").select("bucket", "low").repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_count, "t long, c long"), "counts")
+    # one shuffle carries both the rows of documents and the packed shingles to be counted; nothing packed is written
+    signed = src.mapInArrow(_signer(width, buckets), "doc_id long, n long, sid long, bucket int, low binary").repartition("bucket").sortWithinPartitions("bucket")
+    signed = materialise(signed.mapInArrow(_count, "doc_id long, n long, sid long, t long, c long"), "signed")
+    sigs, counts = signed.where("c is null").select("doc_id", "n", "sid"), signed.where("c is not null").select("t", "c")
     bins = {r.k: r.n for r in counts.groupBy(F.floor(F.log2("c")).cast("int").alias("k")).agg(F.count("*").alias("n")).collect()}
     floor_ = next(k for k in range(64) if sum(n for b, n in bins.items() if b >= k) <= HOT_CAP)
     hot = np.sort(np.asarray(counts.where(F.col("c") >= F.lit(1 << floor_)).select("t").toArrow().column(0), np.int64).view(np.uint64))
     hot = spark.sparkContext.broadcast(hot)
-    discard(signed)
 
     packed = src.mapInArrow(_packer(width, num, den, hot, buckets), "bucket int, data binary")
     lists = materialise(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_lists, "gid long, m long, sid array<long>, n array<int>, pos array<int>"), "lists")
@@ -326,7 +342,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     by_sid = materialise(by_sid.join(low, "root").select("sid", "component_id"), "classes")
     sids = sigs.join(by_sid, "sid", "left")
     out = sids.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
-    for t in (counts, lists, first, sets, known, more, late):
+    for t in (lists, first, sets, known, more, late):
         discard(t)
     return out
 

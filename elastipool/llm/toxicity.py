@@ -292,3 +292,19 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     lm, model = models(docs, table(spark, sf_dir, "labels", "doc_id", "toxic"))
     return scored(docs, lm, model, fold(docs["doc_id"], 5) == 0)
+
+
+def without_toxic(docs: DataFrame, lm: CharModel, model: Scorer, text_col: str = "text") -> DataFrame:
+    """``docs`` without rows predicted toxic: scored and filtered in one map-only pass that keeps all columns."""
+    prepare(docs.sparkSession)
+    shared = docs.sparkSession.sparkContext.broadcast((lm, model))
+    at = docs.columns.index(text_col)
+
+    def run(batches):
+        lm, model = shared.value
+        known: dict[str, str] = {}
+        for b in batches:
+            keep = [model.score(features(restored(t, lm, known)) if t else np.zeros(0, np.uint64)) < 0.5 for t in b.column(at).to_pylist()]
+            yield b.filter(pa.array(keep, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
