@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import os
 import tempfile
+import time
 import uuid
 import zipfile
 
@@ -38,19 +39,25 @@ def scratch_root(spark: SparkSession) -> str:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished jobs now: it does so when the driver has dropped their plans."""
-    gc.collect()
-    spark._jvm.System.gc()
+    """Let Spark delete the shuffle files of finished jobs now: it does so when the driver has dropped their plans.
 
+    The plan of the last job is let go a moment after it, hence the second round.
+    """
+    for _ in range(2):
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.3)
 
-def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
+
+def materialise(df: DataFrame, tag: str, codec: str = "zstd", free: bool = True) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
-    release(spark)
+    if free:
+        release(spark)
     return out
 
 
