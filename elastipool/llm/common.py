@@ -118,10 +118,10 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
             out = j.select(F.col("b").alias("a"), F.col("m").alias("b")).union(low.select("a", F.col("m").alias("b")))
         return out.where("a <> b").distinct()
 
-    e = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cc")
+    e = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cc", free=False)
     seen = None
     for _ in range(most_rounds):
-        nxt = materialise(star(star(e, True), False), "cc")
+        nxt = materialise(star(star(e, True), False), "cc", free=False)
         now = nxt.agg(F.count("*").alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
         discard(e)
         e = nxt

@@ -20,8 +20,8 @@ are read in pieces of bounded size, whatever a document's length.
 
 Null and empty text: 0 bytes, nothing removed. Rows that share a doc_id count as one document: what is removed in one is removed at the same
 place in the other; exact repetitions of a row are no earlier than it. Rows without doc_id count as one document before all others.
-Other columns are never read; an empty table gives an empty result. Windows are compared by 96 bits of hash: for n opened windows a false
-repeat has probability n * n / 2 ** 97.
+Other columns are never read; an empty table gives an empty result. Windows are compared by 80 bits of hash within a bucket (at least 8
+more): for n opened windows a false repeat has a probability below n * n / 2 ** 88.
 """
 
 from __future__ import annotations
@@ -177,8 +177,8 @@ def _firsts(keys: list[np.ndarray], doc, pos):
 def _windows(h, chk, doc, pos, buckets):
     """First windows packed by bucket, and spans of those that repeat one of them."""
     o, new, same = _firsts([h, chk], doc, pos)
-    f, later = o[new], o[~same]
-    return _by_bucket(WINDOW, h[f], h[f], chk[f], doc[f], pos[f], np.ones(len(f)), buckets) + _spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later)))
+    f, later = np.sort(o[new]), o[~same]  # in text order, so that the packed ids compress
+    return _by_bucket(WINDOW, h[f], _six(h[f]), chk[f], doc[f], pos[f], np.ones(len(f)), buckets) + _spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later)))
 
 
 def _emit(rows):
@@ -224,8 +224,8 @@ def _parse(buckets):
 
 def _cols(rows, *names):
     """Concatenated arrays of packed rows."""
-    kind = {"doc": "<i8", "pos": "<u4", "h": np.uint64, "chk": np.uint32}
-    at = {"doc": 4, "pos": 5, "h": 2, "chk": 3}
+    kind = {"doc": "<i8", "pos": "<u4", "chk": np.uint32}
+    at = {"doc": 4, "pos": 5, "chk": 3}
     return [np.concatenate([np.frombuffer(r[at[n]], kind[n]) for r in rows]) for n in names]
 
 
@@ -325,7 +325,8 @@ def _suffixes(batches):
         if kind != WINDOW:
             yield _emit(rows)
             continue
-        h, chk, doc, pos = _cols(rows, "h", "chk", "doc", "pos")
+        h = _unsix([r[2] for r in rows])
+        chk, doc, pos = _cols(rows, "chk", "doc", "pos")
         o, _, same = _firsts([h, chk], doc, pos)
         later = o[~same]
         if len(later):
