@@ -117,8 +117,31 @@ def restore(token: str, lm: CharModel) -> str:
     return min((cost + lm.cost[a, b, 0], word) for (a, b), (cost, word) in best.items())[1]
 
 
+_KIND = np.zeros(256, np.uint8)  # 1: letter (any byte of one beyond ASCII), 2: sign, both of which may spell
+_KIND[128:] = 1
+for _c in range(65, 123):
+    if chr(_c).isalpha():
+        _KIND[_c] = 1
+for _ch in LEET:
+    if ord(_ch) < 128:
+        _KIND[ord(_ch)] = 2
+
+
+def suspects(text: str) -> tuple[bool, bool, bool]:
+    """Whether a text may hold words spelled with signs, spaced words, and words with letters repeated: necessary conditions, from its bytes."""
+    x = np.frombuffer(text.encode(), np.uint8)
+    k = _KIND[x]
+    letter = k == 1
+    signs = bool(((k[:-1] == 2) & letter[1:]).any())
+    alone = (k > 0)[1:-1] & (k[:-2] == 0) & (k[2:] == 0) if len(x) > 2 else np.zeros(0, bool)
+    spaced = len(alone) > 2 and bool((alone[:-2] & alone[2:]).any())
+    runs = bool(((x[:-2] == x[1:-1]) & (x[1:-1] == x[2:]) & letter[2:] & (x[2:] < 128)).any())
+    return signs, spaced, runs
+
+
 def restored(text: str, lm: CharModel, known: dict[str, str]) -> str:
     """The text with its disguised words restored; a text without any comes back as it is."""
+    signs, spaced, runs = suspects(text)
 
     def put(m: re.Match) -> str:
         token = m.group()
@@ -130,27 +153,26 @@ def restored(text: str, lm: CharModel, known: dict[str, str]) -> str:
             known[token] = restore(token, lm)
         return known[token]
 
-    text = _SPACED.sub(put, text)
-    text = _WORD.sub(put, text)
-    if _RUN.search(text):
+    if spaced:
+        text = _SPACED.sub(put, text)
+    if signs:
+        text = _WORD.sub(put, text)
+    if runs and _RUN.search(text):
         text = _LETTERS.sub(lambda m: put(m) if _RUN.search(m.group()) else m.group(), text)
     return text
 
 
-_FEATURES: dict[str, tuple[int, ...]] = {}
+def word_features(w: str) -> list[int]:
+    """64-bit features of a word: the word itself and its beginnings."""
+    b = w.encode()
+    return [xxhash.xxh3_64_intdigest(b, 1), *(xxhash.xxh3_64_intdigest(b[:n], 2) for n in PREFIXES if n < len(b))]
 
 
 def features(text: str) -> np.ndarray:
-    """Distinct 64-bit features of a text: its words and their beginnings."""
-    got = []
+    """Distinct features of a text."""
+    got: list[int] = []
     for w in set(_LETTERS.findall(text.lower())):
-        f = _FEATURES.get(w)
-        if f is None:
-            if len(_FEATURES) > 100_000:
-                _FEATURES.clear()
-            b = w.encode()
-            f = _FEATURES[w] = tuple([xxhash.xxh3_64_intdigest(b, 1), *(xxhash.xxh3_64_intdigest(b[:n], 2) for n in PREFIXES if n < len(b))])
-        got += f
+        got += word_features(w)
     return np.unique(np.array(got, np.uint64))
 
 
@@ -161,10 +183,14 @@ def char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
     def run(batches):
         total = np.zeros(1 << 18, np.int64)
         for b in batches:
-            for t in b.column(0).to_pylist():
+            held, size = [], 0
+            for t in [*(x or "" for x in b.column(0).to_pylist()), None]:
                 if t:
-                    at, n = np.unique(trigram_counts(t), return_counts=True)
-                    total[at] += n
+                    held.append(t)
+                    size += len(t)
+                if held and (t is None or size > 1 << 19):
+                    total += np.bincount(trigram_counts("\n".join(held)), minlength=1 << 18)
+                    held, size = [], 0
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_pydict({"g": pa.array(at, pa.int32()), "n": pa.array(total[at], pa.int64())})
 
@@ -180,12 +206,29 @@ class Scorer:
     def __init__(self, keys: np.ndarray, weights: np.ndarray, bias: float):
         self.keys, self.weights, self.bias = keys, weights, bias
 
-    def score(self, f: np.ndarray) -> float:
-        z = self.bias
-        if len(self.keys) and len(f):
-            at = np.minimum(np.searchsorted(self.keys, f), len(self.keys) - 1)
-            z += float(self.weights[at[self.keys[at] == f]].sum())
-        return 1.0 / (1.0 + math.exp(-max(-30.0, min(30.0, z))))
+    def reader(self):
+        """text -> score, with what is known of words remembered up to a bound."""
+        at = {int(k): i for i, k in enumerate(self.keys.tolist())}
+        weights = self.weights.tolist()
+
+        class Known(dict):
+            def __missing__(known, w):
+                if len(known) > 200_000:
+                    known.clear()
+                known[w] = got = tuple(at[f] for f in word_features(w) if f in at)
+                return got
+
+        known = Known()
+
+        def score(text: str) -> float:
+            hits: set[int] = set()
+            for f in map(known.__getitem__, set(_LETTERS.findall(text.lower()))):
+                if f:
+                    hits.update(f)
+            z = self.bias + sum(weights[i] for i in sorted(hits))
+            return 1.0 / (1.0 + math.exp(-max(-30.0, min(30.0, z))))
+
+        return score
 
 
 def _g(n1, n0, t1, t0):
@@ -199,15 +242,18 @@ def _g(n1, n0, t1, t0):
     return np.where(n1 * t0 > n0 * t1, g, -g)
 
 
-def train(rows: list[tuple[np.ndarray, int]], size: int, steps: int = 300, rate: float = 0.5, decay: float = 1e-3) -> tuple[np.ndarray, float]:
-    """Logistic regression over rows of active feature numbers, by full-batch gradient descent with momentum."""
+def train(rows: list[tuple[np.ndarray, int]], size: int, steps: int = 1200, rate: float = 0.5, decay: float = 1e-3) -> tuple[np.ndarray, float]:
+    """Logistic regression over rows of active feature numbers, by full-batch gradient descent with momentum. The rarer class weighs more, by
+    the root of the odds, so that one strong word is enough in a long text."""
     y = np.array([r[1] for r in rows], np.float64)
     owner = np.repeat(np.arange(len(rows)), [len(r[0]) for r in rows])
     active = np.concatenate([r[0] for r in rows]).astype(np.int64) if len(owner) else np.zeros(0, np.int64)
+    share = min(max(y.mean(), 1e-3), 1 - 1e-3)
+    weight = np.where(y > 0, ((1 - share) / share) ** 0.5, 1.0)
     w, b, vw, vb = np.zeros(size), 0.0, np.zeros(size), 0.0
     for _ in range(steps):
         z = b + np.bincount(owner, w[active], minlength=len(rows))
-        e = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(rows)
+        e = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) * weight / len(rows)
         gw = np.bincount(active, e[owner], minlength=size) + decay * w / max(1, len(rows)) ** 0.5
         vw, vb = 0.9 * vw + gw, 0.9 * vb + e.sum()
         w, b = w - rate * 4 * vw, b - rate * vb
@@ -273,10 +319,10 @@ def scored(docs: DataFrame, lm: CharModel, model: Scorer, held_out, id_col: str
     shared = docs.sparkSession.sparkContext.broadcast((lm, model))
 
     def run(batches):
-        lm, model = shared.value
+        lm, score = shared.value[0], shared.value[1].reader()
         known: dict[str, str] = {}
         for b in batches:
-            s = [model.score(features(restored(t, lm, known)) if t else np.zeros(0, np.uint64)) for t in b.column(2).to_pylist()]
+            s = [score(restored(t, lm, known) if t else "") for t in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "held_out": b.column(1), "score": pa.array(s, pa.float64()), "predicted": pa.array([int(x >= 0.5) for x in s], pa.int32())})
 
     return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs[text_col].cast("string").alias("text")).mapInArrow(run, OUT)
@@ -301,10 +347,10 @@ def without_toxic(docs: DataFrame, lm: CharModel, model: Scorer, text_col: str =
     at = docs.columns.index(text_col)
 
     def run(batches):
-        lm, model = shared.value
+        lm, score = shared.value[0], shared.value[1].reader()
         known: dict[str, str] = {}
         for b in batches:
-            keep = [model.score(features(restored(t, lm, known)) if t else np.zeros(0, np.uint64)) < 0.5 for t in b.column(at).to_pylist()]
+            keep = [score(restored(t, lm, known) if t else "") < 0.5 for t in b.column(at).to_pylist()]
             yield b.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
