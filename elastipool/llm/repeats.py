@@ -174,10 +174,28 @@ def _firsts(keys: list[np.ndarray], doc, pos):
     return o, new, (d == d[head]) & (p == p[head])
 
 
+def _first_windows(h, chk, doc, pos):
+    """(rows that are the first of equal windows, rows that repeat one): one sort by hash, then the least place of each run."""
+    o = np.argsort(h)
+    new = np.ones(len(o), bool)
+    new[1:] = h[o[1:]] != h[o[:-1]]
+    starts = np.flatnonzero(new)
+    run = np.cumsum(new) - 1
+    if (chk[o] != chk[o[starts]][run]).any():  # different windows of one hash: sort by both
+        o, new, same = _firsts([h, chk], doc, pos)
+        return o[new], o[~same]
+    place = (np.unique(doc, return_inverse=True)[1].astype(np.uint64) << np.uint64(32) | pos.astype(np.uint64))[o]
+    least = np.minimum.reduceat(place, starts) if len(starts) else place
+    same = place == least[run]
+    head = np.full(len(starts), -1)
+    head[run[same]] = o[same]
+    return head, o[~same]
+
+
 def _windows(h, chk, doc, pos, buckets):
     """First windows packed by bucket, and spans of those that repeat one of them."""
-    o, new, same = _firsts([h, chk], doc, pos)
-    f, later = np.sort(o[new]), o[~same]  # in text order, so that the packed ids compress
+    f, later = _first_windows(h, chk, doc, pos)
+    f = np.sort(f)  # in text order, so that the packed ids compress
     return _by_bucket(WINDOW, h[f], _six(h[f]), chk[f], doc[f], pos[f], np.ones(len(f)), buckets) + _spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later)))
 
 
@@ -327,8 +345,7 @@ def _suffixes(batches):
             continue
         h = _unsix([r[2] for r in rows])
         chk, doc, pos = _cols(rows, "chk", "doc", "pos")
-        o, _, same = _firsts([h, chk], doc, pos)
-        later = o[~same]
+        later = _first_windows(h, chk, doc, pos)[1]
         if len(later):
             yield _emit(_spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later))))
 
