@@ -18,7 +18,7 @@ from elastipool.session import ship
 def trigrams(text) -> F.Column:
     """Character trigrams of the lower-cased text."""
     chars = F.split(F.lower(text), "")
-    return F.transform(F.array(chars), lambda c: F.zip_with(F.zip_with(c, F.slice(c, F.lit(2), F.size(c)), F.concat), F.slice(c, F.lit(3), F.size(c)), F.concat))[0]
+    return F.transform(F.array(chars), lambda c: F.zip_with(F.zip_with(c, F.slice(c, F.lit(2), F.size(c)), lambda x, y: F.concat(x, y)), F.slice(c, F.lit(3), F.size(c)), lambda x, y: F.concat(x, y)))[0]
 
 
 def profile_predict(docs: DataFrame, train: DataFrame, most: int = 400) -> DataFrame:
