@@ -40,6 +40,8 @@ FORMATS = (
     ("NAME", rf"\b(?:{'|'.join(MALE + FEMALE)})\.?[ ]\p{{Lu}}[\p{{L}}’-]++(?:[ ]\p{{Lu}}[\p{{L}}’-]++)?"),
 )
 PATTERN = "|".join(f"(?:{p})" for _, p in FORMATS)
+#: What every format needs somewhere: a text without any of it is not searched.
+HINT = rf"[0-9@=:]|AKIA|ASIA|\b(?:{'|'.join(MALE + FEMALE)})\.?[ ]"
 ALPHABETS = (
     (r"^[0-9]$", "0123456789"), (r"^[a-z]$", "abcdefghijklmnopqrstuvwxyz"), (r"^[A-Z]$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"),
     (r"^[\p{IsCyrillic}&&\p{Ll}]$", "абвгдежзиклмнопрстуфхцчшэюя"), (r"^[\p{IsCyrillic}&&\p{Lu}]$", "АБВГДЕЖЗИКЛМНОПРСТУФХЦЧШЭЮЯ"),
@@ -178,7 +180,8 @@ def surrogate(e: Column, kind: Column, norm: Column, attempt: Column, key: str)
 
 def entities(text: Column) -> Column:
     """Array of (e, t, n): entities as written, their kinds and normal forms, in text order."""
-    found = F.transform(F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0)), lambda e: F.struct(e.alias("e"), kind_of(e).alias("t")))
+    matches = F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(F.when(text.isNotNull(), F.array().cast("array<string>")))
+    found = F.transform(matches, lambda e: F.struct(e.alias("e"), kind_of(e).alias("t")))
     return F.transform(found, lambda x: F.struct(x["e"].alias("e"), x["t"].alias("t"), normal(x["e"], x["t"]).alias("n")))
 
 
