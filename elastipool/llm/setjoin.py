@@ -7,14 +7,16 @@ Words of every whole text become a set of shingle hashes; two texts link when ``
 2. *Index*: shingles are ordered (frequent last, then by hash). By the prefix principle two linked sets share a shingle among their
    first ``floor(n * (den - num) / den) + 1``; only these are shuffled, as packed lists by hash bucket. Each index list keeps the position of the
    shingle in its set. Lists with the same members collapse to one; long lists are cut into blocks.
-3. *Answers of one set per list*: the smallest id in a list is verified against each other member: linear in the list, however
+3. *Answers of one set per list*: the set of a list that holds most frequent shingles is verified against each other member: linear in the list, however
    long it is. Links so found give first components.
+   Verification reads a quarter of each set first, and whole sets only where the quarters leave a link possible.
 4. *Answers derived incrementally*: other pairs of a list matter only between components. The known overlaps with the list's first
    set bound the overlap of any two others from both sides: pairs certain to link or certain not to are decided without reading
    sets; position and size bounds skip whole blocks; what is left is verified exactly.
 
 Sizes sent to all tasks: the frequent shingles, at most ``HOT_CAP``. Lists of frequent shingles stay whole: they come last in the
-order, and a list longer than ``BLOCK`` is compared block against block, over many tasks.
+order. Long lists (``MANY`` sets or more) of one first set are compared as one group, block against block over many tasks, by matrix products that give all
+overlaps of two blocks; only links that join components leave.
 
 Null text, empty text and text without words have the empty set: size 0, linked with nothing. A null id gives a row with a null
 component. Rows that share an id count as one document. Other columns are not read. An empty table gives an empty result.
@@ -34,11 +36,13 @@ from elastipool.llm.common import WordHashes, components, discard, materialise,
 
 #: Most frequent shingles sent to all tasks (8 bytes each), least count of a frequent one, block of a list, words packed at once.
 HOT_CAP, HOT_LEAST, BLOCK, FLUSH = 1 << 20, 16, 2048, 1 << 21
-LOW = np.uint64((1 << 64) // 3)
+#: Lists of so many sets are compared as whole groups, in blocks of so many sets; columns of a block's matrix.
+MANY, SETS, COLUMNS = 32, 1024, 4096
+LOW, QUARTER = np.uint64((1 << 64) // 3), np.uint64(1 << 62)
 SIGN = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("sid", pa.int64()), ("bucket", pa.int32()), ("low", pa.binary())])
 PACK = pa.schema([("bucket", pa.int32()), ("data", pa.binary())])
 LISTS = pa.schema([("gid", pa.int64()), ("m", pa.int64()), ("sid", pa.list_(pa.int64())), ("n", pa.list_(pa.int32())), ("pos", pa.list_(pa.int32()))])
-ENTRY = np.dtype([("t", "<u8"), ("sid", "<i8"), ("n", "<u4"), ("pos", "<u4")])
+ENTRY = np.dtype([("t", "<u8"), ("sid", "<i8"), ("n", "<u4"), ("pos", "<u4"), ("pop", "<u2")])
 
 
 def needed(n, num: int, den: int):
@@ -55,9 +59,9 @@ def set_id(s: np.ndarray) -> int:
     return int(np.int64(np.uint64(xxhash.xxh3_64_intdigest(s.tobytes()))))
 
 
-def batch_sets(batches, width):
+def batch_sets(batches, width, known=None):
     """(doc id, sorted distinct shingle hashes) of every row of (doc_id, text) batches."""
-    known = WordHashes()
+    known = WordHashes() if known is None else known
     for b in batches:
         ids = b.column(0).to_pylist()
         for i, t in zip(ids, common.pairs_of(b, "text")):
@@ -152,12 +156,14 @@ def _packer(width, num, den, hot, buckets):
                 continue
             known.add(sid)
             p = n - needed(n, num, den) + 1
+            pop = 0
             if len(frequent):
                 at = np.minimum(np.searchsorted(frequent, s), len(frequent) - 1)
                 is_hot = frequent[at] == s
+                pop = 65535 * int(is_hot.sum()) // max(1, int(np.searchsorted(s, LOW)))
                 s = np.concatenate([s[~is_hot][:p], s[is_hot][: max(0, p - (n - int(is_hot.sum())))]])
             e = np.empty(min(p, len(s)), ENTRY)
-            e["t"], e["sid"], e["n"], e["pos"] = s[:p], sid, n, np.arange(len(e))
+            e["t"], e["sid"], e["n"], e["pos"], e["pop"] = s[:p], sid, n, np.arange(len(e)), pop
             held.append(e)
             size += len(e)
             if size >= FLUSH // 2:
@@ -190,10 +196,12 @@ def _lists(batches):
                 seen.clear()
             seen.add(gid)
             g = int(np.int64(np.uint64(gid)))
-            for i in range(a, z, BLOCK):
-                # every block leads with the list's first set, which is verified against all others
-                part = np.arange(i, min(z, i + BLOCK))
-                part = part if i == a else np.concatenate([[a], part])
+            # the list's first set is its most common one: an original shares more with its near copies than they do with each other
+            lead = a + int(np.argmax(e["pop"][a:z]))
+            others = np.concatenate([np.arange(a, lead), np.arange(lead + 1, z)])
+            for i in range(0, len(others), BLOCK):
+                # every block leads with the first set, which is verified against all others
+                part = np.concatenate([[lead], others[i : i + BLOCK]])
                 rows.append((g, z - a, e["sid"][part], e["n"][part].astype(np.int32), e["pos"][part].astype(np.int32)))
         if rows:
             yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), LISTS)], schema=LISTS)
@@ -225,36 +233,52 @@ def _first_pairs(num, den):
     return run
 
 
-def _set_rows(width):
+def _set_rows(width, whole):
+    """(sid, n, items) of (doc_id, text, want) rows whose set is the one wanted; items are a quarter of the hash range, or all. Repeated rows come once."""
     out = pa.schema([("sid", pa.int64()), ("n", pa.int64()), ("items", pa.binary())])
 
     def run(batches):
+        seen: set[int] = set()
+        known = WordHashes()
         for b in batches:
-            got = [(set_id(s), len(s), s.tobytes()) for _, s in batch_sets([b], width) if len(s)]
+            got = []
+            for (_, s), want in zip(batch_sets([b], width, known), b.column(2).to_pylist()):
+                if len(s) and want not in seen and set_id(s) == want:
+                    seen.add(want)
+                    got.append((want, len(s), (s if whole else s[: np.searchsorted(s, QUARTER)]).tobytes()))
             if got:
                 yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*got), out)], schema=out)
 
     return run
 
 
-def _overlaps(batches):
-    out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64()), ("m", pa.int64()), ("o", pa.int64())])
-    for b in batches:
-        n, m, o = [], [], []
-        for x, y in zip(b.column(2), b.column(3)):
-            x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-            x, y = (x, y) if len(x) >= len(y) else (y, x)
-            at = np.minimum(np.searchsorted(x, y), len(x) - 1)
-            o.append(int((x[at] == y).sum()))
-        n, m = [v.as_py() for v in b.column(4)], [v.as_py() for v in b.column(5)]
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *(pa.array(v, pa.int64()) for v in (n, m, o))], schema=out)
-
-
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """Exact overlaps of pairs(a, b) of set ids: (a, b, n, m, o)."""
+BOUNDS = pa.schema([(c, pa.int64()) for c in ("a", "b", "n", "m", "lo", "hi")])
+BOUNDS_DDL = "a long, b long, n long, m long, lo long, hi long"
+
+
+def _overlaps(whole: bool):
+    """Bounds of the overlaps of (a, b, x, y, n, m): exact from whole sets; from quarters, the rest may match as far as the sizes allow."""
+
+    def run(batches):
+        for b in batches:
+            n, m = np.asarray(b.column(4)), np.asarray(b.column(5))
+            lo, free = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
+            for k, (x, y) in enumerate(zip(b.column(2), b.column(3))):
+                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
+                free[k] = 0 if whole else min(n[k] - len(x), m[k] - len(y))
+                x, y = (x, y) if len(x) >= len(y) else (y, x)
+                if len(y):
+                    lo[k] = (x[np.minimum(np.searchsorted(x, y), len(x) - 1)] == y).sum()
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(n), pa.array(m), pa.array(lo), pa.array(lo + free)], schema=BOUNDS)
+
+    return run
+
+
+def _bounded(pairs: DataFrame, sets: DataFrame, whole: bool) -> DataFrame:
+    """Bounds lo <= overlap <= hi of pairs(a, b) of set ids, from tables of whole sets or of their quarters."""
     left = sets.select(F.col("sid").alias("b"), F.col("n").alias("m"), F.col("items").alias("y"))
     right = sets.select(F.col("sid").alias("a"), "n", F.col("items").alias("x"))
-    return pairs.join(left, "b").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(_overlaps, "a long, b long, n long, m long, o long")
+    return pairs.join(left, "b").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(_overlaps(whole), BOUNDS_DDL)
 
 
 def _rest(num, den):
@@ -262,11 +286,12 @@ def _rest(num, den):
     out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("sure", pa.bool_())])
 
     def run(_, t):
-        sid, n, pos, comp, o, np_, half = (np.asarray(t.column(c)) for c in ("sid", "n", "pos", "comp", "o", "np", "half"))
+        sid, n, pos, comp, lo, hi, np_, half = (np.asarray(t.column(c)) for c in ("sid", "n", "pos", "comp", "lo", "hi", "np", "half"))
         order = np.lexsort((pos, n))
-        sid, n, pos, comp, o, half, first = sid[order], n[order], pos[order], comp[order], o[order], half[order], np_[0]
+        sid, n, pos, lo, hi, half, first = sid[order], n[order], pos[order], lo[order], hi[order], half[order], np_[0]
+        comp = np.unique(comp[order], return_inverse=True)[1]
         same_block = bool((half == 2).all())
-        xs, ys, sure = [], [], []
+        xs, ys, ties = [], [], []
         for k in range(len(sid)):
             # sizes ascend, so the sets large enough for this one end at a known place: the rest of the list is skipped
             end = int(np.searchsorted(n, n[k] * den // num, "right"))
@@ -276,20 +301,68 @@ def _rest(num, den):
             if not len(c):
                 continue
             need = pair_overlap(n[k], n[c], num, den)
-            known = (o[k] >= 0) & (o[c] >= 0)
-            most = np.where(known, np.minimum(o[k], o[c]) + np.minimum(n[k] - o[k], n[c] - o[c]), need)
-            c, need, known = c[most >= need], need[most >= need], known[most >= need]
-            xs.append(np.full(len(c), sid[k]))
-            ys.append(sid[c])
-            sure.append(known & (o[k] + o[c] - first >= need))
-        if not xs:
-            return pa.Table.from_batches([], schema=out)
-        x, y, s = np.concatenate(xs), np.concatenate(ys), np.concatenate(sure)
+            most = np.minimum(hi[k], hi[c]) + np.minimum(n[k] - lo[k], n[c] - lo[c])
+            c, need = c[most >= need], need[most >= need]
+            certain = lo[k] + lo[c] - first >= need
+            # a certain link joins two components of the list at once, so one pair of them is enough
+            for j in c[certain].tolist():
+                if comp[j] != comp[k]:
+                    comp[comp == comp[j]] = comp[k]
+                    ties.append((k, j))
+            xs.append(np.full(int((~certain).sum()), k))
+            ys.append(c[~certain])
+        x, y = (np.concatenate(v).astype(np.int64) for v in (xs or [[]], ys or [[]]))
+        apart = comp[x] != comp[y]
+        x, y = x[apart], y[apart]
+        tx, ty = np.array(ties, np.int64).reshape(-1, 2).T
+        s = np.concatenate([np.zeros(len(x), bool), np.ones(len(tx), bool)])
+        x, y = sid[np.concatenate([x, tx])], sid[np.concatenate([y, ty])]
         return pa.table([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(s)], schema=out)
 
     return run
 
 
+def _dense(num, den):
+    """Links between components among the sets of a block (or across two blocks), from all overlaps at once: products of 0/1 matrices over
+    the shingles that at least two of the sets hold. Only as many links leave as join components."""
+    out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("sure", pa.bool_())])
+
+    def run(_, t):
+        sid, n, lo, hi, np_, half = (np.asarray(t.column(c)) for c in ("sid", "n", "lo", "hi", "np", "half"))
+        comp = np.unique(np.asarray(t.column("comp")), return_inverse=True)[1]
+        need = pair_overlap(n[:, None], n[None, :], num, den)
+        most = np.minimum(hi[:, None], hi[None, :]) + np.minimum((n - lo)[:, None], (n - lo)[None, :])
+        open_ = (comp[:, None] != comp[None, :]) & (np.minimum(n[:, None], n[None, :]) >= need) & (most >= need)
+        if not (half == 2).all():
+            open_ &= half[:, None] != half[None, :]
+        live = open_.any(1)
+        ties = []
+        if live.any():
+            at = np.flatnonzero(live)
+            sets = [np.frombuffer(t.column("items")[int(k)].as_py(), np.uint64) for k in at]
+            token, col, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+            row = np.repeat(np.arange(len(at)), [len(x) for x in sets])
+            shared = times[col] > 1
+            col, row = (np.cumsum(times > 1) - 1)[col[shared]], row[shared]
+            o = np.argsort(col, kind="stable")
+            col, row = col[o], row[o]
+            got = np.zeros((len(at), len(at)), np.float32)
+            for c in range(0, int(col[-1]) + 1 if len(col) else 0, COLUMNS):
+                i, j = np.searchsorted(col, [c, c + COLUMNS])
+                x = np.zeros((len(at), COLUMNS), np.float32)
+                x[row[i:j], col[i:j] - c] = 1
+                got += x @ x.T
+            link = (got >= need[np.ix_(at, at)]) & open_[np.ix_(at, at)]
+            for i in np.flatnonzero(link.any(1)).tolist():
+                for j in np.flatnonzero(link[i]).tolist():
+                    if comp[at[i]] != comp[at[j]]:
+                        comp[comp == comp[at[j]]] = comp[at[i]]
+                        ties.append((sid[at[i]], sid[at[j]]))
+        return pa.table([pa.array([min(x) for x in ties], pa.int64()), pa.array([max(x) for x in ties], pa.int64()), pa.array([True] * len(ties))], schema=out)
+
+    return run
+
+
 def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row of ``docs``."""
     spark = docs.sparkSession
@@ -309,14 +382,22 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     lists = materialise(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_lists, "gid long, m long, sid array<long>, n array<int>, pos array<int>"), "lists")
 
     first = materialise(lists.select("sid", "n", "pos").mapInArrow(_first_pairs(num, den), "a long, b long").distinct(), "first")
-    wanted = first.select(F.col("a").alias("sid")).union(first.select(F.col("b").alias("sid"))).distinct()
     reps = sigs.where("sid is not null and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"))
-    chosen = reps.join(wanted, "sid").select(F.col("rep").alias("doc_id"), F.col("sid").alias("want"))
-    sets = src.join(chosen, "doc_id").select("doc_id", "text").mapInArrow(_set_rows(width), "sid long, n long, items binary")
-    sets = materialise(sets.join(wanted, "sid", "left_semi").dropDuplicates(["sid"]), "sets", "snappy")
 
-    known = materialise(verified(first, sets), "known")
-    link = (F.col("o") * den) >= (F.col("n") + F.col("m") - F.col("o")) * num
+    def sets_of(sids: DataFrame, whole: bool) -> DataFrame:
+        """Sets (or quarters) by id, made again from the texts that have them."""
+        chosen = reps.join(sids.distinct(), "sid").select(F.col("rep").alias("doc_id"), F.col("sid").alias("want"))
+        return materialise(src.join(chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width, whole), "sid long, n long, items binary"), "sets", "snappy")
+
+    ends = lambda pairs: pairs.select(F.explode(F.array("a", "b")).alias("sid"))
+    may = (F.col("hi") * den) >= (F.col("n") + F.col("m") - F.col("hi")) * num
+    link = (F.col("lo") * den) >= (F.col("n") + F.col("m") - F.col("lo")) * num
+    # every set of a list of three or more may meet any other of it, whatever its pair with the list's first set said
+    quarters = sets_of(ends(first).union(lists.where("m > 2").select(F.explode("sid"))), False)
+    rough = materialise(_bounded(first, quarters, False), "rough")
+    near = rough.where(may).select("a", "b")
+    sets = sets_of(ends(near).union(lists.where(F.col("m") >= MANY).select(F.explode("sid"))), True)
+    known = materialise(rough.where(~may).unionByName(_bounded(near, sets, True)), "known")
     links = known.where(link).select("a", "b")
     comp = components(links)
 
@@ -324,16 +405,29 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     member = rest.select("gid", "m", F.col("sid")[0].alias("a"), F.col("n")[0].cast("long").alias("np"), F.posexplode(F.arrays_zip("sid", "n", "pos")).alias("k", "e")).where("k > 0")
     member = member.select("gid", "m", "a", "np", F.col("e.sid").alias("sid"), F.col("e.n").cast("long").alias("n"), F.col("e.pos").cast("long").alias("pos"))
     member = member.join(comp.withColumnRenamed("node", "sid"), "sid", "left").withColumn("comp", F.coalesce("root", "sid")).drop("root")
-    mixed = member.groupBy("gid").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("gid")
-    member = member.join(mixed, "gid").join(known.select("a", F.col("b").alias("sid"), "o"), ["a", "sid"], "left").withColumn("o", F.coalesce("o", F.lit(-1)))
-    # a member that the size or position bound kept from its first set has no known overlap: -1, and no bound is derived from it
-    blocks = F.ceil(F.col("m") / BLOCK).cast("int")
-    member = member.withColumn("block", F.pmod(F.xxhash64("sid"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    member = member.select("gid", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), F.when(F.col("block") == F.col("other"), 2).when(F.col("block") < F.col("other"), 0).otherwise(1).alias("half"), "sid", "n", "pos", "comp", "o", "np")
-    more = member.groupBy("gid", "b1", "b2").applyInArrow(_rest(num, den), "a long, b long, sure boolean")
+    few, many = member.where(F.col("m") < MANY), member.where(F.col("m") >= MANY)
+    mixed = few.groupBy("gid").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("gid")
+    bounds = known.select("a", F.col("b").alias("sid"), "lo", "hi")
+    # of a member that the size or position bound kept from its first set only the trivial bounds are known
+    bounded = lambda df: df.join(bounds, ["a", "sid"], "left").withColumn("lo", F.coalesce("lo", F.lit(0).cast("long"))).withColumn("hi", F.coalesce("hi", "n"))
+    pairs = bounded(few.join(mixed, "gid")).withColumn("half", F.lit(2))
+    more = pairs.select("gid", "half", "sid", "n", "pos", "comp", "lo", "hi", "np").groupBy("gid").applyInArrow(_rest(num, den), "a long, b long, sure boolean")
+
+    # long lists of one first set are taken together, so that a pair is looked at once and not in each of them
+    group = many.select("a", "np", "sid", "n", "comp").distinct()
+    size = group.groupBy("a").agg(F.count("*").alias("m"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("a", F.ceil(F.col("m") / SETS).cast("int").alias("blocks"))
+    group = bounded(group.join(size, "a")).join(sets.select("sid", "items"), "sid")
+    group = group.withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    half = F.when(F.col("block") == F.col("other"), 2).when(F.col("block") < F.col("other"), 0).otherwise(1)
+    group = group.select("a", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), half.alias("half"), "sid", "n", "comp", "lo", "hi", "np", "items")
+    more = more.unionByName(group.groupBy("a", "b1", "b2").applyInArrow(_dense(num, den), "a long, b long, sure boolean"))
     more = materialise(more.groupBy("a", "b").agg(F.max("sure").alias("sure")), "rest")
     left = more.where("not sure").select("a", "b")
-    late = materialise(verified(left, sets), "late")
+    rough_late = materialise(_bounded(left, quarters, False), "rough")
+    near_late = rough_late.where(may).select("a", "b")
+    missing = materialise(ends(near_late).distinct().join(sets.select("sid"), "sid", "left_anti"), "missing")
+    every = sets if missing.isEmpty() else sets.unionByName(sets_of(missing, True))
+    late = materialise(_bounded(near_late, every, True), "late")
     all_links = links.union(more.where("sure").select("a", "b")).union(late.where(link).select("a", "b"))
     comp = components(all_links)
 
@@ -342,7 +436,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     by_sid = materialise(by_sid.join(low, "root").select("sid", "component_id"), "classes")
     sids = sigs.join(by_sid, "sid", "left")
     out = sids.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
-    for t in (lists, first, sets, known, more, late):
+    for t in (lists, first, quarters, rough, sets, known, more, rough_late, missing, late):
         discard(t)
     return out
 
