@@ -2,8 +2,9 @@
 
 *Restoring.* Words written in leetspeak (digits and signs for letters), spaced out letter by letter, or with letters repeated are taken as the output
 of a noisy channel. Each becomes a character lattice (the letters a sign may stand for; a run kept once, twice or as it is; spaces between
-single letters dropped); a Viterbi search finds the path of least channel cost plus cost under a character trigram model, whose counts
-come from the words of all documents. Words of letters alone pass unchanged, so clean texts are left as they are.
+single letters dropped, or kept as word borders); a Viterbi search finds the path of least channel cost plus cost under a character trigram model, whose counts
+come from the words of all documents. Tokens of any length are searched. A phrase spaced out as a whole is parted into words by the counts of the
+corpus' ``WORDS`` most frequent words. Words of letters alone pass unchanged, so clean texts are left as they are.
 
 *Scoring.* Words of the restored text, and their beginnings of 3 to 6 bytes, are presence features. Features come from a bounded sample of
 labelled rows, at most ``SAMPLE``, by their G statistic; a logistic regression over the ``FEATURES`` strongest is trained on the same rows and scores every whole text.
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import math
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -42,26 +44,44 @@ _WORD = re.compile(rf"[^\W\d_][\w{_SIGNS}]*[{_SIGNS}][\w{_SIGNS}]*[^\W_]|[{_SIGN
 _SPACED = re.compile(rf"(?<![\w{_SIGNS}])(?:[\w@$!|+][ .\-_*]){{3,}}[\w@$!|+](?![\w{_SIGNS}])")
 _RUN = re.compile(r"([^\W\d_])\1\1")
 _LETTERS = re.compile(r"[^\W\d_]+")
-#: Costs of the channel: a sign for a letter, a letter dropped from a run, a sign dropped.
-SIGN_COST, RUN_COST, DROP_COST, MOST = 0.5, 0.3, 3.0, 40
+#: Costs of the channel: a sign for a letter, a letter dropped from a run, a sign dropped, a separator that stands for nothing or for a word border.
+SIGN_COST, RUN_COST, DROP_COST, JOIN_COST, BORDER_COST = 0.5, 0.3, 3.0, 0.1, 2.0
+#: Tokens of up to so many characters are remembered once restored. Words known to part spaced phrases: so many, of up to so many letters, found so often at least.
+REMEMBERED, WORDS, LONGEST, LEAST_N = 64, 50_000, 24, 3
+#: Cost of each word of a spaced phrase, most being one word, and of one that is not known, besides its letters.
+WORD_COST, UNKNOWN_COST = 4.0, 6.0
 
 
 class CharModel:
-    """Trigram costs (negative logarithms) over 64 character classes: bounded whatever the corpus."""
+    """Trigram costs (negative logarithms) over 64 character classes, bounded whatever the corpus, and costs of words by their counts."""
 
     ALPHABET = "abcdefghijklmnopqrstuvwxyzàâäáãåçèéêëìíîïñòóôöõùúûüýÿßœæø"
 
-    def __init__(self, counts: np.ndarray):
+    def __init__(self, counts: np.ndarray, words: dict[str, int] | None = None):
+        total = sum((words or {}).values())
+        self.words = {w: math.log(total / n) + WORD_COST for w, n in (words or {}).items()}
         c = counts.reshape(64, 64, 64).astype(np.float64)
-        bi, uni = c.sum(2), c.sum((1, 2))
+        bi, uni, last = c.sum(2), c.sum((1, 2)), c.sum((0, 1))
         p1 = (uni + 1) / (uni.sum() + 64)
         p2 = (bi + 4 * p1[None, :]) / (bi.sum(1, keepdims=True) + 4)
         self.cost = -np.log((c + 4 * p2[None, :, :]) / (c.sum(2, keepdims=True) + 4))
+        self.alone = -np.log((last + 1) / (last.sum() + 64))
+
+    def spells(self, word: str) -> bool:
+        """Whether letters are likelier as a word than as letters that have nothing to do with each other."""
+        if word in self.words or len(word) < 2:
+            return len(word) > 1
+        x = y = 0
+        gain = 0.0
+        for z in map(self.code, word + " "):
+            gain += self.alone[z] - self.cost[x, y, z]
+            x, y = y, z
+        return bool(gain > 0)
 
     @classmethod
     def code(cls, ch: str) -> int:
         """Class of a character: 0 for a word border, 63 for a letter outside the alphabet."""
-        return cls.ALPHABET.find(ch) + 1 or 63
+        return 0 if ch == " " else cls.ALPHABET.find(ch) + 1 or 63
 
 
 _CODES = np.full(0x2000, 0, np.uint8)
@@ -80,8 +100,12 @@ def trigram_counts(text: str) -> np.ndarray:
     return t[(x[2:] > 0) | (x[1:-1] > 0)]
 
 
-def lattice(token: str) -> list[list[tuple[str, float]]]:
-    """What each run of a token may stand for, with the channel's cost."""
+def lattice(token: str, spaced: bool = False) -> list[list[tuple[str, float]]]:
+    """What each run of a token may stand for, with the channel's cost. In a spaced token every other character is a separator,
+    which may be a word border, and no sign is dropped."""
+    if spaced:
+        whole = [[[o for o in opts if o[0]] or opts for opts in lattice(ch)] for ch in token[::2]]
+        return [opts for units in whole for opts in (*units, [("", JOIN_COST), (" ", BORDER_COST)])][:-1]
     out, i, token = [], 0, token.lower()
     while i < len(token):
         ch, j = token[i], i
@@ -94,17 +118,18 @@ def lattice(token: str) -> list[list[tuple[str, float]]]:
             opts = [(c * min(n, 2), SIGN_COST * n) for c in LEET[ch]] + ([(c, SIGN_COST * n) for c in LEET[ch]] if n == 2 else [])
             opts.append(("", DROP_COST))
         else:
-            opts = [("", 0.1)]
+            opts = [("", JOIN_COST)]
         out.append(opts)
     return out
 
 
-def restore(token: str, lm: CharModel) -> str:
-    """The word of least cost on the token's lattice."""
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
-    for opts in lattice(token):
-        nxt: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (cost, word) in best.items():
+def restore(token: str, lm: CharModel, spaced: bool = False) -> str:
+    """The word of least cost on the token's lattice, of a spaced token the words; letters that spell nothing the model supports stay alone. States
+    are pairs of classes and paths share their beginnings, so time and memory are linear in the token."""
+    best: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
+    for opts in lattice(token, spaced):
+        nxt: dict[tuple[int, int], tuple[float, tuple | None]] = {}
+        for (a, b), (cost, path) in best.items():
             for s, c in opts:
                 x, y, total = a, b, cost + c
                 for ch in s:
@@ -112,9 +137,44 @@ def restore(token: str, lm: CharModel) -> str:
                     total += lm.cost[x, y, z]
                     x, y = y, z
                 if (x, y) not in nxt or total < nxt[x, y][0]:
-                    nxt[x, y] = (total, word + s)
+                    nxt[x, y] = (total, (path, s) if s else path)
         best = nxt
-    return min((cost + lm.cost[a, b, 0], word) for (a, b), (cost, word) in best.items())[1]
+    path = min((cost + lm.cost[a, b, 0], (a, b), path) for (a, b), (cost, path) in best.items())[2]
+    parts = []
+    while path:
+        path, s = path
+        parts.append(s)
+    out = "".join(reversed(parts))
+    if spaced:
+        words = parted(out.replace(" ", ""), lm) if lm.words else out.split(" ")
+        spelt = [lm.spells(w) for w in words]
+        out = " ".join(w if known else " ".join(w) for w, known in zip(words, spelt)) if any(spelt) else token
+    return out
+
+
+def parted(letters: str, lm: CharModel) -> list[str]:
+    """Words of least cost that make up the letters: known ones by their counts, others, of any length, by the trigram model."""
+    whole, back = [0.0], [0]  # cost and start of the last word, of the letters up to a place
+    inner, since, x, y = math.inf, 0, 0, 0  # the same for a word not known that ends here
+    for i, ch in enumerate(letters):
+        z = CharModel.code(ch)
+        fresh = whole[i] + UNKNOWN_COST + lm.cost[0, 0, z]
+        inner += lm.cost[x, y, z]
+        x, y = y, z
+        if fresh < inner:
+            inner, since, x = fresh, i, 0
+        best = (inner + lm.cost[x, y, 0], since)
+        for j in range(max(0, i + 1 - LONGEST), i + 1):
+            w = lm.words.get(letters[j : i + 1])
+            if w is not None and whole[j] + w < best[0]:
+                best = (whole[j] + w, j)
+        whole.append(best[0])
+        back.append(best[1])
+    out, i = [], len(letters)
+    while i:
+        out.append(letters[back[i] : i])
+        i = back[i]
+    return out[::-1]
 
 
 _KIND = np.zeros(256, np.uint8)  # 1: letter (any byte of one beyond ASCII), 2: sign, both of which may spell
@@ -143,18 +203,19 @@ def restored(text: str, lm: CharModel, known: dict[str, str]) -> str:
     """The text with its disguised words restored; a text without any comes back as it is."""
     signs, spaced, runs = suspects(text)
 
-    def put(m: re.Match) -> str:
+    def put(m: re.Match, spaced: bool = False) -> str:
         token = m.group()
-        if len(token) > MOST:
-            return token
-        if token not in known:
+        if len(token) > REMEMBERED:
+            return restore(token, lm, spaced)
+        key = " " + token if spaced else token
+        if key not in known:
             if len(known) > 50_000:
                 known.clear()
-            known[token] = restore(token, lm)
-        return known[token]
+            known[key] = restore(token, lm, spaced)
+        return known[key]
 
     if spaced:
-        text = _SPACED.sub(put, text)
+        text = _SPACED.sub(lambda m: put(m, True), text)
     if signs:
         text = _WORD.sub(put, text)
     if runs and _RUN.search(text):
@@ -177,11 +238,15 @@ def features(text: str) -> np.ndarray:
 
 
 def char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
-    """Trigram counts over the words of all documents; 64 ** 3 counts at most reach the driver."""
+    """Counts of trigrams and words over all documents; 64 ** 3 and WORDS counts at most reach the driver."""
     prepare(docs.sparkSession)
 
     def run(batches):
-        total = np.zeros(1 << 18, np.int64)
+        total, words = np.zeros(1 << 18, np.int64), Counter()
+
+        def counted():
+            return pa.RecordBatch.from_pydict({"g": pa.array([-1] * len(words), pa.int32()), "w": pa.array(list(words), pa.string()), "n": pa.array(list(words.values()), pa.int64())})
+
         for b in batches:
             held, size = [], 0
             for t in [*(x or "" for x in b.column(0).to_pylist()), None]:
@@ -189,15 +254,24 @@ def char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
                     held.append(t)
                     size += len(t)
                 if held and (t is None or size > 1 << 19):
-                    total += np.bincount(trigram_counts("\n".join(held)), minlength=1 << 18)
+                    text = "\n".join(held)
+                    total += np.bincount(trigram_counts(text), minlength=1 << 18)
+                    words.update(w for w in _LETTERS.findall(text.lower()) if len(w) <= LONGEST)
                     held, size = [], 0
+            if len(words) > 500_000:
+                yield counted()
+                words.clear()
         at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_pydict({"g": pa.array(at, pa.int32()), "n": pa.array(total[at], pa.int64())})
+        yield counted()
+        yield pa.RecordBatch.from_pydict({"g": pa.array(at, pa.int32()), "w": pa.array([""] * len(at), pa.string()), "n": pa.array(total[at], pa.int64())})
 
-    rows = docs.select(docs[text_col].cast("string").alias("text")).mapInArrow(run, "g int, n long").groupBy("g").agg(F.sum("n").alias("n")).toArrow()
+    both = docs.select(docs[text_col].cast("string").alias("text")).mapInArrow(run, "g int, w string, n long").groupBy("g", "w").agg(F.sum("n").alias("n"))
+    rows = both.where((F.col("g") >= 0) | (F.col("n") >= LEAST_N)).orderBy(F.col("g") < 0, F.desc("n"), "w").limit((1 << 18) + WORDS).toArrow()
+    g, n = np.asarray(rows.column("g")), np.asarray(rows.column("n"))
     counts = np.zeros(1 << 18, np.int64)
-    counts[np.asarray(rows.column("g"))] = np.asarray(rows.column("n"))
-    return CharModel(counts)
+    counts[g[g >= 0]] = n[g >= 0]
+    at = np.flatnonzero(g < 0)[:WORDS]
+    return CharModel(counts, dict(zip(rows.column("w").take(pa.array(at)).to_pylist(), n[at].tolist())))
 
 
 class Scorer:

@@ -118,6 +118,25 @@ def test_restoring_disguised_words():
         assert toxicity.restored(clean, lm, {}) == clean
 
 
+def test_long_tokens_are_restored():
+    words = ["idiot", "stupid", "worthless", "you", "the", "of", "so", "than", "other"]
+    lm = toxicity.CharModel(np.bincount(toxicity.trigram_counts(" ".join(words * 300)), minlength=1 << 18), dict.fromkeys(words, 300))
+    phrase = "you stupid worthless idiot"
+    for sep in " .-":
+        assert toxicity.restored(f"the {sep.join(phrase.replace(' ', ''))}, of", lm, {}) == f"the {phrase}, of", sep
+    assert toxicity.restored("the y 0 u $ t u p 1 d 1 d 1 0 t of", lm, {}) == "the you stupid idiot of"
+    assert toxicity.restored(" ".join("youstupidworthlessidiot" * 50), lm, {}) == " ".join([phrase] * 50)
+    assert toxicity.restored("st" + "u" * 5000 + "pid", lm, {}) == "stupid"
+    assert toxicity.restored("x" + "stup1d" * 50, lm, {}) == "x" + "stupid" * 50
+    assert toxicity.restored("Q Z Q V " * 20, lm, {}) == "Q Z Q V " * 20
+
+
+def test_word_counts_of_the_corpus(spark):
+    docs = frame(spark, [(1, "Idiot idiot, the IDIOT"), (2, None), (3, "the the stüpid"), (4, "the " + "a" * 30)])
+    lm = toxicity.char_model(docs.repartition(3))
+    assert set(lm.words) == {"idiot", "the"} and lm.words["the"] < lm.words["idiot"]
+
+
 def toxic_corpus(n=240):
     rng = random.Random(8)
     rows, labels = [], []
