@@ -177,25 +177,28 @@ def parted(letters: str, lm: CharModel) -> list[str]:
     return out[::-1]
 
 
-_KIND = np.zeros(256, np.uint8)  # 1: letter (any byte of one beyond ASCII), 2: sign, both of which may spell
-_KIND[128:] = 1
-for _c in range(65, 123):
-    if chr(_c).isalpha():
-        _KIND[_c] = 1
-for _ch in LEET:
-    if ord(_ch) < 128:
-        _KIND[ord(_ch)] = 2
+#: Kinds of characters: word characters that are no signs, signs, letters, what a spaced word is made of, what stands between. Code points from
+#: 0x3000 on, among which are no signs, share the last place and count as letters.
+_W, _S, _L, _A, _P = 1, 2, 4, 8, 16
+_KIND = np.zeros(0x3001, np.uint8)
+for _kind, _re in ((_W, rf"[^\W{_SIGNS}]"), (_S, f"[{_SIGNS}]"), (_L, r"[^\W\d_]"), (_A, r"[\w@$!|+]"), (_P, r"[ .\-_*]")):
+    _KIND[[ord(c) for c in re.findall(_re, "".join(map(chr, range(0x3000))))]] |= _kind
+_KIND[0x3000] = _W | _L | _A
 
 
 def suspects(text: str) -> tuple[bool, bool, bool]:
-    """Whether a text may hold words spelled with signs, spaced words, and words with letters repeated: necessary conditions, from its bytes."""
-    x = np.frombuffer(text.encode(), np.uint8)
-    k = _KIND[x]
-    letter = k == 1
-    signs = bool(((k[:-1] == 2) & letter[1:]).any())
-    alone = (k > 0)[1:-1] & (k[:-2] == 0) & (k[2:] == 0) if len(x) > 2 else np.zeros(0, bool)
-    spaced = len(alone) > 2 and bool((alone[:-2] & alone[2:]).any())
-    runs = bool(((x[:-2] == x[1:-1]) & (x[1:-1] == x[2:]) & letter[2:] & (x[2:] < 128)).any())
+    """Whether a text may hold words spelled with signs, spaced words, and words with letters repeated: conditions that every match of _WORD, _SPACED
+    and _RUN fulfils, read from its characters."""
+    x = np.frombuffer(text.encode(), np.uint8) if text.isascii() else np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    k = _KIND[np.minimum(x, 0x3000)] if x.itemsize > 1 else _KIND[x]
+    if len(k) < 3:
+        return False, False, False
+    word, sign, letter = k & (_W | _S) > 0, k & _S > 0, k & _L > 0
+    signs = bool((((k[:-2] & _W > 0) & sign[1:-1] | sign[:-2] & letter[1:-1]) & word[2:]).any())
+    step = (k[:-1] & _A > 0) & (k[1:] & _P > 0)
+    spaced = len(k) > 6 and bool((step[:-5] & step[2:-3] & step[4:-1] & (k[6:] & _A > 0)).any())
+    same = x[1:] == x[:-1]
+    runs = bool((same[:-1] & same[1:] & letter[2:]).any())
     return signs, spaced, runs
 
 
@@ -216,8 +219,10 @@ def restored(text: str, lm: CharModel, known: dict[str, str]) -> str:
 
     if spaced:
         text = _SPACED.sub(lambda m: put(m, True), text)
+        signs, _, runs = suspects(text)
     if signs:
         text = _WORD.sub(put, text)
+        runs = suspects(text)[2]
     if runs and _RUN.search(text):
         text = _LETTERS.sub(lambda m: put(m) if _RUN.search(m.group()) else m.group(), text)
     return text

@@ -137,6 +137,24 @@ def test_word_counts_of_the_corpus(spark):
     assert set(lm.words) == {"idiot", "the"} and lm.words["the"] < lm.words["idiot"]
 
 
+def test_prefilters_skip_no_disguised_word(monkeypatch):
+    plain = ["idiot", "stupid", "trash", "just", "waste", "ass", "pathetic", "blöd", "stüpid", "götze", "дурак", "the", "of"]
+    lm = toxicity.CharModel(np.bincount(toxicity.trigram_counts(" ".join(plain * 300)), minlength=1 << 18))
+    for disguised, word in (("idi07", "idiot"), ("ju57", "just"), ("wa573", "waste"), ("a55", "ass"), ("path€tic", "pathetic"), ("stüüüpid", "stüpid"), ("blööööd", "blöd"), ("g ö t z e", "götze"), ("i*d*i*o*t", "idiot")):
+        assert toxicity.restored(f"the {disguised} of", lm, {}) == f"the {word} of", disguised
+    rng = random.Random(11)
+    alphabet = "abeilostäöüéпр鬱１²_0123456789@$!|+€*(# .-"
+    texts = ["".join(rng.choices(alphabet, k=rng.randrange(1, 14))) for _ in range(6000)]
+    for _ in range(3000):
+        w = rng.choice(plain)
+        signs = {c: k for k, v in toxicity.LEET.items() for c in v}
+        kinds = (lambda: "".join(signs.get(c, c) if rng.random() < 0.6 else c for c in w), lambda: rng.choice(" .-_*").join(w), lambda: "".join(c * rng.choice((1, 1, 3, 5)) for c in w))
+        texts.append(" ".join(rng.choices(plain, k=rng.randrange(3)) + [rng.choice(kinds)()] + rng.choices(["", "of", "the"], k=1)))
+    fast = [toxicity.restored(t, lm, {}) for t in texts]
+    monkeypatch.setattr(toxicity, "suspects", lambda text: (True, True, True))
+    assert [(t, x) for t, x in zip(texts, fast) if toxicity.restored(t, lm, {}) != x] == []
+
+
 def toxic_corpus(n=240):
     rng = random.Random(8)
     rows, labels = [], []
