@@ -1,7 +1,7 @@
 """Personal data replaced by surrogates, with DataFrame functions only.
 
 Detected: e-mail addresses, secrets after a keyword, access keys, bank accounts, IPv4 addresses, payment cards, social-security numbers, phone
-numbers, and names after a title. Each gets a replacement that is keyed (a secret decides it), type-consistent and alike in format: letters stay letters of their
+numbers, and names after a title; keywords and titles in any case. Each gets a replacement that is keyed (a secret decides it), type-consistent and alike in format: letters stay letters of their
 script and case, digits stay digits, separators, top-level domains, country codes and card brands stay, cards that pass the Luhn check still do, and a name
 keeps its title and the gender the title tells.
 
@@ -27,7 +27,9 @@ ATTEMPTS = 20
 #: Formats of the entities (Java regular expressions), in the order they are tried, and titles.
 MALE, FEMALE = ("Mr", "Herr", "Señor", "Sr", "Monsieur"), ("Mrs", "Ms", "Miss", "Frau", "Señora", "Sra", "Madame", "Mme", "Mlle")
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
-_SECRET = r"(?:password|passwd|pwd|secret|api[_-]?key|token)[ ]?[=:][ ]?[\"']?"
+#: In any case, but for "miss" and "ms" in lower case, a verb and a unit.
+_TITLES = rf"(?!miss\b|ms\b)(?iu:{'|'.join(MALE + FEMALE)})"
+_SECRET = r"(?i:password|passwd|pwd|secret|api[_-]?key|token)[ ]?[=:][ ]?[\"']?"
 FORMATS = (
     ("EMAIL", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+"),
     ("SECRET", _SECRET + r"[A-Za-z0-9+/_-]{8,}+"),
@@ -37,11 +39,11 @@ FORMATS = (
     ("CARD", r"(?<!\d)\d{4}[ -]?\d{4}[ -]?\d{4}[ -]?\d{1,7}(?!\d)"),
     ("SSN", r"(?<!\d)\d{3}-\d{2}-\d{4}(?!\d)"),
     ("PHONE", r"(?<![\w+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?|\d{2,4}[ .-])\d{3,4}[ .-]?\d{3,4}(?!\d)|\+\d{1,3}(?:[ .-]?\d{2,4}){3,5}(?!\d)"),
-    ("NAME", rf"\b(?:{'|'.join(MALE + FEMALE)})\.?[ ]\p{{Lu}}[\p{{L}}’-]++(?:[ ]\p{{Lu}}[\p{{L}}’-]++)?"),
+    ("NAME", rf"\b{_TITLES}\.?[ ]\p{{Lu}}[\p{{L}}’-]++(?:[ ]\p{{Lu}}[\p{{L}}’-]++)?"),
 )
 PATTERN = "|".join(f"(?:{p})" for _, p in FORMATS)
 #: What every format needs somewhere: a text without any of it is not searched.
-HINT = rf"[0-9@=:]|AKIA|ASIA|\b(?:{'|'.join(MALE + FEMALE)})\.?[ ]"
+HINT = rf"[0-9@=:]|AKIA|ASIA|\b{_TITLES}\.?[ ]"
 ALPHABETS = (
     (r"^[0-9]$", "0123456789"), (r"^[a-z]$", "abcdefghijklmnopqrstuvwxyz"), (r"^[A-Z]$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"),
     (r"^[\p{IsCyrillic}&&\p{Ll}]$", "абвгдежзиклмнопрстуфхцчшэюя"), (r"^[\p{IsCyrillic}&&\p{Lu}]$", "АБВГДЕЖЗИКЛМНОПРСТУФХЦЧШЭЮЯ"),
@@ -80,7 +82,7 @@ def _title(e: Column) -> Column:
 def normal(e: Column, kind: Column) -> Column:
     """Normal form: one for all ways to write an entity."""
     digits = F.regexp_replace(e, r"[^0-9]", "")
-    female = F.regexp_replace(_title(e), r"[. ]", "").isin(*FEMALE)
+    female = F.lower(F.regexp_replace(_title(e), r"[. ]", "")).isin(*map(str.lower, FEMALE))
     return (
         F.when(kind == "EMAIL", F.lower(e)).when(kind == "SECRET", F.substring(e, F.length(_secret_head(e)) + 1, F.length(e))).when(kind.isin("CARD", "SSN"), digits)
         .when(kind == "PHONE", F.concat(F.length(_code(e)).cast("string"), F.lit("|"), digits)).when(kind == "IBAN", F.regexp_replace(e, " ", ""))
@@ -136,7 +138,9 @@ def _digits(digits: Column, seed: Column, keep: Column, card: bool) -> Column:
 
 
 def _hex(s: Column, seed: Column) -> Column:
-    return F.array_join(F.transform(_chars(s), lambda c, i: F.substring(F.lit("0123456789abcdef"), _r(seed, i, 16) + 1, 1)), "")
+    """Hex digits of the case of s."""
+    made = F.array_join(F.transform(_chars(s), lambda c, i: F.substring(F.lit("0123456789abcdef"), _r(seed, i, 16) + 1, 1)), "")
+    return F.when(s.rlike("[A-F]"), F.upper(made)).otherwise(made)
 
 
 def _filled(form: Column, marks: Column, place: str = "[0-9]") -> Column:
@@ -167,7 +171,7 @@ def surrogate(e: Column, kind: Column, norm: Column, attempt: Column, key: str)
         tld = F.length(F.substring_index(e, ".", -1))
         head = _secret_head(e)
         iban = _filled(e, F.concat(F.substring(norm, 1, 2), _letters(F.substring(norm, F.lit(3), F.length(norm)), seed)), "[^ ]")
-        value = F.when(norm.rlike(r"^[0-9a-f]+$"), _hex(norm, seed)).otherwise(_letters(norm, seed))
+        value = F.when(norm.rlike(r"^(?:[0-9a-f]+|[0-9A-F]+)$"), _hex(norm, seed)).otherwise(_letters(norm, seed))
         return (
             F.when(kind == "EMAIL", _letters(e, seed, F.length(e) - tld))
             .when(kind == "SECRET", F.concat(head, value)).when(kind == "ACCESS", F.concat(F.substring(e, 1, 4), _letters(F.substring(e, 5, 16), seed))).when(kind == "IBAN", iban)

@@ -119,6 +119,23 @@ def test_surrogates_keep_format_and_identity(spark):
     assert {r.text for r in pii.redacted(df, key="other").collect()} != set(t.values())
 
 
+def test_keywords_and_titles_in_any_case(spark):
+    texts = [
+        'SEE TOKEN = "9233A8ECF7C5B09FE5949719B6B82BC439E9329B" AND', "Password: hunter2hunter2", "API_KEY=abcdEFGH1234, Api-Key: 0641917ea4e9feb9",
+        "MR. SMITH MET SEÑORA MÜLLER AND mrs Jones", "Mr. SMITH MET, Mrs Jones", "token of a mr in password, and I miss London in 20 ms Or so", "again token = 9233A8ECF7C5B09FE5949719B6B82BC439E9329B",
+    ]
+    out = [r for r in pii.redacted(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), count_col="n").orderBy("doc_id").collect()]
+    assert [r.n for r in out] == [1, 1, 2, 3, 2, 0, 1] and out[5].text == texts[5]
+    t = [r.text for r in out]
+    for old in ("9233A8", "hunter", "abcdEFGH", "0641917", "SMITH", "MÜLLER", "Jones"):
+        assert not any(old in x for x in t), old
+    new = re.fullmatch(r'SEE TOKEN = "([0-9A-F]{40})" AND', t[0]).group(1)
+    assert new in t[6] and re.fullmatch(r"Password: [a-z]{6}\d[a-z]{6}\d", t[1]) and re.fullmatch(r"API_KEY=[a-z]{4}[A-Z]{4}\d{4}, Api-Key: [0-9a-f]{16}", t[2])
+    assert t[3].startswith("MR. ") and " SEÑORA " in t[3] and " mrs " in t[3]
+    mr, mrs = re.fullmatch(r"Mr\. (\S+ \S+), Mrs (\S+)", t[4]).groups()
+    assert f"MR. {mr} SEÑORA" in t[3] and t[3].endswith(f"mrs {mrs}") and mrs.endswith("a")
+
+
 def test_surrogates_that_collide_move_on(spark, monkeypatch):
     # replacements drawn from few values: addresses collide until their attempts part them
     real = pii._r
