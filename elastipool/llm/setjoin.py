@@ -5,21 +5,27 @@ Words of every whole text become a set of shingle hashes; two texts link when ``
 1. *Signing*: one map-only pass gives each document its set size and a 64-bit set id; equal sets share the id, so exact copies
    collapse before any join. The same pass counts the shingles of the low third of the hash range over all documents.
 2. *Index*: shingles are ordered (frequent last, then by hash). By the prefix principle two linked sets share a shingle among their
-   first ``floor(n * (den - num) / den) + 1``; only these are shuffled, as packed lists by hash bucket. Each index list keeps the position of the
-   shingle in its set. Lists with the same members collapse to one; long lists are cut into blocks.
+   first ``floor(n * (den - num) / den) + 1``; only these are shuffled, as packed lists by hash bucket. Each index list is ordered by size, then by
+   the position of the shingle in its set, so sets of one size form a block whose positions ascend. A set that has the shingle at position i can only
+   link to those of a block whose position lies in one interval around i (:func:`_open`); what lies outside is skipped without being looked at.
+   Lists with the same members collapse to one; long lists are cut into rows of ``BLOCK`` sets. The same pass and shuffle carry a quarter of each
+   distinct set (by hash range), once each.
 3. *Answers of one set per list*: the set of a list that holds most frequent shingles is verified against each other member: linear in the list, however
    long it is. Links so found give first components.
-   Verification reads a quarter of each set first, and whole sets only where the quarters leave a link possible.
+   Verification reads a quarter of each set first, and whole sets only where the quarters leave a link possible; whole sets are made again from the
+   texts that have them, by a merge join at any size of input.
 4. *Answers derived incrementally*: other pairs of a list matter only between components. The known overlaps with the list's first
    set bound the overlap of any two others from both sides: pairs certain to link or certain not to are decided without reading
-   sets; position and size bounds skip whole blocks; what is left is verified exactly.
+   sets; position blocks and size bounds skip others; what is left is verified exactly.
 
 Sizes sent to all tasks: the frequent shingles, at most ``HOT_CAP``. Lists of frequent shingles stay whole: they come last in the
-order. Long lists (``MANY`` sets or more) of one first set are compared as one group, block against block over many tasks, by matrix products that give all
-overlaps of two blocks; only links that join components leave.
+order. Long lists (``MANY`` sets or more) of one first set are compared as one group, block against block over many tasks: certain links first, then
+matrix products that give all overlaps of two blocks for the sets that still have an open pair; only links that join components leave.
+Joins on a component or a set keep one narrow row a distinct text, which the runtime's skew handling splits.
 
 Null text, empty text and text without words have the empty set: size 0, linked with nothing. A null id gives a row with a null
-component. Rows that share an id count as one document. Other columns are not read. An empty table gives an empty result.
+component. Rows that share an id count as one document: their sets belong to one component (a row without words keeps its own id).
+Other columns are not read. An empty table gives an empty result.
 Set ids and shingles are 64-bit hashes: for n distinct sets or shingles a clash has probability n * n / 2 ** 65.
 """
 
@@ -37,11 +43,14 @@ from elastipool.llm.common import WordHashes, components, discard, materialise,
 #: Most frequent shingles sent to all tasks (8 bytes each), least count of a frequent one, block of a list, words packed at once.
 HOT_CAP, HOT_LEAST, BLOCK, FLUSH = 1 << 20, 16, 2048, 1 << 21
 #: Lists of so many sets are compared as whole groups, in blocks of so many sets; columns of a block's matrix.
-MANY, SETS, COLUMNS = 32, 1024, 4096
+MANY, SETS, COLUMNS = 32, 512, 4096
 LOW, QUARTER = np.uint64((1 << 64) // 3), np.uint64(1 << 62)
 SIGN = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("sid", pa.int64()), ("bucket", pa.int32()), ("low", pa.binary())])
-PACK = pa.schema([("bucket", pa.int32()), ("data", pa.binary())])
-LISTS = pa.schema([("gid", pa.int64()), ("m", pa.int64()), ("sid", pa.list_(pa.int64())), ("n", pa.list_(pa.int32())), ("pos", pa.list_(pa.int32()))])
+QUARTERS = [("own", pa.int64()), ("size", pa.int64()), ("items", pa.binary())]
+PACK = pa.schema([("bucket", pa.int32()), ("data", pa.binary()), *QUARTERS])
+PACK_DDL = "bucket int, data binary, own long, size long, items binary"
+LISTS = pa.schema([("gid", pa.int64()), ("m", pa.int64()), ("sid", pa.list_(pa.int64())), ("n", pa.list_(pa.int32())), ("pos", pa.list_(pa.int32())), *QUARTERS])
+LISTS_DDL = "gid long, m long, sid array<long>, n array<int>, pos array<int>, own long, size long, items binary"
 ENTRY = np.dtype([("t", "<u8"), ("sid", "<i8"), ("n", "<u4"), ("pos", "<u4"), ("pop", "<u2")])
 
 
@@ -143,18 +152,19 @@ def _count(batches):
 
 def _packer(width, num, den, hot, buckets):
     def run(batches):
-        frequent, known, size, held = hot.value, set(), 0, []
+        frequent, known, size, held, quarters = hot.value, set(), 0, [], []
 
         def flush():
             e = np.concatenate(held)
-            got = list(_by_bucket(e["t"], buckets))
-            return pa.RecordBatch.from_arrays([pa.array([b for b, _ in got], pa.int32()), pa.array([e[p].tobytes() for _, p in got], pa.binary())], schema=PACK)
+            rows = [(b, e[p].tobytes(), None, None, None) for b, p in _by_bucket(e["t"], buckets)] + quarters
+            return pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), PACK)], schema=PACK)
 
         for _, s in batch_sets(batches, width):
             n = len(s)
             if not n or (sid := set_id(s)) in known:
                 continue
             known.add(sid)
+            quarters.append((sid & (buckets - 1), None, sid, n, s[: np.searchsorted(s, QUARTER)].tobytes()))
             p = n - needed(n, num, den) + 1
             pop = 0
             if len(frequent):
@@ -168,7 +178,7 @@ def _packer(width, num, den, hot, buckets):
             size += len(e)
             if size >= FLUSH // 2:
                 yield flush()
-                held, size, known = [], 0, set()
+                held, quarters, size, known = [], [], 0, set()
         if held:
             yield flush()
 
@@ -176,9 +186,35 @@ def _packer(width, num, den, hot, buckets):
 
 
 def _lists(batches):
-    """Index lists of at least two sets; lists of the same members collapse within a task."""
+    """Index lists of at least two sets, first set first, the rest by size and position; lists of the same members collapse within a task.
+    Quarters of sets pass through, once each: equal sets share a bucket, and buckets come in order."""
+    passed: list[pa.RecordBatch] = []
+    known: set[int] = set()
+    at = None
+
+    def packed():
+        nonlocal at
+        for b in batches:
+            own = np.asarray(b.column("own").is_valid())
+            if own.any():
+                rows = b.filter(pa.array(own))
+                first = []
+                for bucket, sid in zip(rows.column("bucket").to_pylist(), rows.column("own").to_pylist()):
+                    if bucket != at:
+                        known.clear()
+                        at = bucket
+                    first.append(sid not in known)
+                    known.add(sid)
+                rows = rows.filter(pa.array(first))
+                none = [pa.nulls(rows.num_rows, f.type) for f in LISTS][:5]
+                passed.append(pa.RecordBatch.from_arrays([*none, *(rows.column(f[0]) for f in QUARTERS)], schema=LISTS))
+            if not own.all():
+                yield b.filter(pa.array(~own)).select(["bucket", "data"])
+
     seen: set[int] = set()
-    for _, blobs in _grouped(batches, "bucket"):
+    for _, blobs in _grouped(packed(), "bucket"):
+        yield from passed
+        passed.clear()
         e = np.concatenate([np.frombuffer(x, ENTRY) for x in blobs])
         e = e[np.lexsort((e["sid"], e["t"]))]
         fresh = np.ones(len(e), bool)
@@ -188,27 +224,51 @@ def _lists(batches):
         ends = np.concatenate([starts[1:], [len(e)]])
         rows = []
         for a, z in zip(starts[(ends - starts) > 1].tolist(), ends[(ends - starts) > 1].tolist()):
-            sid = e["sid"][a:z]
-            gid = xxhash.xxh3_64_intdigest(sid.tobytes())
+            gid = xxhash.xxh3_64_intdigest(e["sid"][a:z].tobytes())
             if gid in seen:
                 continue
             if len(seen) > 500_000:
                 seen.clear()
             seen.add(gid)
             g = int(np.int64(np.uint64(gid)))
+            one = e[a:z]
             # the list's first set is its most common one: an original shares more with its near copies than they do with each other
-            lead = a + int(np.argmax(e["pop"][a:z]))
-            others = np.concatenate([np.arange(a, lead), np.arange(lead + 1, z)])
+            lead = int(np.argmax(one["pop"]))
+            others = np.lexsort((one["sid"], one["pos"], one["n"]))
+            others = others[others != lead]
             for i in range(0, len(others), BLOCK):
-                # every block leads with the first set, which is verified against all others
-                part = np.concatenate([[lead], others[i : i + BLOCK]])
-                rows.append((g, z - a, e["sid"][part], e["n"][part].astype(np.int32), e["pos"][part].astype(np.int32)))
+                # every row leads with the first set, which is verified against all others
+                part = one[np.concatenate([[lead], others[i : i + BLOCK]])]
+                rows.append((g, z - a, part["sid"], part["n"].astype(np.int32), part["pos"].astype(np.int32), None, None, None))
         if rows:
             yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), LISTS)], schema=LISTS)
+    yield from passed
+
+
+class _Blocks:
+    """A list ordered by (size, position): its blocks of one size, and where each block's open positions begin and end for a given set."""
+
+    def __init__(self, n: np.ndarray, pos: np.ndarray, num: int, den: int):
+        self.key = (n << np.int64(32)) | pos
+        self.sizes = np.unique(n)
+        self.num, self.den = num, den
+
+    def open(self, n: int, i: int) -> np.ndarray:
+        """Places of the sets that a set of ``n`` with the list's shingle at ``i`` may link to. With the shingle at j of a set of m, at most
+        min(i, j) + 1 + min(n - i - 1, m - j - 1) can be shared, so j lies between i - (n - need) and i + (m - need)."""
+        a, z = np.searchsorted(self.sizes, [needed(n, self.num, self.den), n * self.den // self.num + 1])
+        m = self.sizes[a:z]
+        need = pair_overlap(n, m, self.num, self.den)
+        fits = np.minimum(n, m) >= need
+        m, need = m[fits], need[fits]
+        low = np.searchsorted(self.key, (m << np.int64(32)) | np.maximum(i - (n - need), 0))
+        high = np.searchsorted(self.key, (m << np.int64(32)) | (i + m - need), "right")
+        kept = high > low
+        return np.concatenate([np.arange(x, y) for x, y in zip(low[kept], high[kept])]) if kept.any() else np.zeros(0, np.int64)
 
 
 def _may_link(n, m, i, j, num, den):
-    """Size and position bounds of a pair that shares the shingle at positions i and j."""
+    """Size and position bounds of pairs that share the shingle at positions i and j."""
     need = pair_overlap(n, m, num, den)
     most = np.minimum(i, j) + 1 + np.minimum(n - i - 1, m - j - 1)
     return (np.minimum(n, m) >= need) & (most >= need)
@@ -221,11 +281,10 @@ def _first_pairs(num, den):
         for b in batches:
             xs, ys = [], []
             for sid, n, pos in zip(b.column(0), b.column(1), b.column(2)):
-                sid, n, pos = (np.asarray(x.values) for x in (sid, n, pos))
-                n, pos = n.astype(np.int64), pos.astype(np.int64)
-                ok = _may_link(n[0], n[1:], pos[0], pos[1:], num, den)
-                ys.append(sid[1:][ok])
-                xs.append(np.full(int(ok.sum()), sid[0]))
+                sid, n, pos = (np.asarray(x.values).astype(np.int64) for x in (sid, n, pos))
+                at = _Blocks(n[1:], pos[1:], num, den).open(int(n[0]), int(pos[0]))
+                ys.append(sid[1:][at])
+                xs.append(np.full(len(at), sid[0]))
             if xs:
                 p = np.unique(np.stack([np.concatenate(xs), np.concatenate(ys)], 1), axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], schema=out)
@@ -233,8 +292,8 @@ def _first_pairs(num, den):
     return run
 
 
-def _set_rows(width, whole):
-    """(sid, n, items) of (doc_id, text, want) rows whose set is the one wanted; items are a quarter of the hash range, or all. Repeated rows come once."""
+def _set_rows(width):
+    """(sid, n, items) of (doc_id, text, want) rows whose set is the one wanted. Repeated rows come once."""
     out = pa.schema([("sid", pa.int64()), ("n", pa.int64()), ("items", pa.binary())])
 
     def run(batches):
@@ -245,7 +304,7 @@ def _set_rows(width, whole):
             for (_, s), want in zip(batch_sets([b], width, known), b.column(2).to_pylist()):
                 if len(s) and want not in seen and set_id(s) == want:
                     seen.add(want)
-                    got.append((want, len(s), (s if whole else s[: np.searchsorted(s, QUARTER)]).tobytes()))
+                    got.append((want, len(s), s.tobytes()))
             if got:
                 yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*got), out)], schema=out)
 
@@ -282,42 +341,35 @@ def _bounded(pairs: DataFrame, sets: DataFrame, whole: bool) -> DataFrame:
 
 
 def _rest(num, den):
-    """Pairs of a block (or of two blocks) that lie in different components: decided by the overlaps with the list's first set, or left."""
+    """Pairs of lists (np, members) of fewer than ``MANY`` sets that lie in different components: decided by the overlaps with the list's
+    first set, or left. Lists of one length are looked at together."""
     out = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("sure", pa.bool_())])
 
-    def run(_, t):
-        sid, n, pos, comp, lo, hi, np_, half = (np.asarray(t.column(c)) for c in ("sid", "n", "pos", "comp", "lo", "hi", "np", "half"))
-        order = np.lexsort((pos, n))
-        sid, n, pos, lo, hi, half, first = sid[order], n[order], pos[order], lo[order], hi[order], half[order], np_[0]
-        comp = np.unique(comp[order], return_inverse=True)[1]
-        same_block = bool((half == 2).all())
-        xs, ys, ties = [], [], []
-        for k in range(len(sid)):
-            # sizes ascend, so the sets large enough for this one end at a known place: the rest of the list is skipped
-            end = int(np.searchsorted(n, n[k] * den // num, "right"))
-            c = np.arange(k + 1, end)
-            c = c[(comp[c] != comp[k]) & (same_block | (half[c] != half[k]))]
-            c = c[_may_link(n[k], n[c], pos[k], pos[c], num, den)] if len(c) else c
-            if not len(c):
-                continue
-            need = pair_overlap(n[k], n[c], num, den)
-            most = np.minimum(hi[k], hi[c]) + np.minimum(n[k] - lo[k], n[c] - lo[c])
-            c, need = c[most >= need], need[most >= need]
-            certain = lo[k] + lo[c] - first >= need
-            # a certain link joins two components of the list at once, so one pair of them is enough
-            for j in c[certain].tolist():
-                if comp[j] != comp[k]:
-                    comp[comp == comp[j]] = comp[k]
-                    ties.append((k, j))
-            xs.append(np.full(int((~certain).sum()), k))
-            ys.append(c[~certain])
-        x, y = (np.concatenate(v).astype(np.int64) for v in (xs or [[]], ys or [[]]))
-        apart = comp[x] != comp[y]
-        x, y = x[apart], y[apart]
-        tx, ty = np.array(ties, np.int64).reshape(-1, 2).T
-        s = np.concatenate([np.zeros(len(x), bool), np.ones(len(tx), bool)])
-        x, y = sid[np.concatenate([x, tx])], sid[np.concatenate([y, ty])]
-        return pa.table([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(s)], schema=out)
+    def run(batches):
+        for b in batches:
+            first, col = np.asarray(b.column(0)), b.column(1)
+            off = np.asarray(col.offsets)
+            size, flat = np.diff(off), {f: np.asarray(col.values.field(f)) for f in ("sid", "n", "pos", "comp", "lo", "hi")}
+            got = []
+            for m in np.unique(size[size > 1]):
+                rows = np.flatnonzero(size == m)
+                sid, n, pos, comp, lo, hi = (flat[f][off[rows][:, None] + np.arange(m)] for f in ("sid", "n", "pos", "comp", "lo", "hi"))
+                x, y = np.triu_indices(int(m), 1)
+                need = pair_overlap(n[:, x], n[:, y], num, den)
+                open_ = (comp[:, x] != comp[:, y]) & _may_link(n[:, x], n[:, y], pos[:, x], pos[:, y], num, den)
+                open_ &= np.minimum(hi[:, x], hi[:, y]) + np.minimum(n[:, x] - lo[:, x], n[:, y] - lo[:, y]) >= need
+                sure = open_ & (lo[:, x] + lo[:, y] - first[rows][:, None] >= need)
+                # a certain link joins two components, so other pairs of the two are not needed
+                tied = set(zip(*(v[sure].tolist() for v in (np.minimum(comp[:, x], comp[:, y]), np.maximum(comp[:, x], comp[:, y])))))
+                if tied:
+                    r, c = np.nonzero(open_ & ~sure)
+                    u, v = comp[r, x[c]], comp[r, y[c]]
+                    known = np.array([(min(p), max(p)) in tied for p in zip(u.tolist(), v.tolist())], bool)
+                    open_[r[known], c[known]] = False
+                u, v, w = sid[:, x][open_], sid[:, y][open_], sure[open_]
+                got.append(np.stack([np.minimum(u, v), np.maximum(u, v), w.astype(np.int64)], 1))
+            p = np.unique(np.concatenate(got), axis=0) if got else np.zeros((0, 3), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1]), pa.array(p[:, 2] == 1)], schema=out)
 
     return run
 
@@ -332,11 +384,22 @@ def _dense(num, den):
         comp = np.unique(np.asarray(t.column("comp")), return_inverse=True)[1]
         need = pair_overlap(n[:, None], n[None, :], num, den)
         most = np.minimum(hi[:, None], hi[None, :]) + np.minimum((n - lo)[:, None], (n - lo)[None, :])
-        open_ = (comp[:, None] != comp[None, :]) & (np.minimum(n[:, None], n[None, :]) >= need) & (most >= need)
+        open_ = (np.minimum(n[:, None], n[None, :]) >= need) & (most >= need)
         if not (half == 2).all():
             open_ &= half[:, None] != half[None, :]
-        live = open_.any(1)
         ties = []
+
+        def join(link):
+            """One pair for each two components that the links join."""
+            for i, j in zip(*np.nonzero(link & (comp[:, None] != comp[None, :]))):
+                if comp[i] != comp[j]:
+                    comp[comp == comp[j]] = comp[i]
+                    ties.append((sid[i], sid[j]))
+
+        # two sets that share much with the first set share much with each other: certain links need no items
+        join(open_ & (lo[:, None] + lo[None, :] - np_[0] >= need))
+        open_ &= comp[:, None] != comp[None, :]
+        live = open_.any(1)
         if live.any():
             at = np.flatnonzero(live)
             sets = [np.frombuffer(t.column("items")[int(k)].as_py(), np.uint64) for k in at]
@@ -352,12 +415,9 @@ def _dense(num, den):
                 x = np.zeros((len(at), COLUMNS), np.float32)
                 x[row[i:j], col[i:j] - c] = 1
                 got += x @ x.T
-            link = (got >= need[np.ix_(at, at)]) & open_[np.ix_(at, at)]
-            for i in np.flatnonzero(link.any(1)).tolist():
-                for j in np.flatnonzero(link[i]).tolist():
-                    if comp[at[i]] != comp[at[j]]:
-                        comp[comp == comp[at[j]]] = comp[at[i]]
-                        ties.append((sid[at[i]], sid[at[j]]))
+            link = np.zeros_like(open_)
+            link[np.ix_(at, at)] = got >= need[np.ix_(at, at)]
+            join(link & open_)
         return pa.table([pa.array([min(x) for x in ties], pa.int64()), pa.array([max(x) for x in ties], pa.int64()), pa.array([True] * len(ties))], schema=out)
 
     return run
@@ -378,22 +438,22 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     hot = np.sort(np.asarray(counts.where(F.col("c") >= F.lit(1 << floor_)).select("t").toArrow().column(0), np.int64).view(np.uint64))
     hot = spark.sparkContext.broadcast(hot)
 
-    packed = src.mapInArrow(_packer(width, num, den, hot, buckets), "bucket int, data binary")
-    lists = materialise(packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_lists, "gid long, m long, sid array<long>, n array<int>, pos array<int>"), "lists")
+    packed = src.mapInArrow(_packer(width, num, den, hot, buckets), PACK_DDL).repartition("bucket").sortWithinPartitions("bucket")
+    made = materialise(packed.mapInArrow(_lists, LISTS_DDL), "lists", "snappy")
+    lists = made.where("gid is not null").select("gid", "m", "sid", "n", "pos")
+    quarters = made.where("own is not null").select(F.col("own").alias("sid"), F.col("size").alias("n"), "items")
 
     first = materialise(lists.select("sid", "n", "pos").mapInArrow(_first_pairs(num, den), "a long, b long").distinct(), "first")
     reps = sigs.where("sid is not null and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"))
 
-    def sets_of(sids: DataFrame, whole: bool) -> DataFrame:
-        """Sets (or quarters) by id, made again from the texts that have them."""
+    def sets_of(sids: DataFrame, always: bool) -> DataFrame:
+        """Sets by id, made again from the texts that have them."""
         chosen = reps.join(sids.distinct(), "sid").select(F.col("rep").alias("doc_id"), F.col("sid").alias("want"))
-        return materialise(src.join(chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width, whole), "sid long, n long, items binary"), "sets", "snappy")
+        return materialise(src.join(chosen.hint("merge") if always else chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width), "sid long, n long, items binary"), "sets", "snappy")
 
     ends = lambda pairs: pairs.select(F.explode(F.array("a", "b")).alias("sid"))
     may = (F.col("hi") * den) >= (F.col("n") + F.col("m") - F.col("hi")) * num
     link = (F.col("lo") * den) >= (F.col("n") + F.col("m") - F.col("lo")) * num
-    # every set of a list of three or more may meet any other of it, whatever its pair with the list's first set said
-    quarters = sets_of(ends(first).union(lists.where("m > 2").select(F.explode("sid"))), False)
     rough = materialise(_bounded(first, quarters, False), "rough")
     near = rough.where(may).select("a", "b")
     sets = sets_of(ends(near).union(lists.where(F.col("m") >= MANY).select(F.explode("sid"))), True)
@@ -401,20 +461,26 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     links = known.where(link).select("a", "b")
     comp = components(links)
 
-    rest = lists.where("m > 2").dropDuplicates(["gid", "m", "sid"])
-    member = rest.select("gid", "m", F.col("sid")[0].alias("a"), F.col("n")[0].cast("long").alias("np"), F.posexplode(F.arrays_zip("sid", "n", "pos")).alias("k", "e")).where("k > 0")
-    member = member.select("gid", "m", "a", "np", F.col("e.sid").alias("sid"), F.col("e.n").cast("long").alias("n"), F.col("e.pos").cast("long").alias("pos"))
-    member = member.join(comp.withColumnRenamed("node", "sid"), "sid", "left").withColumn("comp", F.coalesce("root", "sid")).drop("root")
-    few, many = member.where(F.col("m") < MANY), member.where(F.col("m") >= MANY)
+    def members(df: DataFrame, *cols: str) -> DataFrame:
+        """The sets of lists but their first, with the component of each."""
+        e = df.select("gid", F.col("sid")[0].alias("a"), F.col("n")[0].cast("long").alias("np"), F.posexplode(F.arrays_zip("sid", "n", "pos")).alias("k", "e")).where("k > 0")
+        e = e.select("gid", "a", "np", F.col("e.sid").alias("sid"), F.col("e.n").cast("long").alias("n"), F.col("e.pos").cast("long").alias("pos")).select(*cols)
+        e = e if "gid" in cols else e.distinct()
+        return e.join(comp.withColumnRenamed("node", "sid"), "sid", "left").withColumn("comp", F.coalesce("root", "sid")).drop("root")
+
+    # any two members of a list may meet, whatever their pairs with the first set said; a short list is one row, and equal lists count once
+    few = members(lists.where((F.col("m") > 2) & (F.col("m") < MANY)).dropDuplicates(["gid"]), "gid", "a", "np", "sid", "n", "pos")
     mixed = few.groupBy("gid").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("gid")
     bounds = known.select("a", F.col("b").alias("sid"), "lo", "hi")
     # of a member that the size or position bound kept from its first set only the trivial bounds are known
     bounded = lambda df: df.join(bounds, ["a", "sid"], "left").withColumn("lo", F.coalesce("lo", F.lit(0).cast("long"))).withColumn("hi", F.coalesce("hi", "n"))
-    pairs = bounded(few.join(mixed, "gid")).withColumn("half", F.lit(2))
-    more = pairs.select("gid", "half", "sid", "n", "pos", "comp", "lo", "hi", "np").groupBy("gid").applyInArrow(_rest(num, den), "a long, b long, sure boolean")
+    # narrow rows, but much work on each: partitions by number are not merged to fewer tasks
+    whole = bounded(few.join(mixed, "gid")).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "gid")
+    whole = whole.groupBy("gid").agg(F.first("np").alias("np"), F.collect_list(F.struct("sid", "n", "pos", "comp", "lo", "hi")).alias("of"))
+    more = whole.select("np", "of").mapInArrow(_rest(num, den), "a long, b long, sure boolean")
 
     # long lists of one first set are taken together, so that a pair is looked at once and not in each of them
-    group = many.select("a", "np", "sid", "n", "comp").distinct()
+    group = members(lists.where(F.col("m") >= MANY), "a", "np", "sid", "n")
     size = group.groupBy("a").agg(F.count("*").alias("m"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("a", F.ceil(F.col("m") / SETS).cast("int").alias("blocks"))
     group = bounded(group.join(size, "a")).join(sets.select("sid", "items"), "sid")
     group = group.withColumn("block", F.pmod(F.xxhash64("sid"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -426,9 +492,12 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     rough_late = materialise(_bounded(left, quarters, False), "rough")
     near_late = rough_late.where(may).select("a", "b")
     missing = materialise(ends(near_late).distinct().join(sets.select("sid"), "sid", "left_anti"), "missing")
-    every = sets if missing.isEmpty() else sets.unionByName(sets_of(missing, True))
+    every = sets if missing.isEmpty() else sets.unionByName(sets_of(missing, False))
     late = materialise(_bounded(near_late, every, True), "late")
-    all_links = links.union(more.where("sure").select("a", "b")).union(late.where(link).select("a", "b"))
+    # rows that share an id are one document, so their sets belong together
+    of_id = sigs.where("sid is not null and doc_id is not null").groupBy("doc_id").agg(F.min("sid").alias("a"), F.max("sid").alias("z")).where("a <> z").select("doc_id", "a")
+    same_id = sigs.join(of_id, "doc_id").where("sid <> a").select("a", F.col("sid").alias("b"))
+    all_links = links.union(more.where("sure").select("a", "b")).union(late.where(link).select("a", "b")).union(same_id)
     comp = components(all_links)
 
     by_sid = reps.join(comp.withColumnRenamed("node", "sid"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
@@ -436,7 +505,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     by_sid = materialise(by_sid.join(low, "root").select("sid", "component_id"), "classes")
     sids = sigs.join(by_sid, "sid", "left")
     out = sids.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
-    for t in (lists, first, quarters, rough, sets, known, more, rough_late, missing, late):
+    for t in (made, first, rough, sets, known, more, rough_late, missing, late):
         discard(t)
     return out
 

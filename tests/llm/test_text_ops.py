@@ -61,6 +61,24 @@ def test_set_join_odd_tables(spark):
     assert sorted(((r.doc_id, r.n_shingles, r.component_id) for r in got), key=str) == sorted([(None, 2, None), (4, 2, 4), (4, 2, 4), (2, 0, 2)], key=str)
 
 
+def test_set_join_rows_of_one_id_are_one_document(spark):
+    a, b = "a b c d e f g h", "q r s t u v w x"
+    got = setjoin.components_of(frame(spark, [(5, a), (5, b), (1, a), (9, b), (5, None), (7, "z")])).collect()
+    assert sorted((r.doc_id, r.n_shingles, r.component_id) for r in got) == [(1, 4, 1), (5, 0, 5), (5, 4, 1), (5, 4, 1), (7, 1, 7), (9, 4, 1)]
+
+
+def test_open_places_are_those_that_may_link():
+    rng = np.random.default_rng(3)
+    for _ in range(200):
+        m = int(rng.integers(1, 60))
+        n, pos = rng.integers(1, 40, m), rng.integers(0, 40, m)
+        o = np.lexsort((pos, n))
+        n, pos = n[o], pos[o]
+        k, i = int(rng.integers(1, 40)), int(rng.integers(0, 10))
+        want = np.flatnonzero(setjoin._may_link(k, n, i, pos, 75, 100))
+        assert setjoin._Blocks(n, pos, 75, 100).open(k, i).tolist() == want.tolist()
+
+
 def repeat_corpus(seed=1):
     rng = random.Random(seed)
     text = lambda n: "".join(rng.choice("abcdefghij éß\n") for _ in range(n))
