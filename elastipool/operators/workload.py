@@ -65,7 +65,7 @@ def global_sequence(df: DataFrame, *order: str, partitions: int | None = None) -
     """``seq`` (0-based) over the whole table in the given order, as two narrow passes over range partitions."""
     n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     # the partition number must be the same for both readers below, so it is written with the rows
-    parts = materialise(df.repartitionByRange(n, *order).withColumn("p", F.spark_partition_id()), "sequence", free=False)
+    parts = materialise(df.repartitionByRange(n, *order).withColumn("p", F.spark_partition_id()), "sequence")
     local = parts.withColumn("l", F.row_number().over(Window.partitionBy("p").orderBy(*order)))
     sizes = parts.groupBy("p").agg(F.count("*").alias("c"))
     offset = sizes.withColumn("before", F.sum("c").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("c")).select("p", "before")

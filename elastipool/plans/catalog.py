@@ -35,7 +35,7 @@ def add(name: str, f: Query, sql: str | None = None) -> None:
 
 
 def sim(spark: SparkSession, sf: str, cfg: RunConfig, task: str = "lang", role: str = "zs_fast", prio: str = "source") -> DataFrame:
-    return materialise(kernel.simulate(runs.tasks(spark, sf, task, role, prio), [cfg]), "sim", free=False)
+    return materialise(kernel.simulate(runs.tasks(spark, sf, task, role, prio), [cfg]), "sim")
 
 
 # ---- ingest ----------------------------------------------------------------------------------------------------------------------------------------
@@ -58,7 +58,7 @@ def _train_sql(t: str) -> str:
 
 
 def train(s: SparkSession, d: str, t: str) -> tuple[DataFrame, DataFrame]:
-    rows = materialise(runs.sample(s, d, t), "sample", free=False)
+    rows = materialise(runs.sample(s, d, t), "sample")
     return sampling.train_split(ingest.labelled(s, d, t), rows), rows
 
 
@@ -260,7 +260,7 @@ def nb_sql(task: str) -> str:
 
 
 for _t in ("lang", "quality"):
-    add(f"nb_{_t}", lambda s, d, t=_t: runs.predictions(s, d, t, "supervised", materialise(runs.sample(s, d, t), "sample", free=False)), nb_sql(_t))
+    add(f"nb_{_t}", lambda s, d, t=_t: runs.predictions(s, d, t, "supervised", materialise(runs.sample(s, d, t), "sample")), nb_sql(_t))
 add("majority_quality", lambda s, d: classify.majority(train(s, d, "quality")[0]), f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, {_train_sql('quality')} SELECT y AS y_hat FROM train GROUP BY y ORDER BY count(*) DESC, y LIMIT 1")
 _C6 = "e AS (SELECT vec_id, label, [CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT) FOR x IN embedding] AS v FROM embeddings), c AS (SELECT label, i, CAST(floor(CAST(sum(v[i]) AS DOUBLE) / count(*)) AS BIGINT) AS c FROM e, (SELECT unnest(range(1, 65)) AS i) GROUP BY 1, 2), m AS (SELECT label AS y_hat, list(c ORDER BY i) AS m FROM c GROUP BY 1), dd AS (SELECT vec_id, y_hat, CAST(list_sum([(v[i] - m[i]) * (v[i] - m[i]) FOR i IN range(1, 65)]) AS BIGINT) AS d FROM e, m)"
 add("centroid_embeddings", lambda s, d: classify.nearest_centroid(ingest.table(s, d, "embeddings"), classify.centroids(ingest.table(s, d, "embeddings"))), f"WITH {_C6} SELECT vec_id, y_hat, d FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY d, y_hat) AS r FROM dd) WHERE r = 1")
@@ -392,10 +392,10 @@ add("sweep_thresholds", lambda s, d: sweep(s, d, False))
 @query("sweep_pareto")
 def _(s, d):
     """Configurations that no other beats in both mean wait and worker time."""
-    x = materialise(kernel.simulate(runs.tasks(s, d), runs.sweep_grid(False)), "sweep", free=False)
+    x = materialise(kernel.simulate(runs.tasks(s, d), runs.sweep_grid(False)), "sweep")
     r = kernel.results(x)
     w = measures.seconds(r, kernel.polls(x)).select("run_id", "worker_ms").join(r.groupBy("run_id").agg(F.sum("wait_ms").alias("wait_ms")), "run_id")
-    w = materialise(w, "pareto", free=False)
+    w = materialise(w, "pareto")
     o = w.select(F.col("wait_ms").alias("w2"), F.col("worker_ms").alias("c2"))
     return w.join(F.broadcast(o), (F.col("w2") <= F.col("wait_ms")) & (F.col("c2") <= F.col("worker_ms")) & ((F.col("w2") < F.col("wait_ms")) | (F.col("c2") < F.col("worker_ms"))), "left_anti")
 

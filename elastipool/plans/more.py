@@ -151,7 +151,7 @@ def _(s, d):
 
 # ---- further classifiers -----------------------------------------------------------------------------------------------------------------------------------
 def _eval_train(s: SparkSession, d: str, task: str) -> tuple[DataFrame, DataFrame]:
-    rows = materialise(runs.sample(s, d, task), "sample", free=False)
+    rows = materialise(runs.sample(s, d, task), "sample")
     docs = t(s, d, "documents").select("doc_id", "text")
     train = sampling.train_split(ingest.labelled(s, d, task), rows).select("doc_id", "y").join(docs, "doc_id")
     return rows.select("doc_id", "y").join(docs, "doc_id"), train

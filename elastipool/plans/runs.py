@@ -71,7 +71,7 @@ def execute(spark: SparkSession, sf_dir: str, run: RunSpec) -> RunOutput:
     rows = sample(spark, sf_dir, run.task, run.balanced)
     t = workload.tasks(rows, role, run.prio, run.spec)
     if cfg.autoscale or cfg.n_init > 1:
-        sim = materialise(kernel.simulate(t, [cfg]), f"run-{cfg.run_id}", free=False)
+        sim = materialise(kernel.simulate(t, [cfg]), f"run-{cfg.run_id}")
         res, polls = kernel.results(sim), kernel.polls(sim)
     else:
         # one server, first come first served: a window, no kernel
@@ -87,7 +87,7 @@ def _empty(spark: SparkSession) -> DataFrame:
 
 def compare(spark: SparkSession, sf_dir: str, task: str = "lang", policies: tuple[str, ...] = ("B1", "B3", "B7"), prio: str = "source") -> DataFrame:
     """Tagged rows of several policies over one sample; runs of one role share a task table, so each role's tasks are built once."""
-    rows = materialise(sample(spark, sf_dir, task), "sample", free=False)
+    rows = materialise(sample(spark, sf_dir, task), "sample")
     by_role: dict[str, list[RunConfig]] = {}
     for p in policies:
         cfg, role = POLICIES[p]
@@ -96,7 +96,7 @@ def compare(spark: SparkSession, sf_dir: str, task: str = "lang", policies: tupl
     out = sims[0]
     for s in sims[1:]:
         out = out.unionByName(s)
-    return materialise(out, "compare", free=False)
+    return materialise(out, "compare")
 
 
 def sweep_grid(small: bool) -> list[RunConfig]:

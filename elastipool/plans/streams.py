@@ -68,6 +68,6 @@ def _(s, d):
     from elastipool.session import materialise
 
     t = runs.tasks(s, d).select("task_id", "prio", "seq")
-    t = materialise(t.join(ingest.table(s, d, "documents").select(F.col("doc_id").alias("task_id"), "text"), "task_id"), "waves", free=False)
+    t = materialise(t.join(ingest.table(s, d, "documents").select(F.col("doc_id").alias("task_id"), "text"), "task_id"), "waves")
     log = live.waves(t, FIGURE.but(queue_hi=20), lambda w: w.select("task_id", classify.zs_fast("lang").alias("y_hat")), f"{scratch_root(s)}/waves-{uuid.uuid4().hex}")
     return s.createDataFrame(log, "wave int, n int, left_over long")

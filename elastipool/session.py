@@ -2,10 +2,9 @@
 
 from __future__ import annotations
 
-import gc
 import os
+import re
 import tempfile
-import time
 import uuid
 import zipfile
 
@@ -33,41 +32,48 @@ def ship(spark: SparkSession) -> None:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir; a folder of our own only where that is unset."""
+    """The shared folder named by spark.checkpoint.dir. A folder of our own is used only where that is unset and all tasks run in this process."""
     base = spark.conf.get("spark.checkpoint.dir", None)
-    return (base or f"file://{tempfile.gettempdir()}/elastipool-scratch").rstrip("/")
+    if not base:
+        if not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = f"file://{tempfile.gettempdir()}/elastipool-scratch"
+    return base.rstrip("/")
 
 
-def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished jobs now: it does so when the driver has dropped their plans.
+#: With this runtime setting Spark deletes the shuffle files of an execution at its end.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
-    The plan of the last job is let go a moment after it, hence the second round.
-    """
-    for _ in range(2):
-        gc.collect()
-        spark._jvm.System.gc()
-        time.sleep(0.3)
 
-
-def materialise(df: DataFrame, tag: str, codec: str = "zstd", free: bool = True) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage and survives lost executors."""
+def materialise(df: DataFrame, tag: str, codec: str = "zstd") -> DataFrame:
+    """Write ``df`` as Parquet into the shared folder and read it back: cuts lineage and survives lost executors. The shuffle files behind
+    the table go at once, since nothing needs them again."""
     spark = df.sparkSession
     path = f"{scratch_root(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.option("compression", codec).parquet(path)
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.option("compression", codec).parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._scratch_path = path
-    if free:
-        release(spark)
+    place, files = _located(spark, path)
+    files.deleteOnExit(place)  # a returned frame may still read the table, so it goes with the driver at the latest
     return out
 
 
+def _located(spark: SparkSession, path: str):
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return place, place.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
 def discard(df: DataFrame) -> None:
     """Delete the files of a frame made by :func:`materialise` when nothing reads it any more."""
     path = getattr(df, "_scratch_path", None)
     if path:
-        spark = df.sparkSession
-        p = spark._jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+        place, files = _located(df.sparkSession, path)
+        files.delete(place, True)
 
 
 def plan_bytes(df: DataFrame) -> int:
