@@ -3,7 +3,8 @@
 Long texts are cut at safe boundaries before the tokenizer sees them: every match of the splitting pattern that holds white
 space begins with it, so no match runs across a place where a white-space character follows another kind of character. Pieces cut
 there encode to the same ids as the whole text, and the look-ahead of the pattern sees the same next character. A run without any
-white space stays one piece.
+white space stays one piece. A very long run of white space is one match of the pattern (all of it at the end of a text, else all but
+its last character, which belongs to what follows); it is merged as that match, and the pattern's matcher, which recurses on such runs, never sees it.
 
 Null text counts as empty: no ids, no bytes. The ids of repeated rows are repeated; other columns are never read. An empty table
 gives an empty result.
@@ -27,6 +28,8 @@ PIECE = 1 << 16
 RANKS = "byte_bpe_50k.tiktoken"
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 _BOUNDARY = re.compile(r"(?<=\S)(?=[ \t\n\r])")
+#: White space as the pattern's matcher knows it, in runs too long for that matcher.
+_LONG_RUN = re.compile("[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{4096,}")
 _CODERS: dict[str, Coder] = {}
 
 
@@ -65,7 +68,13 @@ class Coder:
         yield text[start:] if start else text
 
     def encode(self, text: str, size: int = PIECE) -> np.ndarray:
-        ids = [np.asarray(self.enc.encode_ordinary(p), np.uint32) for p in self.pieces(text, size)]
+        ids, at = [], 0
+        for run in _LONG_RUN.finditer(text) if len(text) >= 4096 else ():
+            end = run.end() - (run.end() < len(text))
+            ids += [np.asarray(self.enc.encode_ordinary(p), np.uint32) for p in self.pieces(text[at : run.start()], size)]
+            ids.append(np.asarray(self.enc._core_bpe.encode_single_piece(text[run.start() : end].encode()), np.uint32))
+            at = end
+        ids += [np.asarray(self.enc.encode_ordinary(p), np.uint32) for p in self.pieces(text[at:], size)]
         return ids[0] if len(ids) == 1 else np.concatenate(ids)
 
     def decode(self, ids: np.ndarray) -> bytes:
