@@ -6,7 +6,8 @@ digest as WARC-Source-Payload-Digest; the metadata also carries the source's HTT
 Record ids are version-5 UUIDs of the response's id and the kind, so a repeated run makes the same records. A reader and a writer for (gzip-compressed or plain)
 WARC bytes are included. Pages without a stored capture are first written as responses.
 
-Null html is an empty payload; a null url an empty target. A response whose HTTP head can't be read is taken as a payload without head. Repeated rows give repeated records
+Null html is an empty payload; a null url an empty target. A response whose HTTP head can't be read is taken as a payload without head. A record whose Content-Length is no number
+is passed over, and a damaged gzip member gives the records read before the damage. Repeated rows give repeated records
 with equal ids. Other columns are not read; an empty table gives no records.
 """
 
@@ -26,7 +27,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from elastipool.llm.common import prepare, table
 
-#: The capture time written where a source has none.
+#: Compressed bytes read at once; the capture time written where a source has none.
+CHUNK = 1 << 20
 CAPTURED = "2024-01-01T00:00:00Z"
 SPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
 OUT = "page_id long, warc_type string, record_id string, refers_to string, target_uri string, warc_date string, content_type string, payload_digest string, block_digest string, source_payload_digest string, content_length long, record_sha256 string"
@@ -56,19 +58,40 @@ def write_record(headers: list[tuple[str, str]], block: bytes) -> bytes:
     return b"WARC/1.1\r\n" + head.encode() + b"\r\n" + block + b"\r\n\r\n"
 
 
-def _plain(data: bytes) -> bytes:
-    """Bytes of a file of one or several gzip members, or of a plain file."""
-    out = []
-    while data[:2] == b"\x1f\x8b":
-        z = zlib.decompressobj(31)
-        out.append(z.decompress(data))
-        data = z.unused_data
-    return b"".join([*out, data]) if out else data
+def _stretches(data: bytes) -> Iterator[bytes]:
+    """The bytes of a plain file, or of the gzip members of one. A damaged member gives what was read of it and ends a stretch; reading goes
+    on at the next place that looks like a member."""
+    if data[:2] != b"\x1f\x8b":
+        yield data
+        return
+    held = []
+    while data:
+        z, at = zlib.decompressobj(31), 0
+        try:
+            while at < len(data) and not z.eof:
+                held.append(z.decompress(data[at : at + CHUNK]))
+                at += CHUNK
+            data = z.unused_data + data[at:]
+            if data[:2] == b"\x1f\x8b":
+                continue
+        except zlib.error:
+            data = data[2:]
+        yield b"".join(held)
+        held.clear()
+        at = data.find(b"\x1f\x8b\x08")
+        data = data[at:] if at >= 0 else b""
+    if held:
+        yield b"".join(held)
 
 
 def read_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """(headers by lower-case name, block) of each record; a cut last record ends the reading."""
-    data, at = _plain(data), 0
+    """(headers by lower-case name, block) of each record. A record without a proper length is passed over; a cut last record ends its stretch."""
+    for part in _stretches(data):
+        yield from _records(part)
+
+
+def _records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
+    at = 0
     while (at := data.find(b"WARC/", at)) >= 0:
         end = data.find(b"\r\n\r\n", at)
         if end < 0:
@@ -81,11 +104,11 @@ def read_records(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
             k, _, v = line.partition(":")
             last = k.strip().lower()
             headers[last] = v.strip()
-        try:
-            n = int(headers.get("content-length", ""))
-        except ValueError:
+        length = headers.get("content-length", "")
+        if not (length.isascii() and length.isdigit() and len(length) < 19):
             at = end + 4
             continue
+        n = int(length)
         if end + 4 + n > len(data):
             return
         yield headers, data[end + 4 : end + 4 + n]
