@@ -2,7 +2,7 @@
 
 Subwords are the byte 2-, 3- and 4-grams of the text with A-Z in lower case, hashed into ``BUCKETS`` rows of an embedding; a text is
 the mean of its subwords' embeddings, and a linear softmax over it gives the languages. Embedding and softmax are trained together by
-stochastic gradient descent in numpy, on at most ``PER_LANG`` rows of each language, chosen by hash. A fifth of these is kept from
+stochastic gradient descent in numpy, on at most ``PER_LANG`` rows of each of the ``LANGS`` most frequent languages, chosen by hash. A fifth of these is kept from
 training: on it a temperature calibrates the scores, and the score that all but ``REJECT`` of its right answers reach becomes the threshold below
 which ``rejected`` is true. Prediction reads whole texts in bounded pieces, map-only.
 
@@ -12,8 +12,6 @@ false. Repeated rows are predicted alike; other columns are never inputs; an emp
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -26,7 +24,6 @@ BUCKETS, DIM, GRAMS, PER_LANG, LANGS, EPOCHS, BATCH, RATE, REJECT = 1 << 15, 16,
 PIECE = 1 << 20
 UND = "und"
 OUT = "doc_id long, held_out boolean, lang_pred string, score double, rejected boolean"
-_LETTER = re.compile(r"[^\W\d_]")
 _MULT = {2: np.uint32(0x9E3779B1), 3: np.uint32(0x85EBCA77), 4: np.uint32(0xC2B2AE3D)}
 
 
@@ -132,11 +129,18 @@ class Model:
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model | None:
-    """A model of the languages of ``docs``; at most PER_LANG rows a language and LANGS languages reach the driver, as subword counts."""
+    """A model of the languages of ``docs``; at most PER_LANG rows a language and LANGS languages reach the driver, as subword counts. Counts of the
+    languages come first, so that rows that cannot be among the chosen ones are left out where they lie and no language makes a large group."""
     prepare(docs.sparkSession)
     rows = docs.where(docs[lang_col].isNotNull() & docs[text_col].isNotNull() & docs[id_col].isNotNull())
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id"), "id"))
-    chosen = rows.select(rows[id_col].alias("id"), rows[lang_col].alias("lang")).withColumn("r", rank).where(F.col("r") <= PER_LANG).select("id").limit(PER_LANG * LANGS)
+    keyed = rows.select(rows[id_col].alias("id"), rows[lang_col].alias("lang")).withColumn("h", F.xxhash64("id").bitwiseAND(F.lit((1 << 32) - 1)))
+    sizes = {r.lang: r.n for r in keyed.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGS).collect()}
+    if not sizes:
+        return None
+    # of n rows with even hashes the PER_LANG least lie below this, but for a chance of one in millions; then the sample is a little smaller
+    most = docs.sparkSession.createDataFrame([(y, int(min(1.0, (2 * PER_LANG + 200) / n) * (1 << 32))) for y, n in sizes.items()], "lang string, most long")
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy("h", "id"))
+    chosen = keyed.join(F.broadcast(most), "lang").where("h <= most").withColumn("r", rank).where(F.col("r") <= PER_LANG).select("id")
     sample = rows.select(rows[id_col].alias("id"), rows[text_col].alias("text"), rows[lang_col].alias("lang")).join(F.broadcast(chosen.distinct()), "id", "left_semi")
 
     def run(batches):
@@ -163,7 +167,7 @@ def identified(docs: DataFrame, model: Model | None, held_out, id_col: str = "do
             m.langs, m.table, m.b, m.t, m.threshold = shared.value
         for b in batches:
             texts = b.column(2).to_pylist()
-            real = [i for i, t in enumerate(texts) if m and t and _LETTER.search(t)]
+            real = [i for i, t in enumerate(texts) if m and t and any(map(str.isalpha, t))]
             pred, score, no = [UND] * len(texts), [0.0] * len(texts), [True] * len(texts)
             if real:
                 p = m.scores([texts[i].encode() for i in real])
