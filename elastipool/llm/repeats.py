@@ -10,18 +10,19 @@ from the first of these windows to the end of the last. Phrases overlap by ``LEN
 *Dictionary.* Equal phrases are looked up by (trigger, phrase hash): all windows of a phrase that is not the first of its kind are
 repeats, without a look inside. Most repeats end here.
 
-*Suffixes of dictionary phrases.* Only first phrases that share a trigger with a different phrase are opened: their suffixes, cut at ``LENGTH``
-bytes, are ordered by content and corpus position, and each but the first of equal ones is a repeat. Sorting phrases and suffixes by (content,
-position) gives the corpus order that a suffix array over all documents would give for prefixes of ``LENGTH`` bytes.
+*Windows of dictionary phrases.* Only first phrases that share a trigger with a different phrase are opened. Their windows are grouped by
+two independent rolling hashes and ordered by corpus position within a group; each but the first is a repeat. No suffix array is built: the
+question is only which ``LENGTH``-byte prefixes of suffixes are equal and which of them comes first, and the arrays would need each suffix's first
+``LENGTH`` bytes at the place where it is sorted, some hundred times the opened text. The grouping by hash takes the place of the order by content.
 
 Each map task combines before it shuffles: per ``PIECE`` of text and trigger at most one phrase leaves, or a mark if the piece has
 opened the trigger itself. So the longest list of a trigger grows with the number of pieces, not with its occurrences. Lists travel packed by hash bucket; texts
 are read in pieces of bounded size, whatever a document's length.
 
-Null and empty text: 0 bytes, nothing removed. Rows that share a doc_id count as one document: what is removed in one is removed at the same
-place in the other; exact repetitions of a row are no earlier than it. Rows without doc_id count as one document before all others.
-Other columns are never read; an empty table gives an empty result. Windows are compared by 80 bits of hash within a bucket (at least 8
-more): for n opened windows a false repeat has a probability below n * n / 2 ** 88.
+Null and empty text: 0 bytes, nothing removed. Different texts of one doc_id count as parts of one document, in the order of their hashes; matches
+do not cross parts. Exact repetitions of a row are the same place and lose the same bytes. Texts without doc_id are documents of their own,
+placed by a hash of the text. Other columns are never read; an empty table gives an empty result. Windows are compared by 48 bits of one hash within
+a bucket (at least 8 bits more) and 32 bits of another: for n opened windows a false repeat has a probability below n * n / 2 ** 88.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
@@ -38,7 +39,8 @@ from elastipool.llm.common import discard, materialise, mix, prepare, table
 
 LENGTH, GRAM = 100, 24
 PIECE = 1 << 21
-NO_ID = -(1 << 63)
+#: Places between the parts of one document, and the most places that packed positions can tell apart.
+GAP, PLACES = 1 << 10, 1 << 32
 _POS_BITS = np.uint64(23)
 _POS = np.uint64((1 << 23) - 1)
 PHRASE, SPAN, WINDOW, OPEN = 0, 1, 2, 3
@@ -46,36 +48,38 @@ ROWS = pa.schema([("kind", pa.int32()), ("key", pa.int64()), *((c, pa.binary())
 ROWS_DDL = "kind int, key long, a binary, b binary, doc binary, pos binary, cnt binary"
 OUT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
-_BASE = 0x9E3779B97F4A7C15 | 5
-_powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-_BYTE = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+#: Two hashes: a base and the value of each byte.
+_BASES = (0x9E3779B97F4A7C15 | 5, 0xC2B2AE3D27D4EB4F | 5)
+_BYTES = tuple(mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(c)) for c in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F))
+_powers: dict[tuple[int, int], tuple[np.ndarray, np.ndarray]] = {}
 
 
-def _power_table(n: int):
-    """Powers of the base and of its inverse modulo 2 ** 64."""
+def _power_table(n: int, which: int):
+    """Powers of a base and of its inverse modulo 2 ** 64."""
     size = 1 << max(10, (n - 1).bit_length())
-    if size not in _powers:
-        inv = pow(_BASE, -1, 1 << 64)
+    if (which, size) not in _powers:
+        base = _BASES[which]
+        inv = pow(base, -1, 1 << 64)
         out = []
-        for x in (_BASE, inv):
+        for x in (base, inv):
             p = np.empty(size, np.uint64)
             p[0], filled = 1, 1
             while filled < size:
                 p[filled : 2 * filled] = p[:filled] * np.uint64(pow(x, filled, 1 << 64))
                 filled *= 2
             out.append(p)
-        _powers[size] = tuple(out)
-    return _powers[size]
+        _powers[which, size] = tuple(out)
+    return _powers[which, size]
 
 
 class Rolling:
-    """Hashes of any substring of a byte array in O(1)."""
+    """Hashes of any substring of a byte array in O(1), by the first or second hash."""
 
-    def __init__(self, x: np.ndarray):
+    def __init__(self, x: np.ndarray, which: int = 0):
         self.n = len(x)
-        pw, self.inv = _power_table(self.n + 1)
+        pw, self.inv = _power_table(self.n + 1, which)
         self.sums = np.zeros(self.n + 1, np.uint64)
-        np.cumsum(_BYTE[x] * pw[: self.n], out=self.sums[1:])
+        np.cumsum(_BYTES[which][x] * pw[: self.n], out=self.sums[1:])
 
     def of(self, lo, hi):
         """Hash of x[lo:hi]; arrays or slices of equal length."""
@@ -101,22 +105,22 @@ def _phrases(x: np.ndarray, starts: np.ndarray, r: Rolling):
     return h[g], np.maximum(mix(r.of(lo, hi + LENGTH) ^ inside), np.uint64(1 << 16)), lo, hi - lo + 1
 
 
-def _window_hashes(r: Rolling, starts: np.ndarray):
-    raw = r.of(starts, starts + LENGTH)
-    return mix(raw), (mix(raw ^ np.uint64(0x5851F42D4C957F2D)) >> np.uint64(32)).astype(np.uint32)
+def _window_hashes(x: np.ndarray, r: Rolling, starts: np.ndarray):
+    """Both hashes of the windows of x; r is the first of them."""
+    return mix(r.of(starts, starts + LENGTH)), (mix(Rolling(x, 1).of(starts, starts + LENGTH)) >> np.uint64(32)).astype(np.uint32)
 
 
 def _pieces(batches):
-    """(doc ids, window offset of each part in its document, parts of texts) with about PIECE bytes of text each."""
+    """(documents, place of each part in its document, parts of texts) of (key, base, text) rows, with about PIECE bytes of text each."""
     docs, offs, parts, size = [], [], [], 0
     for b in batches:
-        off, data, _ = common.byte_views(b.column(1))
-        for i, d in enumerate(b.column(0).to_pylist()):
+        off, data, _ = common.byte_views(b.column(2))
+        for i, (d, base) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist())):
             text = data[off[i] : off[i + 1]]
             for a in range(0, max(0, len(text) - LENGTH + 1), PIECE):
                 part = text[a : a + PIECE + LENGTH - 1]
                 docs.append(d)
-                offs.append(a)
+                offs.append(base + a)
                 parts.append(part.copy())
                 size += len(part)
                 if size >= PIECE:
@@ -228,7 +232,7 @@ def _parse(buckets):
             if len(opened):
                 c = cnt[opened]
                 inner = np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
-                h, chk = _window_hashes(r, np.repeat(lo[opened], c) + inner)
+                h, chk = _window_hashes(x, r, np.repeat(lo[opened], c) + inner)
                 rows += _windows(h, chk, np.repeat(doc[opened], c), np.repeat(pos[opened], c) + inner, buckets)
                 mark = np.unique(trig[opened])
                 zero = np.zeros(len(mark), np.uint64)
@@ -284,29 +288,26 @@ def _lookup(batches):
 
 
 def _open(buckets):
-    """Windows of the phrases asked for, from (doc_id, text, list of pos, list of cnt)."""
+    """Windows of the phrases asked for, from (key, base, text, list of pos, list of cnt)."""
 
     def run(batches):
         for b in batches:
-            off, data, _ = common.byte_views(b.column(1))
+            off, data, _ = common.byte_views(b.column(2))
             rows = []
-            for i, d in enumerate(b.column(0).to_pylist()):
+            for i, (d, base) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist())):
                 text = data[off[i] : off[i + 1]]
-                pos = np.concatenate([np.frombuffer(x, "<u4") for x in b.column(2)[i].as_py()]).astype(np.int64)
-                cnt = np.concatenate([np.frombuffer(x, "<u4") for x in b.column(3)[i].as_py()]).astype(np.int64)
-                fit = pos + cnt + LENGTH - 1 <= len(text)
-                rows.append((d, pos[fit], cnt[fit], text))
+                rows.append((d, base, *_own(b, 3, i, base, len(text)), text))
             for part in _portions(rows):
                 yield from part
 
     def _portions(rows):
         held, size = [], 0
-        for d, pos, cnt, text in rows:
+        for d, base, pos, cnt, text in rows:
             cuts = np.searchsorted(np.cumsum(cnt + LENGTH - 1), np.arange(PIECE, int((cnt + LENGTH - 1).sum()) + PIECE, PIECE))
             a = 0
             for z in [*np.unique(cuts).tolist(), len(pos)]:
                 if z > a:
-                    held.append((d, pos[a:z], cnt[a:z], text))
+                    held.append((d, base, pos[a:z], cnt[a:z], text))
                     size += int((cnt[a:z] + LENGTH - 1).sum())
                     a = z
                 if size >= PIECE:
@@ -316,20 +317,20 @@ def _open(buckets):
             yield _flush(held)
 
     def _flush(held):
-        c = np.concatenate([h[2] for h in held])
+        c = np.concatenate([h[3] for h in held])
         span = c + LENGTH - 1
         x = []
-        for _, pos, cnt, text in held:
+        for _, _, pos, cnt, text in held:
             idx = np.arange((cnt + LENGTH - 1).sum()) - np.repeat(np.cumsum(cnt + LENGTH - 1) - (cnt + LENGTH - 1), cnt + LENGTH - 1) + np.repeat(pos, cnt + LENGTH - 1)
             x.append(text[idx])
         if not len(c):
             return
-        r = Rolling(np.concatenate(x))
-        base = np.cumsum(span) - span
+        x = np.concatenate(x)
+        begin = np.cumsum(span) - span
         inner = np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
-        h, chk = _window_hashes(r, np.repeat(base, c) + inner)
-        doc = np.concatenate([np.full(len(x[1]), x[0], np.int64) for x in held])
-        pos = np.concatenate([x[1] for x in held])
+        h, chk = _window_hashes(x, Rolling(x), np.repeat(begin, c) + inner)
+        doc = np.concatenate([np.full(len(k[2]), k[0], np.int64) for k in held])
+        pos = np.concatenate([k[2] + k[1] for k in held])
         rows = _windows(h, chk, np.repeat(doc, c), np.repeat(pos, c) + inner, buckets)
         if rows:
             yield _emit(rows)
@@ -350,6 +351,14 @@ def _suffixes(batches):
             yield _emit(_spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later))))
 
 
+def _own(b, at: int, i: int, base: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of a document's packed places and counts (columns at, at + 1) those in the part of ``size`` bytes that starts at ``base``, from its start."""
+    pos, cnt = (np.concatenate([np.frombuffer(x, "<u4") for x in b.column(c)[i].as_py()]).astype(np.int64) for c in (at, at + 1))
+    pos = pos - base
+    fit = (pos >= 0) & (pos + cnt + LENGTH - 1 <= size)
+    return pos[fit], cnt[fit]
+
+
 def removed_runs(n: int, pos: np.ndarray, cnt: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Maximal runs [from, to) covered by ``cnt`` windows each, starting at ``pos``, in a text of n bytes."""
     if not len(pos):
@@ -364,46 +373,61 @@ def removed_runs(n: int, pos: np.ndarray, cnt: np.ndarray) -> tuple[np.ndarray,
 
 def _cut(batches):
     for b in batches:
-        off, data, _ = common.byte_views(b.column(1))
+        off, data, _ = common.byte_views(b.column(2))
         out = []
-        for i, d in enumerate(b.column(0).to_pylist()):
-            text, pos = data[off[i] : off[i + 1]], b.column(2)[i].as_py()
-            if pos is None:
-                a = z = np.zeros(0, np.int64)
-            else:
-                p = np.concatenate([np.frombuffer(x, "<u4") for x in pos]).astype(np.int64)
-                c = np.concatenate([np.frombuffer(x, "<u4") for x in b.column(3)[i].as_py()]).astype(np.int64)
-                a, z = removed_runs(len(text), p, c)
+        for i, (d, base) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist())):
+            text = data[off[i] : off[i + 1]]
+            a = z = np.zeros(0, np.int64)
+            if b.column(3)[i].is_valid:
+                a, z = removed_runs(len(text), *_own(b, 3, i, base, len(text)))
             sha, at = hashlib.sha256(), 0
             for x, y in zip(a.tolist(), z.tolist()):
                 sha.update(text[at:x])
                 at = y
             sha.update(text[at:])
-            out.append((None if d == NO_ID else d, len(text), int((z - a).sum()), len(a), sha.hexdigest()))
+            out.append((d, len(text), int((z - a).sum()), len(a), sha.hexdigest()))
         if out:
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(),) * 4 + (pa.string(),))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
 
 def _spans_of(df: DataFrame, kind: int) -> DataFrame:
-    return df.where(F.col("kind") == kind).groupBy(F.col("key").alias("doc_id")).agg(F.collect_list("pos").alias("pos"), F.collect_list("cnt").alias("cnt"))
+    return df.where(F.col("kind") == kind).groupBy(F.col("key").alias("at")).agg(F.collect_list("pos").alias("pos"), F.collect_list("cnt").alias("cnt"))
+
+
+def _placed(src: DataFrame) -> DataFrame:
+    """(doc_id, text) with the document ``at`` and the place ``base`` where the text begins in it: the id and 0, but for texts without an id and different
+    texts of one id. These are found by a narrow aggregate; where there are none, nothing is joined."""
+    h = F.xxhash64("text")
+    at = F.coalesce("doc_id", h)
+    several = src.where("doc_id is not null").groupBy("doc_id").agg(F.min(h).alias("a"), F.max(h).alias("z")).where("a <> z").select("doc_id")
+    several = materialise(several, "shared-ids")
+    if several.isEmpty():
+        return src.select("doc_id", at.alias("at"), F.lit(0).cast("long").alias("base"), "text")
+    parts = src.join(several, "doc_id", "left_semi").select("doc_id", h.alias("h"), F.octet_length("text").cast("long").alias("size")).distinct()
+    before = F.sum(F.col("size") + GAP).over(Window.partitionBy("doc_id").orderBy("h").rowsBetween(Window.unboundedPreceding, -1))
+    parts = materialise(parts.withColumn("base", F.coalesce(before, F.lit(0).cast("long"))).select("doc_id", "h", "base", (F.col("base") + F.col("size") < PLACES).alias("fits")), "parts")
+    j = src.withColumn("h", h).join(parts, ["doc_id", "h"], "left")
+    # parts beyond the places of one document become documents of their own
+    own = F.coalesce("fits", F.lit(True))
+    return j.select("doc_id", F.when(own, at).otherwise(F.xxhash64("doc_id", "h")).alias("at"), F.when(own, F.coalesce("base", F.lit(0).cast("long"))).otherwise(F.lit(0).cast("long")).alias("base"), "text")
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(documents with their repeated windows, the same as spans): spans are lists of packed first windows and numbers of windows."""
     prepare(docs.sparkSession)
-    src = docs.select(F.coalesce(docs[id_col].cast("long"), F.lit(NO_ID)).alias("doc_id"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text"))
+    src = _placed(docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text")))
     buckets = common.bucket_count(src, least=256)
 
     def dealt(df):
         return df.repartition("kind", "key").sortWithinPartitions("kind", "key")
 
-    parsed = src.where(F.octet_length("text") >= LENGTH).mapInArrow(_parse(buckets), ROWS_DDL)
+    parsed = src.where(F.octet_length("text") >= LENGTH).select("at", "base", "text").mapInArrow(_parse(buckets), ROWS_DDL)
     looked = materialise(dealt(parsed).mapInArrow(_lookup, ROWS_DDL), "phrases")
-    asked = src.join(_spans_of(looked, OPEN), "doc_id").select("doc_id", "text", "pos", "cnt")
+    asked = src.join(_spans_of(looked, OPEN), "at").select("at", "base", "text", "pos", "cnt")
     opened = looked.where(F.col("kind") != OPEN).unionByName(asked.mapInArrow(_open(buckets), ROWS_DDL))
     found = materialise(dealt(opened).mapInArrow(_suffixes, ROWS_DDL), "spans")
     discard(looked)
-    return src.join(_spans_of(found, SPAN), "doc_id", "left").select("doc_id", "text", "pos", "cnt"), found
+    return src.join(_spans_of(found, SPAN), "at", "left").select("doc_id", "base", "text", "pos", "cnt"), found
 
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
