@@ -6,7 +6,8 @@ gives an approximate score, and half a cell times the query's absolute value bou
 best possible score until the k-th exact score found so far is at least the next bound; the k-th score is carried from block to block
 of a task. So the result is exact whatever the cells are, and the whole data take part.
 
-Queries are a stated set and meet the data block by block; both sides are packed tables in the shared folder. Per pair of blocks at most k rows
+Queries are a stated set and meet the data block by block; both sides are packed tables in the shared folder. Their blocks are dealt into a grid of at most
+``QGROUP`` query blocks by ``DGROUP`` data blocks a cell, so neither side gathers in one task, however many vectors share a length. Per pair of blocks at most k rows
 a query leave, and the final ranking keeps k a query.
 
 Vectors that are null, empty, or hold a null or non-finite component, and rows without an id, take no part. Vectors meet vectors of their own length
@@ -24,6 +25,7 @@ from pyspark.sql import functions as F
 from elastipool.llm.common import materialise, prepare, table
 
 SCALE, K, EVERY, ROWS, QUERIES = 1024, 10, 100, 1024, 128
+QGROUP, DGROUP = 256, 512
 BLOCK = "dim int, ids binary, exact binary, cells binary, low binary, step binary"
 QBLOCK = "dim int, ids binary, exact binary"
 
@@ -71,7 +73,11 @@ def search(vectors: DataFrame, is_query, k: int = K, scale: int = SCALE, id_col:
     data = materialise(packed(base.select(vectors[id_col].cast("long").alias("id"), ints.alias("v")), ROWS, True), "va-data", "snappy")
     chosen = base.where(is_query).select(vectors[id_col].cast("long").alias("id"), ints.alias("v")).groupBy("id").agg(F.max("v").alias("v"))
     asked = materialise(packed(chosen, QUERIES, False), "va-queries")
-    both = asked.select(F.col("dim").alias("d"), F.col("ids").alias("q_ids"), F.col("exact").alias("q")).join(data, F.col("d") == F.col("dim"))
+    q_groups, d_groups = (max(1, -(-t.count() // size)) for t, size in ((asked, QGROUP), (data, DGROUP)))
+    group = lambda n: F.pmod(F.xxhash64("ids"), F.lit(n)).cast("int")
+    copies = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = asked.select("dim", F.col("ids").alias("q_ids"), F.col("exact").alias("q"), group(q_groups).alias("qg"), copies(d_groups).alias("dg"))
+    both = left.join(data.withColumn("dg", group(d_groups)).withColumn("qg", copies(q_groups)), ["dim", "qg", "dg"])
     # one row for each pair of blocks; a data block is scanned by as many tasks as there are query blocks
     got = both.select("dim", "q_ids", "q", "ids", "exact", "cells", "low", "step").mapInArrow(_scan(k), "query_id long, vec_id long, score long")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
