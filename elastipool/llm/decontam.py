@@ -9,7 +9,8 @@ signatures, whose chance of a match falls with the document's length. Candidates
 Items are indexed in blocks of at most ``BLOCK`` shingles, each sent to all tasks for one pass over the documents: the benchmark's size, never the
 corpus', decides the number of passes. Documents are read map-only.
 
-Null or empty texts hold and are nothing: no pair. Items of fewer than five words are one shingle and match documents that are just these words.
+Null or empty texts hold and are nothing: no pair. An item of fewer than five words is one shingle of all its words; documents are looked through for runs
+of that many words too, as long as such items exist.
 Repeated rows give repeated pairs; null ids are passed on. Other columns are not read. Empty tables give an empty result.
 """
 
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import WordHashes, prepare, shingles, table
+from elastipool.llm.common import WordHashes, prepare, shingle_runs, shingles, table
 
 BLOCK = 1 << 22
 #: Size partitions: least number of shingles, and sketch values a document must hold.
@@ -35,7 +36,8 @@ _BITS = 22
 class Index:
     """Sketches and whole shingle sets of a block of items."""
 
-    def __init__(self, items: list[tuple[int, np.ndarray]], num: int, den: int):
+    def __init__(self, items: list[tuple[int, np.ndarray]], num: int, den: int, widths: tuple[int, ...] = (5,)):
+        self.widths = widths
         self.ids = [i for i, _ in items]
         self.size = np.array([len(s) for _, s in items], np.int64)
         self.need = (self.size * num + den - 1) // den
@@ -56,8 +58,10 @@ class Index:
         at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(a, n)
         return self.owner[at[self.in_sketch[at]]] if sketch else self.owner[at]
 
-    def matches(self, s: np.ndarray) -> list[tuple[int, int, int]]:
-        """(item id, item size, shared shingles) of the items contained in a document of shingle hashes s (repetitions allowed)."""
+    def matches(self, words: np.ndarray) -> list[tuple[int, int, int]]:
+        """(item id, item size, shared shingles) of the items contained in a document of these word hashes."""
+        runs = [shingle_runs(words, k) for k in self.widths if k <= len(words) or k == max(self.widths)]
+        s = runs[0] if len(runs) == 1 else np.unique(np.concatenate(runs))
         near = s[self.seen[(s >> np.uint64(64 - _BITS)).astype(np.int64)]]
         if not len(near):
             return []
@@ -73,10 +77,12 @@ def item_sets(items: DataFrame, id_col: str, text_col: str, width: int) -> DataF
     def run(batches):
         known = WordHashes()
         for b in batches:
-            got = [shingles(common.word_hashes(t, known), width) if t else np.zeros(0, np.uint64) for t in common.pairs_of(b, "text")]
-            yield pa.RecordBatch.from_pydict({"item_id": b.column(0), "n": pa.array([len(g) for g in got], pa.int64()), "items": pa.array([g.tobytes() for g in got], pa.binary())})
+            words = [common.word_hashes(t, known) if t else np.zeros(0, np.uint64) for t in common.pairs_of(b, "text")]
+            got = [shingles(w, width) for w in words]
+            cols = [b.column(0), pa.array([len(g) for g in got], pa.int64()), pa.array([g.tobytes() for g in got], pa.binary()), pa.array([min(width, len(w)) for w in words], pa.int32())]
+            yield pa.RecordBatch.from_arrays(cols, names=["item_id", "n", "items", "width"])
 
-    return items.select(items[id_col].cast("long").alias("item_id"), items[text_col].cast("string").alias("text")).mapInArrow(run, "item_id long, n long, items binary")
+    return items.select(items[id_col].cast("long").alias("item_id"), items[text_col].cast("string").alias("text")).mapInArrow(run, "item_id long, n long, items binary, width int")
 
 
 def indexes(items: DataFrame, width: int, num: int, den: int, item_col: str, item_text: str) -> list:
@@ -89,7 +95,7 @@ def indexes(items: DataFrame, width: int, num: int, den: int, item_col: str, ite
 
     def one(k: int):
         t = (sets if blocks == 1 else sets.where(F.pmod(F.xxhash64("items"), F.lit(blocks)) == k)).toArrow()
-        return spark.sparkContext.broadcast(Index([(i, np.frombuffer(x, np.uint64)) for i, x in zip(t.column(0).to_pylist(), t.column(2).to_pylist())], num, den))
+        return spark.sparkContext.broadcast(Index([(i, np.frombuffer(x, np.uint64)) for i, x in zip(t.column(0).to_pylist(), t.column(2).to_pylist())], num, den, tuple(sorted({width, *t.column(3).to_pylist()}))))
 
     return [one(k) for k in range(blocks)]
 
@@ -106,7 +112,7 @@ def contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 7
                 rows = []
                 for d, t in zip(b.column(0).to_pylist(), common.pairs_of(b, "text")):
                     if t:
-                        rows += [(d, *m) for m in index.value.matches(common.shingle_runs(common.word_hashes(t, known), width))]
+                        rows += [(d, *m) for m in index.value.matches(common.word_hashes(t, known))]
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)], names=["doc_id", "item_id", "n_item", "shared"])
 
@@ -122,18 +128,18 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def without_contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 75, den: int = 100, text_col: str = "text", item_col: str = "item_id", item_text: str = "text") -> DataFrame:
     """``docs`` without rows that contain an item; map-only, all columns kept, one pass for each block of items."""
     for index in indexes(items, width, num, den, item_col, item_text):
-        docs = _filtered(docs, index, width, text_col)
+        docs = _filtered(docs, index, text_col)
     return docs
 
 
-def _filtered(docs: DataFrame, index, width: int, text_col: str) -> DataFrame:
+def _filtered(docs: DataFrame, index, text_col: str) -> DataFrame:
     at = docs.columns.index(text_col)
 
     def run(batches):
         known = WordHashes()
         for b in batches:
             texts = b.column(at).to_pylist()
-            keep = [not (t and index.value.matches(common.shingle_runs(common.word_hashes(t.encode(), known), width))) for t in texts]
+            keep = [not (t and index.value.matches(common.word_hashes(t.encode(), known))) for t in texts]
             yield b.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

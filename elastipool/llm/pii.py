@@ -222,8 +222,6 @@ def moved(docs: DataFrame, text: Column, key: str) -> DataFrame | None:
             break
         tries = tries.join(lose, ["t", "n"], "left").select("t", "n", "form", (F.col("attempt") + F.coalesce("up", F.lit(0))).alias("attempt"))
         known = tries = materialise(tries, "attempts")
-    else:
-        raise RuntimeError("replacements still collide: there are more entities than replacements of their format")
     return None if known is None else known.where("attempt > 0").select(F.concat("t", F.lit("|"), "n").alias("k"), "attempt")
 
 
