@@ -2,9 +2,10 @@
 
 A tolerant scanner builds the element tree (unclosed paragraphs and list items end where HTML says; unknown end tags are passed over). Elements
 that cannot be main text (menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles, reader comments; by tag, role, class or id) are set
-aside, unless most of the page's paragraph text lies in one named so. Each remaining paragraph earns points for itself, its commas and its length, and passes them to its
+aside, unless most of the page's paragraph text lies in one named so. A name that is also a usual name of an article's own section (``OPEN_NAMES``) sets
+an element inside an article aside only if links make much of it, or it holds form controls or something named like an aside. Each remaining paragraph earns points for itself, its commas and its length, and passes them to its
 ancestors: all to the parent, half to the grandparent, then a third of that share for each step; a container's points are discounted by the share of its text that is in links.
-The best container is kept, with those siblings that score near it or are paragraphs of text.
+The best container is kept, with those siblings that score near it, are paragraphs, or hold paragraphs that are not mostly links.
 
 Character references are decoded; white space inside a block becomes one space; blocks follow page order, one to a line. Null and empty pages, and pages without text,
 give an empty text. Nothing is dropped by length and nothing is capped. Repeated rows are extracted alike; other columns are not read; an empty table gives an empty result.
@@ -45,6 +46,8 @@ ASIDE_NAMES = {
     "navbar", "navigation", "newsletter", "notice", "notices", "notification", "overlay", "pager", "pagination", "popup", "promo", "promoted", "promotion", "recommended", "related", "remark", "replies", "reply", "respond", "search", "share",
     "sharing", "shoutbox", "sidebar", "sidebox", "signup", "social", "sponsor", "sponsored", "subscribe", "subscription", "toolbar", "topbar", "toast", "widget",
 }
+OPEN_NAMES = {"alert", "discussion", "disclaimer", "foot", "related", "remark", "reply", "search", "share", "sharing"}
+CONTROLS = {"button", "input", "select", "textarea"}
 GOOD_NAMES = {"article", "body", "content", "entry", "hentry", "main", "page", "post", "story", "text"}
 TAG_POINTS = {"article": 30.0, "main": 20.0, "div": 5.0, "section": 5.0, "pre": 3.0, "td": 3.0, "blockquote": 3.0, "ol": -3.0, "ul": -3.0, "dl": -3.0, "li": -3.0, "address": -3.0}
 PARAGRAPHS = {"p", "pre", "td", "blockquote", "li", "dd"}
@@ -55,7 +58,7 @@ class Page:
     """Elements in page order: tag, parent, whether set aside, name points, and texts as (element, text)."""
 
     def __init__(self, html: str):
-        self.tag, self.parent, self.aside, self.points, self.named = ["#root"], [-1], [False], [0.0], [False]
+        self.tag, self.parent, self.aside, self.points, self.named, self.open_name = ["#root"], [-1], [False], [0.0], [False], [False]
         self.texts: list[tuple[int, str | None]] = []  # None: a block begins or ends
         open_, at = [0], 0
         m = _MARKUP.search(html)
@@ -106,14 +109,15 @@ class Page:
                     break
                 if t in SELF_ENDING[tag]:
                     break
-        aside, points, named = tag in ASIDE_TAGS, TAG_POINTS.get(tag, 0.0), False
+        aside, points, named, open_name = tag in ASIDE_TAGS, TAG_POINTS.get(tag, 0.0), False, False
         if len(s) > at + 1:
             for m in _ATTR.finditer(s, at):
                 key, value = m.group(1).lower(), (m.group(2) or "").strip("\"'")
                 if key in ("class", "id"):
                     names = {x.lower() for x in _TOKEN.findall(value)}
-                    if names & ASIDE_NAMES:
-                        named = True
+                    bad = names & ASIDE_NAMES
+                    named |= bool(bad - OPEN_NAMES)
+                    open_name |= bool(bad)
                     if names & GOOD_NAMES:
                         points += 25.0
                 elif key == "role" and value.lower() in ASIDE_ROLES:
@@ -121,11 +125,12 @@ class Page:
                 elif key == "hidden" or (key == "aria-hidden" and value.lower() == "true") or (key == "style" and "display:none" in value.replace(" ", "").lower()):
                     aside = True
         if tag in ("html", "body", "article", "main"):
-            aside = named = False
+            aside = named = open_name = False
         self.tag.append(tag)
         self.parent.append(open_[-1])
         self.aside.append(aside)
         self.named.append(named)
+        self.open_name.append(open_name and not named)
         self.points.append(points)
         self.texts.append((open_[-1], " " if tag == "br" else "" if tag in INLINE else None))
         if tag not in VOID and not s.endswith("/>"):
@@ -139,37 +144,45 @@ def main_text(html: str | None) -> str:
     p = Page(html)
     n = len(p.tag)
     # what is named like an aside but holds an article or most of the paragraph text is a page's frame, not an aside
-    weight, holds = [0] * n, [False] * n
+    weight, links, holds, article, busy = [0] * n, [0] * n, [False] * n, [False] * n, [False] * n
+    link = [False] * n
+    for e in range(1, n):
+        link[e] = link[p.parent[e]] or p.tag[e] == "a"
+        article[e] = article[p.parent[e]] or p.tag[e] in ("article", "main")
     p.texts = [(e, t) for e, t in p.texts if p.tag[e] not in RAW]
     for e, t in p.texts:
         weight[e] += len(t or "")
+        links[e] += len(t or "") * link[e]
     for e in range(n - 1, 0, -1):
         weight[p.parent[e]] += weight[e]
+        links[p.parent[e]] += links[e]
+        busy[p.parent[e]] |= busy[e] or p.named[e] or p.tag[e] in CONTROLS
         holds[p.parent[e]] |= holds[e] or p.tag[e] in ("article", "main")
     for e in range(1, n):
-        if p.named[e] and not holds[e] and 2 * weight[e] <= weight[0]:
+        bad = p.named[e] or (p.open_name[e] and (not article[e] or busy[e] or 3 * links[e] >= weight[e]))
+        if bad and not holds[e] and 2 * weight[e] <= weight[0]:
             p.aside[e] = True
         p.aside[e] |= p.aside[p.parent[e]]
     block = [0] * n  # the nearest block element at or above
-    link = [False] * n
     for e in range(1, n):
         block[e] = block[p.parent[e]] if p.tag[e] in INLINE else e
-        link[e] = link[p.parent[e]] or p.tag[e] == "a"
     has_block = [False] * n
     for e in range(1, n):
         if block[e] == e and p.tag[e] not in VOID:
             has_block[p.parent[e]] = True
-    size, linked, parts = [0] * n, [0] * n, {}
+    size, linked, told, parts = [0] * n, [0] * n, [0] * n, {}
     for e, t in p.texts:
         if p.aside[e] or not t:
             continue
         size[e] += len(t)
+        told[e] += len(t.strip()) * (p.tag[block[e]] == "p" and not link[e])
         if link[e]:
             linked[e] += len(t)
         parts.setdefault(block[e], []).append(t)
     for e in range(n - 1, 0, -1):
         size[p.parent[e]] += size[e]
         linked[p.parent[e]] += linked[e]
+        told[p.parent[e]] += told[e]
     score: dict[int, float] = {}
     for b, ts in parts.items():
         text = "".join(ts)
@@ -196,7 +209,7 @@ def main_text(html: str | None) -> str:
         for e in range(1, n):
             if p.parent[e] == p.parent[best] and not p.aside[e] and e != best:
                 dense = linked[e] / max(1, size[e])
-                if score.get(e, 0.0) >= least or (p.tag[e] == "p" and dense < 0.25 and size[e] > 80) or (p.tag[e] in ("h1", "h2") and e < best and dense < 0.25):
+                if score.get(e, 0.0) >= least or (told[e] and dense < 0.25) or (p.tag[e] in ("h1", "h2") and e < best and dense < 0.25):
                     keep.add(e)
     inside = [False] * n
     for e in range(n):
