@@ -13,12 +13,13 @@ Words of every whole text become a set of shingle hashes; two texts link when ``
 3. *Answers of one set per list*: the set of a list that holds most frequent shingles is verified against each other member: linear in the list, however
    long it is. Links so found give first components.
    Verification reads a quarter of each set first, and whole sets only where the quarters leave a link possible; whole sets are made again from the
-   texts that have them, by a merge join at any size of input.
+   texts that have them.
 4. *Answers derived incrementally*: other pairs of a list matter only between components. The known overlaps with the list's first
    set bound the overlap of any two others from both sides: pairs certain to link or certain not to are decided without reading
    sets; position blocks and size bounds skip others; what is left is verified exactly.
 
-Sizes sent to all tasks: the frequent shingles, at most ``HOT_CAP``. Lists of frequent shingles stay whole: they come last in the
+Sizes sent to all tasks: the frequent shingles, at most ``HOT_CAP``, and ids of documents whose whole sets are wanted, at most ``SENT``; where there are
+more, texts and ids meet in a merge join. Lists of frequent shingles stay whole: they come last in the
 order. Long lists (``MANY`` sets or more) of one first set are compared as one group, block against block over many tasks: certain links first, then
 matrix products that give all overlaps of two blocks for the sets that still have an open pair; only links that join components leave.
 Joins on a component or a set keep one narrow row a distinct text, which the runtime's skew handling splits.
@@ -44,6 +45,8 @@ from elastipool.llm.common import WordHashes, components, discard, materialise,
 HOT_CAP, HOT_LEAST, BLOCK, FLUSH = 1 << 20, 16, 2048, 1 << 21
 #: Lists of so many sets are compared as whole groups, in blocks of so many sets; columns of a block's matrix.
 MANY, SETS, COLUMNS = 32, 512, 4096
+#: Most ids of documents sent to all tasks (16 bytes each).
+SENT = 1 << 20
 LOW, QUARTER = np.uint64((1 << 64) // 3), np.uint64(1 << 62)
 SIGN = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("sid", pa.int64()), ("bucket", pa.int32()), ("low", pa.binary())])
 QUARTERS = [("own", pa.int64()), ("size", pa.int64()), ("items", pa.binary())]
@@ -337,7 +340,8 @@ def _bounded(pairs: DataFrame, sets: DataFrame, whole: bool) -> DataFrame:
     """Bounds lo <= overlap <= hi of pairs(a, b) of set ids, from tables of whole sets or of their quarters."""
     left = sets.select(F.col("sid").alias("b"), F.col("n").alias("m"), F.col("items").alias("y"))
     right = sets.select(F.col("sid").alias("a"), "n", F.col("items").alias("x"))
-    return pairs.join(left, "b").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(_overlaps(whole), BOUNDS_DDL)
+    # merge joins at any size: what is shuffled grows with the input, without a step where a side outgrows a broadcast
+    return pairs.hint("merge").join(left, "b").hint("merge").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(_overlaps(whole), BOUNDS_DDL)
 
 
 def _rest(num, den):
@@ -446,17 +450,19 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     first = materialise(lists.select("sid", "n", "pos").mapInArrow(_first_pairs(num, den), "a long, b long").distinct(), "first")
     reps = sigs.where("sid is not null and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"))
 
-    def sets_of(sids: DataFrame, always: bool) -> DataFrame:
-        """Sets by id, made again from the texts that have them."""
+    def sets_of(sids: DataFrame) -> DataFrame:
+        """Sets by id, made again from the texts that have them; these stay where they are as long as there are ``SENT`` ids at most."""
         chosen = reps.join(sids.distinct(), "sid").select(F.col("rep").alias("doc_id"), F.col("sid").alias("want"))
-        return materialise(src.join(chosen.hint("merge") if always else chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width), "sid long, n long, items binary"), "sets", "snappy")
+        chosen = materialise(chosen, "chosen")
+        chosen = chosen.hint("broadcast" if chosen.count() <= SENT else "merge")
+        return materialise(src.join(chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width), "sid long, n long, items binary"), "sets", "snappy")
 
     ends = lambda pairs: pairs.select(F.explode(F.array("a", "b")).alias("sid"))
     may = (F.col("hi") * den) >= (F.col("n") + F.col("m") - F.col("hi")) * num
     link = (F.col("lo") * den) >= (F.col("n") + F.col("m") - F.col("lo")) * num
     rough = materialise(_bounded(first, quarters, False), "rough")
     near = rough.where(may).select("a", "b")
-    sets = sets_of(ends(near).union(lists.where(F.col("m") >= MANY).select(F.explode("sid"))), True)
+    sets = sets_of(ends(near).union(lists.where(F.col("m") >= MANY).select(F.explode("sid"))))
     known = materialise(rough.where(~may).unionByName(_bounded(near, sets, True)), "known")
     links = known.where(link).select("a", "b")
     comp = components(links)
@@ -492,7 +498,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     rough_late = materialise(_bounded(left, quarters, False), "rough")
     near_late = rough_late.where(may).select("a", "b")
     missing = materialise(ends(near_late).distinct().join(sets.select("sid"), "sid", "left_anti"), "missing")
-    every = sets if missing.isEmpty() else sets.unionByName(sets_of(missing, False))
+    every = sets if missing.isEmpty() else sets.unionByName(sets_of(missing))
     late = materialise(_bounded(near_late, every, True), "late")
     # rows that share an id are one document, so their sets belong together
     of_id = sigs.where("sid is not null and doc_id is not null").groupBy("doc_id").agg(F.min("sid").alias("a"), F.max("sid").alias("z")).where("a <> z").select("doc_id", "a")
