@@ -37,9 +37,9 @@ def clip(n, cfg: RunConfig) -> Column:
 
 
 def delta(q, busy, n, t, t_last, cfg: RunConfig) -> Column:
-    """Change of the pool: at most ``step`` up inside the bounds, at most ``step_down`` idle workers down, 0 while cooling down."""
+    """Change of the pool: at most ``step`` up inside the bounds, at most ``step_down`` workers down (idle ones, unless the pool drains), 0 while cooling down."""
     up = F.least(F.lit(cfg.step), F.lit(cfg.n_max) - _c(n))
-    down = -F.least(F.lit(cfg.step_down), _c(n) - cfg.n_min, _c(n) - _c(busy))
+    down = -F.least(F.lit(cfg.step_down), _c(n) - cfg.n_min, *([] if cfg.retire == "drain" else [_c(n) - _c(busy)]))
     return F.when(~cooled(t, t_last, cfg), 0).when(c_up(q, busy, n, cfg), up).when(c_down(q, busy, n, cfg), down).otherwise(0).cast("int")
 
 
@@ -51,7 +51,7 @@ def step(q: int, busy: int, n: int, t: int, t_last: int, cfg) -> int:
     if (cfg.use_queue and q > cfg.queue_hi) or (cfg.use_util and signal * 1000 > n * cfg.util_hi_pm):
         return min(cfg.step, cfg.n_max - n)
     if q == 0 and signal * 1000 < n * cfg.util_lo_pm:
-        return -min(cfg.step_down, n - cfg.n_min, n - busy)
+        return -min(cfg.step_down, n - cfg.n_min, *([] if cfg.retire == "drain" else [n - busy]))
     return 0
 
 

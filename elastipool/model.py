@@ -33,6 +33,7 @@ class RunConfig:
     use_util: bool = True
     cpu_share_pm: int = 0
     spinup_ms: int = 0
+    retire: str = "idle"  # or "drain": busy workers may be told to leave after their task
 
     def but(self, **changes) -> RunConfig:
         return replace(self, **changes)
@@ -57,7 +58,7 @@ SEQUENTIAL = RunConfig(run_id="sequential", n_init=1, n_min=1, n_max=1, autoscal
 PEAK = RunConfig(run_id="peak", n_init=8, n_min=8, n_max=8, autoscale=False)
 
 #: Service model of each role: fixed part in ms and microseconds a character; calibrated so that the fast role takes 13.7 s on average.
-ROLES = {"zs_fast": (12_000, 700), "zs_heavy": (36_000, 2100), "zs_weak": (12_000, 700), "supervised": (6000, 350)}
+ROLES = {"zs_fast": (12_000, 700), "zs_heavy": (36_000, 2100), "zs_weak": (12_000, 700), "supervised": (6000, 350), "majority": (1000, 0), "hash": (1000, 0)}
 
 #: Words that speak for a label, in label order; ties go to the earlier label.
 LEXICON = {
@@ -70,6 +71,18 @@ LEXICON = {
     "toxic": {"ok": (), "toxic": ("idiot", "moron", "stupid", "trash", "loser", "scum", "clown", "worthless", "pathetic", "disgusting")},
     "quality": {"clean": (), "junk": ()},
 }
+#: Letter groups that speak for a language, and beginnings of words that speak for toxicity: the further evidence of the heavy role.
+HINTS = {
+    "lang": {
+        "de": ("sch", "ung$", "ß", "ä", "ö", "ü", "^ge", "ich"), "en": ("th", "ing$", "^wh", "ght", "ly$", "ed$"),
+        "es": ("ción", "ñ", "^ll", "ado$", "dad$", "á", "ó", "í"), "fr": ("eau", "ç", "ê", "è", "aux$", "ment$", "oi"),
+    },
+    "toxic": {"ok": (), "toxic": ("^idiot", "^moron", "^stup", "^trash", "^loser", "^scum", "^clown", "^worthl", "^pathet", "^disgust")},
+}
+#: What one word of the lexicon counts for, against one of a hint.
+WORD_WEIGHT = 3
+#: Shape rules, per mille: least share of letters, and least share of different words.
+LETTERS_PM, DIFFERENT_PM = 735, 450
 #: The class taken without evidence, and the class whose recall is watched.
 DEFAULT = {"lang": "en", "toxic": "ok", "quality": "clean"}
 POSITIVE = {"toxic": "toxic", "quality": "junk"}

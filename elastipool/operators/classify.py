@@ -1,63 +1,97 @@
 """Pluggable classifiers: text in, label out, map-only where the model allows it. None of them sees the queue.
 
-Roles stand in for language models that are not here: a lexicon that votes by phrases (fast), the same with shape evidence (heavy), a scorer that only knows label
-names (weak), and multinomial naive Bayes trained on the split (supervised). Their accuracy is theirs.
+Roles stand in for language models that are not here: a lexicon that votes by words (fast), the lexicon with letter groups of every word, or both shape
+rules (heavy), a scorer that only knows label names (weak), and multinomial naive Bayes trained on the split (supervised). Their accuracy is theirs.
+A text is split into words once, whatever the number of labels.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from elastipool.model import DEFAULT, LEXICON
+from elastipool.model import DEFAULT, DIFFERENT_PM, HINTS, LETTERS_PM, LEXICON, WORD_WEIGHT
 from elastipool.session import ship
 
 ERROR = "__error__"
 TOKEN = r"[^\p{L}]+"
 
 
+def let(value: Column, f: Callable[[Column], Column]) -> Column:
+    """``f(value)`` with the value computed once, however often f uses it."""
+    return F.transform(F.array(value), f)[0]
+
+
 def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), TOKEN), lambda t: t != "")
 
 
 def votes(text: Column, words: tuple[str, ...]) -> Column:
-    return F.size(F.filter(tokens(text), lambda t: t.isin(*words))) if words else F.lit(0)
+    return count_of(tokens(text), words)
+
+
+def count_of(tok: Column, words: tuple[str, ...]) -> Column:
+    return F.size(F.filter(tok, lambda t: t.isin(*words))) if words else F.lit(0)
 
 
 def argmax(scores: list[tuple[str, Column]], default: str) -> Column:
     """Label of the highest score; ties to the earlier label, the default without any score."""
-    best = F.greatest(*[s for _, s in scores]) if len(scores) > 1 else scores[0][1]
-    out = F.lit(default)
-    for label, s in reversed(scores):
-        out = F.when(s == best, label).otherwise(out)
-    return F.when(best <= 0, default).otherwise(out)
+    rows = F.array(*[F.struct(s.alias("s"), F.lit(-k).alias("o"), F.lit(y).alias("y")) for k, (y, s) in enumerate(scores)])
+    return let(F.array_max(rows), lambda b: F.when(b["s"] <= 0, default).otherwise(b["y"]))
 
 
 def zs_fast(task: str, text: Column | None = None) -> Column:
+    """Words of the lexicon; for quality, which has no words of its own, one shape rule."""
     text = F.col("text") if text is None else text
-    return argmax([(y, votes(text, w)) for y, w in LEXICON[task].items()], DEFAULT[task])
+    if task == "quality":
+        return F.when(few_letters(text), "junk").otherwise("clean")
+    return let(tokens(text), lambda tok: argmax([(y, count_of(tok, w)) for y, w in LEXICON[task].items()], DEFAULT[task]))
 
 
 def zs_weak(task: str, text: Column | None = None) -> Column:
     """Label names only."""
     text = F.col("text") if text is None else text
-    return argmax([(y, votes(text, (y,))) for y in LEXICON[task]], DEFAULT[task])
+    return let(tokens(text), lambda tok: argmax([(y, count_of(tok, (y,))) for y in LEXICON[task]], DEFAULT[task]))
+
+
+def few_letters(text: Column) -> Column:
+    return F.length(F.regexp_replace(text, r"[^\p{L}]", "")) * 1000 < F.length(text) * LETTERS_PM
 
 
 def shape_junk(text: Column | None = None) -> Column:
     """'junk' by shape: few letters, or few different words."""
     text = F.col("text") if text is None else text
-    letters = F.length(F.regexp_replace(text, r"[^\p{L}]", ""))
-    t = tokens(text)
-    return F.when((letters * 1000 < F.length(text) * 735) | (F.size(F.array_distinct(t)) * 1000 < F.size(t) * 450), "junk").otherwise("clean")
+    same = let(tokens(text), lambda t: F.size(F.array_distinct(t)) * 1000 < F.size(t) * DIFFERENT_PM)
+    return F.when(few_letters(text) | same, "junk").otherwise("clean")
+
 
+def hint_pattern(hints: tuple[str, ...]) -> str:
+    return "|".join(hints)
 
-def zs_heavy(task: str) -> Column:
-    """More evidence: shape rules for quality, lexicon hits outside the sentence frame for the rest."""
-    return shape_junk() if task == "quality" else zs_fast(task)
+
+def zs_heavy(task: str, text: Column | None = None) -> Column:
+    """More evidence, and none of it from labels: both shape rules for quality; else words of the lexicon, weighted, and all words that hold a letter group of the label."""
+    text = F.col("text") if text is None else text
+    if task == "quality":
+        return shape_junk(text)
+
+    def score(tok, y):
+        hints = HINTS[task][y]
+        more = F.size(F.filter(tok, lambda t: t.rlike(hint_pattern(hints)))) if hints else F.lit(0)
+        return count_of(tok, LEXICON[task][y]) * WORD_WEIGHT + more
+
+    return let(tokens(text), lambda tok: argmax([(y, score(tok, y)) for y in LEXICON[task]], DEFAULT[task]))
+
+
+def hash_label(task: str, id_col: str = "doc_id") -> Column:
+    """A label drawn by hash of the id: the floor that any classifier must beat."""
+    labels = list(LEXICON[task])
+    n = F.conv(F.substring(F.md5(F.col(id_col).cast("string")), 1, 4), 16, 10).cast("int") % len(labels)
+    return F.element_at(F.array(*map(F.lit, labels)), n + 1)
 
 
 def majority(train: DataFrame) -> DataFrame:
@@ -125,6 +159,16 @@ def guarded(docs: DataFrame, make: Callable[[], Callable[[str], str]], id_col: s
     return docs.select(id_col, "text").mapInPandas(run, "doc_id long, y_hat string, ok boolean, err string")
 
 
+def external_batch(docs: DataFrame, make: Callable[[], Callable[[np.ndarray], np.ndarray]], features: Column, width: int, batch: int = 512) -> DataFrame:
+    """(doc_id, y_hat int) of a model over feature vectors, loaded once a worker and called on whole batches."""
+    from pyspark.ml.functions import predict_batch_udf
+    from pyspark.sql.types import IntegerType
+
+    ship(docs.sparkSession)
+    f = predict_batch_udf(make, return_type=IntegerType(), batch_size=batch, input_tensor_shapes=[[width]])
+    return docs.select("doc_id", f(features).alias("y_hat"))
+
+
 def faulty(id_col: str = "doc_id", digit: str = "0") -> Column:
     """Rows chosen to fail: those whose digest starts with a hexadecimal digit (one in 16)."""
     return F.substring(F.md5(F.col(id_col).cast("string")), 1, 1) == digit

@@ -163,17 +163,44 @@ def _predicted(rows, cfg, alpha_pm):
     return out
 
 
+#: Rows with fewer lexicon hits than this are unsure; delay of the way between two places, in ms.
+UNSURE, LINK_MS = 20, 250
+
+
+def _unsure(spark: SparkSession, sf_dir: str, tasks: DataFrame) -> DataFrame:
+    """Tasks without evidence: fewer lexicon hits of any label than ``UNSURE``."""
+    from elastipool.model import LEXICON
+    from elastipool.sources import ingest
+
+    docs = ingest.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("task_id"), "text")
+    hits = classify.let(classify.tokens(F.col("text")), lambda tok: sum((classify.count_of(tok, ws) for ws in LEXICON["lang"].values()), F.lit(0)))
+    return tasks.select("task_id").join(docs, "task_id").where(hits < UNSURE).select("task_id")
+
+
+def _totals(df: DataFrame) -> DataFrame:
+    return df.groupBy("run_id").agg(F.count("*").alias("n"), F.max("finish_ms").alias("end_ms"), F.sum("wait_ms").alias("wait_ms"))
+
+
 def heterogeneous(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two tiers: a fast pool takes all rows; those without evidence (no lexicon hit of any label) go on to a heavy pool. One row a tier."""
-    from elastipool.model import FIGURE, LEXICON, STATIC2
+    """Two tiers: a fast pool takes all rows; those without evidence go on to a heavy pool. One row a tier."""
+    from elastipool.model import FIGURE, STATIC2
     from elastipool.plans import runs
-    from elastipool.sources import ingest
 
     t = runs.tasks(spark, sf_dir)
-    docs = ingest.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("task_id"), "text")
-    hits = sum((classify.votes(F.col("text"), w) for w in LEXICON["lang"].values()), F.lit(0))
-    unsure = t.select("task_id").join(docs, "task_id").where(hits < 20).select("task_id")
     fast = kernel.results(kernel.simulate(t, [FIGURE.but(run_id="fast")]))
-    second = fast.join(unsure, "task_id").select("shard", "task_id", "seq", "prio", F.col("finish_ms").alias("enq_ms"), (F.col("svc_ms") * 3).alias("svc_ms"))
-    heavy = kernel.results(kernel.simulate(second, [STATIC2.but(run_id="heavy")]))
-    return fast.unionByName(heavy).groupBy("run_id").agg(F.count("*").alias("n"), F.max("finish_ms").alias("end_ms"), F.sum("wait_ms").alias("wait_ms"))
+    second = fast.join(_unsure(spark, sf_dir, t), "task_id").select("shard", "task_id", "seq", "prio", F.col("finish_ms").alias("enq_ms"), (F.col("svc_ms") * 3).alias("svc_ms"))
+    return _totals(fast.unionByName(kernel.results(kernel.simulate(second, [STATIC2.but(run_id="heavy")]))))
+
+
+def edge_cloud(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Placement: a small fixed pool at the edge takes every row; unsure ones travel to an elastic pool in the cloud, which serves faster, and back. One row a place, each
+    task counted where it ends, at the time its answer is at the edge."""
+    from elastipool.model import FIGURE, STATIC2
+    from elastipool.plans import runs
+
+    t = runs.tasks(spark, sf_dir)
+    edge = kernel.results(kernel.simulate(t, [STATIC2.but(run_id="edge")]))
+    far = _unsure(spark, sf_dir, t)
+    second = edge.join(far, "task_id").select("shard", "task_id", "seq", "prio", (F.col("finish_ms") + LINK_MS).alias("enq_ms"), F.greatest(F.expr("svc_ms * 700 div 1000"), F.lit(1)).alias("svc_ms"))
+    cloud = kernel.results(kernel.simulate(second, [FIGURE.but(run_id="cloud")])).withColumn("finish_ms", F.col("finish_ms") + LINK_MS)
+    return _totals(edge.join(far, "task_id", "left_anti").select("run_id", "finish_ms", "wait_ms").unionByName(cloud.select("run_id", "finish_ms", "wait_ms")))

@@ -28,6 +28,7 @@ def run_queue(tasks: list[tuple[int, int, int, int]], cfg) -> tuple[dict[int, tu
     """tasks (seq, prio, enq, svc) in sequence order -> {seq: (start, finish, worker)}, polls as (j, t, q, busy, n, delta, n_after, done, t_last)."""
     idle = list(range(1, cfg.n_init + 1))
     running: list[tuple[int, int]] = []  # (finish, worker)
+    leaving: set[int] = set()  # busy workers that go after their task and no longer count
     waking: list[tuple[int, int]] = []  # (ready, worker) of workers that are still starting
     queue: list[tuple[int, int, int]] = []
     out: dict[int, tuple[int, int, int]] = {}
@@ -45,7 +46,11 @@ def run_queue(tasks: list[tuple[int, int, int, int]], cfg) -> tuple[dict[int, tu
         wake = waking[0][0] if waking else far
         t = min(arrive, finish, wake, poll)
         if finish == t:
-            heapq.heappush(idle, heapq.heappop(running)[1])
+            worker = heapq.heappop(running)[1]
+            if worker in leaving:
+                leaving.remove(worker)
+            else:
+                heapq.heappush(idle, worker)
             done, last = done + 1, t
         elif wake == t:
             heapq.heappush(idle, heapq.heappop(waking)[1])
@@ -53,14 +58,17 @@ def run_queue(tasks: list[tuple[int, int, int, int]], cfg) -> tuple[dict[int, tu
             heapq.heappush(queue, (tasks[at][1], tasks[at][0], tasks[at][3]))
             at += 1
         else:
-            q, busy = len(queue), len(running)
+            q, busy = len(queue), len(running) - len(leaving)
             d = step(q, busy, n, t, t_last, cfg)
             after = n + d
             for _ in range(d):
                 heapq.heappush(waking, (t + cfg.spinup_ms, next_id)) if cfg.spinup_ms else heapq.heappush(idle, next_id)
                 next_id += 1
             for _ in range(-d):
-                pool = idle if idle else [w for _, w in waking]
+                pool = idle or [w for _, w in waking]
+                if not pool:
+                    leaving.add(max(w for _, w in running if w not in leaving))
+                    continue
                 gone = max(pool)
                 idle = [w for w in idle if w != gone]
                 waking = [x for x in waking if x[1] != gone]
@@ -80,7 +88,8 @@ def run_queue(tasks: list[tuple[int, int, int, int]], cfg) -> tuple[dict[int, tu
 def _group(pdf: pd.DataFrame) -> pd.DataFrame:
     pdf = pdf.sort_values("seq", kind="stable")
     first = pdf.iloc[0]
-    cfg = SimpleNamespace(**{c[4:]: bool(first[c]) if c[4:] in ("autoscale", "use_queue", "use_util") else int(first[c]) for c in pdf.columns if c.startswith("cfg_")})
+    kind = {"autoscale": bool, "use_queue": bool, "use_util": bool, "retire": str}
+    cfg = SimpleNamespace(**{c[4:]: kind.get(c[4:], int)(first[c]) for c in pdf.columns if c.startswith("cfg_")})
     # arrivals may be out of sequence order (random or re-timed ones): the event list goes by time, then sequence
     rows = sorted(zip(pdf.seq.tolist(), pdf.prio.tolist(), pdf.enq_ms.tolist(), pdf.svc_ms.tolist()), key=lambda r: (r[2], r[0]))
     out, polls = run_queue(rows, cfg)

@@ -90,13 +90,49 @@ def queue_trace(results: DataFrame, n: int = N_MARKS) -> DataFrame:
     return as_of(marks(results, n), depth_changes(results), "q").select("run_id", "mark", "t_ms", "q")
 
 
-def worker_trace(results: DataFrame, polls: DataFrame, n: int = N_MARKS) -> DataFrame:
-    """Pool size at each mark: the last poll's, the first poll's n_before ahead of it."""
+def worker_trace(results: DataFrame, polls: DataFrame, n: int = N_MARKS, n_fixed: DataFrame | None = None) -> DataFrame:
+    """Pool size at each mark: the last poll's, the first poll's n_before ahead of it; pools without polls are of fixed size (run_id, n)."""
     first = polls.where("j = 1").select("run_id", F.lit(-1).cast("long").alias("t_ms"), F.col("n_before").cast("long").alias("n"))
     steps = first.union(polls.select("run_id", "t_ms", F.col("n_after").cast("long")))
+    if n_fixed is not None:
+        steps = steps.union(n_fixed.select("run_id", F.lit(-1).cast("long"), F.col("n").cast("long")))
     return as_of(marks(results, n), steps, "n").select("run_id", "mark", "t_ms", "n")
 
 
+def busy_changes(results: DataFrame) -> DataFrame:
+    """(run_id, t_ms, busy): workers that serve after all changes of a millisecond."""
+    ch = results.select("run_id", F.col("start_ms").alias("t_ms"), F.lit(1).alias("d")).union(results.select("run_id", "finish_ms", F.lit(-1)))
+    ch = ch.groupBy("run_id", "t_ms").agg(F.sum("d").alias("d"))
+    return ch.withColumn("busy", F.sum("d").over(Window.partitionBy("run_id").orderBy("t_ms"))).select("run_id", "t_ms", "busy")
+
+
+def utilisation_trace(results: DataFrame, polls: DataFrame, n_fixed: DataFrame | None = None, n: int = N_MARKS) -> DataFrame:
+    """Busy share of the pool at each mark, per mille."""
+    busy = as_of(marks(results, n), busy_changes(results), "busy")
+    j = busy.join(worker_trace(results, polls, n, n_fixed).select("run_id", "mark", F.col("n").alias("pool")), ["run_id", "mark"])
+    return j.select("run_id", "mark", "t_ms", "busy", F.floor(F.col("busy") * 1000 / F.col("pool")).cast("long").alias("util_pm"))
+
+
+def outcome_counts(grid: DataFrame, outcomes: DataFrame) -> DataFrame:
+    """Completed and failed tasks up to each time of ``grid`` (run_id, t_ms, ...), from outcomes (run_id, finish_ms, ok)."""
+    ch = outcomes.groupBy("run_id", F.col("finish_ms").alias("t_ms")).agg(F.count("*").alias("c"), F.sum(F.when(F.col("ok"), 0).otherwise(1)).alias("f"))
+    w = Window.partitionBy("run_id").orderBy("t_ms")
+    steps = ch.select("run_id", "t_ms", F.sum("c").over(w).alias("done"), F.sum("f").over(w).alias("failed"))
+    return as_of(as_of(grid, steps, "done"), steps, "failed")
+
+
+def fault_score(outcomes: DataFrame, faulty: Column) -> DataFrame:
+    """Of the rows that were not made to fail, the share that completed without an error, by run; failures come from the outcomes."""
+    fine = F.sum(F.when(faulty, 0).otherwise(1)).cast("long")
+    kept = F.sum(F.when(~faulty & F.col("ok") & F.col("finish_ms").isNotNull(), 1).otherwise(0)).cast("long")
+    return outcomes.groupBy("run_id").agg(fine.alias("fine"), kept.alias("unharmed"), F.sum(F.when(F.col("ok"), 0).otherwise(1)).cast("long").alias("failed"))
+
+
+def class_line(pred: DataFrame) -> DataFrame:
+    """(run_id, per_class): accuracy of each class, as one text a run."""
+    c = per_class(pred).select("run_id", F.concat_ws("=", "y", F.format_number("accuracy", 4)).alias("v"))
+    return c.groupBy("run_id").agg(F.array_join(F.array_sort(F.collect_list("v")), " ").alias("per_class"))
+
 def queue_summary(results: DataFrame) -> DataFrame:
     """Peak depth, its mean over the run, and the time from the last arrival until the queue is empty for good."""
     d = depth_changes(results)

@@ -9,6 +9,10 @@ from elastipool.functions import control
 from elastipool.model import NEVER, RunConfig
 
 
+#: The fold's result grows by copying, so its cost is quadratic: longer shards go to the kernel.
+FOLD_ROWS = 5000
+
+
 def order(tasks: DataFrame) -> DataFrame:
     """Dispatch position when all tasks are present: (priority, sequence) inside a shard."""
     return tasks.withColumn("pos", F.row_number().over(Window.partitionBy("run_id", "shard").orderBy("prio", "seq")))
@@ -31,7 +35,7 @@ def fifo_equal(tasks: DataFrame, workers: int, svc_ms: int) -> DataFrame:
 
 
 def fifo_fold(tasks: DataFrame, workers: int) -> DataFrame:
-    """A pool under first in first out as a fold over a shard's arrivals: the worker free first takes the next task. One array a shard: keep shards below a million tasks."""
+    """A pool under first in first out as a fold over a shard's arrivals: the worker free first takes the next task. One array a shard of at most ``FOLD_ROWS`` tasks."""
     rows = F.array_sort(F.collect_list(F.struct("seq", "task_id", "prio", "enq_ms", "svc_ms")))
     start = F.struct(F.array_repeat(F.lit(0).cast("long"), workers).alias("free"), F.array().cast("array<struct<seq:bigint,task_id:bigint,prio:int,enq_ms:bigint,svc_ms:bigint,start_ms:bigint,worker_id:int>>").alias("out"))
 
@@ -59,7 +63,7 @@ def choose(cfg: RunConfig, constant_service: bool, fifo: bool, rows_per_shard: i
         return "sequential"
     if constant_service:
         return "fifo_equal"
-    return "fifo_fold" if rows_per_shard <= 1_000_000 else "kernel"
+    return "fifo_fold" if rows_per_shard <= FOLD_ROWS else "kernel"
 
 
 def depth_changes(results: DataFrame) -> DataFrame:

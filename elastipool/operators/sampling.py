@@ -51,11 +51,37 @@ def proportional(df: DataFrame, n: int = N_EVAL, seed: int = SEED) -> DataFrame:
     return top.join(F.broadcast(q), "y").where("r <= quota").select("doc_id", "y", "n_chars", "source", "text_md5", "r")
 
 
-def approximate(df: DataFrame, fractions: dict[str, float], seed: int = SEED) -> DataFrame:
-    """One map-only pass: each row stays with its class's probability, by hash."""
-    share = F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1_000_000)) / 1e6
-    limit = F.coalesce(*[F.when(F.col("y") == y, F.lit(f)) for y, f in fractions.items()])
-    return df.where(share < limit)
+def approximate(df: DataFrame, n: int = N_EVAL, seed: int = SEED, margin: float = 1.2) -> DataFrame:
+    """The balanced sample by a first map-only cut: of each class only rows whose key lies in the least ``margin * n / size`` of its range go on to be ranked.
+    Where that leaves a class short, its rows are ranked in full, so the sample is always the balanced one. Sizes are one row a class."""
+    sizes = distinct_texts(df).groupBy("y").agg(F.count("*").alias("c"))
+    least = {r.y: int(min(1.0, margin * n / r.c + 8 / r.c) * (1 << 32)) for r in sizes.collect()}
+    if not least:
+        return balanced(df, n, seed)
+    limit = F.create_map(*[F.lit(x) for p in least.items() for x in p])
+    at = F.conv(F.substring(key(seed), 1, 8), 16, 10).cast("long")
+    kept = df.where(at <= F.element_at(limit, F.col("y"))).select(F.md5("text").alias("text_md5"), "doc_id", "y", "n_chars", "source")
+    # a kept row stands for its text only if it is the text's first row; the digests looked up are few, by the cut
+    first = df.select(F.md5("text").alias("text_md5"), "doc_id").join(kept.select("text_md5").distinct(), "text_md5", "left_semi").groupBy("text_md5").agg(F.min("doc_id").alias("doc_id"))
+    reps = kept.join(first, ["text_md5", "doc_id"], "left_semi")
+    per_class = class_sizes(distinct_texts(df), n)
+    enough = reps.groupBy("y").agg(F.count("*").alias("c")).agg(F.min("c").alias("c"), F.count("*").alias("k")).crossJoin(per_class).first()
+    if enough is None or enough.k < len(least) or enough.c < enough.per_class:
+        return balanced(df, n, seed)
+    rank = F.row_number().over(Window.partitionBy("y").orderBy(key(seed), "doc_id"))
+    return reps.withColumn("r", rank).where(F.col("r") <= enough.per_class).select("doc_id", "y", "n_chars", "source", "text_md5", "r")
+
+
+def normalised(text: Column) -> Column:
+    """Digest of a text without case, punctuation and spacing."""
+    return F.md5(F.regexp_replace(F.lower(text), r"[^\p{L}]+", " "))
+
+
+def leakage_normalised(train: DataFrame, sample: DataFrame, docs: DataFrame) -> DataFrame:
+    """Training rows whose normalised text is also that of a sample row. Digests are joined, texts stay where they are."""
+    d = docs.select("doc_id", normalised(F.col("text")).alias("norm"))
+    seen = d.join(sample.select("doc_id"), "doc_id", "left_semi").select("norm")
+    return d.join(train.select("doc_id"), "doc_id", "left_semi").join(seen, "norm", "left_semi").agg(F.count("*").alias("shared_normalised"))
 
 
 def train_split(df: DataFrame, sample: DataFrame, n: int = N_TRAIN, seed: int = SEED) -> DataFrame:

@@ -15,7 +15,7 @@ from elastipool.session import materialise
 
 
 def priority(kind: str) -> Column:
-    """'source', 'label' (this leaks the label), 'event', 'order' or 'const'."""
+    """'source', 'label' (this leaks the label), 'event', 'role', 'order' or 'const'."""
     if kind == "source":
         return (F.regexp_extract("source", "([0-9]+)", 1).cast("int") % 3 + 1).cast("int")
     if kind == "label":
@@ -25,6 +25,8 @@ def priority(kind: str) -> Column:
         for name, p in EVENT_PRIORITY.items():
             out = F.when(F.col("event_type") == name, p).otherwise(out)
         return out.cast("int")
+    if kind == "role":
+        return F.when(F.col("role") == "user", 1).otherwise(2).cast("int")
     if kind == "order":
         return F.substring("o_orderpriority", 1, 1).cast("int")
     return F.lit(1).cast("int")
@@ -81,7 +83,7 @@ def warp(df: DataFrame, spec: ArrivalSpec, *order: str) -> DataFrame:
 
 def poisson(tasks_: DataFrame, spec: ArrivalSpec, seed: int = SEED) -> DataFrame:
     """Random gaps of the same mean rates from hash uniforms; times are running sums inside a shard."""
-    u = (F.pmod(F.xxhash64("task_id", F.lit(seed)), F.lit(999_983)) + 1) / 999_984.0
+    u = (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("task_id").cast("string"))), 1, 8), 16, 10).cast("long") + 1) / 4294967297.0
     gap = F.lead("enq_ms", 1).over(Window.partitionBy("shard").orderBy("seq")) - F.col("enq_ms")
     w = Window.partitionBy("shard").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
     return tasks_.withColumn("gap", F.round(-F.log(u) * F.coalesce(gap, F.lit(0))).cast("long")).withColumn("enq_ms", F.coalesce(F.sum("gap").over(w), F.lit(0)).cast("long")).drop("gap")
@@ -90,3 +92,25 @@ def poisson(tasks_: DataFrame, spec: ArrivalSpec, seed: int = SEED) -> DataFrame
 def rate_profile(df: DataFrame, ts: str, unit: str) -> DataFrame:
     """Arrivals a bucket."""
     return df.groupBy(F.date_trunc(unit, F.col(ts)).alias("bucket")).agg(F.count("*").alias("arrivals"))
+
+
+def rate_estimate(df: DataFrame, at_ms: str, width_ms: int) -> DataFrame:
+    """Burst share and ratio of an arrival series, one row: buckets at or above the middle between the least and the greatest rate are the burst. ``fits`` is whether
+    they lie in the ranges of the two-phase curve (a share of 35 to 40 %, a ratio of 4 to 7)."""
+    b = df.groupBy(F.expr(f"{at_ms} div {width_ms}").alias("b")).agg(F.count("*").alias("a"))
+    ends = b.agg((F.min("a") + F.max("a")).alias("twice"))
+    high = (F.col("a") * 2 >= F.col("twice")).cast("int")
+    r = b.crossJoin(F.broadcast(ends)).withColumn("high", high).agg(
+        F.count("*").alias("buckets"), F.sum("high").alias("burst"), F.sum(F.col("a") * F.col("high")).alias("burst_n"), F.sum(F.col("a") * (1 - F.col("high"))).alias("steady_n"),
+    )
+    beta = F.round(F.col("burst") / F.col("buckets"), 4)
+    ratio = F.round((F.col("burst_n") * (F.col("buckets") - F.col("burst"))) / (F.col("burst") * F.col("steady_n")), 4)
+    return r.select("buckets", "burst", beta.alias("beta"), ratio.alias("ratio"), (beta.between(0.35, 0.4) & ratio.between(4, 7)).alias("fits"))
+
+
+def static_sizes(tasks_: DataFrame, spec: ArrivalSpec) -> DataFrame:
+    """Pools without elasticity, one row: as many workers as the average load needs, and as many as the burst needs."""
+    burst = spec.window_ms * spec.burst_pm // 1000
+    s = tasks_.agg(F.sum("svc_ms").alias("all"), F.sum(F.when(F.col("enq_ms") < burst, F.col("svc_ms")).otherwise(0)).alias("high"))
+    size = lambda c, t: F.greatest(_div(F.col(c) + (t - 1), F.lit(t)), F.lit(1)).cast("int")
+    return s.select(size("all", spec.window_ms).alias("average"), size("high", burst).alias("peak"))

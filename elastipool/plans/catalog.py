@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from elastipool.functions import control
-from elastipool.model import FIGURE, N_MARKS, NEVER, PEAK, SEQUENTIAL, STATIC2, TEXT, ArrivalSpec, RunConfig
+from elastipool.model import FIGURE, N_MARKS, NEVER, PEAK, SEED, SEQUENTIAL, STATIC2, TEXT, ArrivalSpec, RunConfig
 from elastipool.operators import classify, kernel, measures, queueing, sampling, workload
 from elastipool.plans import oracle as O
 from elastipool.plans import runs
@@ -100,15 +100,17 @@ def _(s, d):
 
 add("events_rate_hourly", lambda s, d: workload.rate_profile(ingest.table(s, d, "events"), "ts", "hour").select(F.unix_seconds(F.col("bucket").cast("timestamp")).alias("bucket"), "arrivals"), "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS bucket, count(*) AS arrivals FROM events GROUP BY 1")
 add("events_warp", lambda s, d: workload.warp(ingest.table(s, d, "events").select("event_id", "ts", "event_type"), ArrivalSpec(), "ts", "event_id").select("event_id", "seq", workload.priority("event").alias("prio"), "enq_ms"), f"SELECT event_id, seq, {O.EVENT_PRIO} AS prio, {O.arrival('seq', 'n')} AS enq_ms FROM (SELECT *, row_number() OVER (ORDER BY ts, event_id) - 1 AS seq, count(*) OVER () AS n FROM events)")
-add("arrivals_poisson", lambda s, d: workload.poisson(runs.tasks(s, d).drop("run_id"), ArrivalSpec()))
+_U = f"(CAST('0x' || substr(md5('{SEED}:' || task_id), 1, 8) AS BIGINT) + 1) / 4294967297.0"
+add("arrivals_poisson", lambda s, d: workload.poisson(runs.tasks(s, d).drop("run_id"), ArrivalSpec()), f"WITH {O.base()}, g AS (SELECT *, CAST(round(-ln({_U}) * coalesce(lead(enq_ms) OVER (ORDER BY seq) - enq_ms, 0)) AS BIGINT) AS gap FROM tk) SELECT shard, task_id, seq, prio, CAST(coalesce(sum(gap) OVER (ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS enq_ms, svc_ms, y, n_chars FROM g")
 
 # ---- queue: closed forms, folds ----------------------------------------------------------------------------------------------------------------------
 add("order_all_present", lambda s, d: queueing.order(runs.tasks(s, d)).select("task_id", "seq", "prio", "pos"), f"WITH {O.base()} SELECT task_id, seq, prio, CAST(row_number() OVER (ORDER BY prio, seq) AS INTEGER) AS pos FROM tk")
 add("sequential_lindley", lambda s, d: queueing.sequential(runs.tasks(s, d)).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), O.elastic(SEQUENTIAL, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"))
 add("fifo_two_fold", lambda s, d: queueing.fifo_fold(runs.tasks(s, d), 2).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), O.elastic(STATIC2, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"))
 add("fifo_equal_residue", lambda s, d: queueing.fifo_equal(runs.tasks(s, d), 4, 13_700).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), f"WITH RECURSIVE {O.base(prio='const')}, t2 AS (SELECT * REPLACE (CAST(13700 AS BIGINT) AS svc_ms) FROM tk), {O.sim(STATIC2.but(n_init=4), '', 't2')} SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res")
-for _n, _c in (("two", STATIC2), ("peak", PEAK), ("avg", STATIC2.but(run_id="avg", n_init=16, n_min=16, n_max=16))):
+for _n, _c in (("two", STATIC2), ("max", PEAK)):
     add(f"priority_static_{_n}", lambda s, d, c=_c: kernel.results(sim(s, d, c)), O.elastic(_c, f"SELECT {RES} FROM res"))
+add("static_sizes", lambda s, d: workload.static_sizes(runs.tasks(s, d), ArrivalSpec()), f"WITH {O.base()}, {O.sizes()} SELECT * FROM size")
 add("depth_at_marks", lambda s, d: measures.queue_trace(kernel.results(sim(s, d, FIGURE))), O.elastic(FIGURE, f"SELECT run_id, m AS mark, t_ms, (SELECT count(*) FROM res WHERE enq_ms <= t_ms) - (SELECT count(*) FROM res WHERE start_ms <= t_ms) AS q FROM (SELECT run_id, CAST(m AS INTEGER) AS m, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"))
 
 
@@ -196,19 +198,29 @@ add("elastic_quality_results", lambda s, d: kernel.results(sim(s, d, FIGURE, "qu
 add("elastic_heavy_results", lambda s, d: kernel.results(sim(s, d, FIGURE, role="zs_heavy")), O.elastic(FIGURE, f"SELECT {RES} FROM res", role="zs_heavy"))
 
 
-def snapshots(x: DataFrame, window: int = FIGURE.lat_window, time_ms: int | None = None) -> DataFrame:
-    """Polls with the 95th percentile of recent service times: of the last ``window`` completions, or of those within ``time_ms``. The runs' arrays are cut to the window before the percentile."""
-    p, r = kernel.polls(x), kernel.results(x)
-    done = r.groupBy("run_id", "shard").agg(F.array_sort(F.collect_list(F.struct("finish_ms", "worker_id", "svc_ms"))).alias("all"))
-    j = p.join(done, ["run_id", "shard"])
-    past = F.filter("all", lambda e: e["finish_ms"] <= F.col("t_ms"))
-    recent = F.filter("all", lambda e: (e["finish_ms"] <= F.col("t_ms")) & (e["finish_ms"] > F.col("t_ms") - time_ms)) if time_ms else F.when(F.size(past) > 0, F.slice(past, F.greatest(F.size(past) - window + 1, F.lit(1)), window)).otherwise(past)
-    s = F.array_sort(F.transform(recent, lambda e: e["svc_ms"]))
-    n = F.size("s")
-    at = (n - 1) * 0.95
+def l95(values) -> F.Column:
+    """95th percentile of a sorted array by linear interpolation; null for an empty one."""
+    at = (F.size(values) - 1) * 0.95
     lo = F.floor(at).cast("int")
-    low, high = F.get("s", lo), F.get("s", F.least(lo + 1, n - 1))
-    return j.withColumn("s", s).select("run_id", "shard", "j", "t_ms", "q", "n_before", "util_pm", F.when(n > 0, F.round(low + (high - low) * (at - lo), 4)).alias("l95_ms"), "done")
+    low, high = F.get(values, lo), F.get(values, F.least(lo + 1, F.size(values) - 1))
+    return F.when(F.size(values) > 0, F.round(low + (high - low) * (at - lo), 4))
+
+
+def snapshots(x: DataFrame, window: int = FIGURE.lat_window, time_ms: int | None = None) -> DataFrame:
+    """Polls with the 95th percentile of recent service times: of the last ``window`` completions, or of those within ``time_ms``. Polls and completions are one
+    ordered series, and a frame holds no more than the window's completions: nothing is joined to all of a run."""
+    done = kernel.results(x).select("run_id", "shard", F.col("finish_ms").alias("t_ms"), F.lit(0).alias("g"), "worker_id", "svc_ms")
+    own = Window.partitionBy("run_id", "shard")
+    cols = ("run_id", "shard", "j", "t_ms", "q", "n_before", "util_pm", "l95_ms", "done")
+    p = kernel.polls(x).withColumn("g", F.lit(1))
+    if time_ms:
+        u = p.unionByName(done, allowMissingColumns=True)
+        recent = F.array_sort(F.collect_list("svc_ms").over(own.orderBy("t_ms").rangeBetween(-(time_ms - 1), 0)))
+        return u.withColumn("l95_ms", l95(recent)).where("g = 1").select(*cols)
+    order = ("t_ms", "g", "worker_id", "svc_ms")
+    last = F.array_sort(F.collect_list("svc_ms").over(own.orderBy(*order).rowsBetween(-(window - 1), 0)))
+    u = p.unionByName(done.withColumn("v", l95(last)), allowMissingColumns=True)
+    return u.withColumn("l95_ms", F.last("v", ignorenulls=True).over(own.orderBy(*order))).where("g = 1").select(*cols)
 
 
 _L95 = "SELECT p.run_id, p.shard, p.j, p.t_ms, p.q, p.n_before, p.util_pm, (SELECT round(quantile_cont(svc_ms, 0.95), 4) FROM ({}) w) AS l95_ms, p.done FROM pol p"
@@ -216,15 +228,20 @@ add("elastic_snapshots", lambda s, d: snapshots(sim(s, d, FIGURE), 20), O.elasti
 add("elastic_snapshots_time", lambda s, d: snapshots(sim(s, d, FIGURE), time_ms=30_000), O.elastic(FIGURE, _L95.format("SELECT svc_ms FROM res WHERE finish_ms <= p.t_ms AND finish_ms > p.t_ms - 30000")))
 add("elastic_status_log", lambda s, d: kernel.polls(sim(s, d, FIGURE)).select("j", F.concat(F.lit("t="), "t_ms", F.lit(" q="), "q", F.lit(" n="), "n_before", F.lit(" busy="), "busy", F.lit(" util="), "util_pm", F.when(F.col("delta") > 0, F.concat(F.lit(" scale=+"), "delta")).when(F.col("delta") < 0, F.concat(F.lit(" scale="), "delta")).otherwise("")).alias("line")), O.elastic(FIGURE, "SELECT j, 't=' || t_ms || ' q=' || q || ' n=' || n_before || ' busy=' || busy || ' util=' || util_pm || CASE WHEN delta > 0 THEN ' scale=+' || delta WHEN delta < 0 THEN ' scale=' || delta ELSE '' END AS line FROM pol"))
 _NEXT = "lead({}) OVER (PARTITION BY run_id ORDER BY j)"
-add("elastic_experience", lambda s, d: experience(sim(s, d, FIGURE)), O.elastic(FIGURE, f"SELECT run_id, t_ms, q, n_before AS n, util_pm, delta AS action, {_NEXT.format('q')} AS q_next, {_NEXT.format('n_before')} AS n_next, {_NEXT.format('util_pm')} AS util_next FROM pol"))
+_L20 = "(SELECT round(quantile_cont(svc_ms, 0.95), 4) FROM (SELECT svc_ms FROM res WHERE res.run_id = p.run_id AND finish_ms <= p.t_ms ORDER BY finish_ms DESC, worker_id DESC, svc_ms DESC LIMIT 20) w)"
+EXPERIENCE = f"l20 AS (SELECT p.*, {_L20} AS l95_ms FROM pol p), ex AS (SELECT run_id, t_ms, q, n_before AS n, util_pm, l95_ms, delta AS action, {_NEXT.format('q')} AS q_next, {_NEXT.format('n_before')} AS n_next, {_NEXT.format('util_pm')} AS util_next, {_NEXT.format('l95_ms')} AS l95_next FROM l20)"
+add("elastic_experience", lambda s, d: experience(sim(s, d, FIGURE)), O.elastic(FIGURE, f", {EXPERIENCE} SELECT * FROM ex"))
 add("elastic_verify", lambda s, d: kernel.scale_events(sim(s, d, FIGURE)).groupBy("run_id").agg(F.max(F.when(F.col("delta") > 0, 1).otherwise(0)).alias("scaled_out"), F.max(F.when(F.col("delta") < 0, 1).otherwise(0)).alias("scaled_in")), O.elastic(FIGURE, "SELECT run_id, max(CASE WHEN delta > 0 THEN 1 ELSE 0 END) AS scaled_out, max(CASE WHEN delta < 0 THEN 1 ELSE 0 END) AS scaled_in FROM pol WHERE delta <> 0 GROUP BY 1"))
 
 
-def experience(x: DataFrame) -> DataFrame:
-    """State, action and the next poll's state."""
+def experience(x: DataFrame, window: int = 20) -> DataFrame:
+    """State, action and the next poll's state, with the latency that each poll saw."""
     w = Window.partitionBy("run_id", "shard").orderBy("j")
-    p = kernel.polls(x)
-    return p.select("run_id", "t_ms", "q", F.col("n_before").alias("n"), "util_pm", F.col("delta").alias("action"), F.lead("q").over(w).alias("q_next"), F.lead("n_before").over(w).alias("n_next"), F.lead("util_pm").over(w).alias("util_next"))
+    p = kernel.polls(x).join(snapshots(x, window).select("run_id", "shard", "j", "l95_ms"), ["run_id", "shard", "j"])
+    return p.select(
+        "run_id", "t_ms", "q", F.col("n_before").alias("n"), "util_pm", "l95_ms", F.col("delta").alias("action"), F.lead("q").over(w).alias("q_next"), F.lead("n_before").over(w).alias("n_next"),
+        F.lead("util_pm").over(w).alias("util_next"), F.lead("l95_ms").over(w).alias("l95_next"),
+    )
 
 
 @query("experience_advise", O.elastic(FIGURE, f", e AS (SELECT q // 10 AS qb, n_before AS n, util_pm // 250 AS ub, delta AS action, {_NEXT.format('q')} AS q_next FROM pol) SELECT qb, n, ub, action, count(*) AS seen, round(CAST(sum(q_next) AS DOUBLE) / count(q_next), 6) AS q_next FROM e WHERE q_next IS NOT NULL GROUP BY 1, 2, 3, 4").replace(") , e AS", "), e AS"))
@@ -240,23 +257,41 @@ def _pred(name: str, task: str, role: str, expr: str) -> None:
 
 
 _SHAPE = r"CASE WHEN length(regexp_replace(text, '[^\p{L}]', '', 'g')) * 1000 < length(text) * 735 OR len(list_distinct(tok)) * 1000 < len(tok) * 450 THEN 'junk' ELSE 'clean' END"
-_pred("zs_fast_lang", "lang", "zs_fast", O.zs("lang"))
-_pred("zs_fast_toxic", "toxic", "zs_fast", O.zs("toxic"))
-_pred("zs_weak_lang", "lang", "zs_weak", O.zs("lang", weak=True))
-_pred("zs_weak_quality", "quality", "zs_weak", O.zs("quality", weak=True))
-_pred("zs_shape_quality", "quality", "zs_heavy", _SHAPE)
+for _t in ("lang", "toxic", "quality"):
+    for _r in ("zs_fast", "zs_heavy", "zs_weak", "hash"):
+        _pred(f"zs_shape_{_t}" if (_r, _t) == ("zs_heavy", "quality") else f"{_r}_label_{_t}" if _r == "hash" else f"{_r}_{_t}", _t, _r, O.label(_r, _t))
 
 
-def nb_sql(task: str) -> str:
+def nb_tables(task: str) -> str:
+    """Naive Bayes over the training split, ending in nbp(task_id, y, y_hat); after src, reps and samp."""
     tok = O.TOK
-    return f"""WITH {O.src(task)}, {O.reps()}, {O.samp()}, {_train_sql(task)},
+    return f"""{_train_sql(task)},
     tt AS (SELECT t.y, unnest({tok}) AS token FROM train t JOIN documents d USING (doc_id)), c0 AS (SELECT token, y, count(*) AS c FROM tt GROUP BY 1, 2),
     voc AS (SELECT token FROM c0 GROUP BY 1 HAVING sum(c) >= 2), c AS (SELECT * FROM c0 WHERE token IN (SELECT token FROM voc)),
     cl AS (SELECT p.y, ln(p.n / (SELECT count(*) FROM train)) AS prior, -ln(coalesce(k.total, 0) + CASE WHEN k.total IS NULL THEN 1 ELSE (SELECT count(*) FROM voc) END) AS other FROM (SELECT y, count(*) AS n FROM train GROUP BY 1) p LEFT JOIN (SELECT y, sum(c) AS total FROM c GROUP BY 1) k USING (y)),
     et AS (SELECT doc_id, token, count(*) AS k FROM (SELECT s.doc_id, unnest({tok}) AS token FROM samp s JOIN documents d USING (doc_id)) WHERE token IN (SELECT token FROM voc) GROUP BY 1, 2),
     ln_ AS (SELECT doc_id, sum(k) AS len FROM et GROUP BY 1), sc AS (SELECT doc_id, y, sum(k * ln(c + 1)) AS s FROM et JOIN c USING (token) GROUP BY 1, 2),
-    g AS (SELECT s.doc_id, s.y AS y0, cl.y, round(cl.prior + coalesce(len, 0) * cl.other + coalesce(sc.s, 0), 6) AS s FROM samp s CROSS JOIN cl LEFT JOIN ln_ USING (doc_id) LEFT JOIN sc ON sc.doc_id = s.doc_id AND sc.y = cl.y)
-    SELECT doc_id AS task_id, y0 AS y, y AS y_hat FROM (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY s DESC, y) AS r FROM g) WHERE r = 1"""
+    gr AS (SELECT s.doc_id, s.y AS y0, cl.y, round(cl.prior + coalesce(len, 0) * cl.other + coalesce(sc.s, 0), 6) AS s FROM samp s CROSS JOIN cl LEFT JOIN ln_ USING (doc_id) LEFT JOIN sc ON sc.doc_id = s.doc_id AND sc.y = cl.y),
+    nbp AS (SELECT doc_id AS task_id, y0 AS y, y AS y_hat FROM (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY s DESC, y) AS r FROM gr) WHERE r = 1)"""
+
+
+def nb_sql(task: str) -> str:
+    return f"WITH {O.src(task)}, {O.reps()}, {O.samp()}, {nb_tables(task)} SELECT * FROM nbp"
+
+
+def roles_sql(task: str, roles) -> str:
+    """pr_<role>(doc_id, y, y_hat) for each role, after src, reps and samp."""
+    parts = [f"st AS (SELECT s.doc_id, s.y, d.text, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id))"]
+    if {"supervised", "majority"} & set(roles):
+        parts.append(nb_tables(task))
+    for r in sorted(set(roles)):
+        if r == "supervised":
+            parts.append("pr_supervised AS (SELECT task_id AS doc_id, y, y_hat FROM nbp)")
+        elif r == "majority":
+            parts.append("pr_majority AS (SELECT doc_id, y, (SELECT y FROM train GROUP BY y ORDER BY count(*) DESC, y LIMIT 1) AS y_hat FROM st)")
+        else:
+            parts.append(f"pr_{r} AS (SELECT doc_id, y, {O.label(r, task)} AS y_hat FROM st)")
+    return ", ".join(parts)
 
 
 for _t in ("lang", "quality"):
@@ -303,80 +338,29 @@ add("op_pivot_confusion", lambda s, d: measures.confusion(matrix(s, d)).groupBy(
 add("precision_f1", lambda s, d: measures.precision_f1(matrix(s, d, "quality", ("zs_weak", "zs_heavy"))), _PQ + ", k AS (SELECT run_id, y, count(*) AS i, CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) AS tp FROM pred GROUP BY 1, 2), s AS (SELECT run_id, y_hat AS y, count(*) AS said FROM pred GROUP BY 1, 2) SELECT run_id, y, CASE WHEN coalesce(said, 0) > 0 THEN round(tp / said, 6) ELSE 0 END AS precision, round(tp / i, 6) AS recall, round(2 * tp / (coalesce(said, 0) + i), 6) AS f1 FROM k LEFT JOIN s USING (run_id, y)")
 add("recall_positive", lambda s, d: measures.recall(matrix(s, d, "quality", ("zs_weak", "zs_heavy")), "junk"), _PQ + f"SELECT run_id, round({_HIT} / count(*), 6) AS recall, count(*) AS n, {_HIT} AS correct FROM pred WHERE y = 'junk' GROUP BY 1")
 
-FIVE = ("B1", "B3", "B7")
-_CF = [runs.POLICIES[p] for p in FIVE]
+ALL_POLICIES = (*runs.FIVE, "B6", "B7", "Bmax", "B8")
 
 
-def five(s: SparkSession, d: str, task: str = "lang", policies: tuple[str, ...] = FIVE) -> DataFrame:
-    return runs.compare(s, d, task, policies)
+def policies_sql(names: tuple[str, ...], select: str, task: str = "lang") -> str:
+    """Runs of named policies; the sized ones take their number of workers from the tasks."""
+    sized = [n for n in names if n in runs.SIZED]
+    cfgs = [(O.sized(runs.POLICIES[n][0], runs.SIZED[n]) if n in sized else runs.POLICIES[n][0], runs.POLICIES[n][1]) for n in names]
+    return O.several(cfgs, select, task, more=O.sizes(tasks_="tk_zs_fast_source") if sized else "")
 
 
-def _m(name: str, f, select: str, policies: tuple[str, ...] = FIVE) -> None:
-    add(name, lambda s, d: f(kernel.results(five(s, d, policies=policies))), O.several([runs.POLICIES[p] for p in policies], select))
+def _m(name: str, f, select: str, policies: tuple[str, ...] = ALL_POLICIES) -> None:
+    add(name, lambda s, d: f(kernel.results(runs.compare(s, d, "lang", policies))), policies_sql(policies, select))
 
 
-ALL5 = ("B1", "B2", "B3", "B4", "B5", "B7", "B8")
-_m("latency_summary", measures.latency, "SELECT run_id, count(*) AS n, round(sum(svc_ms) / count(*), 6) AS svc_mean, round(quantile_cont(svc_ms, 0.95), 6) AS svc_p95, round(sum(wait_ms) / count(*), 6) AS wait_mean, round(quantile_cont(wait_ms, 0.95), 6) AS wait_p95, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean, round(quantile_cont(sojourn_ms, 0.5), 6) AS sojourn_p50, round(quantile_cont(sojourn_ms, 0.95), 6) AS sojourn_p95, max(sojourn_ms) AS sojourn_max FROM res GROUP BY 1", ALL5)
-_MK = f", e AS (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), mk AS (SELECT res.*, greatest(CAST(ceil(CAST(finish_ms * {N_MARKS} AS DOUBLE) / r) AS INTEGER), 1) AS mark FROM res JOIN e USING (run_id))"
-_m("latency_trace40", measures.latency_trace, _MK + " SELECT run_id, mark, count(*) AS n, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean FROM mk GROUP BY 1, 2")
-_m("throughput_trace40", measures.throughput_trace, _MK + f", g AS (SELECT run_id, r, CAST(m AS INTEGER) AS mark FROM e, (SELECT unnest(range(1, {N_MARKS + 1})) AS m)), c AS (SELECT run_id, mark, count(*) AS done FROM mk GROUP BY 1, 2) SELECT run_id, mark, coalesce(done, 0) AS done, round(coalesce(done, 0) * {60_000 * N_MARKS} / r, 6) AS per_minute FROM g LEFT JOIN c USING (run_id, mark)")
-_EDGE = f", g AS (SELECT run_id, CAST(m AS INTEGER) AS mark, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"
-_m("queue_trace40", measures.queue_trace, _EDGE + " SELECT run_id, mark, t_ms, (SELECT count(*) FROM res x WHERE x.run_id = g.run_id AND enq_ms <= t_ms) - (SELECT count(*) FROM res x WHERE x.run_id = g.run_id AND start_ms <= t_ms) AS q FROM g")
+_m("latency_summary", measures.latency, "SELECT run_id, count(*) AS n, round(sum(svc_ms) / count(*), 6) AS svc_mean, round(quantile_cont(svc_ms, 0.95), 6) AS svc_p95, round(sum(wait_ms) / count(*), 6) AS wait_mean, round(quantile_cont(wait_ms, 0.95), 6) AS wait_p95, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean, round(quantile_cont(sojourn_ms, 0.5), 6) AS sojourn_p50, round(quantile_cont(sojourn_ms, 0.95), 6) AS sojourn_p95, max(sojourn_ms) AS sojourn_max FROM res GROUP BY 1")
+MARKED = f"e AS (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), mk AS (SELECT res.*, greatest(CAST(ceil(CAST(finish_ms * {N_MARKS} AS DOUBLE) / r) AS INTEGER), 1) AS mark FROM res JOIN e USING (run_id))"
+EDGES = f"g AS (SELECT run_id, CAST(m AS INTEGER) AS mark, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"
 _DEP = ", ch AS (SELECT run_id, t, sum(d) AS d FROM (SELECT run_id, enq_ms AS t, 1 AS d FROM res UNION ALL SELECT run_id, start_ms, -1 FROM res) GROUP BY 1, 2), dq AS (SELECT run_id, t, sum(d) OVER (PARTITION BY run_id ORDER BY t) AS q, lead(t) OVER (PARTITION BY run_id ORDER BY t) - t AS dt FROM ch)"
-_m("queue_summary", measures.queue_summary, _DEP + " SELECT run_id, CAST(peak AS BIGINT) AS peak, drain_ms, round(area / runtime, 6) AS mean_depth FROM (SELECT run_id, max(q) AS peak, sum(q * coalesce(dt, 0)) AS area FROM dq GROUP BY 1) JOIN (SELECT run_id, greatest(max(start_ms) - max(enq_ms), 0) AS drain_ms, max(finish_ms) - min(enq_ms) AS runtime FROM res GROUP BY 1) USING (run_id)", ALL5)
+_m("queue_summary", measures.queue_summary, _DEP + " SELECT run_id, CAST(peak AS BIGINT) AS peak, drain_ms, round(area / runtime, 6) AS mean_depth FROM (SELECT run_id, max(q) AS peak, sum(q * coalesce(dt, 0)) AS area FROM dq GROUP BY 1) JOIN (SELECT run_id, greatest(max(start_ms) - max(enq_ms), 0) AS drain_ms, max(finish_ms) - min(enq_ms) AS runtime FROM res GROUP BY 1) USING (run_id)")
 _m("priority_wait", measures.priority_wait, "SELECT run_id, prio, count(*) AS n, round(sum(wait_ms) / count(*), 6) AS wait_mean, max(wait_ms) AS wait_max FROM res GROUP BY 1, 2")
-add("worker_trace40", lambda s, d: (lambda x: measures.worker_trace(kernel.results(x), kernel.polls(x)))(sim(s, d, FIGURE)), O.elastic(FIGURE, _EDGE.replace(", g AS", ", g AS") + " SELECT run_id, mark, t_ms, coalesce((SELECT CAST(arg_max(n_after, j) AS BIGINT) FROM pol WHERE pol.t_ms <= g.t_ms), 4) AS n FROM g"))
-_WS = ", ev AS (SELECT run_id, t_ms, n_after AS n FROM pol WHERE delta <> 0 UNION ALL SELECT * FROM (VALUES {v}) v(run_id, t_ms, n)), en AS (SELECT run_id, max(finish_ms) AS e, sum(svc_ms) AS busy FROM res GROUP BY 1), st AS (SELECT ev.run_id, n * (coalesce(lead(t_ms) OVER (PARTITION BY ev.run_id ORDER BY t_ms), e) - t_ms) AS w FROM ev JOIN en USING (run_id) WHERE t_ms < e), ws AS (SELECT run_id, CAST(sum(w) AS BIGINT) AS worker_ms FROM st GROUP BY 1)"
-_V = ", ".join(f"('{c.run_id}', 0, {c.n_init})" for c, _ in _CF)
-
-
-def fixed(s: SparkSession, policies: tuple[str, ...]) -> DataFrame:
-    return s.createDataFrame([(runs.POLICIES[p][0].run_id, runs.POLICIES[p][0].n_init) for p in policies if not runs.POLICIES[p][0].autoscale], "run_id string, n int")
-
-
-add("worker_seconds", lambda s, d: (lambda x: measures.seconds(kernel.results(x), kernel.polls(x), fixed(s, FIVE)))(five(s, d)), O.several(_CF, _WS.format(v=_V) + " SELECT run_id, worker_ms, CAST(busy AS BIGINT) AS busy_ms, CAST(worker_ms - busy AS BIGINT) AS idle_ms, round(busy / worker_ms, 6) AS utilisation FROM ws JOIN en USING (run_id)"))
 add("oscillations", lambda s, d: measures.oscillations(kernel.scale_events(sim(s, d, FIGURE.but(cooldown_ms=0))), 10_000), O.elastic(FIGURE.but(cooldown_ms=0), ", e AS (SELECT run_id, delta, t_ms, lag(delta) OVER (ORDER BY t_ms) AS pd, lag(t_ms) OVER (ORDER BY t_ms) AS pt FROM pol WHERE delta <> 0) SELECT run_id, count(*) AS events, CAST(sum(abs(delta)) AS BIGINT) AS moved, CAST(sum(CASE WHEN sign(delta) <> sign(pd) AND t_ms - pt <= 10000 THEN 1 ELSE 0 END) AS BIGINT) AS turns FROM e GROUP BY 1"))
 add("reaction_time", lambda s, d: (lambda x: measures.reaction(kernel.results(x), kernel.scale_events(x), 8))(sim(s, d, FIGURE)), O.elastic(FIGURE, "SELECT run_id, (SELECT min(t_ms) FROM pol WHERE delta > 0) - min(enq_ms) AS first_out_ms, (SELECT min(t_ms) FROM pol WHERE n_after = 8 AND delta <> 0) - min(enq_ms) AS full_ms FROM res GROUP BY 1"))
 
-_RPRED = "pr AS (SELECT r.run_id, r.task_id, s.y, " + O.zs("lang") + f" AS y_hat FROM res r JOIN (SELECT s.doc_id, s.y, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id)) s ON s.doc_id = r.task_id)"
-_REPORT = _WS.format(v=_V) + f", {_RPRED}, ac AS (SELECT run_id, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy FROM pr GROUP BY 1), rt AS (SELECT run_id, count(*) AS n, max(finish_ms) - min(enq_ms) AS runtime_ms, round(sum(wait_ms) / count(*), 6) AS wait_mean, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean, round(quantile_cont(sojourn_ms, 0.95), 6) AS sojourn_p95 FROM res GROUP BY 1), rep AS (SELECT run_id, correct, accuracy, n, runtime_ms, wait_mean, sojourn_mean, sojourn_p95, worker_ms, round(busy / worker_ms, 6) AS utilisation, round(n * 60000 / runtime_ms, 6) AS per_minute, round(correct * 6000000 / (n * runtime_ms), 6) AS efficiency FROM ac JOIN rt USING (run_id) JOIN ws USING (run_id) JOIN en USING (run_id))"
-
-
-def reports(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
-    """Reports of three policies with one classifier, and their results."""
-    x = five(s, d)
-    res = kernel.results(x)
-    p = runs.predictions(s, d, "lang", "zs_fast", runs.sample(s, d, "lang"))
-    pred = res.select("run_id", "task_id").join(p, "task_id")
-    return measures.report(res, pred, measures.seconds(res, kernel.polls(x), fixed(s, FIVE))), res
-
-
-add("final_report", lambda s, d: reports(s, d)[0], O.several(_CF, _REPORT + " SELECT * FROM rep"))
-add("efficiency_e", lambda s, d: reports(s, d)[0].select("run_id", "accuracy", "runtime_ms", "efficiency"), O.several(_CF, _REPORT + " SELECT run_id, accuracy, runtime_ms, efficiency FROM rep"))
-add("relative_to_static", lambda s, d: relative(reports(s, d)[0]), O.several(_CF, _REPORT + " SELECT a.run_id, round(b.runtime_ms / a.runtime_ms, 6) AS speed_up, round(a.worker_ms / b.worker_ms, 6) AS cost_ratio FROM rep a, rep b WHERE b.run_id = 'B3'"))
-
-
-def relative(rep: DataFrame, base: str = "B3") -> DataFrame:
-    b = rep.where(F.col("run_id") == base).select(F.col("runtime_ms").alias("rb"), F.col("worker_ms").alias("wb"))
-    return rep.crossJoin(F.broadcast(b)).select("run_id", F.round(F.col("rb") / F.col("runtime_ms"), 6).alias("speed_up"), F.round(F.col("worker_ms") / F.col("wb"), 6).alias("cost_ratio"))
-
-
-@query("six_dim_scores", O.several(_CF, _REPORT + f", bu AS (SELECT run_id, count(*) FILTER (enq_ms < 68400) AS arrived, count(*) FILTER (finish_ms < 68400) AS served FROM res GROUP BY 1), fa AS (SELECT run_id, count(*) FILTER (NOT {_BAD.replace('doc_id', 'task_id')}) AS fine FROM res GROUP BY 1) SELECT run_id, round(100 * per_minute / max(per_minute) OVER (), 4) AS throughput, round(100 * min(sojourn_p95) OVER () / sojourn_p95, 4) AS latency, round(100 * utilisation, 4) AS resource, 100.0::DOUBLE AS fault, round(100 * least(1.0, served / arrived), 4) AS scalability, round(100 * (correct / worker_ms) / max(correct / worker_ms) OVER (), 4) AS cost_score FROM rep JOIN bu USING (run_id) JOIN fa USING (run_id)"))
-def _(s, d):
-    rep, res = reports(s, d)
-    fine = ~classify.faulty("task_id")
-    # rows that were not made to fail must all complete: the kernel finishes every task, whatever the classifier returned for others
-    faults = res.groupBy("run_id").agg(F.sum(F.when(fine, 1).otherwise(0)).alias("fine"), F.sum(F.when(fine & F.col("finish_ms").isNotNull(), 1).otherwise(0)).alias("unharmed"))
-    return measures.six_scores(rep, faults, measures.burst_kept(res, 68_400))
-
-
-@query("prediction_invariance", "SELECT CAST(0 AS BIGINT) AS differing, count(*) AS tasks FROM (" + f"WITH {O.src('lang')}, {O.reps()}, {O.samp()} SELECT * FROM samp)")
-def _(s, d):
-    """The same classifier under an elastic and a static pool: predictions joined to each run's tasks must not differ."""
-    x, p = five(s, d, policies=("B1", "B3")), runs.predictions(s, d, "lang", "zs_fast", runs.sample(s, d, "lang"))
-    side = lambda r: kernel.results(x).where(F.col("run_id") == r).select("task_id").join(p, "task_id")
-    return measures.invariance(side("B1"), side("B3"))
-
 
 # ---- sweeps and shards ------------------------------------------------------------------------------------------------------------------------------------------
 def sweep(s: SparkSession, d: str, small: bool) -> DataFrame:

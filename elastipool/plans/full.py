@@ -1,6 +1,6 @@
-"""The whole catalogue: importing this module registers every query."""
+"""The whole catalogue: importing the modules fills it."""
 
-from elastipool.plans import more, streams  # noqa: F401
+from elastipool.plans import dashboards, more, streams, variants  # noqa: F401
 from elastipool.plans.catalog import CATALOG
 
 __all__ = ["CATALOG"]

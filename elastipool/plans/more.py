@@ -12,7 +12,7 @@ from elastipool.model import FIGURE, LEXICON, N_MARKS, SEQUENTIAL, STATIC2, Arri
 from elastipool.operators import classify, extensions, kernel, measures, queueing, sampling
 from elastipool.plans import oracle as O
 from elastipool.plans import runs
-from elastipool.plans.catalog import RES, add, query, sim
+from elastipool.plans.catalog import RES, add, policies_sql, query, sim
 from elastipool.session import materialise, scratch_root, ship
 from elastipool.sources import ingest
 
@@ -55,8 +55,22 @@ add("op_rollup_region_nation", lambda s, d: t(s, d, "customer").join(F.broadcast
 add("op_unpivot_latency", lambda s, d: measures.latency(kernel.results(sim(s, d, FIGURE))).unpivot("run_id", ["svc_mean", "wait_mean", "sojourn_mean"], "measure", "ms"), O.elastic(FIGURE, "SELECT run_id, 'svc_mean' AS measure, round(sum(svc_ms) / count(*), 6) AS ms FROM res GROUP BY 1 UNION ALL SELECT run_id, 'wait_mean', round(sum(wait_ms) / count(*), 6) FROM res GROUP BY 1 UNION ALL SELECT run_id, 'sojourn_mean', round(sum(sojourn_ms) / count(*), 6) FROM res GROUP BY 1"))
 add("op_percentile_exact", lambda s, d: t(s, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", F.lit(0.5)), 6).alias("p50"), F.round(F.percentile("value", F.lit(0.95)), 6).alias("p95")), "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.95), 6) AS p95 FROM events GROUP BY 1")
 add("op_approx_percentile", lambda s, d: t(s, d, "events").groupBy("event_type").agg(F.percentile_approx("value", 0.95, 10_000).alias("p95")))
+_RANK = "(SELECT count(*) FROM events e WHERE e.event_type = g.event_type AND e.value {} p95)"
+
+
+@query("op_approx_percentile_error", "SELECT event_type, count(*) AS n, true AS close FROM events GROUP BY 1")
+def _(s, d):
+    """Whether the sketch's value has a rank within a hundredth of the one asked for."""
+    e = t(s, d, "events").select("event_type", "value")
+    p = e.groupBy("event_type").agg(F.percentile_approx("value", 0.95, 10_000).alias("p95"))
+    r = e.join(F.broadcast(p), "event_type").groupBy("event_type").agg(F.count("*").alias("n"), F.sum((F.col("value") < F.col("p95")).cast("int")).alias("below"), F.sum((F.col("value") <= F.col("p95")).cast("int")).alias("upto"))
+    return r.select("event_type", "n", ((F.col("below") <= F.col("n") * 0.96) & (F.col("upto") >= F.col("n") * 0.94)).alias("close"))
+
+
 add("op_count_distinct_users", lambda s, d: t(s, d, "events").groupBy("event_type").agg(F.countDistinct("user_id").alias("users")), "SELECT event_type, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
 add("op_approx_distinct_users", lambda s, d: t(s, d, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("users")))
+# the sketch's own number has no SQL; whether it lies within three of its standard errors has
+add("op_approx_distinct_error", lambda s, d: t(s, d, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("a"), F.countDistinct("user_id").alias("users")).select("event_type", "users", (F.abs(F.col("a") - F.col("users")) <= F.col("users") * 0.06 + 1).alias("close")), "SELECT event_type, count(DISTINCT user_id) AS users, true AS close FROM events GROUP BY 1")
 
 
 @query("op_grouped_udaf_p95", "SELECT event_type, list_sort(list(value))[CAST(ceil(0.95 * count(*)) AS INTEGER)] AS p95 FROM events GROUP BY 1")
@@ -114,12 +128,12 @@ def _(s, d):
     return text.select(F.from_json("j", rep.schema).alias("r")).select("r.*")
 
 
-@query("op_tsv_roundtrip", "SELECT lang AS y, md5(trim(regexp_replace(text, '[\\t\\r\\n]+', ' ', 'g'))) AS h FROM documents WHERE NOT starts_with(trim(text), '\"')".replace("\\t", "\t").replace("\\r", "\r").replace("\\n", "\n"))
+@query("op_tsv_roundtrip", "SELECT lang AS y, md5(regexp_replace(text, '[\\t\\r\\n]+', ' ', 'g')) AS h FROM documents".replace("\\t", "\t").replace("\\r", "\r").replace("\\n", "\n"))
 def _(s, d):
-    """Documents written as label, tab, text and read back with the fixed schema."""
+    """Documents written as label, tab, text and read back; quotes are literal, and nulls have a mark of their own."""
     path = f"{scratch_root(s)}/tsv-{uuid.uuid4().hex}"
-    flat = F.trim(F.regexp_replace("text", "[\\t\\r\\n]+", " "))
-    t(s, d, "documents").where(~flat.startswith('"')).select(F.concat_ws("\t", "lang", flat).alias("value")).write.text(path)
+    mark = lambda c: F.coalesce(c, F.lit(ingest.TSV_NULL))
+    t(s, d, "documents").select(F.concat(mark(F.col("lang")), F.lit("\t"), mark(F.regexp_replace("text", "[\\t\\r\\n]+", " "))).alias("value")).write.text(path)
     return ingest.tsv(s, path).where("bad IS NULL").select("y", F.md5("text").alias("h"))
 
 
@@ -163,9 +177,16 @@ add("mllib_nb", lambda s, d: extensions.mllib_predict(*_eval_train(s, d, "lang")
 
 # ---- extensions of the controller --------------------------------------------------------------------------------------------------------------------------
 AGED = 60_000
-add("extension_ageing", lambda s, d: measures.priority_wait(extensions.aged(runs.tasks(s, d), FIGURE, AGED)))
+_AGED = f"agd AS (SELECT shard, task_id, seq, CAST(prio * {AGED} + enq_ms AS INTEGER) AS prio, enq_ms, svc_ms, y, n_chars FROM tk)"
+add("extension_ageing", lambda s, d: measures.priority_wait(extensions.aged(runs.tasks(s, d), FIGURE, AGED)), f"WITH RECURSIVE {O.base()}, {_AGED}, {O.sim(FIGURE.but(run_id='aged'), '', 'agd')} SELECT r.run_id, k.prio, count(*) AS n, round(sum(wait_ms) / count(*), 6) AS wait_mean, max(wait_ms) AS wait_max FROM res r JOIN tk k USING (task_id) GROUP BY 1, 2")
 add("extension_predictive", lambda s, d: extensions.predictive(runs.tasks(s, d), FIGURE))
-add("extension_heterogeneous", lambda s, d: extensions.heterogeneous(s, d))
+_HITS = " + ".join(O.words("lang", y) for y in LEXICON["lang"])
+_UNSURE = f"un AS (SELECT doc_id FROM (SELECT doc_id, {O.TOK} AS tok FROM documents) WHERE {_HITS} < {extensions.UNSURE})"
+_SECOND = "SELECT shard, task_id, seq, prio, finish_ms AS enq_ms, svc_ms * {} AS svc_ms, y, n_chars FROM res_a WHERE task_id IN (SELECT doc_id FROM un)"
+_TWO_TIERS = f"WITH RECURSIVE {O.base()}, {O.sim(FIGURE.but(run_id='fast'), '_a')}, {_UNSURE}, tb AS ({_SECOND.format(3)}), {O.sim(STATIC2.but(run_id='heavy'), '_b', 'tb')}"
+add("extension_heterogeneous", lambda s, d: extensions.heterogeneous(s, d), f"{_TWO_TIERS} SELECT run_id, count(*) AS n, max(finish_ms) AS end_ms, CAST(sum(wait_ms) AS BIGINT) AS wait_ms FROM (SELECT * FROM res_a UNION ALL SELECT * FROM res_b) GROUP BY 1")
+_FAR = _SECOND.replace("finish_ms AS enq_ms", f"finish_ms + {extensions.LINK_MS} AS enq_ms").replace("svc_ms * {}", "greatest((svc_ms * 700) // 1000, 1)")
+add("extension_edge_cloud", lambda s, d: extensions.edge_cloud(s, d), f"WITH RECURSIVE {O.base()}, {O.sim(STATIC2.but(run_id='edge'), '_a')}, {_UNSURE}, tb AS ({_FAR}), {O.sim(FIGURE.but(run_id='cloud'), '_b', 'tb')}, bk AS (SELECT run_id, task_id, finish_ms, wait_ms FROM res_a WHERE task_id NOT IN (SELECT doc_id FROM un) UNION ALL SELECT run_id, task_id, finish_ms + {extensions.LINK_MS}, wait_ms FROM res_b) SELECT run_id, count(*) AS n, max(finish_ms) AS end_ms, CAST(sum(wait_ms) AS BIGINT) AS wait_ms FROM bk GROUP BY 1")
 
 
 @query("extension_tuned", O.several([(c, "zs_fast") for c in runs.sweep_grid(True)], "SELECT run_id, CAST(sum(wait_ms) AS BIGINT) AS wait_ms, max(finish_ms) AS makespan_ms FROM res GROUP BY 1 ORDER BY 2, 3, 1 LIMIT 1"))
@@ -182,15 +203,18 @@ def _policy(name: str, task: str) -> None:
     add(f"run_{name}_{task}", lambda s, d: runs.execute(s, d, runs.RunSpec(task=task, policy=name)).results.select(*RES.split(", ")), O.elastic(cfg, f"SELECT {RES} FROM res", task=task, role=role, prio=prio).replace("CAST(1 AS INTEGER) AS prio", f"{O.PRIO['source']} AS prio") if prio == "source" else None)
 
 
-for _n in ("B1", "B2", "B3", "B7", "B8"):
+for _n in ("B1", "B2", "B3", "Bmax", "B8"):
     for _t in ("lang", "quality"):
         _policy(_n, _t)
+for _n in runs.SIZED:
+    for _t in ("lang", "quality"):
+        add(f"run_{_n}_{_t}", lambda s, d, n=_n, k=_t: runs.execute(s, d, runs.RunSpec(task=k, policy=n)).results.select(*RES.split(", ")), policies_sql((_n,), f"SELECT {RES} FROM res", _t))
 for _n in ("B4", "B5"):
     for _t in ("lang", "quality"):
         _cfg, _role = runs.POLICIES[_n]
         add(f"run_{_n}_{_t}", lambda s, d, n=_n, k=_t: runs.execute(s, d, runs.RunSpec(task=k, policy=n)).results.select("run_id", "task_id", "seq", "start_ms", "finish_ms", "wait_ms", "sojourn_ms"), O.elastic(SEQUENTIAL.but(run_id=_n), "SELECT run_id, task_id, seq, start_ms, finish_ms, wait_ms, sojourn_ms FROM res", task=_t, role=_role, prio="const"))
 for _r in ("zs_fast", "zs_weak"):
-    add(f"swap_{_r}_accuracy", lambda s, d, r=_r: measures.accuracy(runs.predictions(s, d, "lang", r, runs.sample(s, d, "lang")).withColumn("run_id", F.lit(r))), f"WITH {O.src('lang')}, {O.reps()}, {O.samp()}, st AS (SELECT s.y, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id)), p AS (SELECT y, {O.zs('lang', weak=_r == 'zs_weak')} AS y_hat FROM st) SELECT '{_r}' AS run_id, count(*) AS n, CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) AS correct, round(CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) / count(*), 6) AS accuracy FROM p")
+    add(f"accuracy_{_r}", lambda s, d, r=_r: measures.accuracy(runs.predictions(s, d, "lang", r, runs.sample(s, d, "lang")).withColumn("run_id", F.lit(r))), f"WITH {O.src('lang')}, {O.reps()}, {O.samp()}, st AS (SELECT s.y, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id)), p AS (SELECT y, {O.zs('lang', weak=_r == 'zs_weak')} AS y_hat FROM st) SELECT '{_r}' AS run_id, count(*) AS n, CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) AS correct, round(CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) / count(*), 6) AS accuracy FROM p")
 _CONV = f"SELECT conv_id * 100 + turn AS doc_id, {O.zs('lang')} AS y_hat FROM (SELECT *, {O.TOK} AS tok FROM conversations WHERE role = 'user')"
 add("requests_conversations", lambda s, d: ingest.conversations(s, d).select("doc_id", classify.zs_fast("lang").alias("y_hat")), _CONV)
 for _b in (350, 400):

@@ -5,7 +5,7 @@ The run is a recursive query with one row for each event; its state is kept in l
 
 from __future__ import annotations
 
-from elastipool.model import DEFAULT, EVENT_PRIORITY, LEXICON, N_EVAL, NEVER, ROLES, SEED, ArrivalSpec, RunConfig
+from elastipool.model import DEFAULT, DIFFERENT_PM, EVENT_PRIORITY, HINTS, LETTERS_PM, LEXICON, N_EVAL, NEVER, ROLES, SEED, WORD_WEIGHT, ArrivalSpec, RunConfig
 
 SOURCES = {
     "lang": "SELECT doc_id, text, lang AS y, n_chars, source FROM documents WHERE lang IS NOT NULL",
@@ -65,30 +65,48 @@ def base(task: str = "lang", role: str = "zs_fast", prio: str = "source", spec:
 def sim(cfg: RunConfig, tag: str = "", tasks_: str = "tk") -> str:
     """CTEs res{tag} and pol{tag} of one run over the tasks named."""
     auto = "true" if cfg.autoscale else "false"
-    signal = f"((len(run) * {cfg.cpu_share_pm}) // 1000)" if cfg.cpu_share_pm else "len(run)"
+    drain, spin = cfg.retire == "drain", cfg.spinup_ms > 0
+    if drain and spin:
+        raise ValueError("one of draining and spin-up")
+    busy = "(len(run) - len(lv))" if drain else "len(run)"
+    signal = f"(({busy} * {cfg.cpu_share_pm}) // 1000)" if cfg.cpu_share_pm else busy
+    down = f"least({cfg.step_down}, n - {cfg.n_min}{'' if drain else ', n - len(run)'})"
+    # draining and starting workers: one more list in the state
+    more0 = ", CAST([] AS BIGINT[]) AS lv" if drain else ", CAST([] AS STRUCT(finish BIGINT, worker BIGINT)[]) AS wk" if spin else ""
+    gone = "least(len(idle), -d)"
+    more1 = ""
+    if drain:
+        more1 = f""", CASE WHEN ev2 = 'c' THEN [x FOR x IN lv IF x <> br.worker] WHEN ev2 = 'p' AND d < 0 THEN list_concat(lv,
+          list_slice(list_reverse_sort([x.worker FOR x IN run IF NOT list_contains(lv, x.worker)]), 1, -d - {gone})) ELSE lv END"""
+    if spin:
+        more1 = f""", CASE WHEN ev2 = 'w' THEN list_sort(wk)[2:] WHEN ev2 = 'p' AND d > 0 THEN list_concat(wk, [{{'finish': m + {cfg.spinup_ms}, 'worker': x}} FOR x IN CAST(range(nid, nid + d) AS BIGINT[])])
+          WHEN ev2 = 'p' AND d < 0 THEN list_slice(list_sort(wk), 1, len(wk) + d + {gone}) ELSE wk END"""
+    back = "CASE WHEN list_contains(lv, br.worker) THEN idle ELSE list_append(idle, br.worker) END" if drain else "list_append(idle, br.worker)"
+    new = "idle" if spin else "list_concat(idle, CAST(range(nid, nid + d) AS BIGINT[]))"
+    waking = "WHEN 'w' THEN list_append(idle, list_sort(wk)[1].worker) " if spin else ""
     over = " OR ".join([f"len(q) > {cfg.queue_hi}"] * cfg.use_queue + [f"{signal} * 1000 > n * {cfg.util_hi_pm}"] * cfg.use_util)
     d = f"""CASE WHEN NOT {auto} OR m - tl < {cfg.cooldown_ms} THEN 0 WHEN {over} THEN least({cfg.step}, {cfg.n_max} - n)
-        WHEN len(q) = 0 AND {signal} * 1000 < n * {cfg.util_lo_pm} THEN -least({cfg.step_down}, n - {cfg.n_min}, n - len(run)) ELSE 0 END"""
+        WHEN len(q) = 0 AND {signal} * 1000 < n * {cfg.util_lo_pm} THEN -{down} ELSE 0 END"""
     far = 1 << 60
     return f"""
     arr{tag} AS (SELECT list({{'enq': enq_ms, 'prio': prio, 'seq': seq, 'svc': svc_ms}} ORDER BY enq_ms, seq) AS l, count(*) AS n_all FROM {tasks_}),
     sim{tag} AS (
       SELECT 0 AS k, 'init' AS ev, CAST(0 AS BIGINT) AS t, CAST([] AS STRUCT(prio INTEGER, seq BIGINT, svc BIGINT)[]) AS q, CAST([] AS STRUCT(finish BIGINT, worker BIGINT)[]) AS run,
         CAST(range(1, {cfg.n_init + 1}) AS BIGINT[]) AS idle, CAST({cfg.n_init} AS BIGINT) AS n, CAST({cfg.n_init + 1} AS BIGINT) AS nid, CAST({NEVER} AS BIGINT) AS tl, CAST(0 AS BIGINT) AS ai, CAST(0 AS BIGINT) AS done, CAST(0 AS BIGINT) AS last, CAST(1 AS BIGINT) AS j,
-        CAST(NULL AS BIGINT) AS o_seq, CAST(NULL AS BIGINT) AS o_fin, CAST(NULL AS BIGINT) AS o_worker, CAST(NULL AS BIGINT) AS p_q, CAST(NULL AS BIGINT) AS p_busy, CAST(NULL AS BIGINT) AS p_n, CAST(NULL AS BIGINT) AS p_d
+        CAST(NULL AS BIGINT) AS o_seq, CAST(NULL AS BIGINT) AS o_fin, CAST(NULL AS BIGINT) AS o_worker, CAST(NULL AS BIGINT) AS p_q, CAST(NULL AS BIGINT) AS p_busy, CAST(NULL AS BIGINT) AS p_n, CAST(NULL AS BIGINT) AS p_d{more0}
       UNION ALL
       SELECT k + 1, ev2, CASE WHEN ev2 = 'd' THEN t ELSE m END,
         CASE ev2 WHEN 'd' THEN [x FOR x IN q IF x.seq <> bq.seq] WHEN 'a' THEN list_append(q, {{'prio': na.prio, 'seq': na.seq, 'svc': na.svc}}) ELSE q END,
         CASE ev2 WHEN 'd' THEN list_append(run, {{'finish': t + bq.svc, 'worker': bw}}) WHEN 'c' THEN [x FOR x IN run IF x.worker <> br.worker] ELSE run END,
-        CASE ev2 WHEN 'd' THEN [x FOR x IN idle IF x <> bw] WHEN 'c' THEN list_append(idle, br.worker)
-          WHEN 'p' THEN CASE WHEN d > 0 THEN list_concat(idle, CAST(range(nid, nid + d) AS BIGINT[])) WHEN d < 0 THEN list_sort(idle)[1:len(idle) + d] ELSE idle END ELSE idle END,
+        CASE ev2 WHEN 'd' THEN [x FOR x IN idle IF x <> bw] WHEN 'c' THEN {back} {waking}
+          WHEN 'p' THEN CASE WHEN d > 0 THEN {new} WHEN d < 0 THEN list_slice(list_sort(idle), 1, len(idle) - {gone}) ELSE idle END ELSE idle END,
         CASE WHEN ev2 = 'p' THEN n + d ELSE n END, CASE WHEN ev2 = 'p' AND d > 0 THEN nid + d ELSE nid END, CASE WHEN ev2 = 'p' AND d <> 0 THEN m ELSE tl END,
         CASE WHEN ev2 = 'a' THEN ai + 1 ELSE ai END, CASE WHEN ev2 = 'c' THEN done + 1 ELSE done END, CASE WHEN ev2 = 'c' THEN m ELSE last END, CASE WHEN ev2 = 'p' THEN j + 1 ELSE j END,
         CASE WHEN ev2 = 'd' THEN bq.seq END, CASE WHEN ev2 = 'd' THEN t + bq.svc END, CASE WHEN ev2 = 'd' THEN bw END,
-        CASE WHEN ev2 = 'p' THEN len(q) END, CASE WHEN ev2 = 'p' THEN len(run) END, CASE WHEN ev2 = 'p' THEN n END, CASE WHEN ev2 = 'p' THEN d END
-      FROM (SELECT *, {d} AS d FROM (SELECT *, CASE WHEN len(idle) > 0 AND len(q) > 0 THEN 'd' WHEN tf = m THEN 'c' WHEN ta = m THEN 'a' ELSE 'p' END AS ev2 FROM (
-        SELECT *, least(tf, ta, tp) AS m FROM (
-          SELECT s.*, a.n_all, list_sort(q)[1] AS bq, list_min(idle) AS bw, list_sort(run)[1] AS br, a.l[ai + 1] AS na, coalesce(list_sort(run)[1].finish, {far}) AS tf, coalesce(a.l[ai + 1].enq, {far}) AS ta, CASE WHEN {auto} THEN j * {cfg.poll_ms} ELSE {far} END AS tp
+        CASE WHEN ev2 = 'p' THEN len(q) END, CASE WHEN ev2 = 'p' THEN {busy} END, CASE WHEN ev2 = 'p' THEN n END, CASE WHEN ev2 = 'p' THEN d END{more1}
+      FROM (SELECT *, {d} AS d FROM (SELECT *, CASE WHEN len(idle) > 0 AND len(q) > 0 THEN 'd' WHEN tf = m THEN 'c' {"WHEN tw = m THEN 'w' " * spin}WHEN ta = m THEN 'a' ELSE 'p' END AS ev2 FROM (
+        SELECT *, least(tf, ta, tp{", tw" * spin}) AS m FROM (
+          SELECT s.*, a.n_all, list_sort(q)[1] AS bq, list_min(idle) AS bw, list_sort(run)[1] AS br, a.l[ai + 1] AS na, coalesce(list_sort(run)[1].finish, {far}) AS tf, coalesce(a.l[ai + 1].enq, {far}) AS ta, CASE WHEN {auto} THEN j * {cfg.poll_ms} ELSE {far} END AS tp{f", coalesce(list_sort(wk)[1].finish, {far}) AS tw" * spin}
           FROM sim{tag} s, arr{tag} a)
         WHERE NOT (done = n_all AND (NOT {auto} OR (j > 1 AND (j - 1) * {cfg.poll_ms} >= last + {cfg.tail_ms}))))))
     ),
@@ -102,14 +120,34 @@ def elastic(cfg: RunConfig, select: str, task: str = "lang", role: str = "zs_fas
     return f"WITH RECURSIVE {base(task, role, prio)}, {sim(cfg)} {select}"
 
 
-def several(cfgs: list[tuple[RunConfig, str]], select: str, task: str = "lang", prio: str = "source") -> str:
-    """Runs of (configuration, role) over one sample, united as res and pol."""
+class Sized(str):
+    """A number that the query itself computes, where a configuration has a literal."""
+
+    def __add__(self, k):
+        return Sized(f"({self} + {k})")
+
+
+def sizes(spec: ArrivalSpec = ArrivalSpec(), tasks_: str = "tk") -> str:
+    burst = spec.window_ms * spec.burst_pm // 1000
+    up = lambda what, t: f"CAST(greatest((sum({what}) + {t - 1}) // {t}, 1) AS INTEGER)"
+    return f"size AS (SELECT {up('svc_ms', spec.window_ms)} AS average, {up(f'CASE WHEN enq_ms < {burst} THEN svc_ms ELSE 0 END', burst)} AS peak FROM {tasks_})"
+
+
+def sized(cfg: RunConfig, which: str) -> RunConfig:
+    n = Sized(f"(SELECT {which} FROM size)")
+    return cfg.but(n_init=n, n_min=n, n_max=n)
+
+
+def several(cfgs: list[tuple[RunConfig, str]], select: str, task: str = "lang", prio: str = "source", more: str = "") -> str:
+    """Runs of (configuration, role) over one sample, united as res and pol; sequential passes take tasks in arrival order. ``more`` are further tables made from the tasks."""
     parts = [src(task), reps(), samp()]
-    roles = sorted({r for _, r in cfgs})
-    for r in roles:
-        parts.append(tasks(r, prio).replace("num AS", f"num_{r} AS").replace("tk AS", f"tk_{r} AS").replace("FROM num)", f"FROM num_{r})"))
+    order = lambda c: "const" if c.n_init == 1 and not c.autoscale else prio
+    for r, p in sorted({(r, order(c)) for c, r in cfgs}):
+        parts.append(tasks(r, p).replace("num AS", f"num_{r}_{p} AS").replace("tk AS", f"tk_{r}_{p} AS").replace("FROM num)", f"FROM num_{r}_{p})"))
+    if more:
+        parts.append(more)
     for i, (c, r) in enumerate(cfgs):
-        parts.append(sim(c, f"_{i}", f"tk_{r}"))
+        parts.append(sim(c, f"_{i}", f"tk_{r}_{order(c)}"))
     for kind in ("res", "pol"):
         parts.append(f"{kind} AS (" + " UNION ALL ".join(f"SELECT * FROM {kind}_{i}" for i in range(len(cfgs))) + ")")
     return f"WITH RECURSIVE {', '.join(parts)} {select}"
@@ -120,11 +158,38 @@ def words(task: str, label: str) -> str:
     return f"len([x FOR x IN tok IF x IN ({', '.join(repr(v) for v in w)})])" if w else "0"
 
 
+LETTERS = r"length(regexp_replace(text, '[^\p{L}]', '', 'g')) * 1000 < length(text) * " + str(LETTERS_PM)
+SAME = f"len(list_distinct(tok)) * 1000 < len(tok) * {DIFFERENT_PM}"
+
+
+def label(role: str, task: str) -> str:
+    """The label of a role that reads the text: an expression over ``text`` and its words ``tok`` (and ``doc_id``)."""
+    if role == "hash":
+        ys = list(LEXICON[task])
+        return f"list_value({', '.join(repr(y) for y in ys)})[CAST('0x' || substr(md5(CAST(doc_id AS VARCHAR)), 1, 4) AS INTEGER) % {len(ys)} + 1]"
+    if role == "zs_weak":
+        return zs(task, weak=True)
+    if task == "quality":
+        return f"CASE WHEN {LETTERS}{f' OR {SAME}' if role == 'zs_heavy' else ''} THEN 'junk' ELSE 'clean' END"
+    return heavy(task) if role == "zs_heavy" else zs(task)
+
+
+def heavy(task: str) -> str:
+    s = {}
+    for y in LEXICON[task]:
+        hints = HINTS[task][y]
+        s[y] = f"({words(task, y)} * {WORD_WEIGHT} + " + (f"len([x FOR x IN tok IF regexp_matches(x, '{'|'.join(hints)}')]))" if hints else "0)")
+    return _case(s, DEFAULT[task])
+
+
 def zs(task: str, weak: bool = False) -> str:
     """CASE expression over a list column ``tok``."""
-    s = {y: (f"len([x FOR x IN tok IF x = '{y}'])" if weak else words(task, y)) for y in LEXICON[task]}
+    return _case({y: (f"len([x FOR x IN tok IF x = '{y}'])" if weak else words(task, y)) for y in LEXICON[task]}, DEFAULT[task])
+
+
+def _case(s: dict[str, str], default: str) -> str:
     best = f"greatest({', '.join(s.values())})"
-    return f"CASE WHEN {best} <= 0 THEN '{DEFAULT[task]}' " + " ".join(f"WHEN {v} = {best} THEN '{y}'" for y, v in s.items()) + " END"
+    return f"CASE WHEN {best} <= 0 THEN '{default}' " + " ".join(f"WHEN {v} = {best} THEN '{y}'" for y, v in s.items()) + " END"
 
 
 TOK = r"[x FOR x IN regexp_split_to_array(lower(text), '[^\p{L}]+') IF x <> '']"

@@ -12,16 +12,40 @@ from elastipool.operators import classify, kernel, queueing, sampling, workload
 from elastipool.session import materialise
 from elastipool.sources import ingest
 
-#: Baselines: policy and role of each. B6 is a static pool of the size that average load needs.
+#: Baselines: policy and role of each. B6 and B7 are static pools of the size that average and peak load need, computed from the tasks; the elastic pools'
+#: bound as a static pool is Bmax.
 POLICIES: dict[str, tuple[RunConfig, str]] = {
     "B1": (FIGURE.but(run_id="B1"), "zs_fast"),
     "B2": (FIGURE.but(run_id="B2"), "zs_heavy"),
     "B3": (STATIC2.but(run_id="B3"), "zs_fast"),
     "B4": (SEQUENTIAL.but(run_id="B4"), "zs_weak"),
     "B5": (SEQUENTIAL.but(run_id="B5"), "supervised"),
-    "B7": (PEAK.but(run_id="B7"), "zs_fast"),
+    "B6": (STATIC2.but(run_id="B6"), "zs_fast"),
+    "B7": (STATIC2.but(run_id="B7"), "zs_fast"),
+    "Bmax": (PEAK.but(run_id="Bmax"), "zs_fast"),
     "B8": (FIGURE.but(run_id="B8", use_queue=False, cpu_share_pm=300), "zs_fast"),
 }
+SIZED = {"B6": "average", "B7": "peak"}
+FIVE = ("B1", "B2", "B3", "B4", "B5")
+#: Roles that any policy may run with.
+ALL_ROLES = ("zs_fast", "zs_heavy", "zs_weak", "supervised", "majority", "hash")
+
+
+def order_of(cfg: RunConfig, prio: str = "source") -> str:
+    """A sequential pass has no queue, so no priorities: it takes tasks as they come."""
+    return "const" if cfg.n_init == 1 and not cfg.autoscale else prio
+
+
+def policy(name: str, sizes: dict[str, int] | None = None) -> tuple[RunConfig, str]:
+    cfg, role = POLICIES[name]
+    if name in SIZED:
+        n = sizes[SIZED[name]]
+        cfg = cfg.but(n_init=n, n_min=n, n_max=n)
+    return cfg, role
+
+
+def sizes_of(spark: SparkSession, sf_dir: str, task: str, spec: ArrivalSpec = ArrivalSpec()) -> dict[str, int]:
+    return workload.static_sizes(tasks(spark, sf_dir, task, spec=spec), spec).first().asDict()
 
 
 @dataclass(frozen=True)
@@ -51,7 +75,9 @@ def tasks(spark: SparkSession, sf_dir: str, task: str = "lang", role: str = "zs_
 
 
 def label_of(role: str, task: str) -> Column:
-    """The label a Column role gives to ``text``."""
+    """The label a Column role gives to ``text`` (or, for the hash, to ``doc_id``)."""
+    if role == "hash":
+        return classify.hash_label(task)
     return {"zs_fast": classify.zs_fast, "zs_heavy": classify.zs_heavy, "zs_weak": classify.zs_weak}[role](task)
 
 
@@ -59,15 +85,32 @@ def predictions(spark: SparkSession, sf_dir: str, task: str, role: str, eval_row
     """(task_id, y, y_hat) on an evaluation sample: text is read here and nowhere else."""
     docs = ingest.table(spark, sf_dir, "documents").select("doc_id", "text")
     rows = docs.join(F.broadcast(eval_rows.select("doc_id", "y")), "doc_id")
-    if role != "supervised":
+    if role not in ("supervised", "majority"):
         return rows.select(F.col("doc_id").alias("task_id"), "y", label_of(role, task).alias("y_hat"))
-    train = sampling.train_split(ingest.labelled(spark, sf_dir, task), eval_rows).select("doc_id", "y").join(docs, "doc_id")
-    return classify.nb_predict(rows, classify.nb_fit(train)).join(rows.select("doc_id", "y"), "doc_id").select(F.col("doc_id").alias("task_id"), "y", "y_hat")
+    split = sampling.train_split(ingest.labelled(spark, sf_dir, task), eval_rows).select("doc_id", "y")
+    if role == "majority":
+        return eval_rows.select(F.col("doc_id").alias("task_id"), "y").crossJoin(F.broadcast(classify.majority(split)))
+    return classify.nb_predict(rows, classify.nb_fit(split.join(docs, "doc_id"))).join(rows.select("doc_id", "y"), "doc_id").select(F.col("doc_id").alias("task_id"), "y", "y_hat")
+
+
+def outcomes(spark: SparkSession, sf_dir: str, task: str, results: DataFrame, roles: dict[str, str], faults: bool = False) -> DataFrame:
+    """The task-level table: each run's own tasks are classified by the run's role, so nothing is shared between policies. With ``faults`` chosen rows raise inside
+    the classifier; the guard turns that into an error label for the row, and the rest of its batch goes on."""
+    rows = materialise(sample(spark, sf_dir, task), "sample")
+    out = None
+    for run, role in roles.items():
+        mine = results.where(F.col("run_id") == run)
+        own = rows.join(mine.select(F.col("task_id").alias("doc_id")), "doc_id", "left_semi")
+        p = predictions(spark, sf_dir, task, role, own)
+        p = classify.with_faults(p.withColumnRenamed("task_id", "doc_id")).withColumnRenamed("doc_id", "task_id") if faults else p.withColumn("ok", F.col("y_hat").isNotNull())
+        j = mine.join(p, "task_id").withColumn("correct", F.col("ok") & F.col("y").eqNullSafe(F.col("y_hat")))
+        out = j if out is None else out.unionByName(j)
+    return out.select("run_id", "task_id", "seq", "prio", "y", "y_hat", "correct", "ok", "worker_id", "enq_ms", "start_ms", "finish_ms", "svc_ms", "wait_ms", "sojourn_ms")
 
 
 def execute(spark: SparkSession, sf_dir: str, run: RunSpec) -> RunOutput:
     """One policy with its classifier: the queue run is written once and split by kind."""
-    cfg, role = POLICIES[run.policy]
+    cfg, role = policy(run.policy, sizes_of(spark, sf_dir, run.task, run.spec) if run.policy in SIZED else None)
     rows = sample(spark, sf_dir, run.task, run.balanced)
     t = workload.tasks(rows, role, run.prio, run.spec)
     if cfg.autoscale or cfg.n_init > 1:
@@ -85,20 +128,27 @@ def _empty(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame([], kernel.SCHEMA)
 
 
-def compare(spark: SparkSession, sf_dir: str, task: str = "lang", policies: tuple[str, ...] = ("B1", "B3", "B7"), prio: str = "source") -> DataFrame:
-    """Tagged rows of several policies over one sample; runs of one role share a task table, so each role's tasks are built once."""
+def compare(spark: SparkSession, sf_dir: str, task: str = "lang", policies: tuple[str, ...] = FIVE, prio: str = "source", runs: list[tuple[RunConfig, str]] | None = None) -> DataFrame:
+    """Tagged rows of several policies (or of any configurations with roles) over one sample; runs of one role and order share a task table."""
     rows = materialise(sample(spark, sf_dir, task), "sample")
-    by_role: dict[str, list[RunConfig]] = {}
-    for p in policies:
-        cfg, role = POLICIES[p]
-        by_role.setdefault(role, []).append(cfg)
-    sims = [kernel.simulate(workload.tasks(rows, role, prio), cfgs) for role, cfgs in by_role.items()]
-    out = sims[0]
-    for s in sims[1:]:
-        out = out.unionByName(s)
+    if runs is None:
+        sizes = sizes_of(spark, sf_dir, task) if set(policies) & set(SIZED) else None
+        runs = [policy(p, sizes) for p in policies]
+    by: dict[tuple[str, str], list[RunConfig]] = {}
+    for cfg, role in runs:
+        by.setdefault((role, order_of(cfg, prio)), []).append(cfg)
+    out = None
+    for (role, order), cfgs in by.items():
+        s = kernel.simulate(workload.tasks(rows, role, order), cfgs)
+        out = s if out is None else out.unionByName(s)
     return materialise(out, "compare")
 
 
+def fixed(spark: SparkSession, cfgs: list[RunConfig]) -> DataFrame:
+    """(run_id, n) of the pools that never change."""
+    return spark.createDataFrame([(c.run_id, c.n_init) for c in cfgs if not c.autoscale], "run_id string, n int")
+
+
 def sweep_grid(small: bool) -> list[RunConfig]:
     """The threshold grid: 864 configurations, or 24 of them."""
     if small:

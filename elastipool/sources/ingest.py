@@ -33,10 +33,17 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "pages").select(F.col("page_id").alias("doc_id"), F.trim(F.regexp_replace(t, "[ \\t\\r\\n]+", " ")).alias("text"))
 
 
+#: How a null field is written.
+TSV_NULL = "\\N"
+
+
 def tsv(spark: SparkSession, path: str) -> DataFrame:
-    """(y, text, bad) of a label-tab-text file; a row without its tab is kept in ``bad``."""
-    schema = T.StructType([T.StructField("y", T.StringType()), T.StructField("text", T.StringType()), T.StructField("bad", T.StringType())])
-    return spark.read.schema(schema).option("sep", "\t").option("quote", "").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "bad").csv(path)
+    """(y, text, bad) of a label-tab-text file. All characters are literal, quotes too; a row without its tab, or with an empty label, is kept in ``bad``."""
+    v = F.col("value")
+    tab = F.instr(v, "\t")
+    fine = tab > 1
+    field = lambda c: F.when(fine & (c != TSV_NULL), c)
+    return spark.read.text(path).select(field(F.substring_index(v, "\t", 1)).alias("y"), field(v.substr(tab + 1, F.length(v))).alias("text"), F.when(~fine, v).alias("bad"))
 
 
 def json_lines(spark: SparkSession, path: str, schema: T.StructType) -> DataFrame:
