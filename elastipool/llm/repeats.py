@@ -10,19 +10,23 @@ from the first of these windows to the end of the last. Phrases overlap by ``LEN
 *Dictionary.* Equal phrases are looked up by (trigger, phrase hash): all windows of a phrase that is not the first of its kind are
 repeats, without a look inside. Most repeats end here.
 
-*Windows of dictionary phrases.* Only first phrases that share a trigger with a different phrase are opened. Their windows are grouped by
-two independent rolling hashes and ordered by corpus position within a group; each but the first is a repeat. No suffix array is built: the
-question is only which ``LENGTH``-byte prefixes of suffixes are equal and which of them comes first, and the arrays would need each suffix's first
-``LENGTH`` bytes at the place where it is sorted, some hundred times the opened text. The grouping by hash takes the place of the order by content.
+*Suffixes of the dictionary.* Only first phrases that share a trigger with a different phrase are opened, and their bytes gather by trigger. There the
+phrases' suffixes from the trigger on, and their beginnings read backwards from it, are sorted, with the lengths that neighbours have in common: two suffix arrays
+of the part of the dictionary that this trigger has. A window is its trigger's place in it, what lies before and what lies after; equal windows are those of one
+run in both arrays, and the parse says which of them comes first in the corpus. Bytes are compared, not hashes of windows.
 
-Each map task combines before it shuffles: per ``PIECE`` of text and trigger at most one phrase leaves, or a mark if the piece has
+*Frequent triggers.* A trigger that a piece of text has in more than ``PER_PIECE`` different phrases, or the corpus in more than ``FREQUENT``, would gather too much
+in one task. Its windows are grouped by two independent rolling hashes of their bytes instead, over all tasks.
+
+Each map task combines before it shuffles: per ``PIECE`` of text and trigger at most ``PER_PIECE`` phrases leave, or a mark if the piece has
 opened the trigger itself. So the longest list of a trigger grows with the number of pieces, not with its occurrences. Lists travel packed by hash bucket; texts
 are read in pieces of bounded size, whatever a document's length.
 
 Null and empty text: 0 bytes, nothing removed. Different texts of one doc_id count as parts of one document, in the order of their hashes; matches
 do not cross parts. Exact repetitions of a row are the same place and lose the same bytes. Texts without doc_id are documents of their own,
-placed by a hash of the text. Other columns are never read; an empty table gives an empty result. Windows are compared by 48 bits of one hash within
-a bucket (at least 8 bits more) and 32 bits of another: for n opened windows a false repeat has a probability below n * n / 2 ** 88.
+placed by a hash of the text. Other columns are never read; an empty table gives an empty result. Phrases are known by 48 bits of their trigger's hash
+and 48 of their own, windows of frequent triggers by 48 bits within a bucket (at least 8 more) and 32 of another hash: for n of them a false repeat has a
+probability below n * n / 2 ** 88.
 """
 
 from __future__ import annotations
@@ -39,11 +43,15 @@ from elastipool.llm.common import discard, materialise, mix, prepare, table
 
 LENGTH, GRAM = 100, 24
 PIECE = 1 << 21
+#: Different phrases of one trigger in a piece of text, and in the corpus, beyond which its windows are hashed.
+PER_PIECE, FREQUENT = 64, 20_000
 #: Places between the parts of one document, and the most places that packed positions can tell apart.
 GAP, PLACES = 1 << 10, 1 << 32
 _POS_BITS = np.uint64(23)
 _POS = np.uint64((1 << 23) - 1)
-PHRASE, SPAN, WINDOW, OPEN = 0, 1, 2, 3
+PHRASE, SPAN, WINDOW, OPEN, ENTRY = 0, 1, 2, 3, 4
+#: A phrase's number of windows, the place of its trigger (both below 128), and whether the trigger is frequent, in one number.
+_PLACE, _HASHED = 7, 1 << 14
 ROWS = pa.schema([("kind", pa.int32()), ("key", pa.int64()), *((c, pa.binary()) for c in ("a", "b", "doc", "pos", "cnt"))])
 ROWS_DDL = "kind int, key long, a binary, b binary, doc binary, pos binary, cnt binary"
 OUT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
@@ -90,7 +98,7 @@ class Rolling:
 
 
 def _phrases(x: np.ndarray, starts: np.ndarray, r: Rolling):
-    """(trigger hash, phrase hash, first window, number of windows) of the phrases over the window starts given."""
+    """(trigger hash, phrase hash, first window, number of windows with the trigger's place) of the phrases over the window starts given."""
     h = mix(r.all(GRAM))
     k = (h & ~_POS) | np.arange(len(h), dtype=np.uint64)
     w, m, span = LENGTH - GRAM + 1, k, 1
@@ -102,7 +110,11 @@ def _phrases(x: np.ndarray, starts: np.ndarray, r: Rolling):
     last = np.concatenate([first[1:], [len(at)]]) - 1
     lo, hi, g = starts[first], starts[last], at[first]
     inside = mix((hi - lo).astype(np.uint64) * np.uint64(1 << 20) + (g - lo).astype(np.uint64) + np.uint64(1))
-    return h[g], np.maximum(mix(r.of(lo, hi + LENGTH) ^ inside), np.uint64(1 << 16)), lo, hi - lo + 1
+    return h[g], np.maximum(mix(r.of(lo, hi + LENGTH) ^ inside), np.uint64(1 << 16)), lo, (hi - lo + 1) | ((g - lo) << _PLACE)
+
+
+def _count(code: np.ndarray) -> np.ndarray:
+    return code & ((1 << _PLACE) - 1)
 
 
 def _window_hashes(x: np.ndarray, r: Rolling, starts: np.ndarray):
@@ -160,7 +172,7 @@ def _by_bucket(kind, h, a, b, doc, pos, cnt, buckets):
     o = np.argsort(k, kind="stable")
     k = k[o]
     edges = np.concatenate([[0], np.flatnonzero(np.diff(k)) + 1, [len(k)]])
-    doc, pos, cnt = doc[o].astype("<i8"), pos[o].astype("<u4"), cnt[o].astype(np.uint8)
+    doc, pos, cnt = doc[o].astype("<i8"), pos[o].astype("<u4"), cnt[o].astype("<u2")
     a, b = np.ascontiguousarray(a[o]), np.ascontiguousarray(b[o])
     return [(kind, int(k[i]), a[i:j].tobytes(), b[i:j].tobytes(), doc[i:j].tobytes(), pos[i:j].tobytes(), cnt[i:j].tobytes()) for i, j in zip(edges[:-1].tolist(), edges[1:].tolist())]
 
@@ -203,6 +215,13 @@ def _windows(h, chk, doc, pos, buckets):
     return _by_bucket(WINDOW, h[f], _six(h[f]), chk[f], doc[f], pos[f], np.ones(len(f)), buckets) + _spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later)))
 
 
+def _of_many(t: np.ndarray, most: int) -> np.ndarray:
+    """Of sorted values, those that occur more than ``most`` times."""
+    edges = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1], [True]]))
+    size = np.diff(edges)
+    return np.repeat(size > most, size)
+
+
 def _emit(rows):
     return pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(zip(*rows), ROWS)], schema=ROWS)
 
@@ -223,14 +242,11 @@ def _parse(buckets):
             doc, pos = np.array(docs, np.int64)[p], lo - base[p] + np.array(offs, np.int64)[p]
             o, new, same = _firsts([trig, phr], doc, pos)
             later, first = o[~same], o[new]
-            rows = _spans_by_doc(SPAN, doc[later], pos[later], cnt[later])
-            t = trig[first]
-            several = np.zeros(len(first), bool)
-            several[1:] |= t[1:] == t[:-1]
-            several[:-1] |= t[1:] == t[:-1]
-            opened, whole = first[several], np.sort(first[~several])
+            rows = _spans_by_doc(SPAN, doc[later], pos[later], _count(cnt[later]))
+            many = _of_many(trig[first], PER_PIECE)
+            opened, whole = first[many], np.sort(first[~many])
             if len(opened):
-                c = cnt[opened]
+                c = _count(cnt[opened])
                 inner = np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
                 h, chk = _window_hashes(x, r, np.repeat(lo[opened], c) + inner)
                 rows += _windows(h, chk, np.repeat(doc[opened], c), np.repeat(pos[opened], c) + inner, buckets)
@@ -273,89 +289,150 @@ def _lookup(batches):
             continue
         trig, phr = _unsix([r[2] for r in rows]), _unsix([r[3] for r in rows])
         doc, pos = _cols(rows, "doc", "pos")
-        cnt = np.concatenate([np.frombuffer(r[6], np.uint8) for r in rows])
+        cnt = np.concatenate([np.frombuffer(r[6], "<u2") for r in rows]).astype(np.int64)
         o, new, same = _firsts([trig, phr], doc, pos)
         mark = phr[o] == 0
         later, first = o[~same & ~mark], o[new]
         t = trig[first]
-        several = np.zeros(len(first), bool)
-        several[1:] |= t[1:] == t[:-1]
-        several[:-1] |= t[1:] == t[:-1]
-        asked = first[several & (phr[first] != 0)]
-        got = _spans_by_doc(SPAN, doc[later], pos[later], cnt[later]) + _spans_by_doc(OPEN, doc[asked], pos[asked], cnt[asked])
+        several, hashed = _of_many(t, 1), _of_many(t, FREQUENT)
+        # marks come first among a trigger's entries, so a trigger that has one is told by its first entry
+        starts = np.concatenate([[True], t[1:] != t[:-1]])
+        hashed |= (phr[first][starts] == 0)[np.cumsum(starts) - 1]
+        ask = several & (phr[first] != 0)
+        asked, code = first[ask], cnt[first[ask]] | np.where(hashed[ask], _HASHED, 0)
+        got = _spans_by_doc(SPAN, doc[later], pos[later], _count(cnt[later])) + _spans_by_doc(OPEN, doc[asked], pos[asked], code)
         if got:
             yield _emit(got)
 
 
 def _open(buckets):
-    """Windows of the phrases asked for, from (key, base, text, list of pos, list of cnt)."""
+    """Of the phrases asked for, from (key, base, text, list of pos, list of cnt): their bytes, or their windows where the trigger is frequent."""
 
     def run(batches):
+        held, size = [], 0
         for b in batches:
             off, data, _ = common.byte_views(b.column(2))
-            rows = []
             for i, (d, base) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist())):
                 text = data[off[i] : off[i + 1]]
-                rows.append((d, base, *_own(b, 3, i, base, len(text)), text))
-            for part in _portions(rows):
-                yield from part
-
-    def _portions(rows):
-        held, size = [], 0
-        for d, base, pos, cnt, text in rows:
-            cuts = np.searchsorted(np.cumsum(cnt + LENGTH - 1), np.arange(PIECE, int((cnt + LENGTH - 1).sum()) + PIECE, PIECE))
-            a = 0
-            for z in [*np.unique(cuts).tolist(), len(pos)]:
-                if z > a:
-                    held.append((d, base, pos[a:z], cnt[a:z], text))
-                    size += int((cnt[a:z] + LENGTH - 1).sum())
-                    a = z
-                if size >= PIECE:
-                    yield _flush(held)
-                    held, size = [], 0
+                pos, code = _own(b, 3, i, base, len(text))
+                ends = np.cumsum(_count(code) + LENGTH - 1)
+                cuts = np.searchsorted(ends, np.arange(PIECE, int(ends[-1]) + PIECE, PIECE)) if len(ends) else np.zeros(0, np.int64)
+                a = 0
+                for z in [*np.unique(cuts).tolist(), len(pos)]:
+                    if z > a:
+                        length = _count(code[a:z]) + LENGTH - 1
+                        held.append((d, base, pos[a:z], code[a:z], text[_ranges(pos[a:z], length)]))
+                        size += int(length.sum())
+                        a = z
+                    if size >= PIECE:
+                        yield _flush(held)
+                        held, size = [], 0
         if held:
             yield _flush(held)
 
     def _flush(held):
-        c = np.concatenate([h[3] for h in held])
-        span = c + LENGTH - 1
-        x = []
-        for _, _, pos, cnt, text in held:
-            idx = np.arange((cnt + LENGTH - 1).sum()) - np.repeat(np.cumsum(cnt + LENGTH - 1) - (cnt + LENGTH - 1), cnt + LENGTH - 1) + np.repeat(pos, cnt + LENGTH - 1)
-            x.append(text[idx])
-        if not len(c):
-            return
-        x = np.concatenate(x)
-        begin = np.cumsum(span) - span
-        inner = np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
-        h, chk = _window_hashes(x, Rolling(x), np.repeat(begin, c) + inner)
-        doc = np.concatenate([np.full(len(k[2]), k[0], np.int64) for k in held])
-        pos = np.concatenate([k[2] + k[1] for k in held])
-        rows = _windows(h, chk, np.repeat(doc, c), np.repeat(pos, c) + inner, buckets)
-        if rows:
-            yield _emit(rows)
+        code = np.concatenate([h[3] for h in held])
+        cnt, place, hashed = _count(code), (code >> _PLACE) & 127, code >= _HASHED
+        x = np.concatenate([h[4] for h in held])
+        doc = np.concatenate([np.full(len(h[2]), h[0], np.int64) for h in held])
+        pos = np.concatenate([h[2] + h[1] for h in held])
+        length = cnt + LENGTH - 1
+        begin = np.cumsum(length) - length
+        r = Rolling(x)
+        rows = []
+        if hashed.any():
+            c = cnt[hashed]
+            inner = np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
+            h, chk = _window_hashes(x, r, np.repeat(begin[hashed], c) + inner)
+            rows += _windows(h, chk, np.repeat(doc[hashed], c), np.repeat(pos[hashed], c) + inner, buckets)
+        cold = np.flatnonzero(~hashed)
+        if len(cold):
+            gram = begin[cold] + place[cold]
+            k = (mix(r.of(gram, gram + GRAM)) & np.uint64(buckets - 1)).astype(np.int64)
+            o = np.argsort(k, kind="stable")
+            k, cold = k[o], cold[o]
+            edges = np.concatenate([[0], np.flatnonzero(np.diff(k)) + 1, [len(k)]])
+            for i, j in zip(edges[:-1].tolist(), edges[1:].tolist()):
+                at = cold[i:j]
+                rows.append((ENTRY, int(k[i]), x[_ranges(begin[at], length[at])].tobytes(), None, doc[at].astype("<i8").tobytes(), pos[at].astype("<u4").tobytes(), code[at].astype("<u2").tobytes()))
+        return _emit(rows)
 
     return run
 
 
+def _ranges(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """start[0] ... start[0] + size[0] - 1, start[1] ..., one after another."""
+    return np.arange(size.sum()) - np.repeat(np.cumsum(size) - size - start, size)
+
+
+class _Array:
+    """Byte strings (rows of a matrix, padded with zeros, and their lengths) in order, with the lengths that neighbours share."""
+
+    def __init__(self, m: np.ndarray, length: np.ndarray):
+        # of strings that differ by trailing zeros alone the shorter comes first, so strings of one beginning lie together
+        self.order = np.lexsort((length, np.ascontiguousarray(m).view(f"S{m.shape[1]}").ravel()))
+        a, b = m[self.order[:-1]], m[self.order[1:]]
+        differ = a != b
+        common_ = np.where(differ.any(1), differ.argmax(1), m.shape[1])
+        self.shared = np.minimum(common_, np.minimum(length[self.order[:-1]], length[self.order[1:]]))
+
+    def runs(self, k: int) -> np.ndarray:
+        """For each string the number of its run of strings that share the first k bytes."""
+        out = np.empty(len(self.order), np.int64)
+        out[self.order] = np.concatenate([[0], np.cumsum(self.shared < k)])
+        return out
+
+
+def repeated_in(x: np.ndarray, code: np.ndarray, doc: np.ndarray, pos: np.ndarray):
+    """(doc, first window, number of windows) of the windows that repeat an earlier one among phrases whose bytes follow each other in x."""
+    cnt, place = _count(code), (code >> _PLACE) & 127
+    o = np.lexsort((pos + place, doc))
+    length = cnt + LENGTH - 1
+    begin = (np.cumsum(length) - length)[o]
+    cnt, place, doc, pos, length = cnt[o], place[o], doc[o], pos[o], length[o]
+    n, gram, end = len(cnt), begin + place, begin + length
+    after = gram[:, None] + np.arange(LENGTH)
+    right = _Array(np.where(after < end[:, None], x[np.minimum(after, len(x) - 1)], np.uint8(0)), np.minimum(length - place, LENGTH))
+    most = LENGTH - GRAM
+    before = gram[:, None] - 1 - np.arange(most)
+    left = _Array(np.where(before >= begin[:, None], x[np.maximum(before, 0)], np.uint8(0)), place)
+    found = np.zeros((n, most + 3), bool)  # a column for each window of a phrase, with an empty one at either end
+    for k in range(most + 1):  # windows that have k bytes before the trigger
+        rows = np.flatnonzero((place >= k) & (place - k < cnt))
+        if len(rows) < 2:
+            continue
+        _, first, run = np.unique(right.runs(LENGTH - k)[rows] * n + left.runs(k)[rows], return_index=True, return_inverse=True)
+        head = rows[first[run]]
+        later = rows[(doc[rows] != doc[head]) | ((pos + place)[rows] != (pos + place)[head])]
+        found[later, place[later] - k + 1] = True
+    step = np.diff(found.astype(np.int8), axis=1)
+    (row, a), (_, z) = np.nonzero(step == 1), np.nonzero(step == -1)
+    return doc[row], pos[row] + a, z - a
+
+
 def _suffixes(batches):
-    """Equal windows: spans of all but the first."""
+    """Repeated windows, from the bytes of dictionary phrases or from hashed windows."""
     for kind, rows in _streams(batches):
-        if kind != WINDOW:
-            yield _emit(rows)
-            continue
-        h = _unsix([r[2] for r in rows])
-        chk, doc, pos = _cols(rows, "chk", "doc", "pos")
-        later = _first_windows(h, chk, doc, pos)[1]
-        if len(later):
-            yield _emit(_spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later))))
+        if kind == ENTRY:
+            code = np.concatenate([np.frombuffer(r[6], "<u2") for r in rows]).astype(np.int64)
+            doc, pos = _cols(rows, "doc", "pos")
+            got = _spans_by_doc(SPAN, *repeated_in(np.concatenate([np.frombuffer(r[2], np.uint8) for r in rows]), code, doc, pos.astype(np.int64)))
+        elif kind == WINDOW:
+            h = _unsix([r[2] for r in rows])
+            chk, doc, pos = _cols(rows, "chk", "doc", "pos")
+            later = _first_windows(h, chk, doc, pos)[1]
+            got = _spans_by_doc(SPAN, doc[later], pos[later], np.ones(len(later)))
+        else:
+            got = rows
+        if got:
+            yield _emit(got)
 
 
-def _own(b, at: int, i: int, base: int, size: int) -> tuple[np.ndarray, np.ndarray]:
+def _own(b, at: int, i: int, base: int, size: int, coded: bool = True) -> tuple[np.ndarray, np.ndarray]:
     """Of a document's packed places and counts (columns at, at + 1) those in the part of ``size`` bytes that starts at ``base``, from its start."""
     pos, cnt = (np.concatenate([np.frombuffer(x, "<u4") for x in b.column(c)[i].as_py()]).astype(np.int64) for c in (at, at + 1))
     pos = pos - base
-    fit = (pos >= 0) & (pos + cnt + LENGTH - 1 <= size)
+    fit = (pos >= 0) & (pos + (_count(cnt) if coded else cnt) + LENGTH - 1 <= size)
     return pos[fit], cnt[fit]
 
 
@@ -379,7 +456,7 @@ def _cut(batches):
             text = data[off[i] : off[i + 1]]
             a = z = np.zeros(0, np.int64)
             if b.column(3)[i].is_valid:
-                a, z = removed_runs(len(text), *_own(b, 3, i, base, len(text)))
+                a, z = removed_runs(len(text), *_own(b, 3, i, base, len(text), False))
             sha, at = hashlib.sha256(), 0
             for x, y in zip(a.tolist(), z.tolist()):
                 sha.update(text[at:x])
