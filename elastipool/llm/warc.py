@@ -153,8 +153,8 @@ def _decoded(payload: bytes, http: list[tuple[str, str]]) -> str:
 
 def visible_text(html: str) -> str:
     """Text a reader sees, one line for each block, white space as single spaces."""
-    s = _TAG.sub("", _BLOCK.sub("\n", _DROP.sub(" ", html)))
-    lines = (" ".join(x.split()) for x in (unescape(s) if "&" in s else s).split("\n"))
+    s = _TAG.sub("", _BLOCK.sub("\n", _DROP.sub(" ", html.replace("\n", " ").replace("\r", " "))))
+    lines = (" ".join((unescape(x) if "&" in x else x).split()) for x in s.split("\n"))
     return "\n".join(x for x in lines if x)
 
 
