@@ -209,6 +209,38 @@ def test_pipeline_stages(spark, sf):
     assert 0 < p.run(spark, sf).count() < len(rows)
 
 
+def test_pipeline_on_odd_tables(spark, tmp_path):
+    import corpus_pipeline as p
+
+    long = " ".join(f"word{k % 977} and{k % 31}" for k in range(60_000))
+    item = "one two three four five six seven eight nine ten"
+    rows = [(1, None), (2, ""), (3, " \t"), (4, "a b c d e f g h i j k l m n"), (4, "a b c d e f g h i j k l m n"), (5, "a b c d e f g h i j k l m n"), (None, "a b c d e f g h i j k l m n"), (None, None), (6, long), (7, long + " end"), (8, "so " + item + " done"), (9, "mail x.y@mail1.example.com now")]
+    made = spark.createDataFrame([(i, t, None if t is None else len(t), "x", 1, "r", "k") for i, t in rows], "doc_id long, text string, n_chars long, made string, sid long, row string, component_id string")
+    for name, docs in (("odd", made), ("none", made.limit(0))):
+        d = f"{tmp_path}/{name}"
+        docs.write.parquet(f"{d}/documents.parquet")
+        spark.createDataFrame([], "doc_id long, toxic int").write.parquet(f"{d}/labels.parquet")
+        spark.createDataFrame([(1, item), (2, None), (3, "")], "item_id long, text string").write.parquet(f"{d}/benchmark.parquet")
+        now = spark.read.parquet(f"{d}/documents.parquet")
+        left = {}
+        for stage, f in p.STAGES[:-1]:
+            now = f(spark, now, d)
+            assert now.columns == made.columns
+            left[stage] = now = spark.createDataFrame(now.collect(), made.schema)
+        ids = lambda stage: sorted(str(r.doc_id) for r in left[stage].collect())
+        if name == "none":
+            assert all(df.count() == 0 for df in left.values()) and p.run(spark, d).collect() == []
+            continue
+        assert len(ids("toxicity")) == len(rows)
+        # the row without an id is no copy by id; the document given twice stays twice
+        assert ids("near_copies") == ["1", "2", "3", "4", "4", "6", "8", "9", "None", "None"]
+        assert ids("decontamination") == ids("pii") == ["1", "2", "3", "4", "4", "6", "9", "None", "None"]
+        text = {str(r.doc_id): r for r in left["pii"].collect()}
+        assert "x.y@mail1" not in text["9"].text and text["9"].n_chars == len(text["9"].text) and text["6"].text == long and text["1"].text is None
+        got = p.run(spark, d).collect()
+        assert sorted(str(r.doc_id) for r in got) == ids("pii") and {r.n_tokens for r in got if r.doc_id in (1, 2)} == {0}
+
+
 def test_queries_are_registered():
     q = queries.queries()
     assert sorted(q, key=lambda x: int(re.match(r"op(\d+)_", x).group(1)))[0].startswith("op1_") and len(q) == 10

@@ -88,15 +88,34 @@ def repeat_corpus(seed=1):
     return rows
 
 
-@pytest.mark.parametrize("piece", [1 << 21, 700])
-def test_repeats_equal_brute(spark, monkeypatch, piece):
+@pytest.mark.parametrize(("piece", "per_piece", "frequent"), [(1 << 21, 64, 20_000), (700, 64, 20_000), (700, 2, 20_000), (1 << 21, 64, 3), (700, 1, 1)])
+def test_repeats_equal_brute(spark, monkeypatch, piece, per_piece, frequent):
+    """By suffix arrays alone, by hashed windows alone, and by both."""
     monkeypatch.setattr(repeats, "PIECE", piece)
+    monkeypatch.setattr(repeats, "PER_PIECE", per_piece)
+    monkeypatch.setattr(repeats, "FREQUENT", frequent)
     rows = repeat_corpus()
     want = brute.repeated_bytes(rows)
     got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in repeats.deduplicated(frame(spark, rows).repartition(3)).collect()}
     assert got == {i: (*w[:3], hashlib.sha256(w[3]).hexdigest()) for i, w in want.items()}
 
 
+def test_arrays_of_suffixes():
+    rng = np.random.default_rng(5)
+    for _ in range(60):
+        strings = [bytes(rng.integers(0, 2, rng.integers(0, 9)).astype(np.uint8)) for _ in range(int(rng.integers(1, 40)))]
+        m = np.zeros((len(strings), 9), np.uint8)
+        for i, t in enumerate(strings):
+            m[i, : len(t)] = np.frombuffer(t, np.uint8)
+        array = repeats._Array(m, np.array([len(t) for t in strings]))
+        for k in range(9):
+            run = array.runs(k)
+            for i, t in enumerate(strings):
+                for j, u in enumerate(strings):
+                    if len(t) >= k and len(u) >= k:
+                        assert (run[i] == run[j]) == (t[:k] == u[:k])
+
+
 def test_repeats_odd_tables(spark):
     assert repeats.deduplicated(frame(spark, [])).collect() == []
     rng = random.Random(2)
