@@ -7,67 +7,110 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from elastipool.model import FIGURE
+from elastipool.model import FIGURE, NEVER
+from elastipool.operators import classify
 from elastipool.plans import oracle as O
 from elastipool.plans import runs
 from elastipool.plans.catalog import add, query
-from elastipool.session import scratch_root
-from elastipool.sources import ingest
+from elastipool.session import materialise, scratch_root
+from elastipool.sources import generator, ingest
 from elastipool.streaming import live
 
 
-def fresh(s: SparkSession, df: DataFrame, tag: str, files: int = 1) -> str:
-    """A folder of files for a stream to read: rows in time order, one file a part."""
+def fresh(s: SparkSession, df: DataFrame, tag: str) -> str:
+    """A folder of files for a stream to read."""
     path = f"{scratch_root(s)}/stream-{tag}-{uuid.uuid4().hex}"
-    df.coalesce(files).write.parquet(path) if files == 1 else df.repartitionByRange(files, "ts").write.parquet(path)
+    df.write.parquet(path)
     return path
 
 
 def stream(s: SparkSession, d: str) -> DataFrame:
-    return live.events(s, fresh(s, ingest.table(s, d, "events"), "events"))
+    return live.events(s, fresh(s, ingest.table(s, d, "events"), "events"), per_trigger=64)
 
 
-def name(tag: str) -> str:
-    return f"{tag}_{uuid.uuid4().hex[:8]}"
-
-
-add("stream_tumbling_rate", lambda s, d: live.drain(live.tumbling(stream(s, d)), name("tumbling"), "complete"), "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
-add("stream_sliding_value", lambda s, d: live.drain(live.sliding(stream(s, d)), name("sliding"), "complete"), "SELECT h - o AS start, count(*) AS n, CAST(sum(floor(value)) AS BIGINT) AS value FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS h, value FROM events), (SELECT unnest([0, 3600]) AS o) GROUP BY 1")
-add("stream_session_users", lambda s, d: live.drain(live.sessions(stream(s, d)), name("sessions"), "complete"), "SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM (SELECT *, sum(CASE WHEN gap IS NULL OR gap >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events)) GROUP BY user_id, k")
+_HOURLY = "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
+_SLIDING = "SELECT h - o AS start, count(*) AS n, CAST(sum(floor(value)) AS BIGINT) AS value FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS h, value FROM events), (SELECT unnest([0, 3600]) AS o) GROUP BY 1"
+_SESSIONS = """SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM (
+  SELECT *, sum(CASE WHEN gap IS NULL OR gap >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k
+  FROM (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events)) GROUP BY user_id, k"""
+add("stream_tumbling_rate", lambda s, d: live.drain(live.tumbling(stream(s, d)), "complete"), _HOURLY)
+add("stream_sliding_value", lambda s, d: live.drain(live.sliding(stream(s, d)), "complete"), _SLIDING)
+add("stream_session_users", lambda s, d: live.drain(live.sessions(stream(s, d)), "complete"), _SESSIONS)
 
 
 @query("stream_dedup", "SELECT event_id, event_type FROM events")
 def _(s, d):
     """Every event sent twice; one of each comes out."""
     e = ingest.table(s, d, "events")
-    return live.drain(live.deduplicated(live.events(s, fresh(s, e.union(e), "twice"))), name("dedup"))
+    return live.drain(live.deduplicated(live.events(s, fresh(s, e.union(e), "twice"))))
+
+
+def in_turn(s: SparkSession, parts: list[DataFrame], tag: str) -> str:
+    """A folder whose files a stream reads in the order of the parts: each is written after the one before it."""
+    path = f"{scratch_root(s)}/stream-{tag}-{uuid.uuid4().hex}"
+    for k, part in enumerate(parts):
+        part.coalesce(1).write.parquet(f"{path}/part={k:03d}")
+    return path
+
+
+_HALF = "(SELECT min(ts) + (max(ts) - min(ts)) / 2 FROM events)"
+_LATE = f"SELECT (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0 AND ts <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR) AS late, (SELECT count(*) FROM events) - (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0) AS kept"
+
+
+@query("stream_late_count", _LATE)
+def _(s, d):
+    """A tenth of the first half of the events comes after all others, behind the watermark: how many rows were dropped, and how many were kept."""
+    e = ingest.table(s, d, "events")
+    ends = e.agg(F.min("ts").alias("lo"), F.max("ts").alias("hi"))
+    early = (F.col("ts") < F.col("lo") + (F.col("hi") - F.col("lo")) / 2) & (F.col("event_id") % 10 == 0)
+    e = materialise(e.crossJoin(F.broadcast(ends)).withColumn("early", early).drop("lo", "hi"), "events")
+    main = e.where("not early").drop("early")
+    # a row that is there already brings the trigger in which the watermark moves
+    again = main.orderBy(F.desc("ts"), "event_id").limit(1)
+    path = in_turn(s, [main, again, again, e.where("early").drop("early")], "late")
+    out = live.drained(live.deduplicated(live.events(s, f"{path}/part=*")))
+    return out.rows.agg(F.lit(out.late).cast("long").alias("late"), F.count("*").alias("kept"))
 
 
 @query("stream_processor_results", O.elastic(FIGURE, "SELECT shard, task_id, seq, prio, enq_ms, svc_ms, start_ms, finish_ms, worker_id FROM res"))
 def _(s, d):
-    """The elastic run as a stateful stream: tasks in four files, then a sentinel that moves the watermark past the end, and one that lets the state see it."""
-    t = runs.tasks(s, d).select("shard", "task_id", "seq", "prio", "enq_ms", "svc_ms")
-    end = [(0, -1, -1, 0, 40_000_000, 0), (0, -2, -2, 0, 40_000_001, 0)]
-    ends = [s.createDataFrame([r], t.schema) for r in end]
-    stamp = F.timestamp_millis(F.col("enq_ms") + 1).alias("ts")
-    path = f"{scratch_root(s)}/stream-tasks-{uuid.uuid4().hex}"
-    for k, part in enumerate([*(t.where(f"seq % 4 = {k}") for k in range(4)), *ends]):
-        part.select("*", stamp).coalesce(1).write.parquet(f"{path}/part={k}")
-    # tasks may come in any order as long as none is behind the watermark: here all of them share the first trigger
-    schema = s.read.parquet(f"{path}/part=0").schema
-    src = s.readStream.schema(schema).option("maxFilesPerTrigger", 1000).parquet(f"{path}/part=[0-3]")
-    late = [s.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/part={4 + k}") for k in range(2)]
-    everything = src.unionByName(late[0]).unionByName(late[1])
-    return live.drain(live.live_queue(everything, FIGURE), name("live"))
-
-
-@query("stream_waves")
+    """The elastic run as a stateful stream over several triggers: tasks come in four files in the order of arrival, one a trigger, then a sentinel that moves the watermark
+    past the end, and one that lets the state see it."""
+    t = materialise(runs.tasks(s, d).select("shard", "task_id", "seq", "prio", "enq_ms", "svc_ms"), "tasks")
+    n = t.count()
+    end = [s.createDataFrame([(0, -1 - k, -1 - k, 0, 40_000_000 + 10_000 * k, 0)], t.schema) for k in range(3)]
+    parts = [t.where((F.col("seq") >= n * k // 4) & (F.col("seq") < n * (k + 1) // 4)) for k in range(4)]
+    path = in_turn(s, [p.withColumn("ts", F.timestamp_millis(F.col("enq_ms") + 1)) for p in (*parts, *end)], "tasks")
+    schema = s.read.parquet(f"{path}/part=000").schema
+    return live.drain(live.live_queue(s.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/part=*"), FIGURE))
+
+
+_CURVE = f"SELECT seq, {O.arrival('seq', '500')} AS enq_ms FROM (SELECT unnest(range(500)) AS seq)"
+
+
+@query("source_two_phase", _CURVE)
 def _(s, d):
-    """Waves of micro-batches over the evaluation sample: pool size and tasks left at each."""
-    from elastipool.operators import classify
-    from elastipool.session import materialise
+    return s.read.format(generator.register(s)).option("n", 500).load()
+
+
+@query("stream_two_phase", _CURVE)
+def _(s, d):
+    """The curve as a stream: a hundred tasks a micro-batch."""
+    return live.drain(s.readStream.format(generator.register(s)).option("n", 500).option("per_batch", 100).load())
+
+
+WAVES = FIGURE.but(queue_hi=20)
+_WAVE_RULE = f"""CASE WHEN wave * {WAVES.poll_ms} - last < {WAVES.cooldown_ms} THEN 0 WHEN lft - took > {WAVES.queue_hi} OR least(n, lft) * 1000 > n * {WAVES.util_hi_pm} THEN least({WAVES.step}, {WAVES.n_max} - n)
+  WHEN lft - took = 0 AND least(n, lft) * 1000 < n * {WAVES.util_lo_pm} THEN -least({WAVES.step_down}, n - {WAVES.n_min}, n - least(n, lft)) ELSE 0 END"""
+_WAVES = f"""WITH RECURSIVE {O.base()}, wv AS (SELECT 0 AS wave, CAST({WAVES.n_init} AS BIGINT) AS n, (SELECT count(*) FROM tk) AS lft, CAST({NEVER} AS BIGINT) AS last
+  UNION ALL SELECT wave + 1, n + d, lft - took, CASE WHEN d <> 0 THEN wave * {WAVES.poll_ms} ELSE last END FROM (SELECT *, {_WAVE_RULE} AS d FROM (SELECT *, least(lft, n * 8) AS took FROM wv WHERE lft > 0)))
+  SELECT wave, CAST(n AS INTEGER) AS n, lft AS left_over FROM wv"""
 
+
+@query("stream_waves", _WAVES)
+def _(s, d):
+    """Waves of micro-batches over the evaluation sample: pool size and tasks left at each."""
     t = runs.tasks(s, d).select("task_id", "prio", "seq")
     t = materialise(t.join(ingest.table(s, d, "documents").select(F.col("doc_id").alias("task_id"), "text"), "task_id"), "waves")
-    log = live.waves(t, FIGURE.but(queue_hi=20), lambda w: w.select("task_id", classify.zs_fast("lang").alias("y_hat")), f"{scratch_root(s)}/waves-{uuid.uuid4().hex}")
+    log = live.waves(t, WAVES, lambda w: w.select("task_id", classify.zs_fast("lang").alias("y_hat")), f"{scratch_root(s)}/waves-{uuid.uuid4().hex}")
     return s.createDataFrame(log, "wave int, n int, left_over long")

@@ -8,7 +8,9 @@ from __future__ import annotations
 
 import heapq
 import json
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -16,6 +18,8 @@ from pyspark.sql import functions as F
 
 from elastipool.functions.control import step
 from elastipool.model import NEVER, RunConfig
+from elastipool.operators.workload import global_sequence
+from elastipool.session import materialise, scratch_root
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -45,12 +49,49 @@ def deduplicated(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return stream.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "event_type")
 
 
-def drain(df: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Run a stream over what is there now, into a table in memory, and give the table."""
-    w = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    q = (w.option("checkpointLocation", checkpoint) if checkpoint else w).start()
+@dataclass(frozen=True)
+class Drained:
+    """What a stream has written: its rows, and how many rows came too late."""
+
+    rows: DataFrame
+    late: int
+    batches: int
+
+
+def drain(df: DataFrame, mode: str = "append", folder: str | None = None) -> DataFrame:
+    """Run a stream over what is there now and give what it wrote; see :func:`drained`."""
+    return drained(df, mode, folder).rows
+
+
+def drained(df: DataFrame, mode: str = "append", folder: str | None = None) -> Drained:
+    """Run a stream over what is there now into Parquet, a folder for each micro-batch, and read that back: all batches in append mode, the last one in complete
+    mode. A batch that is run again replaces its own folder, so results are there once. With a ``folder`` of an earlier run the stream goes on from its checkpoint."""
+    spark = df.sparkSession
+    folder = folder or f"{scratch_root(spark)}/drained-{uuid.uuid4().hex}"
+    schema = df.schema
+
+    def put(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows/batch={number}")
+
+    q = df.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    return df.sparkSession.table(name)
+    late = sum(int(s["numRowsDroppedByWatermark"]) for p in q.recentProgress for s in p["stateOperators"])
+    place = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/rows")
+    files = place.getFileSystem(spark._jsc.hadoopConfiguration())
+    numbers = sorted(int(f.getPath().getName().split("=")[1]) for f in files.listStatus(place)) if files.exists(place) else []
+    if not numbers:
+        return Drained(spark.createDataFrame([], schema), late, 0)
+    of = numbers if mode == "append" else numbers[-1:]
+    return Drained(spark.read.schema(schema).parquet(*[f"{folder}/rows/batch={k}" for k in of]), late, len(numbers))
+
+
+def until_stopped(query, stop: Callable[[], bool], wait_s: float = 1.0) -> None:
+    """Let a live query run until ``stop`` says so: it waits a bounded time, looks again, and never spins. What is under way is finished first."""
+    while query.isActive and not stop():
+        query.awaitTermination(wait_s)
+    if query.isActive:
+        query.processAllAvailable()
+        query.stop()
 
 
 class Clock:
@@ -108,10 +149,11 @@ class Clock:
 LIVE = "shard int, task_id long, seq long, prio int, enq_ms long, svc_ms long, start_ms long, finish_ms long, worker_id int"
 
 
-def live_queue(tasks: DataFrame, cfg: RunConfig) -> DataFrame:
+def live_queue(tasks: DataFrame, cfg: RunConfig, late: str = "1 second") -> DataFrame:
     """Tasks (shard, task_id, seq, prio, enq_ms, svc_ms, ts) of a stream through the elastic queue; ``ts`` carries the watermark and is enq_ms as a timestamp.
 
-    Each call replays the clock up to the watermark; a last row with seq < 0 (a sentinel far ahead) closes the stream.
+    Each call replays the clock up to the watermark, which stays ``late`` behind the latest task; tasks behind it are dropped and counted (see :func:`drained`). A
+    last row with seq < 0 (a sentinel far ahead) closes the stream.
     """
 
     def run(key, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
@@ -127,25 +169,27 @@ def live_queue(tasks: DataFrame, cfg: RunConfig) -> DataFrame:
             state.setTimeoutTimestamp(max(mark, 0) + 1)
         yield pd.DataFrame([(int(key[0]), a, b, c, d, e, f, g, h) for a, b, c, d, e, f, g, h in rows], columns=[x.split()[0] for x in LIVE.split(", ")])
 
-    return tasks.withWatermark("ts", "0 seconds").groupBy("shard").applyInPandasWithState(run, LIVE, "clock string", "append", "EventTimeTimeout")
+    return tasks.withWatermark("ts", late).groupBy("shard").applyInPandasWithState(run, LIVE, "clock string", "append", "EventTimeTimeout")
 
 
-def waves(tasks: DataFrame, cfg: RunConfig, classify, sink: str) -> list[tuple[int, int, int]]:
+def waves(tasks: DataFrame, cfg: RunConfig, classify, sink: str, slots: int = 8) -> list[tuple[int, int, int]]:
     """Serve a table of pending tasks in waves, as micro-batches do: each takes the first n * slots by (prio, seq) on n partitions, writes them under its number, and moves the pool by the rule.
 
-    A wave that is run again writes the same rows to the same place. Returns (wave, n, left); one row a wave reaches the driver.
+    Tasks are numbered in that order once, so a wave is a range of numbers: nothing is counted or joined again. A wave that is run again writes the same rows to the
+    same place. Returns (wave, n, left); one row a wave reaches the driver.
     """
-    log, n, t_last, wave, done = [], cfg.n_init, NEVER, 0, None
-    pending = tasks
+    order = global_sequence(tasks.withColumnRenamed("seq", "task_seq"), "prio", "task_seq")
+    placed = materialise(order.withColumnRenamed("seq", "place").withColumnRenamed("task_seq", "seq"), "placed")
+    left, at = placed.count(), 0
+    log, n, t_last, wave = [], cfg.n_init, NEVER, 0
     while True:
-        left = pending.count()
         log.append((wave, n, left))
         if not left:
             return log
-        take = pending.orderBy("prio", "seq").limit(n * 8)
+        took = min(left, n * slots)
+        take = placed.where(F.col("place").between(at, at + took - 1)).drop("place")
         classify(take.repartition(n)).write.mode("overwrite").parquet(f"{sink}/wave={wave}")
-        done = tasks.sparkSession.read.parquet(sink).select("task_id")
-        pending = tasks.join(done, "task_id", "left_anti")
         t = wave * cfg.poll_ms
-        d = step(max(0, left - n * 8), min(n, left), n, t, t_last, cfg)
+        d = step(left - took, min(n, left), n, t, t_last, cfg)
+        left, at = left - took, at + took
         n, t_last, wave = n + d, t if d else t_last, wave + 1
