@@ -13,9 +13,6 @@ from elastipool.session import discard, materialise, plan_bytes, ship
 #: Rows and bytes of an Arrow batch handed to Python: texts may be long, so batches are kept small.
 ARROW_ROWS, ARROW_BYTES = "2000", "16777216"
 
-MASK64 = (1 << 64) - 1
-
-
 def prepare(spark: SparkSession) -> None:
     """Ship the package and bound Arrow batches (both are runtime settings)."""
     ship(spark)
@@ -133,13 +130,7 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     return e.select(F.col("a").alias("node"), F.col("b").alias("root"))
 
 
-def sliced(batches, schema: pa.Schema, rows):
-    """Record batches of ``rows(batch) -> dict of columns``."""
-    for b in batches:
-        yield pa.RecordBatch.from_pydict(rows(b), schema=schema)
-
-
 __all__ = [
-    "ARROW_BYTES", "ARROW_ROWS", "MASK64", "WordHashes", "bucket_count", "byte_views", "components", "discard", "materialise", "mix",
-    "pairs_of", "plan_bytes", "prepare", "shingle_runs", "shingles", "sliced", "table", "word_hashes",
+    "ARROW_BYTES", "ARROW_ROWS", "WordHashes", "bucket_count", "byte_views", "components", "discard", "materialise", "mix",
+    "pairs_of", "plan_bytes", "prepare", "shingle_runs", "shingles", "table", "word_hashes",
 ]

@@ -375,6 +375,10 @@ class _Array:
         differ = a != b
         common_ = np.where(differ.any(1), differ.argmax(1), m.shape[1])
         self.shared = np.minimum(common_, np.minimum(length[self.order[:-1]], length[self.order[1:]]))
+        #: For each string the most bytes that it shares with any other: that is one of its neighbours.
+        self.most = np.zeros(len(m), np.int64)
+        self.most[self.order[1:]] = self.shared
+        self.most[self.order[:-1]] = np.maximum(self.most[self.order[:-1]], self.shared)
 
     def runs(self, k: int) -> np.ndarray:
         """For each string the number of its run of strings that share the first k bytes."""
@@ -397,8 +401,10 @@ def repeated_in(x: np.ndarray, code: np.ndarray, doc: np.ndarray, pos: np.ndarra
     before = gram[:, None] - 1 - np.arange(most)
     left = _Array(np.where(before >= begin[:, None], x[np.maximum(before, 0)], np.uint8(0)), place)
     found = np.zeros((n, most + 3), bool)  # a column for each window of a phrase, with an empty one at either end
-    for k in range(most + 1):  # windows that have k bytes before the trigger
-        rows = np.flatnonzero((place >= k) & (place - k < cnt))
+    # a window with k bytes before the trigger has an equal one only if its phrase shares so many bytes on either side
+    low, high = np.maximum(LENGTH - right.most, place - cnt + 1), np.minimum(left.most, place)
+    for k in range(max(0, int(low.min())), int(high.max()) + 1):
+        rows = np.flatnonzero((low <= k) & (k <= high))
         if len(rows) < 2:
             continue
         _, first, run = np.unique(right.runs(LENGTH - k)[rows] * n + left.runs(k)[rows], return_index=True, return_inverse=True)
