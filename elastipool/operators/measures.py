@@ -173,11 +173,18 @@ def priority_wait(results: DataFrame) -> DataFrame:
     return results.groupBy("run_id", "prio").agg(F.count("*").alias("n"), _ratio(F.sum("wait_ms"), F.count("*")).alias("wait_mean"), F.max("wait_ms").alias("wait_max"))
 
 
-def inversions(results: DataFrame) -> DataFrame:
-    """Tasks that started while one of a better priority had waited since before them in another shard: counted by start order."""
-    w = Window.partitionBy("run_id").orderBy("start_ms", "shard", "seq").rowsBetween(1, Window.unboundedFollowing)
-    late = results.withColumn("late_best", F.min(F.struct("prio", "enq_ms")).over(w))
-    return late.groupBy("run_id").agg(F.sum(F.when((F.col("late_best.prio") < F.col("prio")) & (F.col("late_best.enq_ms") <= F.col("start_ms")), 1).otherwise(0)).cast("long").alias("inversions"), F.count("*").alias("n"))
+def inversions(results: DataFrame, slice_ms: int = 60_000) -> DataFrame:
+    """Tasks that started while one of a better priority had waited since before them in another shard: counted by start order. The best task that starts later is
+    the better of the best in the rest of the same time slice and the best of all later slices, so no task holds a run: rows are windowed slice by slice, and only
+    one row a slice is windowed over a run."""
+    r = results.withColumn("slice", F.floor(F.col("start_ms") / slice_ms)).withColumn("own", F.struct("prio", "enq_ms"))
+    rest = Window.partitionBy("run_id", "slice").orderBy("start_ms", "shard", "seq").rowsBetween(1, Window.unboundedFollowing)
+    after = Window.partitionBy("run_id").orderBy("slice").rowsBetween(1, Window.unboundedFollowing)
+    slices = r.groupBy("run_id", "slice").agg(F.min("own").alias("least")).select("run_id", "slice", F.min("least").over(after).alias("beyond"))
+    best = F.least(F.col("within"), F.col("beyond"))
+    late = r.withColumn("within", F.min("own").over(rest)).join(slices, ["run_id", "slice"]).withColumn("best", best)
+    hit = (F.col("best.prio") < F.col("prio")) & (F.col("best.enq_ms") <= F.col("start_ms"))
+    return late.groupBy("run_id").agg(F.sum(F.when(hit, 1).otherwise(0)).cast("long").alias("inversions"), F.count("*").alias("n"))
 
 
 def report(results: DataFrame, pred: DataFrame, work: DataFrame) -> DataFrame:

@@ -40,12 +40,32 @@ def sim(spark: SparkSession, sf: str, cfg: RunConfig, task: str = "lang", role:
 
 # ---- ingest ----------------------------------------------------------------------------------------------------------------------------------------
 for _t in ("lang", "quality", "toxic"):
-    add(f"ingest_{_t}", lambda s, d, t=_t: ingest.labelled(s, d, t).select("doc_id", F.md5("text").alias("text_md5"), "y", "n_chars"), f"WITH {O.src(_t)} SELECT doc_id, md5(text) AS text_md5, y, n_chars FROM src")
-    add(f"class_profile_{_t}", lambda s, d, t=_t: ingest.labelled(s, d, t).groupBy("y").agg(F.count("*").alias("n"), F.countDistinct(F.md5("text")).alias("texts"), F.sum("n_chars").alias("chars")), f"WITH {O.src(_t)} SELECT y, count(*) AS n, count(DISTINCT md5(text)) AS texts, CAST(sum(n_chars) AS BIGINT) AS chars FROM src GROUP BY y")
+    add(
+        f"ingest_{_t}",
+        lambda s, d, t=_t: ingest.labelled(s, d, t).select("doc_id", F.md5("text").alias("text_md5"), "y", "n_chars"),
+        f"WITH {O.src(_t)} SELECT doc_id, md5(text) AS text_md5, y, n_chars FROM src",
+    )
+    add(
+        f"class_profile_{_t}",
+        lambda s, d, t=_t: ingest.labelled(s, d, t).groupBy("y").agg(F.count("*").alias("n"), F.countDistinct(F.md5("text")).alias("texts"), F.sum("n_chars").alias("chars")),
+        f"WITH {O.src(_t)} SELECT y, count(*) AS n, count(DISTINCT md5(text)) AS texts, CAST(sum(n_chars) AS BIGINT) AS chars FROM src GROUP BY y",
+    )
 add("ingest_requests_conv", lambda s, d: ingest.conversations(s, d), "SELECT conv_id * 100 + turn AS doc_id, text FROM conversations WHERE role = 'user'")
-add("ingest_pages_text", lambda s, d: ingest.pages(s, d).select("doc_id", F.md5("text").alias("text_md5")), r"SELECT page_id AS doc_id, md5(trim(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g'))) AS text_md5 FROM pages")
-add("text_stats_by_lang_source", lambda s, d: ingest.table(s, d, "documents").cube("lang", "source").agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars"), F.max("n_chars").alias("longest")), "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars, max(n_chars) AS longest FROM documents GROUP BY CUBE (lang, source)")
-add("dup_groups", lambda s, d: ingest.table(s, d, "documents").groupBy(F.md5("text").alias("text_md5")).agg(F.count("*").alias("n"), F.min("doc_id").alias("first")).where("n > 1"), "SELECT md5(text) AS text_md5, count(*) AS n, min(doc_id) AS first FROM documents GROUP BY 1 HAVING count(*) > 1")
+add(
+    "ingest_pages_text",
+    lambda s, d: ingest.pages(s, d).select("doc_id", F.md5("text").alias("text_md5")),
+    r"SELECT page_id AS doc_id, md5(trim(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g'))) AS text_md5 FROM pages",
+)
+add(
+    "text_stats_by_lang_source",
+    lambda s, d: ingest.table(s, d, "documents").cube("lang", "source").agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars"), F.max("n_chars").alias("longest")),
+    "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars, max(n_chars) AS longest FROM documents GROUP BY CUBE (lang, source)",
+)
+add(
+    "dup_groups",
+    lambda s, d: ingest.table(s, d, "documents").groupBy(F.md5("text").alias("text_md5")).agg(F.count("*").alias("n"), F.min("doc_id").alias("first")).where("n > 1"),
+    "SELECT md5(text) AS text_md5, count(*) AS n, min(doc_id) AS first FROM documents GROUP BY 1 HAVING count(*) > 1",
+)
 
 # ---- sampling --------------------------------------------------------------------------------------------------------------------------------------
 for _t in ("lang", "quality", "toxic"):
@@ -64,7 +84,14 @@ def train(s: SparkSession, d: str, t: str) -> tuple[DataFrame, DataFrame]:
 
 for _t in ("lang", "quality"):
     add(f"train_split_{_t}", lambda s, d, t=_t: train(s, d, t)[0], f"WITH {O.src(_t)}, {O.reps()}, {O.samp()}, {_train_sql(_t)} SELECT doc_id, y, n_chars, source, text_md5, r FROM train")
-    add(f"leakage_{_t}", lambda s, d, t=_t: sampling.leakage(*train(s, d, t)), f"WITH {O.src(_t)}, {O.reps()}, {O.samp()}, {_train_sql(_t)} SELECT (SELECT count(*) FROM train WHERE doc_id IN (SELECT doc_id FROM samp)) AS shared_ids, (SELECT count(*) FROM train WHERE text_md5 IN (SELECT text_md5 FROM samp)) AS shared_texts")
+    add(
+        f"leakage_{_t}",
+        lambda s, d, t=_t: sampling.leakage(*train(s, d, t)),
+        (
+            f"WITH {O.src(_t)}, {O.reps()}, {O.samp()}, {_train_sql(_t)} SELECT (SELECT count(*) FROM train WHERE doc_id IN (SELECT doc_id FROM samp)) AS shared_ids, (SELECT count(*) "
+            "FROM train WHERE text_md5 IN (SELECT text_md5 FROM samp)) AS shared_texts"
+        ),
+    )
 
 
 @query("leak_benchmark", "SELECT d.doc_id, b.item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
@@ -77,7 +104,13 @@ def _(s, d):
     return docs.join(F.broadcast(items), F.col("doc_text").contains(F.col("text"))).select("doc_id", "item_id")
 
 
-@query("sample_intersection", f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, b AS (SELECT doc_id FROM samp), p AS (WITH {O.prop()} SELECT doc_id FROM samp) SELECT doc_id FROM b INTERSECT SELECT doc_id FROM p")
+@query(
+    "sample_intersection",
+    (
+        f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, b AS (SELECT doc_id FROM samp), p AS (WITH {O.prop()} SELECT doc_id FROM samp) SELECT doc_id FROM b INTERSECT "
+        "SELECT doc_id FROM p"
+    ),
+)
 def _(s, d):
     return runs.sample(s, d, "quality").select("doc_id").intersect(runs.sample(s, d, "quality", balanced=False).select("doc_id"))
 
@@ -88,7 +121,10 @@ for _t, _p in (("lang", "source"), ("quality", "source"), ("lang", "label"), ("l
     add(f"tasks_{_t}" + ("" if _p == "source" else f"_{_p}"), lambda s, d, t=_t, p=_p: runs.tasks(s, d, t, prio=p).drop("run_id"), f"WITH {O.base(_t, prio=_p)} SELECT {TASK} FROM tk")
 
 
-@query("arrivals_grid", " UNION ALL ".join(f"SELECT {r} AS ratio, {b} AS burst, seq, {O.arrival('seq', '200', ArrivalSpec(burst_pm=b, ratio_tenths=r))} AS enq_ms FROM (SELECT unnest(range(200)) AS seq)" for r in (40, 48, 50, 60, 70) for b in (350, 380, 400)))
+@query(
+    "arrivals_grid",
+    " UNION ALL ".join(f"SELECT {r} AS ratio, {b} AS burst, seq, {O.arrival('seq', '200', ArrivalSpec(burst_pm=b, ratio_tenths=r))} AS enq_ms FROM (SELECT unnest(range(200)) AS seq)" for r in (40, 48, 50, 60, 70) for b in (350, 380, 400)),
+)
 def _(s, d):
     seq = s.range(200).withColumnRenamed("id", "seq")
     out = [seq.select(F.lit(r).alias("ratio"), F.lit(b).alias("burst"), "seq", workload.arrival(F.col("seq"), F.lit(200).cast("long"), ArrivalSpec(burst_pm=b, ratio_tenths=r)).alias("enq_ms")) for r in (40, 48, 50, 60, 70) for b in (350, 380, 400)]
@@ -98,20 +134,69 @@ def _(s, d):
     return u
 
 
-add("events_rate_hourly", lambda s, d: workload.rate_profile(ingest.table(s, d, "events"), "ts", "hour").select(F.unix_seconds(F.col("bucket").cast("timestamp")).alias("bucket"), "arrivals"), "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS bucket, count(*) AS arrivals FROM events GROUP BY 1")
-add("events_warp", lambda s, d: workload.warp(ingest.table(s, d, "events").select("event_id", "ts", "event_type"), ArrivalSpec(), "ts", "event_id").select("event_id", "seq", workload.priority("event").alias("prio"), "enq_ms"), f"SELECT event_id, seq, {O.EVENT_PRIO} AS prio, {O.arrival('seq', 'n')} AS enq_ms FROM (SELECT *, row_number() OVER (ORDER BY ts, event_id) - 1 AS seq, count(*) OVER () AS n FROM events)")
+add(
+    "events_rate_hourly",
+    lambda s, d: workload.rate_profile(ingest.table(s, d, "events"), "ts", "hour").select(F.unix_seconds(F.col("bucket").cast("timestamp")).alias("bucket"), "arrivals"),
+    "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS bucket, count(*) AS arrivals FROM events GROUP BY 1",
+)
+add(
+    "events_warp",
+    lambda s, d: workload.warp(ingest.table(s, d, "events").select("event_id", "ts", "event_type"), ArrivalSpec(), "ts", "event_id").select("event_id", "seq", workload.priority("event").alias("prio"), "enq_ms"),
+    (
+        f"SELECT event_id, seq, {O.EVENT_PRIO} AS prio, {O.arrival('seq', 'n')} AS enq_ms FROM (SELECT *, row_number() OVER (ORDER BY ts, event_id) - 1 AS seq, count(*) OVER () AS "
+        "n FROM events)"
+    ),
+)
 _U = f"(CAST('0x' || substr(md5('{SEED}:' || task_id), 1, 8) AS BIGINT) + 1) / 4294967297.0"
-add("arrivals_poisson", lambda s, d: workload.poisson(runs.tasks(s, d).drop("run_id"), ArrivalSpec()), f"WITH {O.base()}, g AS (SELECT *, CAST(round(-ln({_U}) * coalesce(lead(enq_ms) OVER (ORDER BY seq) - enq_ms, 0)) AS BIGINT) AS gap FROM tk) SELECT shard, task_id, seq, prio, CAST(coalesce(sum(gap) OVER (ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS enq_ms, svc_ms, y, n_chars FROM g")
+add(
+    "arrivals_poisson",
+    lambda s, d: workload.poisson(runs.tasks(s, d).drop("run_id"), ArrivalSpec()),
+    (
+        f"WITH {O.base()}, g AS (SELECT *, CAST(round(-ln({_U}) * coalesce(lead(enq_ms) OVER (ORDER BY seq) - enq_ms, 0)) AS BIGINT) AS gap FROM tk) "
+        "SELECT shard, task_id, seq, prio, CAST(coalesce(sum(gap) OVER (ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS enq_ms, svc_ms, y, "
+        "n_chars FROM g"
+    ),
+)
 
 # ---- queue: closed forms, folds ----------------------------------------------------------------------------------------------------------------------
-add("order_all_present", lambda s, d: queueing.order(runs.tasks(s, d)).select("task_id", "seq", "prio", "pos"), f"WITH {O.base()} SELECT task_id, seq, prio, CAST(row_number() OVER (ORDER BY prio, seq) AS INTEGER) AS pos FROM tk")
-add("sequential_lindley", lambda s, d: queueing.sequential(runs.tasks(s, d)).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), O.elastic(SEQUENTIAL, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"))
-add("fifo_two_fold", lambda s, d: queueing.fifo_fold(runs.tasks(s, d), 2).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), O.elastic(STATIC2, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"))
-add("fifo_equal_residue", lambda s, d: queueing.fifo_equal(runs.tasks(s, d), 4, 13_700).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"), f"WITH RECURSIVE {O.base(prio='const')}, t2 AS (SELECT * REPLACE (CAST(13700 AS BIGINT) AS svc_ms) FROM tk), {O.sim(STATIC2.but(n_init=4), '', 't2')} SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res")
+add(
+    "order_all_present",
+    lambda s, d: queueing.order(runs.tasks(s, d)).select("task_id", "seq", "prio", "pos"),
+    f"WITH {O.base()} SELECT task_id, seq, prio, CAST(row_number() OVER (ORDER BY prio, seq) AS INTEGER) AS pos FROM tk",
+)
+add(
+    "sequential_lindley",
+    lambda s, d: queueing.sequential(runs.tasks(s, d)).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"),
+    O.elastic(SEQUENTIAL, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"),
+)
+add(
+    "fifo_two_fold",
+    lambda s, d: queueing.fifo_fold(runs.tasks(s, d), 2).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"),
+    O.elastic(STATIC2, "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res", prio="const"),
+)
+add(
+    "fifo_equal_residue",
+    lambda s, d: queueing.fifo_equal(runs.tasks(s, d), 4, 13_700).select("task_id", "seq", "start_ms", "finish_ms", "wait_ms"),
+    (
+        f"WITH RECURSIVE {O.base(prio='const')}, t2 AS (SELECT * REPLACE (CAST(13700 AS BIGINT) AS svc_ms) FROM tk), {O.sim(STATIC2.but(n_init=4), '', 't2')} "
+        "SELECT task_id, seq, start_ms, finish_ms, wait_ms FROM res"
+    ),
+)
 for _n, _c in (("two", STATIC2), ("max", PEAK)):
     add(f"priority_static_{_n}", lambda s, d, c=_c: kernel.results(sim(s, d, c)), O.elastic(_c, f"SELECT {RES} FROM res"))
 add("static_sizes", lambda s, d: workload.static_sizes(runs.tasks(s, d), ArrivalSpec()), f"WITH {O.base()}, {O.sizes()} SELECT * FROM size")
-add("depth_at_marks", lambda s, d: measures.queue_trace(kernel.results(sim(s, d, FIGURE))), O.elastic(FIGURE, f"SELECT run_id, m AS mark, t_ms, (SELECT count(*) FROM res WHERE enq_ms <= t_ms) - (SELECT count(*) FROM res WHERE start_ms <= t_ms) AS q FROM (SELECT run_id, CAST(m AS INTEGER) AS m, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"))
+add(
+    "depth_at_marks",
+    lambda s, d: measures.queue_trace(kernel.results(sim(s, d, FIGURE))),
+    O.elastic(
+        FIGURE,
+        (
+            "SELECT run_id, m AS mark, t_ms, (SELECT count(*) FROM res WHERE enq_ms <= t_ms) - (SELECT count(*) FROM res WHERE start_ms <= t_ms) AS q "
+            f"FROM (SELECT run_id, CAST(m AS INTEGER) AS m, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res "
+            f"GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"
+        ),
+    ),
+)
 
 
 @query("busy_at_polls", O.elastic(FIGURE, "SELECT run_id, j, t_ms, busy AS seen, (SELECT count(*) FROM res WHERE start_ms <= p.t_ms AND finish_ms > p.t_ms) AS busy FROM pol p"))
@@ -133,7 +218,10 @@ def hourly(s: SparkSession, d: str) -> DataFrame:
     return grid.join(r, "h", "left").select(F.lit("events").alias("run_id"), (F.col("h") - F.col("lo")).alias("b"), F.coalesce("arrivals", F.lit(0)).cast("long").alias("a"))
 
 
-_HOURS = "hr AS (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) // 3600 AS h, count(*) AS a FROM events GROUP BY 1), ab AS (SELECT g.h - (SELECT min(h) FROM hr) AS b, coalesce(a, 0) AS a FROM (SELECT unnest(range((SELECT min(h) FROM hr), (SELECT max(h) FROM hr) + 1)) AS h) g LEFT JOIN hr USING (h))"
+_HOURS = (
+    "hr AS (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) // 3600 AS h, count(*) AS a FROM events GROUP BY 1), ab AS (SELECT g.h - (SELECT min(h) "
+    "FROM hr) AS b, coalesce(a, 0) AS a FROM (SELECT unnest(range((SELECT min(h) FROM hr), (SELECT max(h) FROM hr) + 1)) AS h) g LEFT JOIN hr USING (h))"
+)
 
 
 def _fluid_sql(cfg: RunConfig, k: int, elastic: bool) -> str:
@@ -146,10 +234,17 @@ def _fluid_sql(cfg: RunConfig, k: int, elastic: bool) -> str:
 
 for _n, _e in (("static", False), ("elastic", True)):
     add(f"fluid_events_{_n}", lambda s, d, e=_e: queueing.fluid(hourly(s, d), MINUTE_FLUID, 4, e), _fluid_sql(MINUTE_FLUID, 4, _e))
-add("capacity_gap", lambda s, d: queueing.fluid(hourly(s, d), MINUTE_FLUID, 4, True).select("run_id", "b", (F.col("a") - F.col("n") * 4).alias("gap"), F.greatest(F.col("a") - F.col("n") * 4, F.lit(0)).alias("under"), F.greatest(F.col("n") * 4 - F.col("a"), F.lit(0)).alias("over")), f"SELECT run_id, b, a - n * 4 AS gap, greatest(a - n * 4, 0) AS under, greatest(n * 4 - a, 0) AS over FROM ({_fluid_sql(MINUTE_FLUID, 4, True)})")
+add(
+    "capacity_gap",
+    lambda s, d: queueing.fluid(hourly(s, d), MINUTE_FLUID, 4, True).select("run_id", "b", (F.col("a") - F.col("n") * 4).alias("gap"), F.greatest(F.col("a") - F.col("n") * 4, F.lit(0)).alias("under"), F.greatest(F.col("n") * 4 - F.col("a"), F.lit(0)).alias("over")),
+    f"SELECT run_id, b, a - n * 4 AS gap, greatest(a - n * 4, 0) AS under, greatest(n * 4 - a, 0) AS over FROM ({_fluid_sql(MINUTE_FLUID, 4, True)})",
+)
 
 # ---- control ------------------------------------------------------------------------------------------------------------------------------------------
-_GRID = "SELECT q, n, busy, el FROM (SELECT unnest([0, 1, 5, 6]) AS q), (SELECT unnest([2, 4, 7, 8]) AS n), (SELECT unnest(range(0, 9)) AS busy), (SELECT unnest([4999, 5000, 5001]) AS el) WHERE busy <= n"
+_GRID = (
+    "SELECT q, n, busy, el FROM (SELECT unnest([0, 1, 5, 6]) AS q), (SELECT unnest([2, 4, 7, 8]) AS n), (SELECT unnest(range(0, 9)) AS busy), (SELECT unnest([4999, 5000, "
+    "5001]) AS el) WHERE busy <= n"
+)
 
 
 def grid(s: SparkSession) -> DataFrame:
@@ -160,9 +255,23 @@ def grid(s: SparkSession) -> DataFrame:
     return out.where("busy <= n")
 
 
-_RULE = f"CASE WHEN el < {FIGURE.cooldown_ms} THEN 0 WHEN q > {FIGURE.queue_hi} OR busy * 1000 > n * {FIGURE.util_hi_pm} THEN least({FIGURE.step}, {FIGURE.n_max} - n) WHEN q = 0 AND busy * 1000 < n * {FIGURE.util_lo_pm} THEN -least({FIGURE.step_down}, n - {FIGURE.n_min}, n - busy) ELSE 0 END"
-add("rule_truth_table", lambda s, d: grid(s).select("*", control.delta(F.col("q"), F.col("busy"), F.col("n"), F.col("el"), 0, FIGURE).alias("delta")), f"SELECT q, n, CAST(busy AS INTEGER) AS busy, el, CAST({_RULE} AS INTEGER) AS delta FROM ({_GRID})")
-add("rule_bounds", lambda s, d: grid(s).select("*", control.clip(F.col("n") + control.delta(F.col("q"), F.col("busy"), F.col("n"), F.col("el"), 0, FIGURE), FIGURE).alias("n_after"), control.c_up(F.col("q"), F.col("busy"), F.col("n"), FIGURE).alias("up"), control.c_down(F.col("q"), F.col("busy"), F.col("n"), FIGURE).alias("down")), f"SELECT q, n, CAST(busy AS INTEGER) AS busy, el, CAST(least(greatest(n + {_RULE}, {FIGURE.n_min}), {FIGURE.n_max}) AS INTEGER) AS n_after, q > {FIGURE.queue_hi} OR busy * 1000 > n * {FIGURE.util_hi_pm} AS up, q = 0 AND busy * 1000 < n * {FIGURE.util_lo_pm} AS down FROM ({_GRID})")
+_RULE = (
+    f"CASE WHEN el < {FIGURE.cooldown_ms} THEN 0 WHEN q > {FIGURE.queue_hi} OR busy * 1000 > n * {FIGURE.util_hi_pm} THEN least({FIGURE.step}, {FIGURE.n_max} - n) "
+    f"WHEN q = 0 AND busy * 1000 < n * {FIGURE.util_lo_pm} THEN -least({FIGURE.step_down}, n - {FIGURE.n_min}, n - busy) ELSE 0 END"
+)
+add(
+    "rule_truth_table",
+    lambda s, d: grid(s).select("*", control.delta(F.col("q"), F.col("busy"), F.col("n"), F.col("el"), 0, FIGURE).alias("delta")),
+    f"SELECT q, n, CAST(busy AS INTEGER) AS busy, el, CAST({_RULE} AS INTEGER) AS delta FROM ({_GRID})",
+)
+add(
+    "rule_bounds",
+    lambda s, d: grid(s).select("*", control.clip(F.col("n") + control.delta(F.col("q"), F.col("busy"), F.col("n"), F.col("el"), 0, FIGURE), FIGURE).alias("n_after"), control.c_up(F.col("q"), F.col("busy"), F.col("n"), FIGURE).alias("up"), control.c_down(F.col("q"), F.col("busy"), F.col("n"), FIGURE).alias("down")),
+    (
+        f"SELECT q, n, CAST(busy AS INTEGER) AS busy, el, CAST(least(greatest(n + {_RULE}, {FIGURE.n_min}), {FIGURE.n_max}) AS INTEGER) AS n_after, q > {FIGURE.queue_hi} OR busy * "
+        f"1000 > n * {FIGURE.util_hi_pm} AS up, q = 0 AND busy * 1000 < n * {FIGURE.util_lo_pm} AS down FROM ({_GRID})"
+    ),
+)
 
 
 @query("op_sql_function_rule", f"SELECT q, n, CAST(busy AS INTEGER) AS busy, el, CAST({_RULE} AS INTEGER) AS delta FROM ({_GRID})")
@@ -224,14 +333,48 @@ def snapshots(x: DataFrame, window: int = FIGURE.lat_window, time_ms: int | None
 
 
 _L95 = "SELECT p.run_id, p.shard, p.j, p.t_ms, p.q, p.n_before, p.util_pm, (SELECT round(quantile_cont(svc_ms, 0.95), 4) FROM ({}) w) AS l95_ms, p.done FROM pol p"
-add("elastic_snapshots", lambda s, d: snapshots(sim(s, d, FIGURE), 20), O.elastic(FIGURE, _L95.format("SELECT svc_ms FROM res WHERE finish_ms <= p.t_ms ORDER BY finish_ms DESC, worker_id DESC, svc_ms DESC LIMIT 20").replace("(SELECT round", "(SELECT round")))
-add("elastic_snapshots_time", lambda s, d: snapshots(sim(s, d, FIGURE), time_ms=30_000), O.elastic(FIGURE, _L95.format("SELECT svc_ms FROM res WHERE finish_ms <= p.t_ms AND finish_ms > p.t_ms - 30000")))
-add("elastic_status_log", lambda s, d: kernel.polls(sim(s, d, FIGURE)).select("j", F.concat(F.lit("t="), "t_ms", F.lit(" q="), "q", F.lit(" n="), "n_before", F.lit(" busy="), "busy", F.lit(" util="), "util_pm", F.when(F.col("delta") > 0, F.concat(F.lit(" scale=+"), "delta")).when(F.col("delta") < 0, F.concat(F.lit(" scale="), "delta")).otherwise("")).alias("line")), O.elastic(FIGURE, "SELECT j, 't=' || t_ms || ' q=' || q || ' n=' || n_before || ' busy=' || busy || ' util=' || util_pm || CASE WHEN delta > 0 THEN ' scale=+' || delta WHEN delta < 0 THEN ' scale=' || delta ELSE '' END AS line FROM pol"))
+add(
+    "elastic_snapshots",
+    lambda s, d: snapshots(sim(s, d, FIGURE), 20),
+    O.elastic(
+        FIGURE,
+        _L95.format("SELECT svc_ms FROM res WHERE finish_ms <= p.t_ms ORDER BY finish_ms DESC, worker_id DESC, svc_ms DESC LIMIT 20").replace("(SELECT round", "(SELECT round"),
+    ),
+)
+add(
+    "elastic_snapshots_time",
+    lambda s, d: snapshots(sim(s, d, FIGURE), time_ms=30_000),
+    O.elastic(FIGURE, _L95.format("SELECT svc_ms FROM res WHERE finish_ms <= p.t_ms AND finish_ms > p.t_ms - 30000")),
+)
+add(
+    "elastic_status_log",
+    lambda s, d: kernel.polls(sim(s, d, FIGURE)).select("j", F.concat(F.lit("t="), "t_ms", F.lit(" q="), "q", F.lit(" n="), "n_before", F.lit(" busy="), "busy", F.lit(" util="), "util_pm", F.when(F.col("delta") > 0, F.concat(F.lit(" scale=+"), "delta")).when(F.col("delta") < 0, F.concat(F.lit(" scale="), "delta")).otherwise("")).alias("line")),
+    O.elastic(
+        FIGURE,
+        (
+            "SELECT j, 't=' || t_ms || ' q=' || q || ' n=' || n_before || ' busy=' || busy || ' util=' || util_pm || CASE WHEN delta > 0 THEN ' scale=+' || delta "
+            "WHEN delta < 0 THEN ' scale=' || delta ELSE '' END AS line FROM pol"
+        ),
+    ),
+)
 _NEXT = "lead({}) OVER (PARTITION BY run_id ORDER BY j)"
-_L20 = "(SELECT round(quantile_cont(svc_ms, 0.95), 4) FROM (SELECT svc_ms FROM res WHERE res.run_id = p.run_id AND finish_ms <= p.t_ms ORDER BY finish_ms DESC, worker_id DESC, svc_ms DESC LIMIT 20) w)"
-EXPERIENCE = f"l20 AS (SELECT p.*, {_L20} AS l95_ms FROM pol p), ex AS (SELECT run_id, t_ms, q, n_before AS n, util_pm, l95_ms, delta AS action, {_NEXT.format('q')} AS q_next, {_NEXT.format('n_before')} AS n_next, {_NEXT.format('util_pm')} AS util_next, {_NEXT.format('l95_ms')} AS l95_next FROM l20)"
+_L20 = (
+    "(SELECT round(quantile_cont(svc_ms, 0.95), 4) FROM (SELECT svc_ms FROM res WHERE res.run_id = p.run_id AND finish_ms <= p.t_ms "
+    "ORDER BY finish_ms DESC, worker_id DESC, svc_ms DESC LIMIT 20) w)"
+)
+EXPERIENCE = (
+    f"l20 AS (SELECT p.*, {_L20} AS l95_ms FROM pol p), ex AS (SELECT run_id, t_ms, q, n_before AS n, util_pm, l95_ms, delta AS action, {_NEXT.format('q')} AS q_next, "
+    f"{_NEXT.format('n_before')} AS n_next, {_NEXT.format('util_pm')} AS util_next, {_NEXT.format('l95_ms')} AS l95_next FROM l20)"
+)
 add("elastic_experience", lambda s, d: experience(sim(s, d, FIGURE)), O.elastic(FIGURE, f", {EXPERIENCE} SELECT * FROM ex"))
-add("elastic_verify", lambda s, d: kernel.scale_events(sim(s, d, FIGURE)).groupBy("run_id").agg(F.max(F.when(F.col("delta") > 0, 1).otherwise(0)).alias("scaled_out"), F.max(F.when(F.col("delta") < 0, 1).otherwise(0)).alias("scaled_in")), O.elastic(FIGURE, "SELECT run_id, max(CASE WHEN delta > 0 THEN 1 ELSE 0 END) AS scaled_out, max(CASE WHEN delta < 0 THEN 1 ELSE 0 END) AS scaled_in FROM pol WHERE delta <> 0 GROUP BY 1"))
+add(
+    "elastic_verify",
+    lambda s, d: kernel.scale_events(sim(s, d, FIGURE)).groupBy("run_id").agg(F.max(F.when(F.col("delta") > 0, 1).otherwise(0)).alias("scaled_out"), F.max(F.when(F.col("delta") < 0, 1).otherwise(0)).alias("scaled_in")),
+    O.elastic(
+        FIGURE,
+        "SELECT run_id, max(CASE WHEN delta > 0 THEN 1 ELSE 0 END) AS scaled_out, max(CASE WHEN delta < 0 THEN 1 ELSE 0 END) AS scaled_in FROM pol WHERE delta <> 0 GROUP BY 1",
+    ),
+)
 
 
 def experience(x: DataFrame, window: int = 20) -> DataFrame:
@@ -244,7 +387,10 @@ def experience(x: DataFrame, window: int = 20) -> DataFrame:
     )
 
 
-@query("experience_advise", O.elastic(FIGURE, f", e AS (SELECT q // 10 AS qb, n_before AS n, util_pm // 250 AS ub, delta AS action, {_NEXT.format('q')} AS q_next FROM pol) SELECT qb, n, ub, action, count(*) AS seen, round(CAST(sum(q_next) AS DOUBLE) / count(q_next), 6) AS q_next FROM e WHERE q_next IS NOT NULL GROUP BY 1, 2, 3, 4").replace(") , e AS", "), e AS"))
+@query(
+    "experience_advise",
+    O.elastic(FIGURE, f", e AS (SELECT q // 10 AS qb, n_before AS n, util_pm // 250 AS ub, delta AS action, {_NEXT.format('q')} AS q_next FROM pol) SELECT qb, n, ub, action, count(*) AS seen, round(CAST(sum(q_next) AS DOUBLE) / count(q_next), 6) AS q_next FROM e WHERE q_next IS NOT NULL GROUP BY 1, 2, 3, 4").replace(") , e AS", "), e AS"),
+)
 def _(s, d):
     """Advice from stored experience: mean next queue by coarse state and action. It is read only; the rule never sees it."""
     e = experience(sim(s, d, FIGURE)).where("q_next IS NOT NULL")
@@ -296,11 +442,28 @@ def roles_sql(task: str, roles) -> str:
 
 for _t in ("lang", "quality"):
     add(f"nb_{_t}", lambda s, d, t=_t: runs.predictions(s, d, t, "supervised", materialise(runs.sample(s, d, t), "sample")), nb_sql(_t))
-add("majority_quality", lambda s, d: classify.majority(train(s, d, "quality")[0]), f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, {_train_sql('quality')} SELECT y AS y_hat FROM train GROUP BY y ORDER BY count(*) DESC, y LIMIT 1")
-_C6 = "e AS (SELECT vec_id, label, [CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT) FOR x IN embedding] AS v FROM embeddings), c AS (SELECT label, i, CAST(floor(CAST(sum(v[i]) AS DOUBLE) / count(*)) AS BIGINT) AS c FROM e, (SELECT unnest(range(1, 65)) AS i) GROUP BY 1, 2), m AS (SELECT label AS y_hat, list(c ORDER BY i) AS m FROM c GROUP BY 1), dd AS (SELECT vec_id, y_hat, CAST(list_sum([(v[i] - m[i]) * (v[i] - m[i]) FOR i IN range(1, 65)]) AS BIGINT) AS d FROM e, m)"
-add("centroid_embeddings", lambda s, d: classify.nearest_centroid(ingest.table(s, d, "embeddings"), classify.centroids(ingest.table(s, d, "embeddings"))), f"WITH {_C6} SELECT vec_id, y_hat, d FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY d, y_hat) AS r FROM dd) WHERE r = 1")
+add(
+    "majority_quality",
+    lambda s, d: classify.majority(train(s, d, "quality")[0]),
+    f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, {_train_sql('quality')} SELECT y AS y_hat FROM train GROUP BY y ORDER BY count(*) DESC, y LIMIT 1",
+)
+_C6 = (
+    "e AS (SELECT vec_id, label, [CAST(floor(CAST(x AS DOUBLE) * 1000) AS BIGINT) FOR x IN embedding] AS v "
+    "FROM embeddings), c AS (SELECT label, i, CAST(floor(CAST(sum(v[i]) AS DOUBLE) / count(*)) AS BIGINT) AS c FROM e, (SELECT unnest(range(1, 65)) AS i) "
+    "GROUP BY 1, 2), m AS (SELECT label AS y_hat, list(c ORDER BY i) AS m FROM c GROUP BY 1), dd AS (SELECT vec_id, y_hat, CAST(list_sum([(v[i] - m[i]) * (v[i] - m[i]) FOR i "
+    "IN range(1, 65)]) AS BIGINT) AS d FROM e, m)"
+)
+add(
+    "centroid_embeddings",
+    lambda s, d: classify.nearest_centroid(ingest.table(s, d, "embeddings"), classify.centroids(ingest.table(s, d, "embeddings"))),
+    f"WITH {_C6} SELECT vec_id, y_hat, d FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY d, y_hat) AS r FROM dd) WHERE r = 1",
+)
 _BAD = "substr(md5(CAST(doc_id AS VARCHAR)), 1, 1) = '0'"
-add("faulty_results", lambda s, d: classify.with_faults(ingest.labelled(s, d, "lang").select("doc_id", "y", classify.zs_fast("lang").alias("y_hat"))), f"WITH {O.src('lang')} SELECT doc_id, y, CASE WHEN {_BAD} THEN '__error__' ELSE {O.zs('lang')} END AS y_hat, NOT {_BAD} AS ok FROM (SELECT *, {O.TOK} AS tok FROM src)")
+add(
+    "faulty_results",
+    lambda s, d: classify.with_faults(ingest.labelled(s, d, "lang").select("doc_id", "y", classify.zs_fast("lang").alias("y_hat"))),
+    f"WITH {O.src('lang')} SELECT doc_id, y, CASE WHEN {_BAD} THEN '__error__' ELSE {O.zs('lang')} END AS y_hat, NOT {_BAD} AS ok FROM (SELECT *, {O.TOK} AS tok FROM src)",
+)
 
 
 def _lexicon_or_fail():
@@ -312,13 +475,24 @@ def _lexicon_or_fail():
     return f
 
 
-add("guarded_external", lambda s, d: classify.guarded(ingest.table(s, d, "documents"), _lexicon_or_fail), "SELECT doc_id, CASE WHEN text = '' OR text[1] = 'T' THEN '__error__' WHEN contains(text, ' the ') THEN 'en' ELSE 'other' END AS y_hat, NOT (text = '' OR text[1] = 'T') AS ok, CASE WHEN text = '' OR text[1] = 'T' THEN 'ValueError' END AS err FROM documents")
+add(
+    "guarded_external",
+    lambda s, d: classify.guarded(ingest.table(s, d, "documents"), _lexicon_or_fail),
+    (
+        "SELECT doc_id, CASE WHEN text = '' OR text[1] = 'T' THEN '__error__' WHEN contains(text, ' the ') THEN 'en' "
+        "ELSE 'other' END AS y_hat, NOT (text = '' OR text[1] = 'T') AS ok, CASE WHEN text = '' OR text[1] = 'T' THEN 'ValueError' END AS err FROM documents"
+    ),
+)
 
 # ---- measures over the five configurations -----------------------------------------------------------------------------------------------------------------
 MATRIX = [("zs_fast", O.zs("lang")), ("zs_weak", O.zs("lang", weak=True))]
 _P = "pred AS (" + " UNION ALL ".join(f"SELECT '{r}' AS run_id, doc_id AS task_id, y, {e} AS y_hat FROM st" for r, e in MATRIX) + ")"
 _PRED = f"WITH {O.src('lang')}, {O.reps()}, {O.samp()}, st AS (SELECT s.doc_id, s.y, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id)), {_P} "
-_PQ = f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, st AS (SELECT s.doc_id, s.y, text, {O.TOK} AS tok FROM samp s JOIN documents d USING (doc_id)), pred AS (SELECT 'zs_weak' AS run_id, doc_id AS task_id, y, {O.zs('quality', weak=True)} AS y_hat FROM st UNION ALL SELECT 'zs_heavy', doc_id, y, {_SHAPE} FROM st) "
+_PQ = (
+    f"WITH {O.src('quality')}, {O.reps()}, {O.samp()}, st AS (SELECT s.doc_id, s.y, text, {O.TOK} AS tok FROM samp s "
+    f"JOIN documents d USING (doc_id)), pred AS (SELECT 'zs_weak' AS run_id, doc_id AS task_id, y, {O.zs('quality', weak=True)} AS y_hat FROM st UNION ALL "
+    f"SELECT 'zs_heavy', doc_id, y, {_SHAPE} FROM st) "
+)
 
 
 def matrix(s: SparkSession, d: str, task: str = "lang", roles: tuple[str, ...] = ("zs_fast", "zs_weak")) -> DataFrame:
@@ -334,9 +508,21 @@ _HIT = "CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT)"
 add("accuracy_matrix", lambda s, d: measures.accuracy(matrix(s, d)), _PRED + f"SELECT run_id, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy FROM pred GROUP BY 1")
 add("per_class_accuracy", lambda s, d: measures.per_class(matrix(s, d)), _PRED + f"SELECT run_id, y, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy FROM pred GROUP BY 1, 2")
 add("confusion", lambda s, d: measures.confusion(matrix(s, d)), _PRED + "SELECT run_id, y, y_hat, count(*) AS n FROM pred GROUP BY 1, 2, 3")
-add("op_pivot_confusion", lambda s, d: measures.confusion(matrix(s, d)).groupBy("run_id", "y").pivot("y_hat", ["de", "en", "es", "fr"]).agg(F.sum("n")).na.fill(0), _PRED + "SELECT run_id, y, " + ", ".join(f"count(*) FILTER (y_hat = '{v}') AS {v}" for v in ("de", "en", "es", "fr")) + " FROM pred GROUP BY 1, 2")
-add("precision_f1", lambda s, d: measures.precision_f1(matrix(s, d, "quality", ("zs_weak", "zs_heavy"))), _PQ + ", k AS (SELECT run_id, y, count(*) AS i, CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) AS tp FROM pred GROUP BY 1, 2), s AS (SELECT run_id, y_hat AS y, count(*) AS said FROM pred GROUP BY 1, 2) SELECT run_id, y, CASE WHEN coalesce(said, 0) > 0 THEN round(tp / said, 6) ELSE 0 END AS precision, round(tp / i, 6) AS recall, round(2 * tp / (coalesce(said, 0) + i), 6) AS f1 FROM k LEFT JOIN s USING (run_id, y)")
-add("recall_positive", lambda s, d: measures.recall(matrix(s, d, "quality", ("zs_weak", "zs_heavy")), "junk"), _PQ + f"SELECT run_id, round({_HIT} / count(*), 6) AS recall, count(*) AS n, {_HIT} AS correct FROM pred WHERE y = 'junk' GROUP BY 1")
+add(
+    "op_pivot_confusion",
+    lambda s, d: measures.confusion(matrix(s, d)).groupBy("run_id", "y").pivot("y_hat", ["de", "en", "es", "fr"]).agg(F.sum("n")).na.fill(0),
+    _PRED + "SELECT run_id, y, " + ", ".join(f"count(*) FILTER (y_hat = '{v}') AS {v}" for v in ("de", "en", "es", "fr")) + " FROM pred GROUP BY 1, 2",
+)
+add(
+    "precision_f1",
+    lambda s, d: measures.precision_f1(matrix(s, d, "quality", ("zs_weak", "zs_heavy"))),
+    _PQ + ", k AS (SELECT run_id, y, count(*) AS i, CAST(sum(CASE WHEN y = y_hat THEN 1 ELSE 0 END) AS BIGINT) AS tp FROM pred GROUP BY 1, 2), s AS (SELECT run_id, y_hat AS y, count(*) AS said FROM pred GROUP BY 1, 2) SELECT run_id, y, CASE WHEN coalesce(said, 0) > 0 THEN round(tp / said, 6) ELSE 0 END AS precision, round(tp / i, 6) AS recall, round(2 * tp / (coalesce(said, 0) + i), 6) AS f1 FROM k LEFT JOIN s USING (run_id, y)",
+)
+add(
+    "recall_positive",
+    lambda s, d: measures.recall(matrix(s, d, "quality", ("zs_weak", "zs_heavy")), "junk"),
+    _PQ + f"SELECT run_id, round({_HIT} / count(*), 6) AS recall, count(*) AS n, {_HIT} AS correct FROM pred WHERE y = 'junk' GROUP BY 1",
+)
 
 ALL_POLICIES = (*runs.FIVE, "B6", "B7", "Bmax", "B8")
 
@@ -352,14 +538,53 @@ def _m(name: str, f, select: str, policies: tuple[str, ...] = ALL_POLICIES) -> N
     add(name, lambda s, d: f(kernel.results(runs.compare(s, d, "lang", policies))), policies_sql(policies, select))
 
 
-_m("latency_summary", measures.latency, "SELECT run_id, count(*) AS n, round(sum(svc_ms) / count(*), 6) AS svc_mean, round(quantile_cont(svc_ms, 0.95), 6) AS svc_p95, round(sum(wait_ms) / count(*), 6) AS wait_mean, round(quantile_cont(wait_ms, 0.95), 6) AS wait_p95, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean, round(quantile_cont(sojourn_ms, 0.5), 6) AS sojourn_p50, round(quantile_cont(sojourn_ms, 0.95), 6) AS sojourn_p95, max(sojourn_ms) AS sojourn_max FROM res GROUP BY 1")
-MARKED = f"e AS (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), mk AS (SELECT res.*, greatest(CAST(ceil(CAST(finish_ms * {N_MARKS} AS DOUBLE) / r) AS INTEGER), 1) AS mark FROM res JOIN e USING (run_id))"
+_m(
+    "latency_summary",
+    measures.latency,
+    (
+        "SELECT run_id, count(*) AS n, round(sum(svc_ms) / count(*), 6) AS svc_mean, round(quantile_cont(svc_ms, 0.95), 6) AS svc_p95, round(sum(wait_ms) / count(*), 6) AS "
+        "wait_mean, round(quantile_cont(wait_ms, 0.95), 6) AS wait_p95, round(sum(sojourn_ms) / count(*), 6) AS sojourn_mean, round(quantile_cont(sojourn_ms, 0.5), 6) AS "
+        "sojourn_p50, round(quantile_cont(sojourn_ms, 0.95), 6) AS sojourn_p95, max(sojourn_ms) AS sojourn_max FROM res GROUP BY 1"
+    ),
+)
+MARKED = (
+    f"e AS (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), mk AS (SELECT res.*, greatest(CAST(ceil(CAST(finish_ms * {N_MARKS} AS DOUBLE) / r) AS INTEGER), 1) AS mark "
+    "FROM res JOIN e USING (run_id))"
+)
 EDGES = f"g AS (SELECT run_id, CAST(m AS INTEGER) AS mark, m * r // {N_MARKS} AS t_ms FROM (SELECT run_id, max(finish_ms) AS r FROM res GROUP BY 1), (SELECT unnest(range(1, {N_MARKS + 1})) AS m))"
-_DEP = ", ch AS (SELECT run_id, t, sum(d) AS d FROM (SELECT run_id, enq_ms AS t, 1 AS d FROM res UNION ALL SELECT run_id, start_ms, -1 FROM res) GROUP BY 1, 2), dq AS (SELECT run_id, t, sum(d) OVER (PARTITION BY run_id ORDER BY t) AS q, lead(t) OVER (PARTITION BY run_id ORDER BY t) - t AS dt FROM ch)"
-_m("queue_summary", measures.queue_summary, _DEP + " SELECT run_id, CAST(peak AS BIGINT) AS peak, drain_ms, round(area / runtime, 6) AS mean_depth FROM (SELECT run_id, max(q) AS peak, sum(q * coalesce(dt, 0)) AS area FROM dq GROUP BY 1) JOIN (SELECT run_id, greatest(max(start_ms) - max(enq_ms), 0) AS drain_ms, max(finish_ms) - min(enq_ms) AS runtime FROM res GROUP BY 1) USING (run_id)")
+_DEP = (
+    ", ch AS (SELECT run_id, t, sum(d) AS d FROM (SELECT run_id, enq_ms AS t, 1 AS d FROM res UNION ALL SELECT run_id, start_ms, -1 FROM res) "
+    "GROUP BY 1, 2), dq AS (SELECT run_id, t, sum(d) OVER (PARTITION BY run_id ORDER BY t) AS q, lead(t) OVER (PARTITION BY run_id ORDER BY t) - t AS dt FROM ch)"
+)
+_m(
+    "queue_summary",
+    measures.queue_summary,
+    _DEP + " SELECT run_id, CAST(peak AS BIGINT) AS peak, drain_ms, round(area / runtime, 6) AS mean_depth FROM (SELECT run_id, max(q) AS peak, sum(q * coalesce(dt, 0)) AS area FROM dq GROUP BY 1) JOIN (SELECT run_id, greatest(max(start_ms) - max(enq_ms), 0) AS drain_ms, max(finish_ms) - min(enq_ms) AS runtime FROM res GROUP BY 1) USING (run_id)",
+)
 _m("priority_wait", measures.priority_wait, "SELECT run_id, prio, count(*) AS n, round(sum(wait_ms) / count(*), 6) AS wait_mean, max(wait_ms) AS wait_max FROM res GROUP BY 1, 2")
-add("oscillations", lambda s, d: measures.oscillations(kernel.scale_events(sim(s, d, FIGURE.but(cooldown_ms=0))), 10_000), O.elastic(FIGURE.but(cooldown_ms=0), ", e AS (SELECT run_id, delta, t_ms, lag(delta) OVER (ORDER BY t_ms) AS pd, lag(t_ms) OVER (ORDER BY t_ms) AS pt FROM pol WHERE delta <> 0) SELECT run_id, count(*) AS events, CAST(sum(abs(delta)) AS BIGINT) AS moved, CAST(sum(CASE WHEN sign(delta) <> sign(pd) AND t_ms - pt <= 10000 THEN 1 ELSE 0 END) AS BIGINT) AS turns FROM e GROUP BY 1"))
-add("reaction_time", lambda s, d: (lambda x: measures.reaction(kernel.results(x), kernel.scale_events(x), 8))(sim(s, d, FIGURE)), O.elastic(FIGURE, "SELECT run_id, (SELECT min(t_ms) FROM pol WHERE delta > 0) - min(enq_ms) AS first_out_ms, (SELECT min(t_ms) FROM pol WHERE n_after = 8 AND delta <> 0) - min(enq_ms) AS full_ms FROM res GROUP BY 1"))
+add(
+    "oscillations",
+    lambda s, d: measures.oscillations(kernel.scale_events(sim(s, d, FIGURE.but(cooldown_ms=0))), 10_000),
+    O.elastic(
+        FIGURE.but(cooldown_ms=0),
+        (
+            ", e AS (SELECT run_id, delta, t_ms, lag(delta) OVER (ORDER BY t_ms) AS pd, lag(t_ms) OVER (ORDER BY t_ms) AS pt FROM pol WHERE delta <> 0) "
+            "SELECT run_id, count(*) AS events, CAST(sum(abs(delta)) AS BIGINT) AS moved, CAST(sum(CASE WHEN sign(delta) <> sign(pd) AND t_ms - pt <= 10000 THEN 1 "
+            "ELSE 0 END) AS BIGINT) AS turns FROM e GROUP BY 1"
+        ),
+    ),
+)
+add(
+    "reaction_time",
+    lambda s, d: (lambda x: measures.reaction(kernel.results(x), kernel.scale_events(x), 8))(sim(s, d, FIGURE)),
+    O.elastic(
+        FIGURE,
+        (
+            "SELECT run_id, (SELECT min(t_ms) FROM pol WHERE delta > 0) - min(enq_ms) AS first_out_ms, (SELECT min(t_ms) FROM pol "
+            "WHERE n_after = 8 AND delta <> 0) - min(enq_ms) AS full_ms FROM res GROUP BY 1"
+        ),
+    ),
+)
 
 
 # ---- sweeps and shards ------------------------------------------------------------------------------------------------------------------------------------------
@@ -369,7 +594,11 @@ def sweep(s: SparkSession, d: str, small: bool) -> DataFrame:
 
 
 _SMALL = runs.sweep_grid(True)
-add("sweep_bounds", lambda s, d: sweep(s, d, True), O.several([(c, "zs_fast") for c in _SMALL], "SELECT run_id, max(finish_ms) AS makespan_ms, CAST(sum(wait_ms) AS BIGINT) AS wait_ms, max(worker_id) AS workers FROM res GROUP BY 1"))
+add(
+    "sweep_bounds",
+    lambda s, d: sweep(s, d, True),
+    O.several([(c, "zs_fast") for c in _SMALL], "SELECT run_id, max(finish_ms) AS makespan_ms, CAST(sum(wait_ms) AS BIGINT) AS wait_ms, max(worker_id) AS workers FROM res GROUP BY 1"),
+)
 add("sweep_thresholds", lambda s, d: sweep(s, d, False))
 
 
@@ -386,8 +615,22 @@ def _(s, d):
 
 _OT = f"""ot AS (SELECT c_nationkey AS shard, row_number() OVER (PARTITION BY c_nationkey ORDER BY o_orderdate, l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus) - 1 AS seq, count(*) OVER (PARTITION BY c_nationkey) AS n_all, CAST(substr(o_orderpriority, 1, 1) AS INTEGER) AS prio, CAST(floor(l_quantity) AS BIGINT) * 200 AS svc_ms FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey),
   tk AS (SELECT shard, seq, prio, {O.arrival('seq', 'n_all', ArrivalSpec(window_ms=3_600_000))} AS enq_ms, svc_ms FROM ot)"""
-add("shards_orders_tasks", lambda s, d: runs.order_tasks(s, d).groupBy("shard", "prio").agg(F.count("*").alias("n"), F.sum("enq_ms").alias("enq_ms"), F.sum("svc_ms").alias("svc_ms")), f"WITH {_OT} SELECT shard, prio, count(*) AS n, CAST(sum(enq_ms) AS BIGINT) AS enq_ms, CAST(sum(svc_ms) AS BIGINT) AS svc_ms FROM tk GROUP BY 1, 2")
-add("shards_orders_sequential", lambda s, d: queueing.sequential(runs.order_tasks(s, d)).groupBy("shard").agg(F.max("finish_ms").alias("makespan_ms"), F.sum("wait_ms").alias("wait_ms")), f"WITH {_OT}, c AS (SELECT *, sum(svc_ms) OVER (PARTITION BY shard ORDER BY seq) AS c FROM tk), f AS (SELECT *, c + max(enq_ms - c + svc_ms) OVER (PARTITION BY shard ORDER BY seq) AS fin FROM c) SELECT shard, CAST(max(fin) AS BIGINT) AS makespan_ms, CAST(sum(fin - svc_ms - enq_ms) AS BIGINT) AS wait_ms FROM f GROUP BY 1")
+add(
+    "shards_orders_tasks",
+    lambda s, d: runs.order_tasks(s, d).groupBy("shard", "prio").agg(F.count("*").alias("n"), F.sum("enq_ms").alias("enq_ms"), F.sum("svc_ms").alias("svc_ms")),
+    f"WITH {_OT} SELECT shard, prio, count(*) AS n, CAST(sum(enq_ms) AS BIGINT) AS enq_ms, CAST(sum(svc_ms) AS BIGINT) AS svc_ms FROM tk GROUP BY 1, 2",
+)
+add(
+    "shards_orders_sequential",
+    lambda s, d: queueing.sequential(runs.order_tasks(s, d)).groupBy("shard").agg(F.max("finish_ms").alias("makespan_ms"), F.sum("wait_ms").alias("wait_ms")),
+    (
+        f"WITH {_OT}, c AS (SELECT *, sum(svc_ms) OVER (PARTITION BY shard ORDER BY seq) AS c FROM tk), f AS (SELECT *, c + max(enq_ms - c + svc_ms) OVER (PARTITION BY shard "
+        "ORDER BY seq) AS fin FROM c) SELECT shard, CAST(max(fin) AS BIGINT) AS makespan_ms, CAST(sum(fin - svc_ms - enq_ms) AS BIGINT) AS wait_ms FROM f GROUP BY 1"
+    ),
+)
 ORDERS = FIGURE.but(run_id="orders", n_max=16)
-add("shards_orders_elastic", lambda s, d: kernel.results(kernel.simulate(runs.order_tasks(s, d), [ORDERS])).groupBy("shard").agg(F.count("*").alias("n"), F.max("finish_ms").alias("makespan_ms"), F.sum("wait_ms").alias("wait_ms")))
+add(
+    "shards_orders_elastic",
+    lambda s, d: kernel.results(kernel.simulate(runs.order_tasks(s, d), [ORDERS])).groupBy("shard").agg(F.count("*").alias("n"), F.max("finish_ms").alias("makespan_ms"), F.sum("wait_ms").alias("wait_ms")),
+)
 add("shard_inversions", lambda s, d: measures.inversions(kernel.results(kernel.simulate(runs.order_tasks(s, d), [ORDERS]))))

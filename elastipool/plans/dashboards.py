@@ -69,7 +69,11 @@ _BUSY = "(SELECT count(*) FROM res x WHERE x.run_id = g.run_id AND start_ms <= g
 for _t in TASKS:
     add(f"five_{_t}_tasks", lambda s, d, t=_t: run_five(s, d, t)[3], sql(_t, "SELECT * FROM oc"))
     add(f"five_{_t}_report", lambda s, d, t=_t: report(s, d, t)[0], sql(_t, f", {_WORK_SQL}, {_REPORT_SQL} SELECT * FROM rep"))
-    add(f"five_{_t}_classes", lambda s, d, t=_t: measures.per_class(run_five(s, d, t)[3]), sql(_t, f"SELECT run_id, y, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy FROM oc GROUP BY 1, 2"))
+    add(
+        f"five_{_t}_classes",
+        lambda s, d, t=_t: measures.per_class(run_five(s, d, t)[3]),
+        sql(_t, f"SELECT run_id, y, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy FROM oc GROUP BY 1, 2"),
+    )
     add(f"five_{_t}_confusion", lambda s, d, t=_t: measures.confusion(run_five(s, d, t)[3]), sql(_t, "SELECT run_id, y, y_hat, count(*) AS n FROM oc GROUP BY 1, 2, 3"))
     add(
         f"five_{_t}_workers", lambda s, d, t=_t: (lambda r: measures.worker_trace(r[0], r[1], n_fixed=r[2]))(run_five(s, d, t)),
@@ -126,7 +130,17 @@ _SCORES_SQL = f""", {_WORK_SQL}, {_REPORT_SQL},
     round(100 * (correct / worker_ms) / max(correct / worker_ms) OVER (), 4) AS cost_score FROM rep JOIN bu USING (run_id) JOIN fa USING (run_id)"""
 for _t in TASKS:
     add(f"five_{_t}_scores", lambda s, d, t=_t: scores(s, d, t), sql(_t, _SCORES_SQL))
-    add(f"five_{_t}_relative", lambda s, d, t=_t: relative(report(s, d, t)[0]), sql(_t, f", {_WORK_SQL}, {_REPORT_SQL} SELECT a.run_id, round(b.runtime_ms / a.runtime_ms, 6) AS speed_up, round(a.worker_ms / b.worker_ms, 6) AS cost_ratio FROM rep a, rep b WHERE b.run_id = 'B3'"))
+    add(
+        f"five_{_t}_relative",
+        lambda s, d, t=_t: relative(report(s, d, t)[0]),
+        sql(
+            _t,
+            (
+                f", {_WORK_SQL}, {_REPORT_SQL} SELECT a.run_id, round(b.runtime_ms / a.runtime_ms, 6) AS speed_up, round(a.worker_ms / b.worker_ms, 6) AS cost_ratio FROM rep a, rep b "
+                "WHERE b.run_id = 'B3'"
+            ),
+        ),
+    )
 
 # ---- faults ----------------------------------------------------------------------------------------------------------------------------------------------
 _FAULTY_SQL = f"fo AS (SELECT run_id, task_id, finish_ms, NOT ({_BAD}) AS ok, CASE WHEN {_BAD} THEN '{classify.ERROR}' ELSE y_hat END AS y_hat, NOT ({_BAD}) AND y = y_hat AS correct FROM oc)"
@@ -139,8 +153,28 @@ def fault_trace(s: SparkSession, d: str, task: str) -> DataFrame:
 
 
 add("fault_tasks", lambda s, d: run_five(s, d, "lang", faults=True)[3].select("run_id", "task_id", "finish_ms", "ok", "y_hat", "correct"), sql("lang", f", {_FAULTY_SQL} SELECT * FROM fo"))
-add("fault_trace", lambda s, d: fault_trace(s, d, "lang"), sql("lang", f", {_FAULTY_SQL}, {EDGES} SELECT g.*, (SELECT count(*) FROM fo x WHERE x.run_id = g.run_id AND finish_ms <= t_ms) AS done, (SELECT count(*) FROM fo x WHERE x.run_id = g.run_id AND finish_ms <= t_ms AND NOT ok) AS failed FROM g"))
-add("fault_score", lambda s, d: measures.fault_score(run_five(s, d, "lang", faults=True)[3], classify.faulty("task_id")), sql("lang", f", {_FAULTY_SQL} SELECT run_id, count(*) FILTER (NOT ({_BAD})) AS fine, count(*) FILTER (NOT ({_BAD}) AND ok AND finish_ms IS NOT NULL) AS unharmed, count(*) FILTER (NOT ok) AS failed FROM fo GROUP BY 1"))
+add(
+    "fault_trace",
+    lambda s, d: fault_trace(s, d, "lang"),
+    sql(
+        "lang",
+        (
+            f", {_FAULTY_SQL}, {EDGES} SELECT g.*, (SELECT count(*) FROM fo x WHERE x.run_id = g.run_id AND finish_ms <= t_ms) AS done, (SELECT count(*) FROM fo x "
+            "WHERE x.run_id = g.run_id AND finish_ms <= t_ms AND NOT ok) AS failed FROM g"
+        ),
+    ),
+)
+add(
+    "fault_score",
+    lambda s, d: measures.fault_score(run_five(s, d, "lang", faults=True)[3], classify.faulty("task_id")),
+    sql(
+        "lang",
+        (
+            f", {_FAULTY_SQL} SELECT run_id, count(*) FILTER (NOT ({_BAD})) AS fine, count(*) FILTER (NOT ({_BAD}) AND ok AND finish_ms IS NOT NULL) AS unharmed, count(*) FILTER (NOT "
+            "ok) AS failed FROM fo GROUP BY 1"
+        ),
+    ),
+)
 
 
 # ---- one classifier under several policies, several classifiers under one policy -----------------------------------------------------------------------
@@ -172,8 +206,22 @@ def swap_invariance(out: DataFrame) -> DataFrame:
 
 
 for _t in TASKS:
-    add(f"swap_matrix_{_t}", lambda s, d, t=_t: swap_matrix(swap_runs(s, d, t)), swap_sql(f"SELECT run_id, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy, max(finish_ms) - min(enq_ms) AS runtime_ms FROM oc GROUP BY 1", _t))
-add("prediction_invariance", lambda s, d: swap_invariance(swap_runs(s, d)), swap_sql("SELECT substr(coalesce(a.run_id, b.run_id), 4) AS role, count(*) AS tasks, CAST(sum(CASE WHEN a.y_hat IS NOT DISTINCT FROM b.y_hat THEN 0 ELSE 1 END) AS BIGINT) AS differing FROM (SELECT * FROM oc WHERE run_id LIKE 'B1-%') a FULL JOIN (SELECT * FROM oc WHERE run_id LIKE 'B3-%') b ON substr(a.run_id, 4) = substr(b.run_id, 4) AND a.task_id = b.task_id GROUP BY 1"))
+    add(
+        f"swap_matrix_{_t}",
+        lambda s, d, t=_t: swap_matrix(swap_runs(s, d, t)),
+        swap_sql(f"SELECT run_id, count(*) AS n, {_HIT} AS correct, round({_HIT} / count(*), 6) AS accuracy, max(finish_ms) - min(enq_ms) AS runtime_ms FROM oc GROUP BY 1", _t),
+    )
+add(
+    "prediction_invariance",
+    lambda s, d: swap_invariance(swap_runs(s, d)),
+    swap_sql(
+        (
+            "SELECT substr(coalesce(a.run_id, b.run_id), 4) AS role, count(*) AS tasks, CAST(sum(CASE WHEN a.y_hat IS NOT DISTINCT FROM b.y_hat THEN 0 "
+            "ELSE 1 END) AS BIGINT) AS differing FROM (SELECT * FROM oc WHERE run_id LIKE 'B1-%') a FULL JOIN (SELECT * FROM oc "
+            "WHERE run_id LIKE 'B3-%') b ON substr(a.run_id, 4) = substr(b.run_id, 4) AND a.task_id = b.task_id GROUP BY 1"
+        ),
+    ),
+)
 
 
 # ---- the masked collapse -----------------------------------------------------------------------------------------------------------------------------------

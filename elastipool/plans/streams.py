@@ -29,7 +29,10 @@ def stream(s: SparkSession, d: str) -> DataFrame:
 
 
 _HOURLY = "SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
-_SLIDING = "SELECT h - o AS start, count(*) AS n, CAST(sum(floor(value)) AS BIGINT) AS value FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS h, value FROM events), (SELECT unnest([0, 3600]) AS o) GROUP BY 1"
+_SLIDING = (
+    "SELECT h - o AS start, count(*) AS n, CAST(sum(floor(value)) AS BIGINT) AS value FROM (SELECT CAST(epoch(date_trunc('hour', ts)) AS BIGINT) AS h, value "
+    "FROM events), (SELECT unnest([0, 3600]) AS o) GROUP BY 1"
+)
 _SESSIONS = """SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM (
   SELECT *, sum(CASE WHEN gap IS NULL OR gap >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k
   FROM (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events)) GROUP BY user_id, k"""
@@ -54,7 +57,10 @@ def in_turn(s: SparkSession, parts: list[DataFrame], tag: str) -> str:
 
 
 _HALF = "(SELECT min(ts) + (max(ts) - min(ts)) / 2 FROM events)"
-_LATE = f"SELECT (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0 AND ts <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR) AS late, (SELECT count(*) FROM events) - (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0) AS kept"
+_LATE = (
+    f"SELECT (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0 AND ts <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR) AS late, (SELECT count(*) "
+    f"FROM events) - (SELECT count(*) FROM events WHERE ts < {_HALF} AND event_id % 10 = 0) AS kept"
+)
 
 
 @query("stream_late_count", _LATE)

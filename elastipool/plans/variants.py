@@ -134,7 +134,16 @@ def advise(rows: DataFrame) -> DataFrame:
 _GRID = runs.sweep_grid(True)
 
 
-@query("experience_sweep", O.several([(c, "zs_fast") for c in _GRID], f", {EXPERIENCE} SELECT q // 10 AS qb, n, util_pm // 250 AS ub, action, count(DISTINCT run_id) AS runs, count(*) AS seen, round(CAST(sum(q_next) AS DOUBLE) / count(q_next), 6) AS q_next, CAST(sum(CASE WHEN q_next < q THEN 1 ELSE 0 END) AS BIGINT) AS fell FROM ex WHERE q_next IS NOT NULL GROUP BY 1, 2, 3, 4"))
+@query(
+    "experience_sweep",
+    O.several(
+        [(c, "zs_fast") for c in _GRID],
+        (
+            f", {EXPERIENCE} SELECT q // 10 AS qb, n, util_pm // 250 AS ub, action, count(DISTINCT run_id) AS runs, count(*) AS seen, round(CAST(sum(q_next) AS DOUBLE) / "
+            "count(q_next), 6) AS q_next, CAST(sum(CASE WHEN q_next < q THEN 1 ELSE 0 END) AS BIGINT) AS fell FROM ex WHERE q_next IS NOT NULL GROUP BY 1, 2, 3, 4"
+        ),
+    ),
+)
 def _(s, d):
     """Experience of the runs of the sweep, stored in two appends, of which the second writes a run again, and read back for advice."""
     path = f"{scratch_root(s)}/experience-{uuid.uuid4().hex}"
@@ -149,10 +158,20 @@ def _(s, d):
 
 # ---- request traffic -----------------------------------------------------------------------------------------------------------------------------------------
 _STRIP = r"trim(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g'))".replace("\\t", "\t").replace("\\r", "\r").replace("\\n", "\n")
-add("requests_pages", lambda s, d: ingest.pages(s, d).select("doc_id", classify.zs_fast("lang").alias("y_hat")), f"SELECT doc_id, {O.label('zs_fast', 'lang')} AS y_hat FROM (SELECT doc_id, {O.TOK} AS tok FROM (SELECT page_id AS doc_id, {_STRIP} AS text FROM pages))")
-
-
-@query("tasks_conversations", f"SELECT task_id, CAST(seq AS BIGINT) AS seq, prio, {O.arrival('seq', 'n')} AS enq_ms FROM (SELECT conv_id * 100 + turn AS task_id, CAST(CASE WHEN role = 'user' THEN 1 ELSE 2 END AS INTEGER) AS prio, row_number() OVER (ORDER BY conv_id, turn) - 1 AS seq, count(*) OVER () AS n FROM conversations)")
+add(
+    "requests_pages",
+    lambda s, d: ingest.pages(s, d).select("doc_id", classify.zs_fast("lang").alias("y_hat")),
+    f"SELECT doc_id, {O.label('zs_fast', 'lang')} AS y_hat FROM (SELECT doc_id, {O.TOK} AS tok FROM (SELECT page_id AS doc_id, {_STRIP} AS text FROM pages))",
+)
+
+
+@query(
+    "tasks_conversations",
+    (
+        f"SELECT task_id, CAST(seq AS BIGINT) AS seq, prio, {O.arrival('seq', 'n')} AS enq_ms FROM (SELECT conv_id * 100 + turn AS task_id, CAST(CASE WHEN role = 'user' THEN 1 "
+        "ELSE 2 END AS INTEGER) AS prio, row_number() OVER (ORDER BY conv_id, turn) - 1 AS seq, count(*) OVER () AS n FROM conversations)"
+    ),
+)
 def _(s, d):
     """Turns of conversations as tasks, users before assistants."""
     c = t(s, d, "conversations").select("conv_id", "turn", (F.col("conv_id") * 100 + F.col("turn")).alias("task_id"), workload.priority("role").alias("prio"))
@@ -189,7 +208,11 @@ def _(s, d):
     return ingest.json_lines(s, path, c.schema).select("conv_id", "turn", "role", F.md5("text").alias("h"))
 
 
-add("op_variant_props", lambda s, d: t(s, d, "events").select(F.variant_get(F.parse_json("props"), "$.k", "bigint").alias("k"), "event_type").groupBy("k", "event_type").agg(F.count("*").alias("n")), "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+add(
+    "op_variant_props",
+    lambda s, d: t(s, d, "events").select(F.variant_get(F.parse_json("props"), "$.k", "bigint").alias("k"), "event_type").groupBy("k", "event_type").agg(F.count("*").alias("n")),
+    "SELECT CAST(json_extract(props, '$.k') AS BIGINT) AS k, event_type, count(*) AS n FROM events GROUP BY 1, 2",
+)
 
 
 @query("op_partitioned_append", O.several([(c, "zs_fast") for c in _GRID[:4]], "SELECT run_id, count(*) AS n, CAST(sum(sojourn_ms) AS BIGINT) AS sojourn_ms FROM res GROUP BY 1"))
