@@ -21,7 +21,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from elastipool.llm.common import prepare, table
+from elastipool.llm.common import lean, prepare, table
 
 #: Characters of a piece handed to the tokenizer at once, as long as a safe boundary follows.
 PIECE = 1 << 16
@@ -91,7 +91,7 @@ def encoded(docs: DataFrame, ranks: bytes, pattern: str, id_col: str = "doc_id",
         for b in batches:
             yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "ids": pa.array([coder.encode(t or "").astype(np.int32) for t in b.column(1).to_pylist()], pa.list_(pa.int32()))})
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(run, "doc_id long, ids array<int>")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(lean(run), "doc_id long, ids array<int>")
 
 
 def digests(docs: DataFrame, ranks: bytes, pattern: str, id_col: str = "doc_id", text_col: str = "text", keep: str | None = None) -> DataFrame:
@@ -109,7 +109,7 @@ def digests(docs: DataFrame, ranks: bytes, pattern: str, id_col: str = "doc_id",
                 sd.append(hashlib.sha256(coder.decode(ids)).hexdigest())
             yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "n_tokens": pa.array(n, pa.int64()), "ids_sha256": pa.array(si, pa.string()), "decoded_sha256": pa.array(sd, pa.string())})
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(run, SCHEMA)
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text")).mapInArrow(lean(run), SCHEMA)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -11,7 +13,7 @@ from pyspark.sql import functions as F
 from elastipool.session import discard, materialise, plan_bytes, ship
 
 #: Rows and bytes of an Arrow batch handed to Python: texts may be long, so batches are kept small.
-ARROW_ROWS, ARROW_BYTES = "2000", "16777216"
+ARROW_ROWS, ARROW_BYTES = "2000", "8388608"
 
 def prepare(spark: SparkSession) -> None:
     """Ship the package and bound Arrow batches (both are runtime settings)."""
@@ -20,6 +22,27 @@ def prepare(spark: SparkSession) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BYTES)
 
 
+def lean(run):
+    """A map over Arrow batches that gives freed memory back at its end: workers are used again for other tasks, and what one leaves in its heap adds to the next."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim()
+
+    return wrapped
+
+
+def trim() -> None:
+    """Return free heap pages to the system, where its C library can."""
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        return
+
+
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     return df.select(*cols) if cols else df
@@ -60,7 +83,7 @@ def mix(h: np.ndarray) -> np.ndarray:
 class WordHashes(dict):
     """word (bytes) -> 64-bit hash, remembered up to a bounded number of words."""
 
-    MOST = 150_000
+    MOST = 100_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= self.MOST:
@@ -131,6 +154,6 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 
 
 __all__ = [
-    "ARROW_BYTES", "ARROW_ROWS", "WordHashes", "bucket_count", "byte_views", "components", "discard", "materialise", "mix",
+    "ARROW_BYTES", "ARROW_ROWS", "WordHashes", "bucket_count", "byte_views", "components", "discard", "lean", "materialise", "mix",
     "pairs_of", "plan_bytes", "prepare", "shingle_runs", "shingles", "table", "word_hashes",
 ]

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import WordHashes, prepare, shingle_runs, shingles, table
+from elastipool.llm.common import WordHashes, lean, prepare, shingle_runs, shingles, table
 
 BLOCK = 1 << 22
 #: Size partitions: least number of shingles, and sketch values a document must hold.
@@ -82,7 +82,7 @@ def item_sets(items: DataFrame, id_col: str, text_col: str, width: int) -> DataF
             cols = [b.column(0), pa.array([len(g) for g in got], pa.int64()), pa.array([g.tobytes() for g in got], pa.binary()), pa.array([min(width, len(w)) for w in words], pa.int32())]
             yield pa.RecordBatch.from_arrays(cols, names=["item_id", "n", "items", "width"])
 
-    return items.select(items[id_col].cast("long").alias("item_id"), items[text_col].cast("string").alias("text")).mapInArrow(run, "item_id long, n long, items binary, width int")
+    return items.select(items[id_col].cast("long").alias("item_id"), items[text_col].cast("string").alias("text")).mapInArrow(lean(run), "item_id long, n long, items binary, width int")
 
 
 def indexes(items: DataFrame, width: int, num: int, den: int, item_col: str, item_text: str) -> list:
@@ -116,7 +116,7 @@ def contaminated(docs: DataFrame, items: DataFrame, width: int = 5, num: int = 7
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)], names=["doc_id", "item_id", "n_item", "shared"])
 
-        return src.mapInArrow(run, PAIRS)
+        return src.mapInArrow(lean(run), PAIRS)
 
     return reduce(DataFrame.unionAll, [one(x) for x in indexes(items, width, num, den, item_col, item_text)])
 
@@ -142,4 +142,4 @@ def _filtered(docs: DataFrame, index, text_col: str) -> DataFrame:
             keep = [not (t and index.value.matches(common.word_hashes(t.encode(), known))) for t in texts]
             yield b.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import prepare, table
+from elastipool.llm.common import lean, prepare, table
 
 BUCKETS, DIM, GRAMS, PER_LANG, LANGS, EPOCHS, BATCH, RATE, REJECT = 1 << 15, 16, (2, 3, 4), 600, 256, 6, 16, 0.5, 0.01
 PIECE = 1 << 20
@@ -148,7 +148,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
             got = [counts(t or b"") for t in common.pairs_of(b, "text")]
             yield pa.RecordBatch.from_pydict({"id": b.column(0), "at": pa.array([g[0].tobytes() for g in got], pa.binary()), "share": pa.array([g[1].tobytes() for g in got], pa.binary()), "lang": b.column(2)})
 
-    t = sample.select(F.col("id").cast("string").alias("id"), "text", "lang").mapInArrow(run, "id string, at binary, share binary, lang string").toArrow().sort_by([("id", "ascending"), ("lang", "ascending"), ("at", "ascending")])
+    t = sample.select(F.col("id").cast("string").alias("id"), "text", "lang").mapInArrow(lean(run), "id string, at binary, share binary, lang string").toArrow().sort_by([("id", "ascending"), ("lang", "ascending"), ("at", "ascending")])
     langs = sorted(set(t.column("lang").to_pylist()))
     if not langs:
         return None
@@ -175,7 +175,7 @@ def identified(docs: DataFrame, model: Model | None, held_out, id_col: str = "do
                     pred[i], score[i], no[i] = m.langs[k], min(1.0, s), s < m.threshold
             yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "held_out": b.column(1), "lang_pred": pa.array(pred, pa.string()), "score": pa.array(score, pa.float64()), "rejected": pa.array(no, pa.bool_())})
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs[text_col].cast("string").alias("text")).mapInArrow(run, OUT)
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs[text_col].cast("string").alias("text")).mapInArrow(lean(run), OUT)
 
 
 def fold(col, n: int):

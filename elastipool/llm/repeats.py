@@ -39,10 +39,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import discard, materialise, mix, prepare, table
+from elastipool.llm.common import discard, lean, materialise, mix, prepare, table
 
 LENGTH, GRAM = 100, 24
-PIECE = 1 << 21
+PIECE = 1 << 20
 #: Different phrases of one trigger in a piece of text, and in the corpus, beyond which its windows are hashed.
 PER_PIECE, FREQUENT = 64, 20_000
 #: Places between the parts of one document, and the most places that packed positions can tell apart.
@@ -504,17 +504,17 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     def dealt(df):
         return df.repartition("kind", "key").sortWithinPartitions("kind", "key")
 
-    parsed = src.where(F.octet_length("text") >= LENGTH).select("at", "base", "text").mapInArrow(_parse(buckets), ROWS_DDL)
-    looked = materialise(dealt(parsed).mapInArrow(_lookup, ROWS_DDL), "phrases")
+    parsed = src.where(F.octet_length("text") >= LENGTH).select("at", "base", "text").mapInArrow(lean(_parse(buckets)), ROWS_DDL)
+    looked = materialise(dealt(parsed).mapInArrow(lean(_lookup), ROWS_DDL), "phrases")
     asked = src.join(_spans_of(looked, OPEN), "at").select("at", "base", "text", "pos", "cnt")
-    opened = looked.where(F.col("kind") != OPEN).unionByName(asked.mapInArrow(_open(buckets), ROWS_DDL))
-    found = materialise(dealt(opened).mapInArrow(_suffixes, ROWS_DDL), "spans")
+    opened = looked.where(F.col("kind") != OPEN).unionByName(asked.mapInArrow(lean(_open(buckets)), ROWS_DDL))
+    found = materialise(dealt(opened).mapInArrow(lean(_suffixes), ROWS_DDL), "spans")
     discard(looked)
     return src.join(_spans_of(found, SPAN), "at", "left").select("doc_id", "base", "text", "pos", "cnt"), found
 
 
 def deduplicated(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    return repeats(docs, id_col, text_col)[0].mapInArrow(_cut, OUT)
+    return repeats(docs, id_col, text_col)[0].mapInArrow(lean(_cut), OUT)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -39,10 +39,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import WordHashes, components, discard, materialise, prepare, shingles, table
+from elastipool.llm.common import WordHashes, components, discard, lean, materialise, prepare, shingles, table
 
 #: Most frequent shingles sent to all tasks (8 bytes each), least count of a frequent one, block of a list, words packed at once.
-HOT_CAP, HOT_LEAST, BLOCK, FLUSH = 1 << 20, 16, 2048, 1 << 21
+HOT_CAP, HOT_LEAST, BLOCK, FLUSH = 1 << 20, 16, 2048, 1 << 20
 #: Lists of so many sets are compared as whole groups, in blocks of so many sets; columns of a block's matrix.
 MANY, SETS, COLUMNS = 32, 512, 4096
 #: Most ids of documents sent to all tasks (16 bytes each).
@@ -282,15 +282,17 @@ def _first_pairs(num, den):
 
     def run(batches):
         for b in batches:
-            xs, ys = [], []
-            for sid, n, pos in zip(b.column(0), b.column(1), b.column(2)):
+            xs, ys, size = [], [], 0
+            for k, (sid, n, pos) in enumerate(zip(b.column(0), b.column(1), b.column(2))):
                 sid, n, pos = (np.asarray(x.values).astype(np.int64) for x in (sid, n, pos))
                 at = _Blocks(n[1:], pos[1:], num, den).open(int(n[0]), int(pos[0]))
                 ys.append(sid[1:][at])
                 xs.append(np.full(len(at), sid[0]))
-            if xs:
-                p = np.unique(np.stack([np.concatenate(xs), np.concatenate(ys)], 1), axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], schema=out)
+                size += len(at)
+                if size >= FLUSH >> 2 or k + 1 == b.num_rows:
+                    p = np.unique(np.stack([np.concatenate(xs), np.concatenate(ys)], 1), axis=0)
+                    yield pa.RecordBatch.from_arrays([pa.array(p[:, 0]), pa.array(p[:, 1])], schema=out)
+                    xs, ys, size = [], [], 0
 
     return run
 
@@ -341,7 +343,11 @@ def _bounded(pairs: DataFrame, sets: DataFrame, whole: bool) -> DataFrame:
     left = sets.select(F.col("sid").alias("b"), F.col("n").alias("m"), F.col("items").alias("y"))
     right = sets.select(F.col("sid").alias("a"), "n", F.col("items").alias("x"))
     # merge joins at any size: what is shuffled grows with the input, without a step where a side outgrows a broadcast
-    return pairs.hint("merge").join(left, "b").hint("merge").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(_overlaps(whole), BOUNDS_DDL)
+    return pairs.hint("merge").join(left, "b").hint("merge").join(right, "a").select("a", "b", "x", "y", "n", "m").mapInArrow(lean(_overlaps(whole)), BOUNDS_DDL)
+
+
+def _parts(a: np.ndarray, size: int):
+    return (a[k : k + size] for k in range(0, len(a), size))
 
 
 def _rest(num, den):
@@ -355,8 +361,8 @@ def _rest(num, den):
             off = np.asarray(col.offsets)
             size, flat = np.diff(off), {f: np.asarray(col.values.field(f)) for f in ("sid", "n", "pos", "comp", "lo", "hi")}
             got = []
-            for m in np.unique(size[size > 1]):
-                rows = np.flatnonzero(size == m)
+            # so many lists at once that their pairs are few enough for small arrays
+            for m, rows in ((m, part) for m in np.unique(size[size > 1]) for part in _parts(np.flatnonzero(size == m), (1 << 18) // int(m * m) + 1)):
                 sid, n, pos, comp, lo, hi = (flat[f][off[rows][:, None] + np.arange(m)] for f in ("sid", "n", "pos", "comp", "lo", "hi"))
                 x, y = np.triu_indices(int(m), 1)
                 need = pair_overlap(n[:, x], n[:, y], num, den)
@@ -434,20 +440,20 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     src = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].cast("string").alias("text"))
     buckets = common.bucket_count(src, least=256)
     # one shuffle carries both the rows of documents and the packed shingles to be counted; nothing packed is written
-    signed = src.mapInArrow(_signer(width, buckets), "doc_id long, n long, sid long, bucket int, low binary").repartition("bucket").sortWithinPartitions("bucket")
-    signed = materialise(signed.mapInArrow(_count, "doc_id long, n long, sid long, t long, c long"), "signed")
+    signed = src.mapInArrow(lean(_signer(width, buckets)), "doc_id long, n long, sid long, bucket int, low binary").repartition("bucket").sortWithinPartitions("bucket")
+    signed = materialise(signed.mapInArrow(lean(_count), "doc_id long, n long, sid long, t long, c long"), "signed")
     sigs, counts = signed.where("c is null").select("doc_id", "n", "sid"), signed.where("c is not null").select("t", "c")
     bins = {r.k: r.n for r in counts.groupBy(F.floor(F.log2("c")).cast("int").alias("k")).agg(F.count("*").alias("n")).collect()}
     floor_ = next(k for k in range(64) if sum(n for b, n in bins.items() if b >= k) <= HOT_CAP)
     hot = np.sort(np.asarray(counts.where(F.col("c") >= F.lit(1 << floor_)).select("t").toArrow().column(0), np.int64).view(np.uint64))
     hot = spark.sparkContext.broadcast(hot)
 
-    packed = src.mapInArrow(_packer(width, num, den, hot, buckets), PACK_DDL).repartition("bucket").sortWithinPartitions("bucket")
-    made = materialise(packed.mapInArrow(_lists, LISTS_DDL), "lists", "snappy")
+    packed = src.mapInArrow(lean(_packer(width, num, den, hot, buckets)), PACK_DDL).repartition("bucket").sortWithinPartitions("bucket")
+    made = materialise(packed.mapInArrow(lean(_lists), LISTS_DDL), "lists", "snappy")
     lists = made.where("gid is not null").select("gid", "m", "sid", "n", "pos")
     quarters = made.where("own is not null").select(F.col("own").alias("sid"), F.col("size").alias("n"), "items")
 
-    first = materialise(lists.select("sid", "n", "pos").mapInArrow(_first_pairs(num, den), "a long, b long").distinct(), "first")
+    first = materialise(lists.select("sid", "n", "pos").mapInArrow(lean(_first_pairs(num, den)), "a long, b long").distinct(), "first")
     reps = sigs.where("sid is not null and doc_id is not null").groupBy("sid").agg(F.min("doc_id").alias("rep"))
 
     def sets_of(sids: DataFrame) -> DataFrame:
@@ -455,7 +461,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
         chosen = reps.join(sids.distinct(), "sid").select(F.col("rep").alias("doc_id"), F.col("sid").alias("want"))
         chosen = materialise(chosen, "chosen")
         chosen = chosen.hint("broadcast" if chosen.count() <= SENT else "merge")
-        return materialise(src.join(chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(_set_rows(width), "sid long, n long, items binary"), "sets", "snappy")
+        return materialise(src.join(chosen, "doc_id").select("doc_id", "text", "want").mapInArrow(lean(_set_rows(width)), "sid long, n long, items binary"), "sets", "snappy")
 
     ends = lambda pairs: pairs.select(F.explode(F.array("a", "b")).alias("sid"))
     may = (F.col("hi") * den) >= (F.col("n") + F.col("m") - F.col("hi")) * num
@@ -483,7 +489,7 @@ def linked(width: int, num: int, den: int, docs: DataFrame, id_col: str = "doc_i
     # narrow rows, but much work on each: partitions by number are not merged to fewer tasks
     whole = bounded(few.join(mixed, "gid")).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "gid")
     whole = whole.groupBy("gid").agg(F.first("np").alias("np"), F.collect_list(F.struct("sid", "n", "pos", "comp", "lo", "hi")).alias("of"))
-    more = whole.select("np", "of").mapInArrow(_rest(num, den), "a long, b long, sure boolean")
+    more = whole.select("np", "of").mapInArrow(lean(_rest(num, den)), "a long, b long, sure boolean")
 
     # long lists of one first set are taken together, so that a pair is looked at once and not in each of them
     group = members(lists.where(F.col("m") >= MANY), "a", "np", "sid", "n")

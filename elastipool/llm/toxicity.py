@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from elastipool.llm import common
-from elastipool.llm.common import prepare, table
+from elastipool.llm.common import lean, prepare, table
 from elastipool.llm.langid import fold
 
 #: Labelled rows learned from, features kept, least G, prefix lengths in bytes.
@@ -263,14 +263,14 @@ def char_model(docs: DataFrame, text_col: str = "text") -> CharModel:
                     total += np.bincount(trigram_counts(text), minlength=1 << 18)
                     words.update(w for w in _LETTERS.findall(text.lower()) if len(w) <= LONGEST)
                     held, size = [], 0
-            if len(words) > 500_000:
+            if len(words) > 200_000:
                 yield counted()
                 words.clear()
         at = np.flatnonzero(total)
         yield counted()
         yield pa.RecordBatch.from_pydict({"g": pa.array(at, pa.int32()), "w": pa.array([""] * len(at), pa.string()), "n": pa.array(total[at], pa.int64())})
 
-    both = docs.select(docs[text_col].cast("string").alias("text")).mapInArrow(run, "g int, w string, n long").groupBy("g", "w").agg(F.sum("n").alias("n"))
+    both = docs.select(docs[text_col].cast("string").alias("text")).mapInArrow(lean(run), "g int, w string, n long").groupBy("g", "w").agg(F.sum("n").alias("n"))
     rows = both.where((F.col("g") >= 0) | (F.col("n") >= LEAST_N)).orderBy(F.col("g") < 0, F.desc("n"), "w").limit((1 << 18) + WORDS).toArrow()
     g, n = np.asarray(rows.column("g")), np.asarray(rows.column("n"))
     counts = np.zeros(1 << 18, np.int64)
@@ -292,7 +292,7 @@ class Scorer:
 
         class Known(dict):
             def __missing__(known, w):
-                if len(known) > 200_000:
+                if len(known) > 100_000:
                     known.clear()
                 known[w] = got = tuple(at[f] for f in word_features(w) if f in at)
                 return got
@@ -353,7 +353,7 @@ def fit(docs: DataFrame, labels: DataFrame, lm: CharModel, id_col: str = "doc_id
             got = [features(restored(t, lm, known)).tobytes() for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_pydict({"id": b.column(0), "y": b.column(2), "f": pa.array(got, pa.binary())})
 
-    sample = common.materialise(rows.mapInArrow(found, "id long, y int, f binary"), "toxic-sample")
+    sample = common.materialise(rows.mapInArrow(lean(found), "id long, y int, f binary"), "toxic-sample")
     totals = {r.y: r.n for r in sample.groupBy("y").agg(F.count("*").alias("n")).collect()}
     t1, t0 = totals.get(1, 0), totals.get(0, 0)
     if not t1 or not t0:
@@ -370,7 +370,7 @@ def fit(docs: DataFrame, labels: DataFrame, lm: CharModel, id_col: str = "doc_id
                 f, n = np.unique(np.concatenate(parts), return_counts=True)
                 yield pa.RecordBatch.from_pydict({"f": pa.array(f.view(np.int64)), "n1": pa.array(n * k, pa.int64()), "n0": pa.array(n * (1 - k), pa.int64())})
 
-    by = sample.select("y", "f").mapInArrow(counted, "f long, n1 long, n0 long").groupBy("f").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0"))
+    by = sample.select("y", "f").mapInArrow(lean(counted), "f long, n1 long, n0 long").groupBy("f").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0"))
     # only what leans to the toxic side can pass LEAST_G with n1 of 2 or more; the strongest by share are taken for the exact statistic
     top = by.where(F.col("n1") >= 2).where(F.col("n1") * t0 > F.col("n0") * t1).orderBy(F.desc(F.col("n1") * F.log(F.col("n1") * t0 / ((F.col("n0") + 0.5) * t1))), "f").limit(FEATURES).toArrow()
     f, n1, n0 = (np.asarray(top.column(c)) for c in ("f", "n1", "n0"))
@@ -386,7 +386,7 @@ def fit(docs: DataFrame, labels: DataFrame, lm: CharModel, id_col: str = "doc_id
                 got.append((at[keys[at] == g] if len(keys) and len(g) else np.zeros(0)).astype(np.int32).tobytes())
             yield pa.RecordBatch.from_pydict({"id": b.column(2), "y": b.column(0), "at": pa.array(got, pa.binary())})
 
-    t = sample.select("y", "f", "id").mapInArrow(active, "id long, y int, at binary").toArrow().sort_by([("id", "ascending"), ("at", "ascending")])
+    t = sample.select("y", "f", "id").mapInArrow(lean(active), "id long, y int, at binary").toArrow().sort_by([("id", "ascending"), ("at", "ascending")])
     common.discard(sample)
     w, b = train([(np.frombuffer(x, np.int32), k) for x, k in zip(t.column("at").to_pylist(), t.column("y").to_pylist())], len(keys))
     return Scorer(keys, w, b)
@@ -404,7 +404,7 @@ def scored(docs: DataFrame, lm: CharModel, model: Scorer, held_out, id_col: str
             s = [score(restored(t, lm, known) if t else "") for t in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_pydict({"doc_id": b.column(0), "held_out": b.column(1), "score": pa.array(s, pa.float64()), "predicted": pa.array([int(x >= 0.5) for x in s], pa.int32())})
 
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs[text_col].cast("string").alias("text")).mapInArrow(run, OUT)
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held_out"), docs[text_col].cast("string").alias("text")).mapInArrow(lean(run), OUT)
 
 
 def models(docs: DataFrame, labels: DataFrame) -> tuple[CharModel, Scorer]:
@@ -432,4 +432,4 @@ def without_toxic(docs: DataFrame, lm: CharModel, model: Scorer, text_col: str =
             keep = [score(restored(t, lm, known) if t else "") < 0.5 for t in b.column(at).to_pylist()]
             yield b.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
