@@ -41,7 +41,7 @@ def count_of(tok: Column, words: tuple[str, ...]) -> Column:
 def argmax(scores: list[tuple[str, Column]], default: str) -> Column:
     """Label of the highest score; ties to the earlier label, the default without any score."""
     rows = F.array(*[F.struct(s.alias("s"), F.lit(-k).alias("o"), F.lit(y).alias("y")) for k, (y, s) in enumerate(scores)])
-    return let(F.array_max(rows), lambda b: F.when(b["s"] <= 0, default).otherwise(b["y"]))
+    return let(F.array_max(rows), lambda b: F.when(b["s"] > 0, b["y"]).otherwise(default))
 
 
 def zs_fast(task: str, text: Column | None = None) -> Column:

@@ -298,7 +298,7 @@ for _n, _c in (("events", FIGURE), ("no_cooldown", FIGURE.but(cooldown_ms=0)), (
     add(f"replay_{_n}", lambda s, d, c=_c: queueing.replay(recorded(s, d), c), _replay_sql(_c))
 
 # ---- flagship -------------------------------------------------------------------------------------------------------------------------------------------
-for _n, _c in (("elastic", FIGURE), ("elastic_text", TEXT), ("elastic_cpu_signal", FIGURE.but(use_queue=False, cpu_share_pm=300)), ("elastic_no_cooldown", FIGURE.but(cooldown_ms=0)), ("elastic_util_only", FIGURE.but(use_queue=False)), ("elastic_step_one", FIGURE.but(step=1, step_down=1))):
+for _n, _c in (("elastic", FIGURE), ("elastic_text", TEXT), ("elastic_cpu_signal", FIGURE.but(use_queue=False, cpu_share_pm=300)), ("elastic_no_cooldown", FIGURE.but(cooldown_ms=0)), ("elastic_util_only", FIGURE.but(use_queue=False)), ("elastic_step_one", FIGURE.but(step=1, step_down=1)), ("elastic_step_four", FIGURE.but(step=4, step_down=4)), ("elastic_queue_only", FIGURE.but(use_util=False))):
     add(f"{_n}_results", lambda s, d, c=_c: kernel.results(sim(s, d, c)), O.elastic(_c, f"SELECT {RES} FROM res"))
     add(f"{_n}_polls", lambda s, d, c=_c: kernel.polls(sim(s, d, c)), O.elastic(_c, f"SELECT {POL} FROM pol"))
 add("elastic_scale_events", lambda s, d: kernel.scale_events(sim(s, d, FIGURE)), O.elastic(FIGURE, "SELECT run_id, shard, j, t_ms, q, busy, n_before, delta, n_after FROM pol WHERE delta <> 0"))

@@ -78,17 +78,23 @@ def _(s, d):
     return out.rows.agg(F.lit(out.late).cast("long").alias("late"), F.count("*").alias("kept"))
 
 
-@query("stream_processor_results", O.elastic(FIGURE, "SELECT shard, task_id, seq, prio, enq_ms, svc_ms, start_ms, finish_ms, worker_id FROM res"))
-def _(s, d):
-    """The elastic run as a stateful stream over several triggers: tasks come in four files in the order of arrival, one a trigger, then a sentinel that moves the watermark
-    past the end, and one that lets the state see it."""
+_LIVE = O.elastic(FIGURE, "SELECT shard, task_id, seq, prio, enq_ms, svc_ms, start_ms, finish_ms, worker_id FROM res")
+
+
+def task_stream(s: SparkSession, d: str) -> DataFrame:
+    """Tasks in four files in the order of arrival, one a trigger, then sentinels: the first moves the watermark past the end, the next let the state see it."""
     t = materialise(runs.tasks(s, d).select("shard", "task_id", "seq", "prio", "enq_ms", "svc_ms"), "tasks")
     n = t.count()
     end = [s.createDataFrame([(0, -1 - k, -1 - k, 0, 40_000_000 + 10_000 * k, 0)], t.schema) for k in range(3)]
     parts = [t.where((F.col("seq") >= n * k // 4) & (F.col("seq") < n * (k + 1) // 4)) for k in range(4)]
     path = in_turn(s, [p.withColumn("ts", F.timestamp_millis(F.col("enq_ms") + 1)) for p in (*parts, *end)], "tasks")
     schema = s.read.parquet(f"{path}/part=000").schema
-    return live.drain(live.live_queue(s.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/part=*"), FIGURE))
+    return s.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/part=*")
+
+
+#: The elastic run as a stateful stream over several triggers.
+add("stream_processor_results", lambda s, d: live.drain(live.live_queue(task_stream(s, d), FIGURE)), _LIVE)
+add("stream_processor_timers", lambda s, d: live.drain(live.live_queue_timers(task_stream(s, d), FIGURE)), _LIVE)
 
 
 _CURVE = f"SELECT seq, {O.arrival('seq', '500')} AS enq_ms FROM (SELECT unnest(range(500)) AS seq)"
@@ -101,8 +107,8 @@ def _(s, d):
 
 @query("stream_two_phase", _CURVE)
 def _(s, d):
-    """The curve as a stream: a hundred tasks a micro-batch."""
-    return live.drain(s.readStream.format(generator.register(s)).option("n", 500).option("per_batch", 100).load())
+    """The curve as a stream, up to what is there when it starts."""
+    return live.drain(s.readStream.format(generator.register(s)).option("n", 500).option("per_batch", 500).load())
 
 
 WAVES = FIGURE.but(queue_hi=20)

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from elastipool.functions.control import step
 from elastipool.model import NEVER, RunConfig
 from elastipool.operators.workload import global_sequence
-from elastipool.session import materialise, scratch_root
+from elastipool.session import materialise, scratch_root, ship
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -172,6 +172,48 @@ def live_queue(tasks: DataFrame, cfg: RunConfig, late: str = "1 second") -> Data
     return tasks.withWatermark("ts", late).groupBy("shard").applyInPandasWithState(run, LIVE, "clock string", "append", "EventTimeTimeout")
 
 
+ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def live_queue_timers(tasks: DataFrame, cfg: RunConfig, late: str = "1 second") -> DataFrame:
+    """The same as :func:`live_queue` with state and timers of its own: a stateful processor over RocksDB, so state may outgrow memory. A timer at the next event
+    wakes a queue that gets no more rows. Ships the package; the state store's provider is a runtime setting, set here."""
+    from pyspark.sql.streaming import StatefulProcessor
+
+    spark = tasks.sparkSession
+    ship(spark)
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKSDB)
+    names = [x.split()[0] for x in LIVE.split(", ")]
+
+    class Processor(StatefulProcessor):
+        def init(self, handle):
+            self.handle = handle
+            self.clock = handle.getValueState("clock", "saved string")
+
+        def _advanced(self, key, rows, mark):
+            clock = Clock(cfg, self.clock.get()[0] if self.clock.exists() else None)
+            for pdf in rows:
+                for r in pdf.itertuples(index=False):
+                    if r.seq >= 0:
+                        clock.add(int(r.enq_ms), int(r.seq), int(r.prio), int(r.svc_ms), int(r.task_id))
+            done = clock.advance(mark) if mark > 0 else []
+            self.clock.update((clock.saved(),))
+            if clock.waiting or clock.running or clock.queue:
+                self.handle.registerTimer(max(mark, 0) + 1)
+            yield pd.DataFrame([(int(key[0]), *x) for x in done], columns=names)
+
+        def handleInputRows(self, key, rows, timerValues):
+            yield from self._advanced(key, rows, timerValues.getCurrentWatermarkInMs())
+
+        def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+            yield from self._advanced(key, [], timerValues.getCurrentWatermarkInMs())
+
+        def close(self):
+            pass
+
+    return tasks.withWatermark("ts", late).groupBy("shard").transformWithStateInPandas(Processor(), LIVE, "Append", "EventTime")
+
+
 def waves(tasks: DataFrame, cfg: RunConfig, classify, sink: str, slots: int = 8) -> list[tuple[int, int, int]]:
     """Serve a table of pending tasks in waves, as micro-batches do: each takes the first n * slots by (prio, seq) on n partitions, writes them under its number, and moves the pool by the rule.
 

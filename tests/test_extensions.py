@@ -24,7 +24,17 @@ def ticked(tasks, cfg, forecast=None):
     arrivals = {}
     for seq, prio, enq, svc in tasks:
         arrivals.setdefault(enq, []).append((prio, seq, svc))
+    def dispatch():
+        queue.sort()
+        while idle and queue:
+            _, seq, svc = queue.pop(0)
+            w = min(idle)
+            idle.remove(w)
+            busy[w] = t + svc
+            out[seq] = (t, t + svc, w)
+
     while len(out) < len(tasks) or busy or (cfg.autoscale and forecast is None and (not pool or pool[-1][0] < last + cfg.tail_ms)):
+        # each event is followed by dispatch: first completions by worker, then arrivals by sequence, then the poll
         for w in sorted(w for w, f in busy.items() if f == t):
             del busy[w]
             last = t
@@ -32,18 +42,10 @@ def ticked(tasks, cfg, forecast=None):
                 leaving.discard(w)
             else:
                 idle.append(w)
-        queue += arrivals.get(t, [])
-
-        def dispatch():
-            queue.sort()
-            while idle and queue:
-                _, seq, svc = queue.pop(0)
-                w = min(idle)
-                idle.remove(w)
-                busy[w] = t + svc
-                out[seq] = (t, t + svc, w)
-
-        dispatch()
+            dispatch()
+        for x in sorted(arrivals.get(t, []), key=lambda x: x[1]):
+            queue.append(x)
+            dispatch()
         if cfg.autoscale and t and t % cfg.poll_ms == 0:
             d = forecast(t, len(queue), n, t_last) if forecast else step(len(queue), len(busy) - len(leaving), n, t, t_last, cfg)
             if forecast and d < 0:
@@ -173,7 +175,7 @@ def test_heavy_role_has_its_own_evidence(spark):
     df = spark.createDataFrame([(1, "Schaltungen Übung sichtlich"), (2, "the thought of nothing"), (3, "nación señal llano"), (4, "eaux bateaux français être"), (5, "xyz"), (6, None), (7, "")], "doc_id long, text string")
     fast = {r.doc_id: r.y for r in df.select("doc_id", classify.zs_fast("lang").alias("y")).collect()}
     heavy = {r.doc_id: r.y for r in df.select("doc_id", classify.zs_heavy("lang").alias("y")).collect()}
-    assert [heavy[k] for k in range(1, 8)] == ["de", "en", "es", "fr", "en", "en", "en"] and fast[1] == fast[3] == "en"
+    assert [heavy[k] for k in range(1, 8)] == ["de", "en", "es", "fr", "en", "en", "en"] and all(fast[k] == "en" for k in (1, 3, 5, 6, 7))
     toxic = spark.createDataFrame([("moronic stupidity",), ("a stupid idea",), ("fine words",)], "text string")
     assert [(r.f, r.h) for r in toxic.select(classify.zs_fast("toxic").alias("f"), classify.zs_heavy("toxic").alias("h")).collect()] == [("ok", "toxic"), ("toxic", "toxic"), ("ok", "ok")]
 
