@@ -7,7 +7,7 @@ keeps its title and the gender the title tells.
 
 *Coreference*: the replacement depends on the entity's normal form only, so an entity gets one replacement in all documents however it is
 punctuated. *Distinctness*: the distinct entities of the whole corpus are compared by their replacements; where two would share one, or one equals an
-entity of the corpus, all but the least normal form move on to another attempt, until none collide. The few that moved are joined back by text; all
+entity of the corpus, all but the least normal form move on to another attempt, until none collide (after ``ATTEMPTS`` rounds what is left stays, which needs a format with hardly more replacements than entities). The few that moved are joined back by text; all
 others need no join, so documents are rewritten map-only.
 
 Null texts stay null, empty ones empty; texts without entities are unchanged. Repeated rows are rewritten alike. Other columns pass through as they are, whatever their

@@ -181,6 +181,16 @@ def test_surrogates_that_collide_move_on(spark, monkeypatch):
     assert all(v[1] == new[ips[(k + 1) % 62]] for k, v in got.items())
 
 
+def test_surrogates_of_a_format_that_runs_out(spark, monkeypatch):
+    # one address can be made, for nine: no error, and each is still replaced, alike in every text
+    real = pii._r
+    monkeypatch.setattr(pii, "_r", lambda seed, i, n: (F.lit(7) if i is not None and n == 254 else real(seed, i, n)))
+    monkeypatch.setattr(pii, "ATTEMPTS", 2)
+    ips = [f"9{k}.1.7.3" for k in range(9)]
+    got = pii.redacted(spark.createDataFrame([(k, f"host {a} and {a}") for k, a in enumerate(ips)], "doc_id long, text string")).collect()
+    assert len(got) == 9 and {r.text for r in got} == {"host 8.8.8.8 and 8.8.8.8"}
+
+
 def test_pii_is_native(spark):
     plan = pii.redacted(spark.createDataFrame([(1, "x")], "doc_id long, text string"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
