@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from elastipool.model import FIGURE
 from elastipool.operators.kernel import run_queue
-from elastipool.plans.streams import in_turn
+from elastipool.plans.streams import in_turn, sent_twice
 from elastipool.sources import generator
 from elastipool.streaming import live
 
@@ -79,3 +79,27 @@ def test_waves_serve_each_task_once(spark, tmp_path):
     assert sorted(r.task_id for r in rows) == list(range(100)) and log[-1][2] == 0
     order = [r.task_id for r in sorted(rows, key=lambda r: (r.wave, r.prio, r.seq))]
     assert order == [k for _, _, k in sorted((1 + k % 3, k, k) for k in range(100))]
+
+
+def test_dedup_over_many_triggers_loses_no_event(spark):
+    """Events far apart in time, out of order in the table, some without a time or of one id: each comes out once, whatever the number of triggers."""
+    rows = [(k % 90, None if k % 30 == 0 else (k * 37 % 100) * 7200, f"t{k}") for k in range(100)]
+    e = spark.createDataFrame(rows, "event_id long, at long, event_type string").select(
+        "event_id", F.timestamp_seconds("at").cast("timestamp_ntz").alias("ts"), F.lit(1).cast("long").alias("user_id"), "event_type", F.lit(1.0).alias("value"), F.lit("").alias("props")
+    )
+    stream = live.events(spark, f"{sent_twice(spark, e.repartition(5), 10)}/part=*", schema=f"{live.EVENTS}, sent long")
+    got = live.drained(live.deduplicated(stream, key="sent"))
+    assert got.batches >= 11
+    assert sorted((r.event_id, r.event_type) for r in got.rows.collect()) == sorted((k, t) for k, _, t in rows)
+
+
+def test_dedup_query_does_not_depend_on_the_number_of_files(spark, sf, tmp_path):
+    from elastipool.plans.catalog import CATALOG
+
+    spark.read.parquet(f"{sf}/events.parquet").repartition(80, "event_id").write.parquet(str(tmp_path / "events.parquet"))
+    spark.conf.set("spark.sql.files.openCostInBytes", 1 << 30)  # a task for each file
+    try:
+        got = CATALOG["stream_dedup"][0](spark, str(tmp_path)).count()
+    finally:
+        spark.conf.unset("spark.sql.files.openCostInBytes")
+    assert got == spark.read.parquet(f"{sf}/events.parquet").count()
