@@ -116,3 +116,30 @@ def test_empty_and_spinup():
     assert max(f for _, f, _ in slow.values()) > max(f for _, f, _ in fast.values())
 
 
+
+
+def test_run_holds_waiting_tasks_only():
+    """Tasks are taken as they come and results leave as they start, so a shard's length costs no memory: 100,000 tasks that never queue up."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    from elastipool.operators import kernel
+
+    def batches():
+        for k in range(0, 100_000, 10_000):
+            i = range(k, k + 10_000)
+            yield pa.RecordBatch.from_pydict({"run_id": ["elastic"] * 10_000, "shard": [0] * 10_000, "enq_ms": [x * 1000 for x in i], "seq": list(i), "prio": [1] * 10_000, "svc_ms": [500] * 10_000, "task_id": list(i)})
+
+    tracemalloc.start()
+    n = sum(b.column("kind").to_pylist().count("result") for b in kernel._run({"elastic": FIGURE})(batches()))
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert n == 100_000 and most < 30_000_000
+
+
+def test_tasks_without_priority_come_last():
+    from elastipool.operators import kernel
+
+    got = [r[1] for r in kernel.served([(0, 0, None, 100, 0), (0, 1, 3, 100, 1), (0, 2, -1, 100, 2), (0, 3, 3, 100, 3)], STATIC2.but(n_init=1)) if r[0] == "result"]
+    assert got == [0, 2, 1, 3]
