@@ -229,3 +229,11 @@ def test_five_configurations_behave_as_reported(spark, sf):
     assert rep["B1"].runtime_ms < rep["B3"].runtime_ms < rep["B4"].runtime_ms
     assert rep["B1"].accuracy == rep["B3"].accuracy and rep["B2"].accuracy >= rep["B1"].accuracy > rep["B4"].accuracy
     assert rep["B2"].per_minute < rep["B1"].per_minute and rep["B1"].efficiency > rep["B3"].efficiency
+
+
+def test_inversions_read_each_slice_once(spark):
+    """A frame that reaches to the end is summed up anew for every row: the cost of a slice would be its square."""
+    r = spark.createDataFrame([("r", 0, 0, 1, 0, 5), ("r", 1, 0, 2, 0, 3)], "run_id string, shard int, seq long, prio int, enq_ms long, start_ms long")
+    got = measures.inversions(r)
+    assert [(x.inversions, x.n) for x in got.collect()] == [(1, 2)]
+    assert "unboundedfollowing" not in got._jdf.queryExecution().optimizedPlan().toString().lower()
