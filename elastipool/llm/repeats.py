@@ -45,6 +45,8 @@ LENGTH, GRAM = 100, 24
 PIECE = 1 << 20
 #: Different phrases of one trigger in a piece of text, and in the corpus, beyond which its windows are hashed.
 PER_PIECE, FREQUENT = 64, 20_000
+#: Bytes of small rows that are handled in one go.
+TOGETHER = 1 << 19
 #: Places between the parts of one document, and the most places that packed positions can tell apart.
 GAP, PLACES = 1 << 10, 1 << 32
 _POS_BITS = np.uint64(23)
@@ -268,15 +270,18 @@ def _cols(rows, *names):
 
 
 def _streams(batches):
-    """(kind, rows) for each run of equal (kind, key) over sorted batches."""
-    now, held = None, []
+    """(kind, rows) over sorted batches, for each run of equal (kind, key). Rows that only pass through come TOGETHER, whatever their keys, as a batch
+    of each would cost more than the rows; so do buckets of entries: these are told apart by their bytes, and no trigger has two buckets."""
+    now, held, size = None, [], 0
     for b in batches:
         for row in zip(*(c.to_pylist() for c in b.columns)):
-            if row[:2] != now or row[0] in (SPAN, OPEN):
-                if held:
-                    yield now[0], held
-                now, held = row[:2], []
+            kind, full = row[0], size >= TOGETHER
+            if held and (kind != now[0] or (full if kind in (SPAN, OPEN) else row[1] != now[1] and (full or kind != ENTRY))):
+                yield now[0], held
+                held, size = [], 0
+            now = row[:2]
             held.append(row)
+            size += sum(len(x) for x in row[2:] if x)
     if held:
         yield now[0], held
 
@@ -507,8 +512,9 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     parsed = src.where(F.octet_length("text") >= LENGTH).select("at", "base", "text").mapInArrow(lean(_parse(buckets)), ROWS_DDL)
     looked = materialise(dealt(parsed).mapInArrow(lean(_lookup), ROWS_DDL), "phrases")
     asked = src.join(_spans_of(looked, OPEN), "at").select("at", "base", "text", "pos", "cnt")
-    opened = looked.where(F.col("kind") != OPEN).unionByName(asked.mapInArrow(lean(_open(buckets)), ROWS_DDL))
-    found = materialise(dealt(opened).mapInArrow(lean(_suffixes), ROWS_DDL), "spans")
+    # spans that are known need no bucket
+    opened = looked.where(~F.col("kind").isin(OPEN, SPAN)).unionByName(asked.mapInArrow(lean(_open(buckets)), ROWS_DDL))
+    found = materialise(dealt(opened).mapInArrow(lean(_suffixes), ROWS_DDL).unionByName(looked.where(F.col("kind") == SPAN)), "spans")
     discard(looked)
     return src.join(_spans_of(found, SPAN), "at", "left").select("doc_id", "base", "text", "pos", "cnt"), found
 

@@ -318,3 +318,20 @@ def test_containment_in_several_blocks(spark, monkeypatch):
     bench = spark.createDataFrame(items, "item_id long, text string")
     assert sorted((r.doc_id, r.item_id) for r in decontam.contaminated(frame(spark, rows), bench).collect()) == [(i, i % 12) for i in range(24)]
     assert decontam.without_contaminated(frame(spark, rows), bench).count() == 0
+
+
+def test_repeats_small_rows_travel_together():
+    """Rows that only pass through, and buckets of few entries, must not cost a batch each; what is found does not depend on it."""
+    from elastipool.llm import repeats as R
+
+    four = lambda v, t: np.array([v], t).tobytes()
+    spans = [(R.SPAN, k, None, None, None, four(k, "<u4"), four(1, "<u4")) for k in range(3000)]
+    text = [bytes((7 * i + 13 * k) % 251 for i in range(R.LENGTH)) for k in range(200)]
+    # in every bucket a phrase of one window, twice: in document 1 and again in document 2
+    entries = [(R.ENTRY, k, t * 2, None, np.array([1, 2], "<i8").tobytes(), np.array([k * 200] * 2, "<u4").tobytes(), np.array([1, 1], "<u2").tobytes()) for k, t in enumerate(text)]
+    out = list(R._suffixes(R._emit(rows) for rows in (spans[:1000], spans[1000:], entries)))
+    assert len(out) <= 4
+    got = [r for b in out for r in zip(*(c.to_pylist() for c in b.columns))]
+    assert got[:3000] == spans
+    again = np.concatenate([np.frombuffer(r[5], "<u4") for r in got[3000:] if r[1] == 2])
+    assert sorted(again.tolist()) == [k * 200 for k in range(200)] and {r[1] for r in got[3000:]} == {2}
