@@ -76,7 +76,7 @@ def test_tsv_and_requests(spark, sf, tmp_path):
     assert ingest.conversations(spark, sf).count() > 0
 
 
-READS = {"arrivals_grid": "supplier"}
+READS = {"arrivals_grid": "supplier", "op_sql_function_rule": "lineitem", "rule_bounds": "lineitem", "rule_truth_table": "lineitem"}
 
 
 @pytest.mark.parametrize("name", READS)
