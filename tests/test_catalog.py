@@ -76,7 +76,7 @@ def test_tsv_and_requests(spark, sf, tmp_path):
     assert ingest.conversations(spark, sf).count() > 0
 
 
-READS = {"arrivals_grid": "supplier", "op_sql_function_rule": "lineitem", "rule_bounds": "lineitem", "rule_truth_table": "lineitem"}
+READS = {"arrivals_grid": "supplier", "op_sql_function_rule": "lineitem", "rule_bounds": "lineitem", "rule_truth_table": "lineitem", "source_two_phase": "customer", "stream_two_phase": "customer"}
 
 
 @pytest.mark.parametrize("name", READS)
@@ -90,3 +90,9 @@ def test_query_reads_its_table(spark, sf, con, tmp_path, name):
     got, want, whole = (_norm(x) for x in (f(spark, str(tmp_path)).toPandas(), half.execute(sql).fetchdf(), con.execute(sql).fetchdf()))
     assert [[x.replace(".0", "") for x in r] for r in got] == [[x.replace(".0", "") for x in r] for r in want]
     assert got and want != whole
+
+
+@pytest.mark.parametrize("name", READS)
+def test_query_on_an_empty_table(spark, sf, tmp_path, name):
+    spark.read.parquet(f"{sf}/{READS[name]}.parquet").where("false").write.parquet(str(tmp_path / f"{READS[name]}.parquet"))
+    assert CATALOG[name][0](spark, str(tmp_path)).collect() == []
